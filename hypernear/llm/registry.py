@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import toxicity
+from . import mixing, packing, toxicity
 from .common import read
 
 QUERIES: dict = {}
@@ -29,3 +29,35 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     scorer = toxicity.fit(docs, labels.filter(~toxicity.held_out()))
     scored = toxicity.score(docs.select("doc_id", "text"), scorer)
     return scored.select("doc_id", toxicity.held_out().alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
+@query
+def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    mixed = mixing.copies(read(spark, sf_dir, "documents").select("doc_id", "text", "source"))
+    return mixed.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))
+
+
+ORACLES["op6_mixing"] = r"""
+WITH sized AS (
+  SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS size, md5(coalesce(text, '')) AS digest,
+         (('0x' || substr(md5('42:' || coalesce(CAST(doc_id AS VARCHAR), '')), 1, 12))::BIGINT + 0.5) / 281474976710656.0 AS u
+  FROM documents),
+sizes AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM sized WHERE size > 0 GROUP BY source),
+placed AS (SELECT *, [5, 2, 1][CAST((row_number() OVER (ORDER BY source IS NULL, source) - 1) % 3 + 1 AS INT)] AS w, row_number() OVER (ORDER BY source IS NULL, source) AS place FROM sizes),
+rated AS (
+  SELECT *, CAST(150 * sum(source_size) OVER () - 200 * coalesce(sum(source_size) OVER f, 0) AS DOUBLE) / (100.0::DOUBLE * CAST(sum(w) OVER () - coalesce(sum(w) OVER f, 0) AS DOUBLE)) AS ratio
+  FROM placed WINDOW f AS (ORDER BY source_size::DOUBLE / w::DOUBLE, place ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+lam AS (SELECT arg_min(ratio, (source_size::DOUBLE / w::DOUBLE, place)) AS l FROM rated WHERE ratio * w <= 2 * source_size),
+goal AS (SELECT source, source_size, least(coalesce(l * w, 2.0::DOUBLE * source_size), 2.0::DOUBLE * source_size) AS target FROM rated, lam),
+plan AS (SELECT *, floor(target / source_size) AS whole, target - floor(target / source_size) * source_size AS wanted FROM goal),
+ranked AS (
+  SELECT s.doc_id, s.size, p.source_size, p.target, p.whole, p.wanted, sum(s.size) OVER (PARTITION BY s.source ORDER BY u, s.doc_id NULLS FIRST, digest ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto
+  FROM sized s LEFT JOIN plan p ON s.source IS NOT DISTINCT FROM p.source)
+SELECT doc_id, CAST(size AS BIGINT) AS size, coalesce(source_size, 0) AS source_size, coalesce(target, 0.0) AS target,
+       CAST(CASE WHEN size = 0 THEN 0 WHEN wanted > 0 AND upto - wanted <= wanted - (upto - size) THEN size * (whole + 1) ELSE size * whole END AS BIGINT) AS taken
+FROM ranked"""
+
+
+@query
+def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack_tokens(read(spark, sf_dir, "documents"))
