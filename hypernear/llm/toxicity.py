@@ -23,14 +23,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .boosting import BoostedTrees, Isotonic, out_of_fold
-from .common import WORD, opened, ship
+from .common import WORD, opened, persisted, ship
 
 # General insults, and second-person pronouns, of four languages.
 INSULTS = "idiot moron stupid loser scum trash worthless pathetic disgusting clown dumb fool jerk bastard bitch idiota estúpido imbécil basura asqueroso idiote imbécile stupide ordure dégoûtant trottel dummkopf abschaum widerlich arschloch"
 YOU = "you your yours yourself u ur tú tu usted ustedes vosotros te ti vous votre vos toi du dich dir dein deine ihr euch sie"
 LEET = str.maketrans("013457@$!", "oieastasi")
-MASKED = re.compile(r"\w*[^\W\d_][*@$!#0-9]+[^\W\d_]\w*|(?<!\w)(?:[^\W\d_][.\-_* ]){3,}[^\W\d_](?!\w)")
-RUN = re.compile(r"(\w)\1{3,}")
 STEMS = (4, 5, 6, 7, 8)
 
 
@@ -43,8 +41,8 @@ class Scorer:
     trees: BoostedTrees = field(default_factory=BoostedTrees)
     calibration: Isotonic = field(default_factory=Isotonic)
 
-    def score(self, texts: list[str | None]) -> np.ndarray:
-        return self.calibration.predict(self.trees.predict(featurise(texts, self.weights, self.stems)))
+    def score(self, texts: list[str | None], *prepared) -> np.ndarray:
+        return self.calibration.predict(self.trees.predict(featurise(texts, self.weights, self.stems, *prepared)))
 
 
 def weigh(word: str, weights: dict[str, float], stems: dict[str, float]) -> float:
@@ -55,53 +53,102 @@ def weigh(word: str, weights: dict[str, float], stems: dict[str, float]) -> floa
     return best
 
 
-def featurise(texts: list[str | None], weights: dict[str, float], stems: dict[str, float]) -> np.ndarray:
+class Kinds(dict):
+    """What a word says, worked out once: 0 for most, else its weight and whether it is a general insult, a pronoun, shouted."""
+
+    def __init__(self, weights: dict[str, float], stems: dict[str, float]):
+        super().__init__()
+        self.weights, self.stems, self.insults, self.you = weights, stems, frozenset(INSULTS.split()), frozenset(YOU.split())
+
+    def __missing__(self, word: str):
+        if len(self) > 500_000:
+            self.clear()
+        low = word.lower()
+        weight, insult, you, shouted = weigh(low, self.weights, self.stems), low in self.insults, low in self.you, len(word) > 1 and word.isupper()
+        self[word] = kind = (weight, insult, you, shouted) if weight or insult or you or shouted else 0
+        return kind
+
+    def bad(self, word: str) -> bool:
+        return word in self.insults or weigh(word, self.weights, self.stems) > 0
+
+
+OTHER, LETTER, CAPITAL, DIGIT, SPACE, POINT = range(6)
+
+
+def character_classes(limit: int = 0x3000) -> np.ndarray:
+    """Class of each code point below limit; the rest (mostly other scripts) count as letters."""
+    kinds = np.full(limit + 1, LETTER, dtype=np.uint8)
+    for code in range(limit):
+        c = chr(code)
+        kinds[code] = CAPITAL if c.isupper() else LETTER if c.isalpha() else DIGIT if c.isdigit() else SPACE if c.isspace() else OTHER if c == "_" else POINT
+    return kinds
+
+
+def featurise(texts: list[str | None], weights: dict[str, float], stems: dict[str, float], kinds: Kinds | None = None, classes: np.ndarray | None = None) -> np.ndarray:
     """One row of dense features a text."""
-    insults, you, memo = frozenset(INSULTS.split()), frozenset(YOU.split()), {}
+    kinds = Kinds(weights, stems) if kinds is None else kinds
+    classes = character_classes() if classes is None else classes
     rows = []
     for text in texts:
         text = text or ""
         found = WORD.findall(text)
-        n, chars = len(found), len(text)
-        hits, total, kinds, general, near, second = 0, 0.0, set(), 0, 0, 0
-        spots, you_at = [], []
-        for at, word in enumerate(found):
-            kind = memo.get(word)
-            if kind is None:
-                low = word.lower()
-                if len(memo) > 500_000:
-                    memo.clear()
-                kind = memo[word] = (weigh(low, weights, stems), low in insults, low in you)
-            if kind[0] or kind[1]:
-                spots.append(at)
-                kinds.add(word.lower())
-                hits += 1
-                total += kind[0]
-                general += kind[1]
-            if kind[2]:
-                you_at.append(at)
-                second += 1
+        telling = [(at, kind) for at, kind in enumerate(map(kinds.__getitem__, found)) if kind]
+        spots = [at for at, k in telling if k[0] or k[1]]
+        you_at = [at for at, k in telling if k[2]]
+        hits, total, general = len(spots), sum(k[0] for _, k in telling), sum(k[1] for _, k in telling)
+        near = 0
         if spots and you_at:
-            gap = np.abs(np.searchsorted(you_at, spots)[:, None] + np.array([-1, 0])).clip(0, len(you_at) - 1)
-            near = int((np.abs(np.array(you_at)[gap] - np.array(spots)[:, None]).min(axis=1) <= 5).sum())
-        masked = MASKED.findall(text)
-        unmasked = 0
-        for word in masked:
-            plain = re.sub(r"[^\w]", "", word.lower().translate(LEET))
-            unmasked += plain in insults or weigh(plain, weights, stems) > 0
-        letters = sum(map(str.isalpha, text)) if chars < 200 else len(re.findall(r"[^\W\d_]", text))
-        capitals = len(re.findall(r"[A-ZÀ-ÖØ-Þ]", text))
-        shouted = sum(1 for w in found if len(w) > 1 and w.isupper())
-        per = 1.0 / max(n, 1)
+            right = np.searchsorted(you_at, spots)
+            beside = np.stack([right - 1, right]).clip(0, len(you_at) - 1)
+            near = int((np.abs(np.array(you_at)[beside] - np.array(spots)).min(axis=0) <= 5).sum())
+        codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
+        kind = classes[np.minimum(codes, len(classes) - 1)]
+        count = np.bincount(kind, minlength=6)
+        masked, spelt, runs = oddities(codes, kind)
+        unmasked = sum(kinds.bad(w) for at in masked for w in around(text, int(at))) + sum(kinds.bad(w) for w in spelt_out(text, spelt))
+        n, chars, letters = max(len(found), 1), max(len(text), 1), max(int(count[LETTER] + count[CAPITAL]), 1)
         rows.append((
-            math.log1p(n), general * per, math.log1p(general), hits * per, math.log1p(hits), total * per, math.log1p(total),
-            len(kinds), near / max(hits, 1), second * per, capitals / max(letters, 1), shouted * per,
-            len(re.findall(r"[^\w\s]", text)) / max(chars, 1), text.count("!") * per, text.count("?") * per,
-            len(masked) * per, unmasked, unmasked * per, len(RUN.findall(text)) * per, letters / max(chars, 1),
+            math.log1p(len(found)), general / n, math.log1p(general), hits / n, math.log1p(hits), total / n, math.log1p(total), len({found[at].lower() for at in spots}),
+            near / max(hits, 1), len(you_at) / n, count[CAPITAL] / letters, sum(k[3] for _, k in telling) / n, count[POINT] / chars, text.count("!") / n, text.count("?") / n,
+            (len(masked) + len(spelt)) / n, unmasked, unmasked / n, runs / n, letters / chars,
         ))
     return np.array(rows, dtype=float).reshape(len(texts), -1)
 
 
+def oddities(codes: np.ndarray, kind: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+    """Where a digit or one of * @ $ ! # stands between letters, where four lone letters begin, and how many fourfold letters there are."""
+    letter = (kind == LETTER) | (kind == CAPITAL)
+    if len(codes) < 3:
+        return np.empty(0, int), np.empty(0, int), 0
+    sign = (kind == DIGIT) | np.isin(codes, np.frombuffer("*@$!#".encode("utf-32-le"), dtype=np.uint32)) if (kind >= DIGIT).any() else np.zeros(len(kind), bool)
+    masked = np.flatnonzero(sign[1:-1] & letter[:-2] & letter[2:]) + 1
+    edge = np.concatenate([[False], letter, [False]])
+    lone = letter & ~edge[:-2] & ~edge[2:]
+    spelt = np.flatnonzero(lone[:-6] & lone[2:-4] & lone[4:-2] & lone[6:]) if len(lone) > 6 else np.empty(0, int)
+    same = letter[1:] & (codes[1:] == codes[:-1])
+    runs = int((same[:-2] & same[1:-1] & same[2:]).sum()) if len(same) > 2 else 0
+    return masked, spelt, runs
+
+
+def around(text: str, at: int) -> list[str]:
+    """The masked word at a place, read as letters: signs undone, and signs left out."""
+    a = max(text.rfind(" ", 0, at), text.rfind("\n", 0, at)) + 1
+    b = re.compile(r"\s|$").search(text, at).start()
+    word = text[a:b].lower()[:80]
+    return [re.sub(r"[\W\d_]", "", word.translate(LEET)), re.sub(r"[\W\d_]", "", word)]
+
+
+def spelt_out(text: str, starts: np.ndarray) -> list[str]:
+    """Words written as lone letters; each run of starts two apart is one word."""
+    words, begun = [], None
+    for k, at in enumerate(starts):
+        begun = at if begun is None else begun
+        if k + 1 == len(starts) or starts[k + 1] != at + 2:
+            words.append(text[begun : at + 7 : 2].lower())
+            begun = None
+    return words
+
+
 def signature(found: list[str]) -> int:
     """Least hash of the three-word runs: near copies mostly share it."""
     return min((hash_of(" ".join(found[i : i + 3])) for i in range(max(1, len(found) - 2))), default=0)
@@ -135,6 +182,7 @@ def learn_terms(sample: DataFrame, least_evidence: float, most_terms: int) -> tu
         yield pa.RecordBatch.from_pydict({"term": pa.array(kept, pa.string()), "pos": pa.array([pairs[t, 1] for t in kept], pa.int64()), "neg": pa.array([pairs[t, 0] for t in kept], pa.int64())})
 
     counts = sample.mapInArrow(count, "term string, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
+    counts = persisted(counts, "toxicity-terms")
     whole = counts.filter("term = ''").first()
     if whole is None or not whole.pos or not whole.neg:
         return {}, {}
@@ -148,7 +196,7 @@ def learn_terms(sample: DataFrame, least_evidence: float, most_terms: int) -> tu
     return {r.term[1:]: r.purity for r in top if r.term[0] == "w"}, {r.term[1:]: r.purity for r in top if r.term[0] == "s"}
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: int = 40_000, least_evidence: float = 12.0, most_terms: int = 5_000, least_positive: int = 20) -> Scorer:
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: int = 24_000, least_evidence: float = 12.0, most_terms: int = 5_000, least_positive: int = 20) -> Scorer:
     """Model from at most about sample_rows of the given labelled rows.
 
     Half of the sample shows which terms are toxic; the trees and the calibration see the other half only, so
@@ -166,8 +214,9 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: i
 
     def features(batches):
         terms = opened(shared)
+        prepared = Kinds(*terms), character_classes()
         for batch in batches:
-            X = featurise(batch.column("text").to_pylist(), *terms)
+            X = featurise(batch.column("text").to_pylist(), *terms, *prepared)
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "y": batch.column("y"), "x": pa.array(list(X), pa.list_(pa.float64()))})
 
     rest = (texts.filter(side == 1) if halved else texts).mapInArrow(features, "doc_id long, y int, x array<double>")
@@ -188,8 +237,9 @@ def score(docs: DataFrame, scorer: Scorer, column: str = "score") -> DataFrame:
 
     def run(batches):
         model = opened(shared)
+        prepared = Kinds(model.weights, model.stems), character_classes()
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.score(batch.column(at).to_pylist()), pa.float64())], names=[*batch.schema.names, column])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.score(batch.column(at).to_pylist(), *prepared), pa.float64())], names=[*batch.schema.names, column])
 
     return docs.select(*kept).mapInArrow(run, schema)
 
