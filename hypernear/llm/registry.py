@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import html_text, mixing, packing, toxicity, url_filter
+from . import html_text, mixing, packing, rotated_codes, toxicity, url_filter
 from .common import read
 
 QUERIES: dict = {}
@@ -72,3 +72,18 @@ def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op10_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.main_text(read(spark, sf_dir, "pages"))
+
+
+@query
+def op3_rotated_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = read(spark, sf_dir, "embeddings")
+    index, setting = rotated_codes.build(vectors)
+    return rotated_codes.search(rotated_codes.saved(index), setting, vectors.filter("vec_id % 100 = 0"))
+
+
+ORACLES["op3_rotated_codes"] = """
+WITH v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings WHERE embedding IS NOT NULL AND list_sum(list_transform(embedding, lambda x: abs(x))) > 0),
+d AS (SELECT q.vec_id AS query_id, c.vec_id, sqrt(list_sum(list_transform(list_zip(q.e, c.e), lambda z: (z[1] - z[2]) * (z[1] - z[2])))) AS score
+      FROM v q JOIN v c ON q.vec_id % 100 = 0 AND q.vec_id <> c.vec_id),
+r AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score, vec_id) AS INT) AS rank FROM d)
+SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 10"""
