@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import html_text, mixing, packing, rotated_codes, toxicity, url_filter
+from . import contamination, html_text, mixing, packing, rotated_codes, toxicity, url_filter
 from .common import read
 
 QUERIES: dict = {}
@@ -87,3 +87,8 @@ d AS (SELECT q.vec_id AS query_id, c.vec_id, sqrt(list_sum(list_transform(list_z
       FROM v q JOIN v c ON q.vec_id % 100 = 0 AND q.vec_id <> c.vec_id),
 r AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score, vec_id) AS INT) AS rank FROM d)
 SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 10"""
+
+
+@query
+def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contamination.leaks(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
