@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import contamination, html_text, mixing, packing, rotated_codes, toxicity, url_filter
+from . import contamination, html_text, mixing, order_minhash, packing, rotated_codes, toxicity, url_filter
 from .common import read
 
 QUERIES: dict = {}
@@ -92,3 +92,8 @@ SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 10"""
 @query
 def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination.leaks(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
+
+
+@query
+def op7_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return order_minhash.near_duplicates(read(spark, sf_dir, "documents"))
