@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD
+from .common import WORD, persisted
 
 # Element names by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -188,11 +188,12 @@ def main_text(pages: DataFrame, group_pages: int = 256, least_run: int = 6, shar
     """page_id, url, text and n_chars of every page."""
     keyed = pages.select("page_id", "url", "html", host_of(F.col("url")).alias("host"))
     large = keyed.groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") > group_pages).select(F.col("host").alias("large"), F.ceil(F.col("n") / group_pages).alias("groups"))
+    large = persisted(large, "large-hosts")  # a table of measured size: Spark broadcasts it while it is small, and no page moves for it
     spread = F.pmod(F.xxhash64("page_id", "url"), F.coalesce("groups", F.lit(1)))
-    dealt = keyed.join(large, F.col("host") == F.col("large"), "left").select("page_id", "url", "html", "host", spread.alias("deal"))
+    dealt = keyed.join(large, F.col("host") == F.col("large"), "left").select("page_id", "url", "html", F.concat_ws(" ", "host", spread).alias("deal"))
 
     def run(table: pa.Table) -> pa.Table:
         texts = extract(table.column("html").to_pylist(), least_run, share)
         return pa.table({"page_id": table.column("page_id"), "url": table.column("url"), "text": pa.array(texts, pa.string()), "n_chars": pa.array([len(t) for t in texts], pa.int64())})
 
-    return dealt.groupBy("host", "deal").applyInArrow(run, "page_id long, url string, text string, n_chars long")
+    return dealt.groupBy("deal").applyInArrow(run, "page_id long, url string, text string, n_chars long")
