@@ -5,7 +5,7 @@ from __future__ import annotations
 import pickle
 import re
 import uuid
-from collections.abc import Callable, Iterable, Iterator
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark import Broadcast, cloudpickle
@@ -37,28 +37,9 @@ def persisted(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def discard(spark: SparkSession, path: str) -> None:
-    jvm = spark._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def table_path(df: DataFrame) -> str:
-    """Folder of a table that persisted() wrote."""
-    return df.inputFiles()[0].rsplit("/", 1)[0]
-
-
-def map_rows(df: DataFrame, function: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: str) -> DataFrame:
-    """Apply function to bounded Arrow batches."""
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in split(batch):
-                made = function(part)
-                if made is not None:
-                    yield made
-
-    return df.mapInArrow(run, schema)
+def small_batches(spark: SparkSession) -> None:
+    """Hold Arrow batches to 1,000 rows, as texts may be long."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
 
 
 def split(batch: pa.RecordBatch, rows: int = 512) -> Iterator[pa.RecordBatch]:

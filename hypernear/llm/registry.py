@@ -2,21 +2,23 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import contamination, html_text, mixing, order_minhash, packing, rotated_codes, toxicity, url_filter
-from .common import read
+from . import contamination, html_text, licenses, mixing, order_minhash, packing, rotated_codes, shards, toxicity, url_filter
+from .common import read, shared_dir, small_batches
 
 QUERIES: dict = {}
 ORACLES: dict = {}
 
 
 def query(function):
-    """Register function; its Arrow batches hold at most 1,000 rows, as texts may be long."""
+    """Register function, to run with small Arrow batches."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
+        small_batches(spark)
         return function(spark, sf_dir)
 
     QUERIES[function.__name__] = run
@@ -97,3 +99,22 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op7_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return order_minhash.near_duplicates(read(spark, sf_dir, "documents"))
+
+
+@query
+def op2_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    store = shards.ShardStore(spark, f"{shared_dir(spark)}/shards-{uuid.uuid4().hex}")
+    for arrival in shards.arrivals(read(spark, sf_dir, "documents"), "doc_id"):
+        store.append(arrival)
+    store.compact()
+    store.vacuum()
+    return store.read().select("doc_id", F.md5("text").alias("text_md5"), "lang", "source", "n_chars")
+
+
+ORACLES["op2_shards"] = "SELECT doc_id, md5(text) AS text_md5, lang, source, n_chars FROM documents"
+
+
+@query
+def op5_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    files = licenses.document_paths(read(spark, sf_dir, "documents").select("doc_id", "source", "text")).drop("source")
+    return licenses.licences(files)
