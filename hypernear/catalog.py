@@ -1,4 +1,6 @@
 """Named queries over the given tables, with the SQL that must agree."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from .plans import searches  # noqa: F401
+from .plans.registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES"]
