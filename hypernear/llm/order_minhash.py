@@ -4,10 +4,9 @@ A sketch samples the ``depth`` least of a document's word runs (of ``gram`` word
 one of ``sketches`` hash functions, and keeps them in text order, so that it agrees between texts of small edit distance. Texts that
 agree in a sketch share a bucket. Copies count as one text from the start.
 
-No bucket is expanded into its pairs. In each, every text is compared with at most two leaders (the least of two
-random halves), so a bucket of n texts gives at most 2n comparisons. Texts linked to no leader go on with their whole bucket,
-split by the next sketch as well, until no bucket holds an unlinked text: rows stay in proportion to texts, and no
-bucket is cut off. A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text. Classes are
+No bucket is expanded into its pairs. In each, every text is compared with the bucket's leader, its least text, so a bucket of n
+texts gives n - 1 comparisons at most. A bucket with a text outside its leader's group goes on, split by the next sketch as well,
+until none is left: rows stay in proportion to texts, and no bucket is cut off. A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text. Classes are
 the connected components of all links.
 
 Defined cases: null texts and texts without words are in no class but their own row's; texts shorter than ``gram`` words are one
@@ -125,62 +124,104 @@ def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     return two.select("u", "v", "text_u", "text_v").mapInArrow(run, "u long, v long")
 
 
-def leaders_of(buckets: DataFrame) -> DataFrame:
-    """Of each bucket of two or more texts, the least node of two halves."""
-    half = F.pmod(F.xxhash64("node"), F.lit(2))
-    least = buckets.groupBy("key").agg(F.count("*").alias("n"), *[F.min(F.when(half == k, F.col("node"))).alias(f"lead{k}") for k in (0, 1)])
-    return least.filter("n > 1").drop("n")
+def led(buckets: DataFrame) -> DataFrame:
+    """Rows (key, node, band) of buckets of two or more texts, with the bucket's leader, its least node."""
+    least = buckets.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("lead")).filter("n > 1").select("key", "lead")
+    return buckets.join(least, "key")
 
 
-def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int = 24, depth: int = 2, seed: int = 42) -> DataFrame:
-    """(digest, class_node, class_id, first_digest): one row a different text that has words."""
-    nodes = persisted(sketched(docs, sketches, gram, depth, seed).withColumn("node", F.monotonically_increasing_id()), "order-minhash-nodes")
+def gathered(docs: DataFrame, wanted: DataFrame, most_broadcast: int = 500_000) -> DataFrame:
+    """(node, text) of the wanted (node, digest): found by a broadcast of the digests while they are few by count, else by a shuffle."""
+    few = wanted.count() <= most_broadcast
     texts = docs.filter(F.col("text").isNotNull()).select(text_key(F.col("text")).alias("digest"), "text")
+    found = texts.join(F.broadcast(wanted) if few else wanted, "digest")
+    return found.groupBy("node").agg(F.first("text").alias("text"))
+
+
+class Links:
+    """The comparisons made so far, and the groups that their links join."""
+
+    def __init__(self, texts: DataFrame, least: float):
+        self.texts, self.least, self.compared, self.groups = texts, least, None, None
+
+    def group_of(self, node: str, name: str) -> DataFrame:
+        return self.groups.select(F.col("node").alias(node), F.col("component").alias(name))
+
+    def apart(self, pairs: DataFrame) -> DataFrame:
+        """Pairs (u, v) of different groups that were not compared before."""
+        if self.compared is None:
+            return pairs
+        pairs = pairs.join(self.compared, ["u", "v"], "left_anti")
+        if self.groups is not None:
+            both = pairs.join(self.group_of("u", "_u"), "u", "left").join(self.group_of("v", "_v"), "v", "left")
+            pairs = both.filter(F.coalesce(F.col("_u") != F.col("_v"), F.lit(True))).drop("_u", "_v")
+        return pairs
+
+    def compare(self, pairs: DataFrame) -> None:
+        pairs = persisted(pairs, "order-minhash-pairs")
+        links = persisted(verified(pairs, self.texts, self.least), "order-minhash-links")
+        self.compared = pairs if self.compared is None else self.compared.unionByName(pairs)
+        if not links.isEmpty():
+            # Earlier groups come in as stars, so their links need not be joined again.
+            before = [] if self.groups is None else [self.groups.filter("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))]
+            for stars in before:
+                links = links.unionByName(stars)
+            self.groups = components(links)
+
+
+def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int = 24, depth: int = 2, seed: int = 42, shared: int = 3) -> DataFrame:
+    """(digest, class_node, class_id, first_digest, texts): one row a different text that has words.
+
+    First each text is compared with the leader that it shares most buckets with, so that a large group needs about one comparison
+    a text; then with its other leaders, unless they have come into one group. ``shared`` is how many open buckets a text needs to go
+    on: similar texts share far more of the sketches.
+    """
+    nodes = persisted(sketched(docs, sketches, gram, depth, seed).withColumn("node", F.monotonically_increasing_id()), "order-minhash-nodes")
     buckets = nodes.select("node", F.posexplode("keys").alias("band", "key")).select("node", "key", "band")
-    edges, compared, grouped = None, None, None
+    member = persisted(led(buckets), "order-minhash-buckets")
+    wanted = member.select("node").distinct().join(nodes.select("node", "digest"), "node")
+    links = Links(persisted(gathered(docs, persisted(wanted, "order-minhash-wanted")), "order-minhash-texts"), least)
     for turn in range(1, sketches + 1):
-        member = persisted(buckets.join(leaders_of(buckets), "key"), "order-minhash-buckets")
-        sides = F.explode(F.array("lead0", "lead1")).alias("lead")
-        pairs = member.select("node", sides).filter("lead <> node").select(F.greatest("node", "lead").alias("u"), F.least("node", "lead").alias("v")).distinct()
-        if grouped is not None:
-            group_of = lambda side: grouped.select(F.col("node").alias(side), F.col("component").alias(f"{side}_of"))
-            apart = pairs.join(group_of("u"), "u", "left").join(group_of("v"), "v", "left").filter(F.coalesce(F.col("u_of") != F.col("v_of"), F.lit(True)))
-            pairs = apart.select("u", "v").join(compared, ["u", "v"], "left_anti")
-        pairs = persisted(pairs, "order-minhash-pairs")
-        if pairs.isEmpty():
+        pairs = member.filter("lead <> node").groupBy("node", "lead").agg(F.count("*").alias("times"))
+        pairs = persisted(links.apart(pairs.withColumnRenamed("node", "u").withColumnRenamed("lead", "v")), "order-minhash-offers")
+        if not pairs.isEmpty():
             if turn == 1:
-                break
-        else:
-            touched = pairs.select(F.explode(F.array("u", "v")).alias("node")).distinct()
-            wanted = nodes.join(touched, "node").select("node", "digest")
-            found = texts.join(wanted, "digest").groupBy("node").agg(F.first("text").alias("text"))
-            links = persisted(verified(pairs, found, least), "order-minhash-links")
-            edges = links if edges is None else edges.unionByName(links)
-            compared = pairs if compared is None else compared.unionByName(pairs)
-            grouped = components(edges)
-        # Go on with the buckets that hold a text in the group of neither leader, split by one more sketch.
-        place = grouped.select("node", "component")
-        named = member.join(place, "node", "left").withColumn("group", F.coalesce("component", "node")).drop("component")
-        for k in (0, 1):
-            side = place.select(F.col("node").alias(f"lead{k}"), F.col("component").alias(f"group{k}"))
-            named = named.join(side, f"lead{k}", "left").withColumn(f"group{k}", F.coalesce(f"group{k}", f"lead{k}"))
-        loose = ~(F.col("group").eqNullSafe(F.col("group0")) | F.col("group").eqNullSafe(F.col("group1")))
-        open_keys = named.filter(loose).select("key").distinct()
-        rows = persisted(named.join(open_keys, "key", "left_semi").select("node", "key", "band"), "order-minhash-open")
-        if turn == sketches or rows.isEmpty():
+                links.compare(pairs.groupBy("u").agg(F.max_by("v", F.struct("times", -F.col("v"))).alias("v")))
+                links.compare(links.apart(pairs.select("u", "v")))
+            else:
+                links.compare(pairs.select("u", "v"))
+        # Go on with buckets that hold a text outside its leader's group, split by one more sketch.
+        open_rows = persisted(loose(member, links, shared), "order-minhash-open")
+        if open_rows.isEmpty():
             break
-        following = nodes.select("node", "keys").join(rows, "node")
-        buckets = following.select("node", F.xxhash64("key", F.element_at("keys", ((F.col("band") + turn) % sketches + 1).cast("int"))).alias("key"), "band")
-    if grouped is None:
-        placed = nodes.select("node", "digest", "doc_id", F.col("node").alias("class_node"))
+        following = nodes.select("node", "keys").join(open_rows, "node")
+        split = F.element_at("keys", ((F.col("band") + turn) % sketches + 1).cast("int"))
+        member = persisted(led(following.select("node", F.xxhash64("key", split).alias("key"), "band")), "order-minhash-buckets")
+    placed = nodes.select("node", "digest", "doc_id")
+    if links.groups is None:
+        placed = placed.withColumn("class_node", F.col("node"))
     else:
-        placed = nodes.join(grouped, "node", "left").select("node", "digest", "doc_id", F.coalesce("component", "node").alias("class_node"))
+        placed = placed.join(links.groups, "node", "left").select("node", "digest", "doc_id", F.coalesce("component", "node").alias("class_node"))
     placed = persisted(placed, "order-minhash-classes")
     order = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id"), F.col("digest"))
     named = placed.groupBy("class_node").agg(F.min(order).alias("least"), F.count("*").alias("texts"))
     return placed.select("digest", "class_node").join(named, "class_node").select("digest", "class_node", F.col("least.doc_id").alias("class_id"), F.col("least.digest").alias("first_digest"), "texts")
 
 
+def loose(member: DataFrame, links: Links, shared: int) -> DataFrame:
+    """Rows (node, key, band) of buckets with a text outside its leader's group, of texts with at least ``shared`` such buckets."""
+    rows = member
+    if links.groups is not None:
+        rows = rows.join(links.group_of("node", "_node"), "node", "left").join(links.group_of("lead", "_lead"), "lead", "left")
+        rows = rows.withColumn("out", F.coalesce("_node", "node") != F.coalesce("_lead", "lead"))
+    else:
+        rows = rows.withColumn("out", F.col("node") != F.col("lead"))
+    open_keys = rows.groupBy("key").agg(F.count_if("out").alias("n")).filter("n > 0").select("key")
+    held = member.join(open_keys, "key", "left_semi").select("node", "key", "band")
+    often = held.groupBy("node").agg(F.count_distinct("band").alias("n")).filter(F.col("n") >= shared).select("node")
+    return held.join(often, "node", "left_semi")
+
+
 def classified(docs: DataFrame, **options) -> DataFrame:
     """docs with the class of each row: class_id, texts (different texts of the class); null where it has no words."""
     known = classes(docs, **options)
