@@ -10,7 +10,8 @@ from ..functions import exprs as E
 from ..operators import brute, build, index, metrics, search, vectors
 from ..operators.baselines import hashing, lift
 from ..sources import planes
-from ..sources.storage import persisted
+from ..sources.storage import fresh_path, persisted
+from ..streaming import flows
 from .registry import CLUSTER, DOC64, EMB, LI4, PART2, dot, index_of, norm, planes_for, points_of, query, sql_normals, sql_planes_box, sql_planes_rows, sql_topk
 
 H1 = sql_planes_rows("emb", 100, 64)
@@ -226,8 +227,6 @@ def index_sizes(spark, d):
 @query("SELECT count(*) AS n FROM embeddings")
 def index_round_trip(spark, d):
     """Points of a saved and loaded index."""
-    from ..sources.storage import fresh_path
-
     path = fresh_path(spark, "saved-index")
     index_of(spark, d, "emb_cluster", 20, 6).save(path)
     return index.load(spark, path).points.agg(F.count("*").alias("n"))
@@ -337,3 +336,62 @@ def budget_recall(spark, d):
     return rows
 
 
+
+
+@query(CLUSTERED)
+def chosen_topk(spark, d):
+    """The mode is chosen by the engine."""
+    from .choose import topk
+
+    return topk(index_of(spark, d, "emb_cluster", 20), planes_for(spark, d, "emb_cluster"))
+
+
+# --- streams: the oracle is the batch form ---
+
+
+STREAM = "abs(value / 100.0::DOUBLE - 0.5)"
+
+
+def event_stream(spark, d, schema: str = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double"):
+    """The events table as a file stream, with margins from the plane value = 50; times are UTC."""
+    stream = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d)
+    return stream.select("event_id", F.to_timestamp("ts").alias("ts"), "user_id", F.abs(F.col("value") / 100.0 - 0.5).alias("margin"), (F.col("value") / 100.0).alias("v"))
+
+
+@query("SELECT event_id AS id, 0::BIGINT AS qid, " + STREAM + " AS margin FROM events WHERE " + STREAM + " <= 0.001")
+def stream_alerts(spark, d):
+    """Points of a stream within 0.001 of a plane."""
+    points = event_stream(spark, d).select(F.col("event_id").alias("id"), F.array("v", F.lit(1.0)).alias("x"))
+    plane = spark.createDataFrame([(0, [1.0, -0.5])], "qid long, q array<double>")
+    return flows.drained(flows.point_alerts(points, plane, 0.001, 2), spark, "hn_alerts").select("id", "qid", "margin")
+
+
+@query("SELECT date_trunc('day', ts) AS start, count(*) AS n, min(" + STREAM + ") AS least FROM events GROUP BY ALL")
+def stream_tumbling(spark, d):
+    return flows.drained(flows.windowed(event_stream(spark, d), "1 day"), spark, "hn_tumbling", "complete").select(F.to_timestamp_ntz(F.date_format("start", "yyyy-MM-dd HH:mm:ss")).alias("start"), "n", "least")
+
+
+@query("SELECT 0::BIGINT AS qid, row_number() OVER (ORDER BY margin, id) AS rank, id, margin FROM (SELECT event_id AS id, " + STREAM + " AS margin FROM events) ORDER BY margin, id LIMIT 10")
+def stream_topk(spark, d):
+    """The ten nearest of a stream so far, as its last update shows them."""
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    scored = event_stream(spark, d).select(F.lit(0).cast("long").alias("qid"), F.col("event_id").alias("id"), "margin")
+    updates = flows.drained(flows.running_topk(scored), spark, "hn_running", "update")
+    return updates.groupBy("qid", "rank").agg(F.min(F.struct("margin", "id")).alias("b")).select("qid", "rank", "b.id", "b.margin")
+
+
+@query(CLUSTERED_20)
+def stream_planes(spark, d):
+    """A stream of planes searched on a static index."""
+    planes_for(spark, d, "emb_cluster", 20).select("qid", "q").write.parquet(path := fresh_path(spark, "plane-stream"))
+    stream, out = spark.readStream.schema("qid long, q array<double>").parquet(path), fresh_path(spark, "plane-answers")
+    flows.search_each(stream, index_of(spark, d, "emb_cluster", 20), lambda found, n: found.write.mode("append").parquet(out)).awaitTermination()
+    return spark.read.parquet(out)
+
+
+@query(CLUSTERED_20)
+def append_topk(spark, d):
+    """An index of half the points, with the other half appended: answers stay exact."""
+    points = points_of(spark, d, "emb_cluster").select("id", "x")
+    half = build.hybrid(points.filter("id % 2 = 0"), 50)
+    return search.shard_dfs(flows.append(half, points.filter("id % 2 = 1")), planes_for(spark, d, "emb_cluster", 20))
