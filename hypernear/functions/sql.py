@@ -6,7 +6,9 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+VECTOR = T.ArrayType(T.DoubleType())
 DOT = "aggregate(zip_with({a}, {b}, (x, y) -> x * y), 0D, (s, v) -> s + v)"
 
 SCALARS = {
@@ -30,18 +32,18 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("hn_topk", TopK)
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(VECTOR)
 def vec_sum(vectors: pd.Series) -> list:
     """Componentwise sum of a group's vectors."""
     return np.sum(np.stack(vectors.to_numpy()), axis=0).tolist()
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(VECTOR)
 def vec_mean(vectors: pd.Series) -> list:
     return np.mean(np.stack(vectors.to_numpy()), axis=0).tolist()
 
 
-@F.udtf(returnType="i int, j int, value double")
+@F.udtf(returnType=T.StructType([T.StructField("i", T.IntegerType()), T.StructField("j", T.IntegerType()), T.StructField("value", T.DoubleType())]))
 class Lift:
     """The components of a vector's quadratic lift."""
 
@@ -52,7 +54,7 @@ class Lift:
                 yield i, j, a * x[j] * 2**0.5
 
 
-@F.udtf(returnType="id long, margin double")
+@F.udtf(returnType=T.StructType([T.StructField("id", T.LongType()), T.StructField("margin", T.DoubleType())]))
 class TopK:
     """The k points of a partition nearest to one plane: hn_topk(TABLE(points) PARTITION BY .., q, k)."""
 

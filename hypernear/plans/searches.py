@@ -277,7 +277,7 @@ def hash_search(spark, d, kind: str) -> tuple[DataFrame, DataFrame, DataFrame]:
         return points, some, hashing.near_search(hashing.near_build(points, m=32, lam=4 * 65), some, budget=0.3)
     if kind == "far":
         return points, some, hashing.far_search(hashing.far_build(points, m=32, lam=4 * 65), some, separation=2)
-    return points, some, hashing.sphere_search(hashing.sphere_build(points, kind), some)
+    return points, some, hashing.sphere_search(hashing.sphere_build(points, kind, bits=2 if kind == "pair" else 8), some)
 
 
 def verified_margins(spark, d, kind: str) -> DataFrame:
