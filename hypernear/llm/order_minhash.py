@@ -4,9 +4,9 @@ A sketch samples the ``depth`` least of a document's word runs (of ``gram`` word
 one of ``sketches`` hash functions, and keeps them in text order, so that it agrees between texts of small edit distance. Texts that
 agree in a sketch share a bucket. Copies count as one text from the start.
 
-No bucket is expanded into its pairs. In each, every text is compared with the bucket's leader, its least text, so a bucket of n
-texts gives n - 1 comparisons at most. A bucket with a text outside its leader's group goes on, split by the next sketch as well,
-until none is left: rows stay in proportion to texts, and no bucket is cut off. A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text. Classes are
+No bucket is expanded into its pairs. In each, every text is compared with the bucket's leader, so a bucket of n texts gives n - 1
+comparisons at most. A bucket with a text outside its leader's group, and a third text, goes on with another leader and split by
+further sketches, until none is left: rows stay in proportion to texts, and no bucket is cut off. A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text. Classes are
 the connected components of all links.
 
 Defined cases: null texts and texts without words are in no class but their own row's; texts shorter than ``gram`` words are one
@@ -124,9 +124,11 @@ def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
     return two.select("u", "v", "text_u", "text_v").mapInArrow(run, "u long, v long")
 
 
-def led(buckets: DataFrame) -> DataFrame:
-    """Rows (key, node, band) of buckets of two or more texts, with the bucket's leader, its least node."""
-    least = buckets.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("lead")).filter("n > 1").select("key", "lead")
+def led(buckets: DataFrame, turn: int = 0) -> DataFrame:
+    """Rows (key, node, band) of buckets of two or more texts, with the bucket's leader: its least node, or from the next turn on
+    one that a hash of node and turn picks, so that each turn has other leaders."""
+    first = F.min_by("node", F.xxhash64("node", F.lit(turn))) if turn else F.min("node")
+    least = buckets.groupBy("key").agg(F.count("*").alias("n"), first.alias("lead")).filter("n > 1").select("key", "lead")
     return buckets.join(least, "key")
 
 
@@ -138,65 +140,105 @@ def gathered(docs: DataFrame, wanted: DataFrame, most_broadcast: int = 500_000)
     return found.groupBy("node").agg(F.first("text").alias("text"))
 
 
+FEW = 250_000  # rows of a few numbers, a few megabytes: such tables are kept in one partition and may be broadcast
+
+
+def compact(table: DataFrame) -> tuple[DataFrame, bool]:
+    """A persisted table, in one partition if it has few rows, and whether it has."""
+    few = table.count() <= FEW
+    return (table.coalesce(1) if few else table), few
+
+
+def narrowed(table: DataFrame, rows: DataFrame, on: list[str], few: bool) -> DataFrame:
+    """The part of table that a join with rows on these columns can meet: cut out by a broadcast where rows are few."""
+    return table.join(F.broadcast(rows.select(*on).distinct()), on, "left_semi").coalesce(1) if few else table
+
+
 class Links:
-    """The comparisons made so far, and the groups that their links join."""
+    """The comparisons made so far, their links, and the groups that links were known to join when last told to settle.
+
+    Groups may lag behind the links: texts of one group are linked for certain, and those of two groups may be.
+    """
 
     def __init__(self, texts: DataFrame, least: float):
-        self.texts, self.least, self.compared, self.groups = texts, least, None, None
+        self.texts, self.least, self.compared, self.links, self.groups, self.settled = texts, least, None, None, None, True
 
-    def group_of(self, node: str, name: str) -> DataFrame:
-        return self.groups.select(F.col("node").alias(node), F.col("component").alias(name))
+    def grouped(self, rows: DataFrame, node: str, name: str, few: bool) -> DataFrame:
+        """rows with the group of a node."""
+        if self.groups is None:
+            return rows.withColumn(name, F.col(node))
+        groups = narrowed(self.groups.select(F.col("node").alias(node), F.col("component").alias(name)), rows, [node], few)
+        return rows.join(groups, node, "left").withColumn(name, F.coalesce(name, node))
 
-    def apart(self, pairs: DataFrame) -> DataFrame:
+    def apart(self, pairs: DataFrame, few: bool = False) -> DataFrame:
         """Pairs (u, v) of different groups that were not compared before."""
-        if self.compared is None:
-            return pairs
-        pairs = pairs.join(self.compared, ["u", "v"], "left_anti")
+        if self.compared is not None:
+            pairs = pairs.join(narrowed(self.compared, pairs, ["u", "v"], few), ["u", "v"], "left_anti")
         if self.groups is not None:
-            both = pairs.join(self.group_of("u", "_u"), "u", "left").join(self.group_of("v", "_v"), "v", "left")
-            pairs = both.filter(F.coalesce(F.col("_u") != F.col("_v"), F.lit(True))).drop("_u", "_v")
+            both = self.grouped(self.grouped(pairs, "u", "_u", few), "v", "_v", few)
+            pairs = both.filter(F.col("_u") != F.col("_v")).drop("_u", "_v")
         return pairs
 
     def compare(self, pairs: DataFrame) -> None:
-        pairs = persisted(pairs, "order-minhash-pairs")
-        links = persisted(verified(pairs, self.texts, self.least), "order-minhash-links")
+        """Verify a persisted table of pairs (u, v)."""
         self.compared = pairs if self.compared is None else self.compared.unionByName(pairs)
-        if not links.isEmpty():
-            # Earlier groups come in as stars, so their links need not be joined again.
-            before = [] if self.groups is None else [self.groups.filter("node <> component").select(F.col("node").alias("u"), F.col("component").alias("v"))]
-            for stars in before:
-                links = links.unionByName(stars)
-            self.groups = components(links)
+        texts = self.texts
+        if pairs.count() <= FEW:  # only the texts that the pairs name are shuffled
+            texts = texts.join(F.broadcast(pairs.select(F.explode(F.array("u", "v")).alias("node")).distinct()), "node", "left_semi")
+        found = persisted(verified(pairs, texts, self.least), "order-minhash-links")
+        if not found.isEmpty():
+            self.links, self.settled = found if self.links is None else self.links.unionByName(found), False
+
+    def hint(self) -> None:
+        """Groups of the first links, in which each text has one link at most: its end, and that text's own end."""
+        if self.links is not None:
+            ends = self.links.select(F.col("u").alias("v"), F.col("v").alias("next"))
+            hops = self.links.join(ends, "v", "left").select(F.col("u").alias("node"), F.coalesce("next", "v").alias("component"))
+            self.groups = persisted(hops, "order-minhash-hint")
+
+    def settle(self) -> None:
+        """Groups as the connected components of all links."""
+        if not self.settled:
+            self.groups, self.settled = components(self.links), True
 
 
 def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int = 24, depth: int = 2, seed: int = 42, shared: int = 3) -> DataFrame:
     """(digest, class_node, class_id, first_digest, texts): one row a different text that has words.
 
     First each text is compared with the leader that it shares most buckets with, so that a large group needs about one comparison
-    a text; then with its other leaders, unless they have come into one group. ``shared`` is how many open buckets a text needs to go
-    on: similar texts share far more of the sketches.
+    a text; then with its other leaders, unless they are known to be in one group. ``shared`` is how many open buckets a text needs to
+    go on: similar texts share far more of the sketches.
     """
     nodes = persisted(sketched(docs, sketches, gram, depth, seed).withColumn("node", F.monotonically_increasing_id()), "order-minhash-nodes")
     buckets = nodes.select("node", F.posexplode("keys").alias("band", "key")).select("node", "key", "band")
     member = persisted(led(buckets), "order-minhash-buckets")
     wanted = member.select("node").distinct().join(nodes.select("node", "digest"), "node")
     links = Links(persisted(gathered(docs, persisted(wanted, "order-minhash-wanted")), "order-minhash-texts"), least)
-    for turn in range(1, sketches + 1):
-        pairs = member.filter("lead <> node").groupBy("node", "lead").agg(F.count("*").alias("times"))
-        pairs = persisted(links.apart(pairs.withColumnRenamed("node", "u").withColumnRenamed("lead", "v")), "order-minhash-offers")
-        if not pairs.isEmpty():
+    turn, used, few = 0, 0, False
+    while used < sketches:
+        turn += 1
+        offers = member.filter("lead <> node").groupBy(F.greatest("node", "lead").alias("u"), F.least("node", "lead").alias("v")).agg(F.count("*").alias("times"))
+        offers = persisted(links.apart(offers, few), "order-minhash-offers")
+        if not offers.isEmpty():
             if turn == 1:
-                links.compare(pairs.groupBy("u").agg(F.max_by("v", F.struct("times", -F.col("v"))).alias("v")))
-                links.compare(links.apart(pairs.select("u", "v")))
-            else:
-                links.compare(pairs.select("u", "v"))
-        # Go on with buckets that hold a text outside its leader's group, split by one more sketch.
-        open_rows = persisted(loose(member, links, shared), "order-minhash-open")
+                likeliest = offers.groupBy("u").agg(F.max_by("v", F.struct("times", -F.col("v"))).alias("v"))
+                links.compare(persisted(likeliest, "order-minhash-pairs"))
+                links.hint()
+                offers = persisted(links.apart(offers.select("u", "v")), "order-minhash-offers")
+            links.compare(offers.select("u", "v"))
+        if turn == 1:
+            links.settle()
+        # Go on with buckets that may hold a text similar to none of the leaders, split by one more sketch at first, then two, and so on.
+        open_rows, few = compact(persisted(loose(member, links, shared, few), "order-minhash-open"))
         if open_rows.isEmpty():
             break
-        following = nodes.select("node", "keys").join(open_rows, "node")
-        split = F.element_at("keys", ((F.col("band") + turn) % sketches + 1).cast("int"))
-        member = persisted(led(following.select("node", F.xxhash64("key", split).alias("key"), "band")), "order-minhash-buckets")
+        following = nodes.select("node", "keys").join(F.broadcast(open_rows) if few else open_rows, "node")
+        following = following.coalesce(1) if few else following
+        split = [F.element_at("keys", ((F.col("band") + used + k) % sketches + 1).cast("int")) for k in range(1, turn + 1)]
+        used += turn
+        member = persisted(led(following.select("node", F.xxhash64("key", *split).alias("key"), "band"), turn), "order-minhash-buckets")
+        member = member.coalesce(1) if few else member
+    links.settle()
     placed = nodes.select("node", "digest", "doc_id")
     if links.groups is None:
         placed = placed.withColumn("class_node", F.col("node"))
@@ -208,15 +250,11 @@ def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int =
     return placed.select("digest", "class_node").join(named, "class_node").select("digest", "class_node", F.col("least.doc_id").alias("class_id"), F.col("least.digest").alias("first_digest"), "texts")
 
 
-def loose(member: DataFrame, links: Links, shared: int) -> DataFrame:
-    """Rows (node, key, band) of buckets with a text outside its leader's group, of texts with at least ``shared`` such buckets."""
-    rows = member
-    if links.groups is not None:
-        rows = rows.join(links.group_of("node", "_node"), "node", "left").join(links.group_of("lead", "_lead"), "lead", "left")
-        rows = rows.withColumn("out", F.coalesce("_node", "node") != F.coalesce("_lead", "lead"))
-    else:
-        rows = rows.withColumn("out", F.col("node") != F.col("lead"))
-    open_keys = rows.groupBy("key").agg(F.count_if("out").alias("n")).filter("n > 0").select("key")
+def loose(member: DataFrame, links: Links, shared: int, few: bool) -> DataFrame:
+    """Rows (node, key, band) of buckets that hold a text outside its leader's group and a third text to compare it with, of
+    texts with at least ``shared`` such buckets."""
+    rows = links.grouped(links.grouped(member, "node", "_node", few), "lead", "_lead", few)
+    open_keys = rows.groupBy("key").agg(F.count_if(F.col("_node") != F.col("_lead")).alias("out"), F.count("*").alias("n")).filter("out > 0 and n > 2").select("key")
     held = member.join(open_keys, "key", "left_semi").select("node", "key", "band")
     often = held.groupBy("node").agg(F.count_distinct("band").alias("n")).filter(F.col("n") >= shared).select("node")
     return held.join(often, "node", "left_semi")
