@@ -30,6 +30,7 @@ INSULTS = "idiot moron stupid loser scum trash worthless pathetic disgusting clo
 YOU = "you your yours yourself u ur tú tu usted ustedes vosotros te ti vous votre vos toi du dich dir dein deine ihr euch sie"
 LEET = str.maketrans("013457@$!", "oieastasi")
 STEMS = (4, 5, 6, 7, 8)
+FEATURES = 20
 
 
 @dataclass
@@ -112,7 +113,7 @@ def featurise(texts: list[str | None], weights: dict[str, float], stems: dict[st
             near / max(hits, 1), len(you_at) / n, count[CAPITAL] / letters, sum(k[3] for _, k in telling) / n, count[POINT] / chars, text.count("!") / n, text.count("?") / n,
             (len(masked) + len(spelt)) / n, unmasked, unmasked / n, runs / n, letters / chars,
         ))
-    return np.array(rows, dtype=float).reshape(len(texts), -1)
+    return np.array(rows, dtype=float).reshape(len(texts), FEATURES)
 
 
 def oddities(codes: np.ndarray, kind: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
@@ -221,7 +222,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: i
 
     rest = (texts.filter(side == 1) if halved else texts).mapInArrow(features, "doc_id long, y int, x array<double>")
     rows = sorted((hash_of(str(r.doc_id)), r.y, r.x) for r in rest.collect())
-    X, y = np.array([r[2] for r in rows], dtype=float).reshape(len(rows), -1), np.array([r[1] for r in rows], dtype=float)
+    X, y = np.array([r[2] for r in rows], dtype=float).reshape(len(rows), FEATURES), np.array([r[1] for r in rows], dtype=float)
     scorer = Scorer(weights, stems, BoostedTrees(rounds=40).fit(X, y))
     if len(y) and 0 < y.sum() < len(y):
         scorer.calibration = Isotonic().fit(out_of_fold(X, y, rounds=40), y)

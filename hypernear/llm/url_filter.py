@@ -45,6 +45,9 @@ def rule_of(host: Column, path: Column, rules=RULES) -> Column:
     return chosen
 
 
+FEATURES = 27
+
+
 def entropy(text: str) -> float:
     n = len(text)
     return -sum(c / n * math.log2(c / n) for c in Counter(text).values()) if n else 0.0
@@ -72,7 +75,7 @@ def featurise(urls: list[str | None], statistics: dict[str, tuple[float, float]]
             query.count("&") + bool(query), query.count("%"), "#" in url, url.startswith("https:"), "@" in host or ":" in host, host.startswith("www."),
             len(longest), sum(c in "aeiou" for c in host) / max(len(host), 1), len(set(host)) / max(len(host), 1), known[0][0], known[0][1], known[1][0], known[1][1],
         ))
-    return np.array(rows, dtype=float).reshape(len(urls), -1)
+    return np.array(rows, dtype=float).reshape(len(urls), FEATURES)
 
 
 def label_of(host: Column, seeds: str = SEEDS) -> Column:
