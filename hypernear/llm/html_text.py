@@ -5,8 +5,8 @@ task). In each group the tokens of all blocks outside an article are concatenate
 each page, and sorted as suffixes to depth ``least_run``. A run of at least that many tokens that occurs on two
 or more distinct pages covers its tokens; blocks that are mostly covered are boilerplate and go. What is left is
 held against the markup: blocks in menus, headers, footers, sidebars, notices, adverts, forms, reader comments
-and hidden elements go too, as a page alone on its host repeats nothing. Text marked as an article is kept
-whole: a passage that two articles of a host share is content, which repetition alone would remove.
+and hidden elements go too, as a page alone on its host repeats nothing. Text marked as an article (or, without one, as
+main content) is kept whole: a passage that two articles of a host share is content, which repetition alone would remove.
 
 Defined cases: null html is empty and gives an empty text; a null or odd url has host ''; repeated rows are extracted each
 (and cover one another's boilerplate only across different pages); an empty table gives an empty result; unclosed,
@@ -33,33 +33,49 @@ ASIDE = frozenset("nav footer aside form head menu dialog button fieldset search
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 SAME = {"li": "li", "dt": "dt dd", "dd": "dt dd", "tr": "tr td th", "td": "td th", "th": "td th", "option": "option"}
 STOP = frozenset("ul ol dl table article section div main body".split())
-UNWANTED = re.compile(r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|sponsor\w*|promo\w*|banner|cookie\w*|consent|gdpr|notices?|popup|modal|overlay|sidebar\w*|side|menu\w*|nav\w*|breadcrumb\w*|footer\w*|header|masthead|topbar|toolbar|comments?|commentlist|respond|reply|replies|disqus\w*|share|sharing|social\w*|related|recommend\w*|newsletter|subscribe\w*|signup|login|widget\w*|pagination|pager|skip|alert|form|search)(?=$|[\s_-])", re.I)
+UNWANTED = re.compile(r"(?:^|[\s_-])(?:ads?|ad(?:box|unit|slot|block)s?|advert\w*|adsense|sponsor\w*|promo\w*|banner|cookie\w*|consent|gdpr|notices?|popup|modal|overlay|sidebar\w*|side|menu\w*|nav\w*|breadcrumb\w*|footer\w*|toolbar|comments?|commentlist|respond|reply|replies|disqus\w*|share|sharing|social\w*|related|recommend\w*|newsletter|subscribe\w*|signup|login|widget\w*|pagination|pager|skip|alert|form|search)(?=$|[\s_-])", re.I)
+HEADER = re.compile(r"(?:^|[\s_-])(?:header|masthead|topbar)(?=$|[\s_-])", re.I)
+CONTENT = re.compile(r"(?:^|\s)(?:article|post|entry|story|content|main)(?:[_-](?:body|content|text|main))?(?=$|\s)|articleBody", re.I)
 ROLES = frozenset("navigation banner contentinfo complementary search dialog alert alertdialog menu menubar form".split())
 TOKENS = re.compile(r"""<!--.*?(?:-->|$)|<![^>]*>?|<\?[^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']|"[^"]*"|'[^']*'|["'])*?)>|([^<]+|<)""", re.S)
 ATTRIBUTE = re.compile(r"""([a-zA-Z-]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 
 
-def unwanted(name: str, attributes: str, in_article: bool) -> bool:
-    """Whether the markup calls an element a menu, header, footer, sidebar, notice, advert, form or comment."""
-    if name in ASIDE or (name == "header" and not in_article):
+def unwanted(name: str, attributes: str, level: int) -> bool:
+    """Whether the markup calls an element a menu, header, footer, sidebar, notice, advert, form or comment. A header within
+    marked content belongs to it."""
+    if name in ASIDE or (name == "header" and not level):
         return True
-    if not attributes or name in ("html", "body", "main", "article"):
+    if not attributes or name in ("html", "body", "main"):
         return False
     for key, *values in ATTRIBUTE.findall(attributes):
         key, value = key.lower(), max(values, key=len)
-        if key in ("class", "id") and UNWANTED.search(value):
+        if key in ("class", "id") and (UNWANTED.search(value) or (not level and HEADER.search(value))):
             return True
         if key == "role" and value.strip().lower() in ROLES or key == "hidden" or (key == "aria-hidden" and value.lower() == "true") or (key == "style" and re.search(r"display\s*:\s*none", value, re.I)):
             return True
     return False
 
 
-def blocks(html: str | None) -> list[tuple[str, bool, bool]]:
-    """Text blocks in page order as (text, inside an article, unwanted by markup)."""
-    made: list[tuple[str, bool, bool]] = []
-    stack: list[tuple[str, bool, bool]] = []  # name, inside an article, unwanted
+def content_level(name: str, attributes: str) -> int:
+    """2 for an article, 1 for an element that is named as the main content, else 0."""
+    if name == "article":
+        return 2
+    if name == "main":
+        return 1
+    for key, *values in ATTRIBUTE.findall(attributes):
+        key, value = key.lower(), max(values, key=len)
+        if key in ("class", "id", "itemprop") and CONTENT.search(value) or key == "role" and value.lower() in ("main", "article"):
+            return 1
+    return 0
+
+
+def blocks(html: str | None) -> list[tuple[str, int, bool]]:
+    """Text blocks in page order as (text, level of the content they stand in, unwanted by markup)."""
+    made: list[tuple[str, int, bool]] = []
+    stack: list[tuple[str, int, bool]] = []  # name, level, unwanted
     pieces: list[str] = []
-    state = (False, False)
+    state = (0, False)
     skip = ""
 
     def flush() -> None:
@@ -109,11 +125,12 @@ def blocks(html: str | None) -> list[tuple[str, bool, bool]]:
                 close("p")
             if name in SAME:
                 close(SAME[name])
-            inside, gone = (stack[-1][1], stack[-1][2]) if stack else (False, False)
-            gone = gone or unwanted(name, attributes, inside)
-            inside = inside or (name == "article" and not gone)
-            stack.append((name, inside, gone))
-        new = (stack[-1][1], stack[-1][2]) if stack else (False, False)
+            level, gone = (stack[-1][1], stack[-1][2]) if stack else (0, False)
+            gone = gone or unwanted(name, attributes, level)
+            if not gone and level < 2 and (attributes or name in ("article", "main")):
+                level = max(level, content_level(name, attributes))
+            stack.append((name, level, gone))
+        new = (stack[-1][1], stack[-1][2]) if stack else (0, False)
         if new != state:
             flush()
             state = new
@@ -161,13 +178,13 @@ def extract(pages: list[str | None], least_run: int = 6, share: float = 0.8) ->
     for page, mine, hit in zip(parsed, streams, hits):
         bounds = np.cumsum([0] + [len(b) for b in mine])
         boiler = [len(b) > 0 and hit[a : a + len(b)].sum() >= share * len(b) for a, b in zip(bounds, mine)]
-        marked, at, kept = any(b[1] and not b[2] for b in page), 0, []
-        for text, inside, gone in page:
+        marked, at, kept = max((level for _, level, gone in page if not gone), default=0), 0, []
+        for text, level, gone in page:
             repeated = False
-            if not inside:
+            if not level:
                 repeated = boiler[at]
                 at += 1
-            if not gone and not repeated and (inside or not marked):
+            if not gone and not repeated and level == marked:
                 kept.append(text)
         texts.append(" ".join(kept))
     return texts

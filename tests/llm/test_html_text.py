@@ -28,6 +28,12 @@ def test_repeats_inside_an_article_are_content():
     assert H.extract([page, page]) == ["the very same passage in two articles of one host"] * 2
 
 
+def test_main_content_without_an_article():
+    page = '<div class="site-header">Brand</div><div class="sidebar">S</div><div id="content"><div class="post-header"><h1>T</h1></div><p>body text</p><div class="adbox">buy</div><div class="comments">c</div></div><div class="footer-links">f</div>'
+    assert H.extract([page, page]) == ["T body text"] * 2
+    assert H.extract(['<main><nav>n</nav><p>x</p><article class="post">y</article></main>']) == ["y"]
+
+
 def test_covered_runs_equal_brute_force():
     random = np.random.default_rng(0)
     for _ in range(50):
