@@ -123,3 +123,19 @@ def topk_arrow(points: DataFrame, planes: DataFrame, k: int = 10, block: int = 8
     if found is None:
         return points.sparkSession.createDataFrame([], "qid long, rank long, id long, margin double")
     return ranked(found, k)
+
+
+def axis_slab(points: DataFrame, planes: DataFrame, component: int, tau: float) -> DataFrame:
+    """Pairs within tau of planes that fix one component at -offset, by a range join: bins of width tau are keys, so that each
+    plane meets three bins of points and no others."""
+    width = F.lit(float(tau))
+    value = F.get("x", F.lit(component))
+    binned = points.select("id", value.alias("v"), F.floor(value / width).alias("bin"))
+    at = -F.element_at("q", -1)
+    wanted = planes.select("qid", at.alias("at"), F.explode(F.sequence(F.floor(at / width) - 1, F.floor(at / width) + 1)).alias("bin"))
+    return binned.join(small_side_of(wanted), "bin").select("qid", "id", F.abs(F.col("v") - F.col("at")).alias("margin")).filter(F.col("margin") <= tau)
+
+
+def small_side_of(rows: DataFrame, most_rows: int = 1_000_000) -> DataFrame:
+    """rows marked for broadcast if their counted number allows."""
+    return F.broadcast(rows) if rows.count() <= most_rows else rows

@@ -395,3 +395,10 @@ def append_topk(spark, d):
     points = points_of(spark, d, "emb_cluster").select("id", "x")
     half = build.hybrid(points.filter("id % 2 = 0"), 50)
     return search.shard_dfs(flows.append(half, points.filter("id % 2 = 1")), planes_for(spark, d, "emb_cluster", 20))
+
+
+@query("WITH " + LI4 + ", pl AS (SELECT i AS qid, 0.1::DOUBLE + 0.2::DOUBLE * i AS c FROM range(0, 4) t(i)) SELECT qid, id, abs(x[2] - c) AS margin FROM emb CROSS JOIN pl WHERE abs(x[2] - c) <= 0.001")
+def axis_range(spark, d):
+    """Points within a thousandth of planes that fix one component, by a range join on bins."""
+    some = spark.range(4).select(F.col("id").alias("qid"), F.array(F.lit(0.0), F.lit(1.0), F.lit(0.0), F.lit(0.0), -(F.lit(0.1) + F.lit(0.2) * F.col("id"))).alias("q"))
+    return brute.axis_slab(points_of(spark, d, "li4").select("id", "x"), some, 1, 0.001)
