@@ -13,7 +13,6 @@ from __future__ import annotations
 
 import base64
 import json
-import re
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -145,12 +144,22 @@ def position_ids(cu_seqlens: list[int]) -> np.ndarray:
     return np.arange(ends[-1]) - np.repeat(ends[:-1], np.diff(ends))
 
 
-def write_matrices(packed: DataFrame, path: str, width: int, pad_id: int = 0) -> DataFrame:
-    """Write padded id matrices with their segment bounds, one Parquet file a task, and the settings beside them."""
-    wide = packed.withColumn("padding", F.lit(width) - F.col("n_tokens"))
-    wide.write.mode("overwrite").option("compression", "zstd").parquet(f"{path}/matrix")
+def write_matrices(packed: DataFrame, path: str, width: int, pad_id: int = 0, dtype: str = "<u2") -> DataFrame:
+    """Write id matrices as Parquet, one file a task: each row's ids filled up to width with pad_id, n_tokens of them real, beside
+    its segment bounds and resets; the settings stand beside the matrices."""
+
+    def fill(batches):
+        size = np.dtype(dtype).itemsize
+        blank = np.array([pad_id], dtype=dtype).tobytes()
+        at = packed_names.index("ids")
+        for batch in batches:
+            ids = [row + blank * (width - len(row) // size) for row in batch.column(at).to_pylist()]
+            yield batch.set_column(at, "ids", pa.array(ids, pa.binary()))
+
+    packed_names = packed.columns
+    packed.mapInArrow(fill, packed.schema).write.mode("overwrite").option("compression", "zstd").parquet(f"{path}/matrix")
     spark: SparkSession = packed.sparkSession
-    settings = json.dumps({"width": width, "pad_id": pad_id, "dtype": "little-endian unsigned"})
+    settings = json.dumps({"width": width, "pad_id": pad_id, "dtype": dtype})
     spark.createDataFrame([(settings,)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/settings")
     return spark.read.parquet(f"{path}/matrix")
 
@@ -171,6 +180,3 @@ def unpack(packed: DataFrame, dtype: str = "<u2") -> DataFrame:
 
     return packed.select("ids", "cu_seqlens", "doc_ids", "pieces").mapInArrow(run, "doc_id long, piece int, ids array<int>")
 
-
-def readable(path: str) -> bool:
-    return bool(re.match(r"^(/|file:)", path))

@@ -54,4 +54,7 @@ def test_matrices_are_written(documents, tmp_path):
     packed = packing.pack_tokens(documents, width=256)
     written = packing.write_matrices(packed, str(tmp_path / "out"), 256)
     assert written.count() == packed.count()
-    assert all(r.padding + r.n_tokens == 256 for r in written.collect())
+    matrix = np.stack([np.frombuffer(r.ids, "<u2") for r in written.orderBy("block", "row").collect()])
+    assert matrix.shape == (packed.count(), 256)
+    for line, r in zip(matrix, packed.orderBy("block", "row").collect()):
+        assert line[: r.n_tokens].tobytes() == bytes(r.ids) and not line[r.n_tokens :].any()
