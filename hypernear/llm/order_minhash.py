@@ -87,7 +87,7 @@ def text_key(text: Column) -> Column:
 
 
 def sketched(docs: DataFrame, sketches: int, gram: int, depth: int, seed: int) -> DataFrame:
-    """(digest, doc_id, keys), one row a different text with words; doc_id is the least of its copies."""
+    """(digest, doc_id, keys, copies), one row a different text with words; doc_id is the least of its copies."""
     multipliers = np.random.default_rng(seed).integers(1, 2**63, sketches).astype(np.uint64) * np.uint64(2) + np.uint64(1)
     known = docs.filter(F.col("text").isNotNull()).select(F.col("doc_id").cast("long"), text_key(F.col("text")).alias("digest"), "text")
 
@@ -105,7 +105,7 @@ def sketched(docs: DataFrame, sketches: int, gram: int, depth: int, seed: int) -
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "digest", "keys"])
 
     made = known.mapInArrow(run, "doc_id long, digest binary, keys array<long>").filter(F.col("keys").isNotNull())
-    return made.groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("keys").alias("keys"))
+    return made.groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("keys").alias("keys"), F.count("*").alias("copies"))
 
 
 def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
@@ -203,7 +203,7 @@ class Links:
 
 
 def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int = 24, depth: int = 2, seed: int = 42, shared: int = 3) -> DataFrame:
-    """(digest, class_node, class_id, first_digest, texts): one row a different text that has words.
+    """(digest, class_node, class_id, first_digest, texts, copies): one row a different text that has words.
 
     First each text is compared with the leader that it shares most buckets with, so that a large group needs about one comparison
     a text; then with its other leaders, unless they are known to be in one group. ``shared`` is how many open buckets a text needs to
@@ -239,15 +239,15 @@ def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int =
         member = persisted(led(following.select("node", F.xxhash64("key", *split).alias("key"), "band"), turn), "order-minhash-buckets")
         member = member.coalesce(1) if few else member
     links.settle()
-    placed = nodes.select("node", "digest", "doc_id")
+    placed = nodes.select("node", "digest", "doc_id", "copies")
     if links.groups is None:
         placed = placed.withColumn("class_node", F.col("node"))
     else:
-        placed = placed.join(links.groups, "node", "left").select("node", "digest", "doc_id", F.coalesce("component", "node").alias("class_node"))
+        placed = placed.join(links.groups, "node", "left").select("node", "digest", "doc_id", "copies", F.coalesce("component", "node").alias("class_node"))
     placed = persisted(placed, "order-minhash-classes")
     order = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id"), F.col("digest"))
     named = placed.groupBy("class_node").agg(F.min(order).alias("least"), F.count("*").alias("texts"))
-    return placed.select("digest", "class_node").join(named, "class_node").select("digest", "class_node", F.col("least.doc_id").alias("class_id"), F.col("least.digest").alias("first_digest"), "texts")
+    return placed.select("digest", "class_node", "copies").join(named, "class_node").select("digest", "class_node", F.col("least.doc_id").alias("class_id"), F.col("least.digest").alias("first_digest"), "texts", "copies")
 
 
 def loose(member: DataFrame, links: Links, shared: int, few: bool) -> DataFrame:
@@ -263,7 +263,7 @@ def loose(member: DataFrame, links: Links, shared: int, few: bool) -> DataFrame:
 def classified(docs: DataFrame, **options) -> DataFrame:
     """docs with the class of each row: class_id, texts (different texts of the class); null where it has no words."""
     known = classes(docs, **options)
-    clear = docs.drop("class_id", "texts")
+    clear, known = docs.drop("class_id", "texts"), known.drop("copies", "first_digest")
     return clear.withColumn("_digest", text_key(F.col("text"))).join(known.withColumnRenamed("digest", "_of"), F.col("_digest") == F.col("_of"), "left").drop("_of")
 
 
@@ -274,12 +274,19 @@ def near_duplicates(docs: DataFrame, **options) -> DataFrame:
     return found.select("doc_id", own.alias("class_id"), F.coalesce("texts", F.lit(1)).alias("texts"))
 
 
-def deduplicated(docs: DataFrame, **options) -> DataFrame:
-    """One row of each class: of its text with the least doc_id, a row with that id. Rows without words all stay."""
+def deduplicated(docs: DataFrame, most_broadcast: int = 500_000, **options) -> DataFrame:
+    """One row of each class: of its text with the least doc_id, a row with that id. Rows without words all stay.
+
+    Only texts with copies or of classes of several texts need a decision; they are joined to the rows, by a broadcast while they are
+    few by count, so that most texts stay where they are.
+    """
     names = docs.columns
-    packed = docs.select("doc_id", "text", F.struct(*names).alias("_row"))
-    found = classified(packed, **options)
-    wordless = found.filter(F.col("class_node").isNull())
-    firsts = found.filter((F.col("_digest") == F.col("first_digest")) & F.col("doc_id").eqNullSafe(F.col("class_id")))
-    once = firsts.groupBy("class_node").agg(F.min("_row").alias("_row"))
-    return wordless.select("_row.*").unionByName(once.select("_row.*"))
+    known = classes(docs.select("doc_id", "text"), **options)
+    affected = persisted(known.filter("texts > 1 or copies > 1").select(F.col("digest").alias("_of"), (F.col("digest") == F.col("first_digest")).alias("_first"), F.col("class_id").alias("_keep"), F.col("copies").alias("_copies")), "order-minhash-affected")
+    affected = F.broadcast(affected) if affected.count() <= most_broadcast else affected
+    keyed = docs.select(text_key(F.coalesce("text", F.lit(""))).alias("_digest"), F.struct(*names).alias("_row"))
+    met = keyed.join(affected, F.col("_digest") == F.col("_of"), "left")
+    clear = met.filter(F.col("_of").isNull() | (F.col("_first") & (F.col("_copies") == 1)))
+    same = met.filter(F.col("_first") & (F.col("_copies") > 1) & F.col("_row.doc_id").eqNullSafe(F.col("_keep")))
+    once = same.groupBy("_digest").agg(F.min("_row").alias("_row"))
+    return clear.select("_row.*").unionByName(once.select("_row.*"))
