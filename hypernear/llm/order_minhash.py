@@ -246,7 +246,8 @@ def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int =
         placed = placed.join(links.groups, "node", "left").select("node", "digest", "doc_id", "copies", F.coalesce("component", "node").alias("class_node"))
     placed = persisted(placed, "order-minhash-classes")
     order = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id"), F.col("digest"))
-    named = placed.groupBy("class_node").agg(F.min(order).alias("least"), F.count("*").alias("texts"))
+    # A table of its own, so that a class of very many texts can be split where it is joined back.
+    named = persisted(placed.groupBy("class_node").agg(F.min(order).alias("least"), F.count("*").alias("texts")), "order-minhash-named")
     return placed.select("digest", "class_node", "copies").join(named, "class_node").select("digest", "class_node", F.col("least.doc_id").alias("class_id"), F.col("least.digest").alias("first_digest"), "texts", "copies")
 
 
