@@ -4,9 +4,12 @@ A sketch samples the ``depth`` least of a document's word runs (of ``gram`` word
 one of ``sketches`` hash functions, and keeps them in text order, so that it agrees between texts of small edit distance. Texts that
 agree in a sketch share a bucket. Copies count as one text from the start.
 
-No bucket is expanded into its pairs. In each, every text is compared with the bucket's leader, so a bucket of n texts gives n - 1
-comparisons at most. A bucket with a text outside its leader's group, and a third text, goes on with another leader and split by
-further sketches, until none is left: rows stay in proportion to texts, and no bucket is cut off. A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text. Classes are
+Leaders come first: in each bucket every text is compared with the bucket's leader, so that a bucket of n similar texts gives about
+n - 1 comparisons. Buckets with texts outside their leader's group go on with other leaders for a few turns, split by further sketches.
+What they leave is finished exactly: texts of a bucket that are still of different groups are held against each other in salted blocks,
+each pair in the first bucket that it shares, and compared unless their lengths or word pairs show that they are too far apart. So
+every two texts that share a bucket are compared, proven apart, or known to be of one group: no bucket is cut off.
+A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text. Classes are
 the connected components of all links.
 
 Defined cases: null texts and texts without words are in no class but their own row's; texts shorter than ``gram`` words are one
@@ -207,14 +210,14 @@ def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int =
 
     First each text is compared with the leader that it shares most buckets with, so that a large group needs about one comparison
     a text; then with its other leaders, unless they are known to be in one group. ``shared`` is how many open buckets a text needs to
-    go on: similar texts share far more of the sketches.
+    go on to other leaders: similar texts share far more of the sketches. Pairs that this leaves are settled by unmet().
     """
     nodes = persisted(sketched(docs, sketches, gram, depth, seed).withColumn("node", F.monotonically_increasing_id()), "order-minhash-nodes")
     buckets = nodes.select("node", F.posexplode("keys").alias("band", "key")).select("node", "key", "band")
     member = persisted(led(buckets), "order-minhash-buckets")
     wanted = member.select("node").distinct().join(nodes.select("node", "digest"), "node")
     links = Links(persisted(gathered(docs, persisted(wanted, "order-minhash-wanted")), "order-minhash-texts"), least)
-    turn, used, few = 0, 0, False
+    turn, used, few, whole = 0, 0, False, member
     while used < sketches:
         turn += 1
         offers = member.filter("lead <> node").groupBy(F.greatest("node", "lead").alias("u"), F.least("node", "lead").alias("v")).agg(F.count("*").alias("times"))
@@ -239,6 +242,9 @@ def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int =
         member = persisted(led(following.select("node", F.xxhash64("key", *split).alias("key"), "band"), turn), "order-minhash-buckets")
         member = member.coalesce(1) if few else member
     links.settle()
+    rest = persisted(unmet(whole, nodes, links), "order-minhash-rest")
+    links.compare(persisted(links.apart(rest), "order-minhash-pairs"))
+    links.settle()
     placed = nodes.select("node", "digest", "doc_id", "copies")
     if links.groups is None:
         placed = placed.withColumn("class_node", F.col("node"))
@@ -261,6 +267,87 @@ def loose(member: DataFrame, links: Links, shared: int, few: bool) -> DataFrame:
     return held.join(often, "node", "left_semi")
 
 
+def profiles(texts: DataFrame, bins: int) -> DataFrame:
+    """(node, size, bag) of texts (node, text): the number of words, and counts of word pairs by ``bins`` hashes, at most 255 each."""
+
+    def run(batches):
+        memo = WordHashes()
+        for batch in batches:
+            sizes, bags = [], []
+            for text in batch.column(1).to_pylist():
+                found = words(text)
+                hashes = np.fromiter(map(memo.__getitem__, found), dtype=np.uint64, count=len(found))
+                pairs = mix(mix(hashes[:-1] + MIX) ^ hashes[1:]) % np.uint64(bins)
+                sizes.append(len(found))
+                bags.append(np.minimum(np.bincount(pairs.astype(np.int64), minlength=bins), 255).astype(np.uint8).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int32()), pa.array(bags, pa.binary())], names=["node", "size", "bag"])
+
+    return texts.select("node", "text").mapInArrow(run, "node long, size int, bag binary")
+
+
+def cells(batches, names: list[str]):
+    """Rows of sorted batches, one table for each run of equal values in the columns named."""
+    held: list[pa.Table] = []
+    last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        ids = np.stack([batch.column(n).to_numpy(zero_copy_only=False) for n in names], axis=1)
+        starts = [0, *(np.flatnonzero((ids[1:] != ids[:-1]).any(axis=1)) + 1).tolist(), len(ids)]
+        for a, b in zip(starts[:-1], starts[1:]):
+            if held and tuple(ids[a]) != last:
+                yield pa.concat_tables(held)
+                held = []
+            held.append(pa.Table.from_batches([batch.slice(a, b - a)]))
+            last = tuple(ids[a])
+    if held:
+        yield pa.concat_tables(held)
+
+
+def unmet(member: DataFrame, nodes: DataFrame, links: Links, bins: int = 512, block: int = 1024) -> DataFrame:
+    """Pairs (u, v) of texts that share a bucket, are of different groups, and may be similar.
+
+    An edit changes the number of words by one at most, and takes or adds two word pairs at most each, so texts that differ by more
+    in sizes or bags need no alignment. Buckets of more than ``block`` texts are dealt into parts, and each two parts are one cell.
+    """
+    least = links.least
+    rows = links.grouped(member.select("node", "key", "band"), "node", "place", False)
+    spans = rows.groupBy("key").agg(F.min("place").alias("a"), F.max("place").alias("b"), F.count("*").alias("n")).filter("a <> b")
+    rows = persisted(rows.join(spans.select("key", F.ceil(F.col("n") / block).cast("int").alias("parts")), "key"), "order-minhash-unmet")
+    seen = links.texts.join(rows.select("node").distinct(), "node", "left_semi")
+    about = persisted(profiles(seen, bins).join(nodes.select("node", "keys"), "node"), "order-minhash-profiles")
+    part = F.pmod(F.xxhash64("node", F.lit(7)), F.col("parts")).cast("int")
+    other = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
+    dealt = rows.withColumn("part", part).select("node", "key", "band", "place", "part", other.alias("with"))
+    dealt = dealt.select("node", "key", "band", "place", "part", F.least("part", "with").alias("i"), F.greatest("part", "with").alias("j")).join(about, "node")
+    dealt = dealt.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+
+    def run(batches):
+        for cell in cells(batches, ["key", "i", "j"]):
+            n = cell.num_rows
+            node, place, part, size = (cell.column(c).to_numpy() for c in ("node", "place", "part", "size"))
+            band, i, j = (cell.column(c)[0].as_py() for c in ("band", "i", "j"))
+            keys = cell.column("keys").combine_chunks().flatten().to_numpy().reshape(n, -1)
+            bags = np.frombuffer(b"".join(cell.column("bag").to_pylist()), np.uint8).reshape(n, bins)
+            ones, others = np.flatnonzero(part == i), np.flatnonzero(part == j)
+            us, vs = [], []
+            for k in ones.tolist():
+                most = ((1 - least) * np.maximum(size[others], size[k]) + 1e-9).astype(np.int64)
+                fits = (place[others] != place[k]) & (np.abs(size[others] - size[k]) <= most)
+                if i == j:
+                    fits &= others > k
+                at, most = others[fits], most[fits]
+                first = ~(keys[at, :band] == keys[k, :band]).any(axis=1)  # else the pair is met in an earlier bucket
+                at, most = at[first], most[first]
+                apart = np.abs(bags[at].astype(np.int16) - bags[k].astype(np.int16))
+                at = at[apart.sum(axis=1, dtype=np.int64) <= 4 * most]
+                us.append(np.maximum(node[at], node[k]))
+                vs.append(np.minimum(node[at], node[k]))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(us)), pa.array(np.concatenate(vs))], names=["u", "v"])
+
+    return dealt.mapInArrow(run, "u long, v long")
+
+
 def classified(docs: DataFrame, **options) -> DataFrame:
     """docs with the class of each row: class_id, texts (different texts of the class); null where it has no words."""
     known = classes(docs, **options)

@@ -60,6 +60,35 @@ def test_a_large_group_and_a_shared_passage(spark):
     assert frozenset(range(300)) in classes and len(classes) == 301
 
 
+def test_a_star_of_unlike_variants(spark):
+    """Variants of one text that are unlike each other: all links between texts of one bucket are found, as by brute force."""
+    r = random.Random(7)
+    base = [f"w{i}" for i in range(120)]
+    texts = []
+    for i in range(400):
+        copy = list(base)
+        for at in r.sample(range(120), 15):
+            copy[at] = f"n{i}x{at}"
+        texts.append(copy)
+    texts.append(base)
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string").coalesce(1)
+    keys = {x.doc_id: x["keys"] for x in O.sketched(docs, 24, 5, 2, 42).collect()}
+    parent = list(range(len(texts)))
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a in range(len(texts)):
+        for b in range(a):
+            if root(a) != root(b) and any(x == y for x, y in zip(keys[a], keys[b])) and banded_distance(texts[a], texts[b], 24) is not None:
+                parent[root(a)] = root(b)
+    want = grouped((d, root(d)) for d in range(len(texts)))
+    assert max(map(len, want)) > 300
+    assert grouped((x.doc_id, x.class_id) for x in O.near_duplicates(docs).collect()) == want
+
+
 def test_order_matters(spark):
     a = [f"w{i}" for i in range(100)]
     rows = [(1, " ".join(a)), (2, " ".join(a[50:] + a[:50]))]
