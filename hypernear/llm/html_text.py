@@ -3,13 +3,13 @@
 Pages of a host are dealt in groups of about ``group_pages`` (a large host gets many groups, so no host is one
 task). In each group the tokens of all blocks outside an article are concatenated, a separator of its own after
 each page, and sorted as suffixes to depth ``least_run``. A run of at least that many tokens that occurs on two
-or more distinct pages covers its tokens; blocks that are mostly covered are boilerplate and go. What is left is
+or more pages of different tokens covers its tokens; blocks that are mostly covered are boilerplate and go. What is left is
 held against the markup: blocks in menus, headers, footers, sidebars, notices, adverts, forms, reader comments
 and hidden elements go too, as a page alone on its host repeats nothing. Text marked as an article (or, without one, as
 main content) is kept whole: a passage that two articles of a host share is content, which repetition alone would remove.
 
 Defined cases: null html is empty and gives an empty text; a null or odd url has host ''; repeated rows are extracted each
-(and cover one another's boilerplate only across different pages); an empty table gives an empty result; unclosed,
+(and count as one page when runs are counted, as do all pages with the same tokens); an empty table gives an empty result; unclosed,
 stray and misnested tags are tolerated; other columns are dropped.
 """
 
@@ -173,7 +173,10 @@ def extract(pages: list[str | None], least_run: int = 6, share: float = 0.8) ->
     parsed = [blocks(p) for p in pages]
     outer = [[b for b in page if not b[1]] for page in parsed]
     streams = [[[t.lower() for t in WORD.findall(b[0])] for b in page] for page in outer]
-    hits = covered([[t for b in page for t in b] for page in streams], least_run)
+    flat = [tuple(t for b in page for t in b) for page in streams]
+    different = list(dict.fromkeys(flat))  # pages of the same tokens are one page: copies and mirrors don't cover each other
+    hit_of = dict(zip(different, covered(different, least_run)))
+    hits = [hit_of[page] for page in flat]
     texts = []
     for page, mine, hit in zip(parsed, streams, hits):
         bounds = np.cumsum([0] + [len(b) for b in mine])

@@ -28,6 +28,12 @@ def test_repeats_inside_an_article_are_content():
     assert H.extract([page, page]) == ["the very same passage in two articles of one host"] * 2
 
 
+def test_repeated_and_mirrored_pages_keep_their_text():
+    page, other = "<div>one two three four five six seven</div><p>a b c d e f g h</p>", "<p>other text with eight words of its own</p>"
+    text = "one two three four five six seven a b c d e f g h"
+    assert H.extract([page, page, other, f"<section>{page}</section>"]) == [text, text, "other text with eight words of its own", text]
+
+
 def test_main_content_without_an_article():
     page = '<div class="site-header">Brand</div><div class="sidebar">S</div><div id="content"><div class="post-header"><h1>T</h1></div><p>body text</p><div class="adbox">buy</div><div class="comments">c</div></div><div class="footer-links">f</div>'
     assert H.extract([page, page]) == ["T body text"] * 2
