@@ -1,8 +1,9 @@
 """Main text of web pages: host suffix arrays over the pages' token streams, held against the markup.
 
-Pages of a host are dealt in groups of about ``group_pages`` (a large host gets many groups, so no host is one
-task). In each group the tokens of all blocks outside an article are concatenated, a separator of its own after
-each page, and sorted as suffixes to depth ``least_run``. A run of at least that many tokens that occurs on two
+Each host is judged whole, and never gathered: the windows of ``least_run`` tokens of all blocks outside marked content are hashed with
+their host, and the least and the greatest content that has a window are kept, which sums up by task before any shuffle. (``extract`` does
+the same for the pages of one host in memory: the tokens, a separator of its own after each page, are sorted as suffixes to that depth.)
+A run of at least that many tokens that occurs on two
 or more pages of different tokens covers its tokens; blocks that are mostly covered are boilerplate and go. What is left is
 held against the markup: blocks in menus, headers, footers, sidebars, notices, adverts, forms, reader comments
 and hidden elements go too, as a page alone on its host repeats nothing. Text marked as an article (or, without one, as
@@ -24,6 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import WORD, persisted
+from .order_minhash import MIX, WordHashes, mix
 
 # Element names by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -177,20 +179,44 @@ def extract(pages: list[str | None], least_run: int = 6, share: float = 0.8) ->
     different = list(dict.fromkeys(flat))  # pages of the same tokens are one page: copies and mirrors don't cover each other
     hit_of = dict(zip(different, covered(different, least_run)))
     hits = [hit_of[page] for page in flat]
-    texts = []
-    for page, mine, hit in zip(parsed, streams, hits):
-        bounds = np.cumsum([0] + [len(b) for b in mine])
-        boiler = [len(b) > 0 and hit[a : a + len(b)].sum() >= share * len(b) for a, b in zip(bounds, mine)]
-        marked, at, kept = max((level for _, level, gone in page if not gone), default=0), 0, []
-        for text, level, gone in page:
-            repeated = False
-            if not level:
-                repeated = boiler[at]
-                at += 1
-            if not gone and not repeated and level == marked:
-                kept.append(text)
-        texts.append(" ".join(kept))
-    return texts
+    return [kept(page, mine, hit, share) for page, mine, hit in zip(parsed, streams, hits)]
+
+
+def level_of(page: list[tuple[str, int, bool]]) -> int:
+    """The highest level of content that markup leaves on a page; only at 0 does repetition decide."""
+    return max((level for _, level, gone in page if not gone), default=0)
+
+
+def kept(page: list[tuple[str, int, bool]], mine: list[list[str]], hit: np.ndarray, share: float) -> str:
+    """Main text of a page of blocks: mine are the tokens of those outside marked content, hit says which of them are covered."""
+    bounds = np.cumsum([0] + [len(b) for b in mine])
+    boiler = [len(b) > 0 and hit[a : a + len(b)].sum() >= share * len(b) for a, b in zip(bounds, mine)]
+    marked, at, texts = level_of(page), 0, []
+    for text, level, gone in page:
+        repeated = False
+        if not level:
+            repeated = boiler[at]
+            at += 1
+        if not gone and not repeated and level == marked:
+            texts.append(text)
+    return " ".join(texts)
+
+
+def outer_tokens(page: list[tuple[str, int, bool]]) -> list[list[str]]:
+    """Tokens of the blocks outside marked content."""
+    return [[t.lower() for t in WORD.findall(text)] for text, level, _ in page if not level]
+
+
+def windows(mine: list[list[str]], host: str, least_run: int, memo: WordHashes) -> tuple[np.ndarray, np.ndarray]:
+    """A hash of the host and each run of least_run tokens, in page order, and a hash of all tokens (one value)."""
+    hashes = np.fromiter((memo[t] for b in mine for t in b), dtype=np.uint64)
+    n = max(0, len(hashes) - least_run + 1)
+    total = np.full(n, memo[host], dtype=np.uint64)
+    for k in range(least_run):
+        total = mix(total + MIX) ^ hashes[k : k + n]
+    places = mix(np.arange(1, len(hashes) + 1, dtype=np.uint64) * MIX)
+    owner = mix(mix(hashes ^ places).sum(dtype=np.uint64, keepdims=True))
+    return mix(total).view(np.int64), owner.view(np.int64)
 
 
 def host_of(url: Column) -> Column:
@@ -205,15 +231,52 @@ def after_scheme(url: Column) -> Column:
 
 
 def main_text(pages: DataFrame, group_pages: int = 256, least_run: int = 6, share: float = 0.8) -> DataFrame:
-    """page_id, url, text and n_chars of every page."""
-    keyed = pages.select("page_id", "url", "html", host_of(F.col("url")).alias("host"))
-    large = keyed.groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") > group_pages).select(F.col("host").alias("large"), F.ceil(F.col("n") / group_pages).alias("groups"))
-    large = persisted(large, "large-hosts")  # a table of measured size: Spark broadcasts it while it is small, and no page moves for it
-    spread = F.pmod(F.xxhash64("page_id", "url"), F.coalesce("groups", F.lit(1)))
-    dealt = keyed.join(large, F.col("host") == F.col("large"), "left").select("page_id", "url", "html", F.concat_ws(" ", "host", spread).alias("deal"))
-
-    def run(table: pa.Table) -> pa.Table:
-        texts = extract(table.column("html").to_pylist(), least_run, share)
-        return pa.table({"page_id": table.column("page_id"), "url": table.column("url"), "text": pa.array(texts, pa.string()), "n_chars": pa.array([len(t) for t in texts], pa.int64())})
-
-    return dealt.groupBy("deal").applyInArrow(run, "page_id long, url string, text string, n_chars long")
+    """page_id, url, text and n_chars of every page. Hosts are not cut into groups: ``group_pages`` has no effect on the result."""
+    host = F.coalesce(host_of(F.col("url")), F.lit("")).alias("host")
+    keyed = pages.select("page_id", "url", "html", host, F.unhex(F.md5(F.concat_ws(" ", host, "html"))).alias("key"))
+
+    def found(batches):
+        """Windows of every page with its content."""
+        memo = WordHashes()
+        for batch in batches:
+            runs, owners = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for name, html in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                made, owner = windows(outer_tokens(blocks(html)), name, least_run, memo)
+                runs.append(np.unique(made))
+                owners.append(np.repeat(owner, len(runs[-1])))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(runs)), pa.array(np.concatenate(owners))], names=["run", "owner"])
+
+    def asked(batches):
+        """Windows of the pages on which repetition decides."""
+        memo = WordHashes()
+        for batch in batches:
+            keys, runs = [], [np.zeros(0, np.int64)]
+            for name, html, key in zip(*(batch.column(k).to_pylist() for k in range(3))):
+                page = blocks(html)
+                if not level_of(page):
+                    runs.append(np.unique(windows(outer_tokens(page), name, least_run, memo)[0]))
+                    keys += [key] * len(runs[-1])
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(np.concatenate(runs))], names=["of", "run"])
+
+    def run(batches):
+        memo = WordHashes()
+        for batch in batches:
+            texts = []
+            for name, html, repeated in zip(*(batch.column(k).to_pylist() for k in (2, 3, 4))):
+                page = blocks(html)
+                mine = outer_tokens(page)
+                hit = np.zeros(sum(map(len, mine)), dtype=bool)
+                if repeated:
+                    starts = np.flatnonzero(np.isin(windows(mine, name, least_run, memo)[0], np.array(repeated, dtype=np.int64)))
+                    for k in range(least_run):
+                        hit[starts + k] = True
+                texts.append(kept(page, mine, hit, share))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
+
+    ends = keyed.select("host", "html").mapInArrow(found, "run long, owner long").groupBy("run").agg(F.min("owner").alias("low"), F.max("owner").alias("high"))
+    shared = persisted(ends.filter("low <> high").select("run"), "repeated-runs")
+    wanted = keyed.select("host", "html", "key").mapInArrow(asked, "of binary, run long").join(shared, "run")
+    # A table of measured size: Spark broadcasts it while it is small, and no page moves for it.
+    held = persisted(wanted.groupBy("of").agg(F.collect_set("run").alias("repeated")), "pages-with-repeats")
+    met = keyed.join(held, F.col("key") == F.col("of"), "left").select("page_id", "url", "host", "html", "repeated")
+    return met.mapInArrow(run, "page_id long, url string, text string, n_chars long")

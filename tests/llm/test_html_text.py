@@ -71,6 +71,17 @@ def test_table(spark, real):
         assert rows[p.page_id].text == want and rows[p.page_id].n_chars == len(want)
 
 
+def test_a_large_host_is_judged_whole(spark):
+    """Boilerplate on two of many pages of a host goes, as it would on a small host; other hosts don't count."""
+    menu = "<div>home news sports weather about contact help</div>"
+    htmls = [f"<p>page {i} tells {i * 3} stories about number {i * 7} only</p>" for i in range(60)]
+    htmls[3], htmls[41] = menu + htmls[3], htmls[41] + menu
+    rows = [(i, f"http://a.com/{i}", html) for i, html in enumerate(htmls)] + [(99, "http://b.com/", menu)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    found = {r.page_id: r.text for r in H.main_text(pages, group_pages=2).collect()}
+    assert [found[i] for i in range(60)] == H.extract(htmls) and "home" not in found[3] + found[41] and found[99].startswith("home news")
+
+
 def test_edge_cases(spark):
     rows = [(1, "http://a.com/", None), (2, None, "<p>x</p>"), (3, "http://a.com/", ""), (None, "http://a.com/", "<article>y</article>"), (4, "u", "<article>z</article>"), (4, "u", "<article>z</article>")]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "'t' AS text", "1 AS n_chars", "'h' AS host")
