@@ -7,7 +7,8 @@ A run of at least that many tokens that occurs on two
 or more pages of different tokens covers its tokens; blocks that are mostly covered are boilerplate and go. What is left is
 held against the markup: blocks in menus, headers, footers, sidebars, notices, adverts, forms, reader comments
 and hidden elements go too, as a page alone on its host repeats nothing. Text marked as an article (or, without one, as
-main content) is kept whole: a passage that two articles of a host share is content, which repetition alone would remove.
+main content) is kept whole: a passage that two articles of a host share is content, which repetition alone would remove. On a
+page with such marks the markup alone decides, and repetition changes nothing.
 
 Defined cases: null html is empty and gives an empty text; a null or odd url has host ''; repeated rows are extracted each
 (and count as one page when runs are counted, as do all pages with the same tokens); an empty table gives an empty result; unclosed,
