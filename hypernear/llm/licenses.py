@@ -1,8 +1,9 @@
 """Licence scan: sparse TF-IDF cosine to licence templates, then inheritance from the nearest directory.
 
-Every sentence of a whole text is compared with every template; a text's licence is that of its most similar
-sentence, from ``least`` upwards. Inverse document frequencies of the templates' words are counted over all texts; other words
-weigh as unseen ones. A sentence can only reach ``least`` if it shares one of a template's heavy words, as the Cauchy bound
+Every sentence of a whole text, and every window of a template's number of words, is compared with every template; a text's licence
+is that of its most similar sentence or window, from ``least`` upwards. Windows run over the words of the whole text, whatever
+its line breaks, comment signs and punctuation, so that wrapped notices are met. Inverse document frequencies of the templates' words are counted over all texts; other words
+weigh as unseen ones. A sentence or window can only reach ``least`` if it shares one of a template's heavy words, as the Cauchy bound
 shows, so most are passed over by one set look-up.
 
 Files named LICENSE, LICENCE, COPYING or NOTICE give their licence to their directory. A file without a licence of its own
@@ -19,6 +20,7 @@ import math
 import re
 from collections import Counter
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -42,6 +44,7 @@ TEMPLATES = (
     ("CC-BY-NC-4.0", "Licensed under CC BY-NC 4.0."),
     ("CC0-1.0", "To the extent possible under law, the author has waived all copyright and related rights to this work, CC0 1.0."),
 )
+COMMENT = re.compile(r"^[^\S\n]*(?:dnl|rem)\b", re.I | re.M)  # comment signs that would be read as words
 SENTENCE = re.compile(r"[\r\n]+|(?<=[.!?;:])\s+")
 LICENCE_FILE = r"(?i)(^|/)(licen[sc]e|copying|notice)(\.[^/]*)?$"
 
@@ -64,21 +67,54 @@ class Matcher:
                 if left >= least**2:
                     self.heavy.add(t)
 
+        self.place = {t: k for k, t in enumerate(self.idf, 1)}  # 0 stands for all other words
+        self.weight = np.array([self.unseen, *self.idf.values()])
+        self.lengths = [len(words(text)) for _, text in templates]
+        self.parts = np.array([[0.0, *(vector.get(t, 0.0) * w for t, w in self.idf.items())] for _, vector in self.vectors])
+
+    def windows(self, terms: list[str], least: float):
+        """(name, similarity) of windows of the templates' lengths, of those at or above least and better than the ones before.
+
+        A word that occurs c times adds c to the square of the norm's bound and c * c to the square itself, so the bound from running
+        sums is never under the similarity; only windows whose bound reaches least are counted out.
+        """
+        at = np.fromiter((self.place.get(t, 0) for t in terms), dtype=np.int64, count=len(terms))
+        squares = np.concatenate([[0.0], np.cumsum(self.weight[at] ** 2)])
+        for (name, vector), part, length in zip(self.vectors, self.parts, self.lengths):
+            length, enough = min(length, len(at)), least
+            dots = np.concatenate([[0.0], np.cumsum(part[at])])
+            bound = (dots[length:] - dots[:-length]) / np.sqrt(squares[length:] - squares[:-length])
+            for k in np.flatnonzero(bound >= least - 1e-6).tolist():
+                if bound[k] >= enough - 1e-6:
+                    cosine = self.cosine(Counter(terms[k : k + length]), vector)
+                    if cosine >= enough:
+                        enough = cosine
+                        yield name, cosine
+
+    def cosine(self, count: Counter, vector: dict[str, float]) -> float:
+        weights = {t: c * self.idf.get(t, self.unseen) for t, c in count.items()}
+        return sum(w * vector[t] for t, w in weights.items() if t in vector) / math.sqrt(sum(w * w for w in weights.values()))
+
     def best(self, text: str | None) -> tuple[str | None, float]:
         """Name and similarity of the nearest template; ties go to the smaller name."""
         found = (0.0, None)
-        if not text or self.heavy.isdisjoint(words(text)):
+        terms = words(text)
+        if self.heavy.isdisjoint(terms):
             return None, 0.0
+
+        def offer(name: str, cosine: float) -> None:
+            nonlocal found
+            if cosine > found[0] + 1e-12 or (abs(cosine - found[0]) <= 1e-12 and found[1] is not None and name < found[1]):
+                found = (cosine, name)
+
         for sentence in SENTENCE.split(text):
             terms = words(sentence)
             if not self.heavy.isdisjoint(terms):
                 count = Counter(terms)
-                weights = {t: c * self.idf.get(t, self.unseen) for t, c in count.items()}
-                norm = math.sqrt(sum(w * w for w in weights.values()))
                 for name, vector in self.vectors:
-                    cosine = sum(w * vector[t] for t, w in weights.items() if t in vector) / norm
-                    if cosine > found[0] + 1e-12 or (abs(cosine - found[0]) <= 1e-12 and found[1] is not None and name < found[1]):
-                        found = (cosine, name)
+                    offer(name, self.cosine(count, vector))
+        for name, cosine in self.windows(words(COMMENT.sub(" ", text)), max(self.least, found[0])):
+            offer(name, cosine)
         return (found[1], found[0]) if found[0] >= self.least else (None, 0.0)
 
 

@@ -20,6 +20,18 @@ def test_licences(spark):
     assert licenses.licences(spark.createDataFrame([], FILES)).count() == 0
 
 
+def test_wrapped_notices(spark):
+    """Notices as they stand in files: wrapped, behind comment signs, followed by more of the sentence."""
+    gpl = ["This program is free software: you can redistribute it and/or modify", "it under the terms of the GNU General Public License as published by", "the Free Software Foundation, either version 3 of the License, or", "(at your option) any later version."]
+    bsd = ["Redistribution and use in source and binary forms, with or without", "modification, are permitted provided that the following conditions", "are met:", "1. Redistributions of source code must retain the above copyright"]
+    mit = ["Permission is hereby granted, free of charge, to any person obtaining a", 'copy of this software and associated documentation files (the "Software"),', "to deal in the Software without restriction, including without limitation"]
+    rows = [(f"{name}{k}/LICENSE", "Copyright 2020 A. Person\n\n" + "\n".join(sign + line for line in notice), "") for name, notice in (("GPL-3.0", gpl), ("BSD-3-Clause", bsd), ("MIT", mit)) for k, sign in enumerate(("", "# ", " * ", "dnl "))]
+    rows += [(r[0].replace("LICENSE", "src/x.c"), "int main", "") for r in rows]
+    rows += [(f"prose{i}.txt", f"the person may modify number {i} and use the work of the building under the terms of a free house", "") for i in range(50)]
+    for r in licenses.licences(spark.createDataFrame(rows, FILES)).collect():
+        assert r.licence == (None if r.path.startswith("prose") else r.path.split("/")[0][:-1])
+
+
 def test_scan_equals_brute_force(real):
     docs = licenses.document_paths(real("documents"))
     matcher = licenses.fit(docs)
