@@ -3,7 +3,8 @@
 The longest rule that fits a url decides. Other urls are judged by trees over lengths, depth, digit ratio, entropy,
 parameter counts and suffix statistics. They learn from at most ``sample_rows`` labelled urls, drawn by a hash: hosts on
 the seed list of unwanted words are labelled 1, all others 0; the words themselves are no feature. Suffix statistics (how
-often each of the commonest ``most_suffixes`` last one or two host labels occurs, and its share of label 1) are counted over all urls.
+often a host's last one and two labels occur, and their share of label 1) are counted over all urls. They stay a table of all hosts, counted
+host by host first, and are joined to the sample and to the rows that are judged, so that a verdict does not depend on how many suffixes there are.
 
 Defined cases: a null url or one without :// has an empty host and path, fits no rule, and is judged like any other; repeated rows are judged each;
 no labelled url at all gives the smoothed base rate; an empty table gives an empty result; extra columns are dropped.
@@ -21,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .boosting import BoostedTrees
-from .common import opened, ship
+from .common import opened, persisted, ship
 from .html_text import after_scheme, host_of
 
 # Verdicts by url prefix, and words of unwanted hosts.
@@ -46,6 +47,7 @@ def rule_of(host: Column, path: Column, rules=RULES) -> Column:
 
 
 FEATURES = 27
+STATISTICS = ["often_one", "share_one", "often_two", "share_two"]  # of the last label, and of the last two
 
 
 def entropy(text: str) -> float:
@@ -53,27 +55,22 @@ def entropy(text: str) -> float:
     return -sum(c / n * math.log2(c / n) for c in Counter(text).values()) if n else 0.0
 
 
-def suffixes(host: str) -> list[str]:
-    parts = host.split(".")
-    return [parts[-1], ".".join(parts[-2:])]
-
-
-def featurise(urls: list[str | None], statistics: dict[str, tuple[float, float]]) -> np.ndarray:
+def featurise(urls: list[str | None], statistics: np.ndarray) -> np.ndarray:
+    """Features of urls; statistics holds the STATISTICS of their hosts, one row a url."""
     rows = []
-    for url in urls:
+    for url, known in zip(urls, statistics.tolist()):
         url = url or ""
         rest = url.partition("://")[2]
         host, path = (re.match(r"([^/?#]*)([^?#]*)", rest).groups()) if rest else ("", "")
         host, query = host.lower(), url.partition("?")[2].partition("#")[0]
         parts, names = host.split("."), re.split(r"[.\-]", host)
-        known = [statistics.get(s, (0.0, 0.0)) for s in suffixes(host)]
         digits = sum(map(str.isdigit, url))
         longest = max(names, key=len)
         rows.append((
             len(url), len(host), len(path), len(query), path.strip("/").count("/") + bool(path.strip("/")), len(parts), host.count("-"), path.count("-"),
             digits / max(len(url), 1), sum(map(str.isdigit, host)) / max(len(host), 1), entropy(url), entropy(host), entropy(path), entropy(longest),
             query.count("&") + bool(query), query.count("%"), "#" in url, url.startswith("https:"), "@" in host or ":" in host, host.startswith("www."),
-            len(longest), sum(c in "aeiou" for c in host) / max(len(host), 1), len(set(host)) / max(len(host), 1), known[0][0], known[0][1], known[1][0], known[1][1],
+            len(longest), sum(c in "aeiou" for c in host) / max(len(host), 1), len(set(host)) / max(len(host), 1), *known,
         ))
     return np.array(rows, dtype=float).reshape(len(urls), FEATURES)
 
@@ -83,30 +80,43 @@ def label_of(host: Column, seeds: str = SEEDS) -> Column:
     return F.arrays_overlap(F.split(host, r"[.\-]"), F.array(*map(F.lit, seeds.split()))).cast("int")
 
 
-def fit(urls: DataFrame, sample_rows: int = 20_000, most_suffixes: int = 2_000, seeds: str = SEEDS) -> tuple[dict, BoostedTrees]:
-    """Suffix statistics over all urls and trees from a bounded sample."""
+def host_statistics(hosts: DataFrame) -> DataFrame:
+    """(host and STATISTICS) of every host, from (host, n, pos)."""
+    ends = {"one": F.element_at(F.split("host", r"\."), -1), "two": F.substring_index("host", ".", -2)}
+    counted = hosts.select("n", "pos", F.explode(F.array_distinct(F.array(*ends.values()))).alias("suffix")).groupBy("suffix").agg(F.sum("n").alias("n"), F.sum("pos").alias("pos"))
+    counted = persisted(counted.select("suffix", F.log1p("n").alias("often"), ((F.col("pos") + 1) / (F.col("n") + 2)).alias("share")), "url-suffixes")
+    found = hosts.select("host")
+    for name, end in ends.items():
+        mine = counted.select(F.col("suffix").alias(f"_{name}"), F.col("often").alias(f"often_{name}"), F.col("share").alias(f"share_{name}"))
+        found = found.join(mine, end == F.col(f"_{name}")).drop(f"_{name}")
+    return persisted(found, "url-hosts")  # a table of measured size: Spark broadcasts it while it is small, and splits hot hosts if not
+
+
+def fit(urls: DataFrame, sample_rows: int = 20_000, seeds: str = SEEDS) -> tuple[DataFrame, BoostedTrees]:
+    """Suffix statistics of all hosts and trees from a bounded sample."""
     labelled = urls.select("url", host_of(F.col("url")).alias("host")).filter("host <> ''").withColumn("y", label_of(F.col("host"), seeds))
-    ends = F.array(F.element_at(F.split("host", r"\."), -1), F.substring_index("host", ".", -2))
-    counted = labelled.select("y", F.explode(F.array_distinct(ends)).alias("suffix")).groupBy("suffix").agg(F.count("*").alias("n"), F.sum("y").alias("pos"))
-    top = counted.orderBy(F.desc("n"), "suffix").limit(most_suffixes).collect()
-    statistics = {r.suffix: (math.log1p(r.n), (r.pos + 1) / (r.n + 2)) for r in top}
+    statistics = host_statistics(persisted(labelled.groupBy("host").agg(F.count("*").alias("n"), F.sum("y").alias("pos")), "url-host-counts"))
     n = labelled.count()
     drawn = labelled.filter(F.pmod(F.xxhash64("url", F.lit(11)), F.lit(1_000_003)) < F.lit(min(1.0, sample_rows / max(n, 1)) * 1_000_003))
-    rows = sorted((r.url, r.y) for r in drawn.select("url", "y").distinct().collect())
+    rows = sorted(map(tuple, drawn.distinct().join(statistics, "host").select("url", "y", *STATISTICS).collect()))
     y = np.array([r[1] for r in rows], dtype=float)
-    return statistics, BoostedTrees(rounds=40, depth=4).fit(featurise([r[0] for r in rows], statistics), y)
+    known = np.array([r[2:] for r in rows], dtype=float).reshape(len(rows), len(STATISTICS))
+    return statistics, BoostedTrees(rounds=40, depth=4).fit(featurise([r[0] for r in rows], known), y)
 
 
-def judge(pages: DataFrame, model: tuple[dict, BoostedTrees], rules=RULES, least: float = 0.5) -> DataFrame:
+def judge(pages: DataFrame, model: tuple[DataFrame, BoostedTrees], rules=RULES, least: float = 0.5) -> DataFrame:
     """page_id, host, path, rule, verdict and the trees' score of every row."""
-    shared = ship(pages.sparkSession, model)
+    statistics, trees = model
+    shared = ship(pages.sparkSession, trees)
 
     def run(batches):
-        statistics, trees = opened(shared)
+        trees = opened(shared)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(trees.predict(featurise(batch.column(1).to_pylist(), statistics)), pa.float64())], names=["page_id", "url", "score"])
+            known = np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in range(2, 2 + len(STATISTICS))], axis=1)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(trees.predict(featurise(batch.column(1).to_pylist(), known)), pa.float64())], names=["page_id", "url", "score"])
 
-    scored = pages.select("page_id", "url").mapInArrow(run, "page_id long, url string, score double")
+    placed = pages.select("page_id", "url", host_of(F.col("url")).alias("_host")).join(statistics, F.col("_host") == F.col("host"), "left")
+    scored = placed.select("page_id", "url", *(F.coalesce(c, F.lit(0.0)).alias(c) for c in STATISTICS)).mapInArrow(run, "page_id long, url string, score double")
     parted = scored.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"), "score")
     ruled = parted.withColumn("rule", rule_of(F.col("host"), F.col("path"), rules))
     by_rule = F.element_at(F.create_map(*[F.lit(x) for rule in rules for x in rule]), F.col("rule"))

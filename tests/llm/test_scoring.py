@@ -62,6 +62,16 @@ def test_rules(spark):
     assert url_filter.judge(none, url_filter.fit(none)).count() == 0
 
 
+def test_all_suffixes_have_statistics(spark):
+    """Rare suffixes too, in a table of more than 2,000 of them."""
+    pages = spark.range(3000).selectExpr("id AS page_id", "concat('http://www.', if(id % 3 = 0, 'spam.', ''), 'name', id, '.net/', id) AS url")
+    pages = pages.unionByName(spark.range(50).selectExpr("id AS page_id", "'https://often.com/' AS url"))
+    statistics, _ = url_filter.fit(pages, sample_rows=500)
+    found = {r.host: (round(np.expm1(r.often_one)), r.share_one, round(np.expm1(r.often_two)), r.share_two) for r in statistics.collect()}
+    assert len(found) == 3001 and found["often.com"] == (50, 1 / 52, 50, 1 / 52)
+    assert all(found[f"www.{'' if i % 3 else 'spam.'}name{i}.net"] == (3000, 1001 / 3002, 1, 1 / 3 if i % 3 else 2 / 3) for i in range(3000))
+
+
 def test_unwanted_hosts_are_blocked(spark):
     """The trees see no words, and still tell unwanted hosts apart."""
     pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
