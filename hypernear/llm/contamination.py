@@ -165,7 +165,7 @@ class ItemIndex:
             inside = ids[at][a:e]
             for item, score in self.retrieve(np.unique(inside[inside >= 0]).tolist(), blocks, threshold):
                 question, answer = (overlap(p, tokens[at][a:e], gram) for p in self.parts[item])
-                if question >= least and (answer >= least or len(self.parts[item][0]) >= gram):
+                if question >= least and answer >= least:
                     found = (question + answer, score, question, answer)
                     best[at, item] = max(best.get((at, item), found), found)
         return [(at, self.ids[item], *v[1:]) for (at, item), v in sorted(best.items())]

@@ -29,6 +29,13 @@ def test_equals_brute_force(spark, real, shard_items):
     assert {r.doc_id for r in clean.collect()} == {r.doc_id for r in docs.collect()} - {d for d, _ in want}
 
 
+def test_a_question_alone_is_no_leak():
+    question, answer = "Which river flows past the old stone mill of the northern valley town?", "The narrow Esk."
+    index = C.ItemIndex([(1, f"{question} {answer}"), (2, question)], 2, 15.0, {w: 1 for w in words(f"{question} {answer}")})
+    hits = {(at, item) for at, item, *_ in index.matches([question, f"so {question} {answer} indeed"], 0.6, 5, 0.8)}
+    assert hits == {(0, 2), (1, 1), (1, 2)}
+
+
 def test_edge_cases(spark, documents, no_documents):
     fox = "The quick brown fox jumps over the lazy dog, while seven wizards quietly mix potions. For the evening feast and nobody complains about it at all!"
     items = spark.createDataFrame([(1, fox), (1, fox), (2, None), (3, ""), (None, fox), (4, "?!")], ITEMS)
