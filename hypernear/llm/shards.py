@@ -4,12 +4,13 @@ Arrivals are appended as small immutable Parquet files. Files of similar size (o
 merged, ``fan_in`` or more at once, into files of about ``target_bytes``; a file never spans two groups and is read once
 a merge. A version is one manifest, a JSON list of the live files, created under its number in one
 step that fails if the number exists, so that two writers can't both commit it; the loser reads the new manifest and tries again.
-Readers see the files of one version only. Replaced files stay for readers of older versions until ``vacuum``.
+Readers see the files of one version only. Replaced files stay for readers of older versions until ``vacuum``, which spares what
+writers have written and not yet committed: each leaves an intent before its first file.
 
 A file's merges are bounded by the number of tiers, so each byte is rewritten a logarithmic number of times.
 
 Defined cases: an empty arrival commits a version without new files; nulls, ties and repeated rows are rows like others; arrivals
-must have the columns of the first (any order, names that clash only in case are refused by Spark); a store without a manifest
+must have the columns and types of the first, in any order, others are refused (as are names that clash only in case, by Spark); a store without a manifest
 is version 0 and has no files.
 """
 
@@ -17,12 +18,14 @@ from __future__ import annotations
 
 import json
 import math
+import time
 import uuid
 from collections import defaultdict
 from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 
 @dataclass(frozen=True)
@@ -92,13 +95,27 @@ class ShardStore:
 
     # --- writing ---
 
-    def _write(self, df: DataFrame) -> list[tuple[str, int]]:
-        """Files of df under a new folder, with sizes; Spark's committer keeps one attempt of each task."""
-        folder = f"{self.root}/data/{uuid.uuid4().hex}"
-        df.write.option("compression", "zstd").parquet(folder)
-        return self._listed(folder)
+    def _write(self, df: DataFrame) -> tuple[str, list[tuple[str, int]]]:
+        """Files of df under a new folder, with sizes; Spark's committer keeps one attempt of each task. An intent stands before the first
+        file, so that vacuum leaves the folder alone until its version is committed."""
+        name = uuid.uuid4().hex
+        self._fs.create(self._path(f"{self.root}/intents/{name}"), False).close()
+        df.write.option("compression", "zstd").parquet(f"{self.root}/data/{name}")
+        return name, self._listed(f"{self.root}/data/{name}")
+
+    def _claim(self, name: str) -> None:
+        """Take a written folder for a commit: from now on vacuum can't declare its intent dead. One rename decides between the two."""
+        self._fs.mkdirs(self._path(f"{self.root}/commits"))
+        intent = self._path(f"{self.root}/intents/{name}")
+        if not self._fs.exists(intent) or not self._fs.rename(intent, self._path(f"{self.root}/commits/{name}")):
+            raise RuntimeError(f"the files of {name} were given up by a vacuum before their commit; write them again")
+
+    def _done(self, name: str) -> None:
+        self._fs.delete(self._path(f"{self.root}/commits/{name}"), False)
 
     def _listed(self, folder: str) -> list[tuple[str, int]]:
+        if not self._fs.exists(self._path(folder)):
+            return []
         found = self._fs.listFiles(self._path(folder), True)
         files = []
         while found.hasNext():
@@ -109,13 +126,29 @@ class ShardStore:
 
     def append(self, df: DataFrame) -> int:
         """Commit the rows of df as new small shards; returns the version."""
-        files = self._write(df)
+        schema = self._schema(self.version())
+        fitted = self._fitted(df, schema)
+        name, files = self._write(fitted)
+        self._claim(name)
         while True:
             now = self.version()
+            self._fitted(df, self._schema(now))  # another writer may have come first
             new = [Shard(p, b, now + 1) for p, b in files]
-            if self._publish(now + 1, self.shards(now) + new, self._schema(now) or df.schema.json()):
+            if self._publish(now + 1, self.shards(now) + new, self._schema(now) or fitted.schema.json()):
+                self._done(name)
                 return now + 1
 
+    @staticmethod
+    def _fitted(df: DataFrame, schema: str | None) -> DataFrame:
+        """df with its columns in the store's order; another set of columns or other types are refused."""
+        if schema is None:
+            return df
+        known = StructType.fromJson(json.loads(schema))
+        types = {f.name: f.dataType.simpleString() for f in known}
+        if len(df.columns) != len(types) or {f.name: f.dataType.simpleString() for f in df.schema} != types:
+            raise ValueError(f"the store has columns {types}, the arrival {dict(df.dtypes)}")
+        return df.select(*types)
+
     def tier(self, size: int) -> int:
         """Tier 0 is target-sized; each tier below is smaller by the growth factor."""
         return max(0, math.ceil(math.log(self.target / max(size, 1), self.growth)))
@@ -138,14 +171,15 @@ class ShardStore:
             groups.append(group)
         return [g for g in groups if len(g) >= self.fan_in or len(g) > 1 and sum(s.bytes for s in g) >= 0.75 * self.target]
 
-    def compact(self, most_rounds: int = 16) -> int:
-        """Merge until no tier holds a group to merge; returns the version."""
-        for _ in range(most_rounds):
+    def compact(self) -> int:
+        """Merge until no tier holds a group to merge; returns the version. Each commit leaves fewer shards, so it ends."""
+        while True:
             now = self.version()
             groups = self.plan(self.shards(now))
             if not groups:
                 return now
-            merged = self._merge(groups)
+            name, merged = self._merge(groups)
+            self._claim(name)
             gone = {s.path for g in groups for s in g}
             while True:
                 now = self.version()
@@ -154,13 +188,13 @@ class ShardStore:
                     break  # another compaction took some of them: plan anew
                 if self._publish(now + 1, [s for s in live if s.path not in gone] + [Shard(p, b, now + 1) for p, b in merged], self._schema(now)):
                     break
-        return self.version()
+            self._done(name)
 
-    def _merge(self, groups: list[list[Shard]]) -> list[tuple[str, int]]:
+    def _merge(self, groups: list[list[Shard]]) -> tuple[str, list[tuple[str, int]]]:
         """All groups in one job, a task and a file each: rows go by their file's group number, which is at most a target in size."""
         number = {s.path: k for k, g in enumerate(groups) for s in g}
         lookup = self.spark.createDataFrame([(p.rpartition("/data/")[2], k) for p, k in number.items()], "file string, grp int")
-        rows = self.spark.read.parquet(*number)
+        rows = self.spark.read.schema(StructType.fromJson(json.loads(self._schema(self.version())))).parquet(*number)
         data = rows.select(F.struct(*rows.columns).alias("row"), F.element_at(F.split(F.col("_metadata.file_path"), "/data/"), -1).alias("file"))
         joined = data.join(F.broadcast(lookup), "file")  # one short row a merged file
         placed = joined.repartitionById(len(groups), F.col("grp")).select("row.*")
@@ -169,21 +203,33 @@ class ShardStore:
     # --- reading ---
 
     def read(self, version: int | None = None) -> DataFrame:
-        """The rows of one version (the newest by default)."""
+        """The rows of one version (the newest by default), with the manifest's schema."""
         version = self.version() if version is None else version
-        files = [s.path for s in self.shards(version)]
-        schema = self._schema(version)
-        if not files:
-            from pyspark.sql.types import StructType
-
-            return self.spark.createDataFrame([], StructType.fromJson(json.loads(schema)) if schema else "empty int")
-        return self.spark.read.parquet(*files)
-
-    def vacuum(self, keep: int = 1) -> int:
-        """Delete files that none of the newest keep versions lists; returns how many."""
+        files, schema = [s.path for s in self.shards(version)], self._schema(version)
+        known = StructType.fromJson(json.loads(schema)) if schema else "empty int"
+        return self.spark.read.schema(known).parquet(*files) if files else self.spark.createDataFrame([], known)
+
+    def _names(self, folder: str, before: float | None = None) -> set[str]:
+        """Names in a folder, of entries last changed before a time."""
+        if not self._fs.exists(self._path(folder)):
+            return set()
+        return {s.getPath().getName() for s in self._fs.listStatus(self._path(folder)) if before is None or s.getModificationTime() / 1000 < before}
+
+    def vacuum(self, keep: int = 1, patience: float = 7 * 86_400) -> int:
+        """Delete files that none of the newest keep versions lists and that no writer is about to commit; returns how many.
+
+        A writer is given ``patience`` seconds from its intent to its commit; after that the intent is declared dead, by a rename
+        that its writer's claim can't have won too. Files are listed first, intents next and manifests last: a file whose intent is gone by
+        then was committed before the manifests are read.
+        """
+        files = self._listed(f"{self.root}/data")
+        for name in self._names(f"{self.root}/intents", time.time() - patience):
+            self._fs.mkdirs(self._path(f"{self.root}/dead"))
+            self._fs.rename(self._path(f"{self.root}/intents/{name}"), self._path(f"{self.root}/dead/{name}"))
+        spared = self._names(f"{self.root}/intents") | self._names(f"{self.root}/commits")
         now = self.version()
         live = {s.path for v in range(max(1, now - keep + 1), now + 1) for s in self.shards(v)}
-        gone = [p for p, _ in self._listed(f"{self.root}/data") if p not in live]
+        gone = [p for p, _ in files if p not in live and p.rpartition("/data/")[2].partition("/")[0] not in spared]
         for p in gone:
             self._fs.delete(self._path(p), False)
         for v in range(1, now - keep + 1):
