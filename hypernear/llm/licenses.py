@@ -25,25 +25,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import opened, ship, words
-
-# Notices by licence name (SPDX), one or more each.
-TEMPLATES = (
-    ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
-    ("Apache-2.0", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License."),
-    ("GPL-3.0", "This work is licensed under the GNU General Public License, version 3."),
-    ("GPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License."),
-    ("GPL-2.0", "This work is licensed under the GNU General Public License, version 2."),
-    ("LGPL-3.0", "This library is licensed under the GNU Lesser General Public License, version 3."),
-    ("MIT", "Released under the MIT License."),
-    ("MIT", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files."),
-    ("BSD-3-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met."),
-    ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
-    ("CC-BY-4.0", "Licensed under CC BY 4.0."),
-    ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0."),
-    ("CC-BY-NC-4.0", "Licensed under CC BY-NC 4.0."),
-    ("CC0-1.0", "To the extent possible under law, the author has waived all copyright and related rights to this work, CC0 1.0."),
-)
+from .common import opened, persisted, ship, words
+from .licence_texts import TEMPLATES
+
 COMMENT = re.compile(r"^[^\S\n]*(?:dnl|rem)\b", re.I | re.M)  # comment signs that would be read as words
 SENTENCE = re.compile(r"[\r\n]+|(?<=[.!?;:])\s+")
 LICENCE_FILE = r"(?i)(^|/)(licen[sc]e|copying|notice)(\.[^/]*)?$"
@@ -171,7 +155,8 @@ def inherit(scanned: DataFrame) -> DataFrame:
 
 
 def licences(files: DataFrame, templates=TEMPLATES, least: float = 0.8) -> DataFrame:
-    return inherit(scan(files, fit(files, templates, least)))
+    """Own, inherited and resulting licence of every file; the scan, which reads the texts, is written once for the joins of inherit()."""
+    return inherit(persisted(scan(files, fit(files, templates, least)), "licence-scan"))
 
 
 def document_paths(docs: DataFrame) -> DataFrame:

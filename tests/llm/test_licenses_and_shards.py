@@ -84,3 +84,36 @@ def test_one_of_two_writers_wins(store, documents):
     assert store.version() == 2 and len(store.shards()) == len(now)
     store.append(documents)
     assert store.version() == 3
+
+
+def test_vacuum_spares_what_is_not_committed_yet(store, documents):
+    store.append(documents)
+    name, files = store._write(documents)  # another writer, between its files and its commit
+    assert store.vacuum() == 0
+    store._claim(name)
+    assert store.vacuum(patience=-10) == 0
+    assert store._publish(2, store.shards() + [shards.Shard(p, b, 2) for p, b in files], documents.schema.json())
+    store._done(name)
+    assert store.vacuum(patience=-10) == 0 and store.read().count() == 24
+    late, files = store._write(documents)
+    assert store.vacuum(patience=-10) == len(files)  # given up: its writer can't commit any more
+    with pytest.raises(RuntimeError):
+        store._claim(late)
+    assert store.read().count() == 24
+
+
+def test_arrivals_of_another_schema_are_refused(store, documents):
+    store.append(documents.select("doc_id", "text"))
+    for other in (documents.select("doc_id", "text", "lang"), documents.select("doc_id"), documents.selectExpr("string(doc_id) AS doc_id", "text")):
+        with pytest.raises(ValueError):
+            store.append(other)
+    store.append(documents.select("text", "doc_id"))
+    assert store.read().columns == ["doc_id", "text"] and store.read().count() == 24
+    assert {r.doc_id for r in store.read().collect()} == {r.doc_id for r in documents.collect()}
+
+
+def test_compaction_of_very_many_files_ends(spark, tmp_path):
+    store = shards.ShardStore(spark, str(tmp_path / "many"), target_bytes=1 << 20, fan_in=2)
+    store.append(spark.range(400).repartition(100))
+    store.compact()
+    assert not store.plan(store.shards()) and len(store.shards()) <= 2 and store.read().count() == 400
