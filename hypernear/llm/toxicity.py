@@ -6,7 +6,7 @@ and obfuscation rates. A model is fitted on at most ``sample_rows`` labelled row
 id over all labels) and scores every whole text in one narrow pass.
 
 Defined cases: null and empty texts get the score of their (all zero) features; null or repeated labels are
-dropped or joined by their maximum; no labels at all give the constant base rate; repeated rows are scored
+dropped or joined by their maximum; of several texts of one labelled id the least is learnt from; no labels at all give the constant base rate; repeated rows are scored
 each; extra columns pass through, and a result column replaces an input column of the same name.
 """
 
@@ -161,28 +161,35 @@ def hash_of(text: str) -> int:
     return xxhash.xxh64_intdigest(text) >> 1
 
 
-def learn_terms(sample: DataFrame, least_evidence: float, most_terms: int) -> tuple[dict[str, float], dict[str, float]]:
-    """Words and stems that mark label 1, by a likelihood ratio over documents.
+def one_each(sample: DataFrame) -> DataFrame:
+    """(text, y) of one text, that of the least doc_id, of each group of near copies, whatever tasks they stand in."""
+
+    def run(batches):
+        for batch in batches:
+            marks = [signature(WORD.findall((t or "").lower())) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", "text", "y")), pa.array(marks, pa.int64())], names=["doc_id", "text", "y", "mark"])
+
+    marked = sample.select("doc_id", "text", "y").mapInArrow(run, "doc_id long, text string, y int, mark long")
+    return marked.groupBy("mark").agg(F.min_by(F.struct("text", "y"), "doc_id").alias("one")).select("one.*")
+
+
+def learn_terms(sample: DataFrame, least_evidence: float) -> tuple[dict[str, float], dict[str, float]]:
+    """Words and stems that mark label 1, by a likelihood ratio over documents: as many as a bounded sample gives evidence for.
 
     Each near-copy group of the sample counts once. Terms are counted inside each task and summed by Spark.
     """
 
     def count(batches):
         pairs: Counter = Counter()
-        seen = set()
         for batch in batches:
             for text, y in zip(batch.column("text").to_pylist(), batch.column("y").to_pylist()):
-                found = WORD.findall((text or "").lower())
-                if (mark := signature(found)) in seen:
-                    continue
-                seen.add(mark)
-                terms = set(found)
+                terms = set(WORD.findall((text or "").lower()))
                 terms = {f"w{t}" for t in terms} | {f"s{t[:n]}" for t in terms for n in STEMS if len(t) > n} | {""}
                 pairs.update((t, y) for t in terms)
         kept = sorted({t for t, y in pairs if len(t) < 40})
         yield pa.RecordBatch.from_pydict({"term": pa.array(kept, pa.string()), "pos": pa.array([pairs[t, 1] for t in kept], pa.int64()), "neg": pa.array([pairs[t, 0] for t in kept], pa.int64())})
 
-    counts = sample.mapInArrow(count, "term string, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
+    counts = one_each(sample).mapInArrow(count, "term string, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
     counts = persisted(counts, "toxicity-terms")
     whole = counts.filter("term = ''").first()
     if whole is None or not whole.pos or not whole.neg:
@@ -193,11 +200,11 @@ def learn_terms(sample: DataFrame, least_evidence: float, most_terms: int) -> tu
     pos, neg, both = F.col("pos"), F.col("neg"), F.col("pos") + F.col("neg")
     evidence = 2 * (ends(pos, both * share) + ends(neg, both * (1 - share)))
     purity = (pos + 0.1) / (both + 0.2)
-    top = counts.filter((F.col("term") != "") & (pos >= 3) & (purity >= 0.6)).select("term", purity.alias("purity"), evidence.alias("evidence")).filter(F.col("evidence") >= least_evidence).orderBy(F.desc("evidence"), "term").limit(most_terms).collect()
+    top = counts.filter((F.col("term") != "") & (pos >= 3) & (purity >= 0.6)).select("term", purity.alias("purity"), evidence.alias("evidence")).filter(F.col("evidence") >= least_evidence).collect()
     return {r.term[1:]: r.purity for r in top if r.term[0] == "w"}, {r.term[1:]: r.purity for r in top if r.term[0] == "s"}
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: int = 24_000, least_evidence: float = 12.0, most_terms: int = 5_000, least_positive: int = 20) -> Scorer:
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: int = 24_000, least_evidence: float = 12.0, least_positive: int = 20) -> Scorer:
     """Model from at most about sample_rows of the given labelled rows.
 
     Half of the sample shows which terms are toxic; the trees and the calibration see the other half only, so
@@ -207,10 +214,11 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: i
     known = marks.agg(F.count("*").alias("n"), F.coalesce(F.sum("y"), F.lit(0)).alias("pos")).first()
     rate = min(1.0, sample_rows / max(known.n, 1))
     drawn = marks.filter(F.pmod(F.xxhash64("doc_id", F.lit(17)), F.lit(1_000_003)) < F.lit(rate * 1_000_003))
-    texts = docs.select("doc_id", "text").join(F.broadcast(drawn), "doc_id")  # at most sample_rows rows are broadcast
+    texts = docs.select(F.col("doc_id").cast("long"), "text").join(F.broadcast(drawn), "doc_id")  # at most sample_rows rows are broadcast
+    texts = persisted(texts.groupBy("doc_id", "y").agg(F.min("text").alias("text")), "toxicity-sample")  # and kept: one row an id
     halved = known.pos * rate >= 4 * least_positive
     side = F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(2))
-    weights, stems = learn_terms(texts.filter(side == 0) if halved else texts, least_evidence, most_terms)
+    weights, stems = learn_terms(texts.filter(side == 0) if halved else texts, least_evidence)
     shared = ship(docs.sparkSession, (weights, stems))
 
     def features(batches):

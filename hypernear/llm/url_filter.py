@@ -1,13 +1,14 @@
 """URL filter: prefix rules first, then boosted trees on lexical features of the url.
 
 The longest rule that fits a url decides. Other urls are judged by trees over lengths, depth, digit ratio, entropy,
-parameter counts and suffix statistics. They learn from at most ``sample_rows`` labelled urls, drawn by a hash: hosts on
-the seed list of unwanted words are labelled 1, all others 0; the words themselves are no feature. Suffix statistics (how
-often a host's last one and two labels occur, and their share of label 1) are counted over all urls. They stay a table of all hosts, counted
-host by host first, and are joined to the sample and to the rows that are judged, so that a verdict does not depend on how many suffixes there are.
+parameter counts and suffix statistics, learnt from labelled urls: ``fit`` takes a table of them and draws at most ``sample_rows`` by a hash. Suffix
+statistics (how often a host's last one and two labels occur, and their share of label 1) are counted over labelled rows of other hosts than those
+that the trees learn from; they stay a table of all suffixes, joined to the different hosts of what is judged. Where a table has
+no labels, ``seeded`` gives weak ones: hosts on the seed list of unwanted words are labelled 1, all others 0. The words themselves are no
+feature, so that what the trees can learn from them is how such hosts and urls look; with true labels nothing else changes.
 
 Defined cases: a null url or one without :// has an empty host and path, fits no rule, and is judged like any other; repeated rows are judged each;
-no labelled url at all gives the smoothed base rate; an empty table gives an empty result; extra columns are dropped.
+no labelled url at all gives the smoothed base rate; null labels are left out; an empty table gives an empty result; extra columns are dropped.
 """
 
 from __future__ import annotations
@@ -80,28 +81,51 @@ def label_of(host: Column, seeds: str = SEEDS) -> Column:
     return F.arrays_overlap(F.split(host, r"[.\-]"), F.array(*map(F.lit, seeds.split()))).cast("int")
 
 
-def host_statistics(hosts: DataFrame) -> DataFrame:
-    """(host and STATISTICS) of every host, from (host, n, pos)."""
-    ends = {"one": F.element_at(F.split("host", r"\."), -1), "two": F.substring_index("host", ".", -2)}
-    counted = hosts.select("n", "pos", F.explode(F.array_distinct(F.array(*ends.values()))).alias("suffix")).groupBy("suffix").agg(F.sum("n").alias("n"), F.sum("pos").alias("pos"))
-    counted = persisted(counted.select("suffix", F.log1p("n").alias("often"), ((F.col("pos") + 1) / (F.col("n") + 2)).alias("share")), "url-suffixes")
-    found = hosts.select("host")
-    for name, end in ends.items():
-        mine = counted.select(F.col("suffix").alias(f"_{name}"), F.col("often").alias(f"often_{name}"), F.col("share").alias(f"share_{name}"))
-        found = found.join(mine, end == F.col(f"_{name}")).drop(f"_{name}")
-    return persisted(found, "url-hosts")  # a table of measured size: Spark broadcasts it while it is small, and splits hot hosts if not
-
-
-def fit(urls: DataFrame, sample_rows: int = 20_000, seeds: str = SEEDS) -> tuple[DataFrame, BoostedTrees]:
-    """Suffix statistics of all hosts and trees from a bounded sample."""
-    labelled = urls.select("url", host_of(F.col("url")).alias("host")).filter("host <> ''").withColumn("y", label_of(F.col("host"), seeds))
-    statistics = host_statistics(persisted(labelled.groupBy("host").agg(F.count("*").alias("n"), F.sum("y").alias("pos")), "url-host-counts"))
-    n = labelled.count()
-    drawn = labelled.filter(F.pmod(F.xxhash64("url", F.lit(11)), F.lit(1_000_003)) < F.lit(min(1.0, sample_rows / max(n, 1)) * 1_000_003))
-    rows = sorted(map(tuple, drawn.distinct().join(statistics, "host").select("url", "y", *STATISTICS).collect()))
+def suffixes(host: Column) -> dict[str, Column]:
+    """A host's last label, and its last two."""
+    return {"one": F.element_at(F.split(host, r"\."), -1), "two": F.substring_index(host, ".", -2)}
+
+
+def suffix_statistics(labelled: DataFrame) -> DataFrame:
+    """(suffix, often, share) of every suffix of labelled rows (host, y): how often it occurs, and its smoothed share of label 1."""
+    hosts = labelled.groupBy("host").agg(F.count("*").alias("n"), F.sum("y").alias("pos"))  # hot hosts are summed before their suffixes are
+    each = hosts.select("n", "pos", F.explode(F.array_distinct(F.array(*suffixes(F.col("host")).values()))).alias("suffix"))
+    counted = each.groupBy("suffix").agg(F.sum("n").alias("n"), F.sum("pos").alias("pos"))
+    return persisted(counted.select("suffix", F.log1p("n").alias("often"), ((F.col("pos") + 1) / (F.col("n") + 2)).alias("share")), "url-suffixes")
+
+
+def host_statistics(hosts: DataFrame, statistics: DataFrame) -> DataFrame:
+    """(host and STATISTICS) of every different host; a suffix that was not met is rare and as likely 1 as 0."""
+    found = hosts.select("host").distinct()
+    for name, end in suffixes(F.col("host")).items():
+        mine = statistics.select(F.col("suffix").alias(f"_{name}"), F.col("often").alias(f"often_{name}"), F.col("share").alias(f"share_{name}"))
+        found = found.join(mine, end == F.col(f"_{name}"), "left").drop(f"_{name}")
+    return persisted(found.na.fill({"often_one": 0.0, "share_one": 0.5, "often_two": 0.0, "share_two": 0.5}), "url-hosts")  # a table of measured size: Spark broadcasts it while it is small, and splits hot hosts if not
+
+
+def seeded(urls: DataFrame, seeds: str = SEEDS) -> DataFrame:
+    """(url, y) for urls without labels: 1 where the host has a seed word, else 0."""
+    return urls.select("url", label_of(host_of(F.col("url")), seeds).alias("y"))
+
+
+def fit(labelled: DataFrame, sample_rows: int = 20_000, least_positive: int = 20) -> tuple[DataFrame, BoostedTrees]:
+    """Suffix statistics and trees from labelled urls (url, y).
+
+    Hosts are halved by a hash: the rows of one half make the statistics, at most about sample_rows of the other the trees, so that no row
+    that the trees learn from is counted in its own statistics. With few positive rows in a half both use all rows.
+    """
+    side = F.pmod(F.xxhash64("host", F.lit(23)), F.lit(2))
+    known = labelled.select("url", "y", host_of(F.col("url")).alias("host")).filter("host <> '' and y is not null").withColumn("side", side)
+    counts = {r.side: (r.n, r.pos) for r in known.groupBy("side").agg(F.count("*").alias("n"), F.sum("y").alias("pos")).collect()}
+    halved = all(min(counts.get(k, (0, 0))[1], counts.get(k, (0, 0))[0] - counts.get(k, (0, 0))[1]) >= least_positive for k in (0, 1))
+    statistics = suffix_statistics(known.filter("side = 0") if halved else known)
+    rest = known.filter("side = 1") if halved else known
+    n = sum(counts[k][0] for k in counts if k == 1 or not halved)
+    drawn = rest.filter(F.pmod(F.xxhash64("url", F.lit(11)), F.lit(1_000_003)) < F.lit(min(1.0, sample_rows / max(n, 1)) * 1_000_003)).select("url", "y", "host").distinct()
+    rows = sorted(map(tuple, drawn.join(host_statistics(drawn, statistics), "host").select("url", "y", *STATISTICS).collect()))
     y = np.array([r[1] for r in rows], dtype=float)
-    known = np.array([r[2:] for r in rows], dtype=float).reshape(len(rows), len(STATISTICS))
-    return statistics, BoostedTrees(rounds=40, depth=4).fit(featurise([r[0] for r in rows], known), y)
+    met = np.array([r[2:] for r in rows], dtype=float).reshape(len(rows), len(STATISTICS))
+    return statistics, BoostedTrees(rounds=40, depth=4).fit(featurise([r[0] for r in rows], met), y)
 
 
 def judge(pages: DataFrame, model: tuple[DataFrame, BoostedTrees], rules=RULES, least: float = 0.5) -> DataFrame:
@@ -115,7 +139,9 @@ def judge(pages: DataFrame, model: tuple[DataFrame, BoostedTrees], rules=RULES,
             known = np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in range(2, 2 + len(STATISTICS))], axis=1)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(trees.predict(featurise(batch.column(1).to_pylist(), known)), pa.float64())], names=["page_id", "url", "score"])
 
-    placed = pages.select("page_id", "url", host_of(F.col("url")).alias("_host")).join(statistics, F.col("_host") == F.col("host"), "left")
+    hosted = pages.select("page_id", "url", host_of(F.col("url")).alias("_host"))
+    hosts = host_statistics(hosted.filter("_host <> ''").select(F.col("_host").alias("host")), statistics)
+    placed = hosted.join(hosts, F.col("_host") == F.col("host"), "left")
     scored = placed.select("page_id", "url", *(F.coalesce(c, F.lit(0.0)).alias(c) for c in STATISTICS)).mapInArrow(run, "page_id long, url string, score double")
     parted = scored.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"), "score")
     ruled = parted.withColumn("rule", rule_of(F.col("host"), F.col("path"), rules))

@@ -54,28 +54,47 @@ def test_rules(spark):
         (8, None, "", "", None), (9, "no scheme.org/x", "", "", None), (10, "a://b://c/d", "b:", "//c/d", None), (11, "http://É.org/?q=/", "É.org", "/", "org/"), (12, "", "", "", None), (12, "", "", "", None),
     ]
     pages = spark.createDataFrame([r[:2] for r in rows], "page_id long, url string").withColumn("host", F.lit("clash"))
-    found = url_filter.judge(pages, url_filter.fit(pages)).collect()
+    found = url_filter.judge(pages, url_filter.fit(url_filter.seeded(pages))).collect()
     assert sorted((r.page_id, r.host, r.path, r.rule or "") for r in found) == sorted((r[0], r[2], r[3], r[4] or "") for r in rows)
     verdicts = dict(url_filter.RULES)
     assert all(r.verdict in ("allow", "block") and (r.rule is None or r.verdict == verdicts[r.rule]) for r in found)
     none = pages.limit(0)
-    assert url_filter.judge(none, url_filter.fit(none)).count() == 0
+    assert url_filter.judge(none, url_filter.fit(url_filter.seeded(none))).count() == 0
 
 
 def test_all_suffixes_have_statistics(spark):
     """Rare suffixes too, in a table of more than 2,000 of them."""
-    pages = spark.range(3000).selectExpr("id AS page_id", "concat('http://www.', if(id % 3 = 0, 'spam.', ''), 'name', id, '.net/', id) AS url")
-    pages = pages.unionByName(spark.range(50).selectExpr("id AS page_id", "'https://often.com/' AS url"))
-    statistics, _ = url_filter.fit(pages, sample_rows=500)
-    found = {r.host: (round(np.expm1(r.often_one)), r.share_one, round(np.expm1(r.often_two)), r.share_two) for r in statistics.collect()}
+    pages = spark.range(3000).selectExpr("concat('www.', if(id % 3 = 0, 'spam.', ''), 'name', id, '.net') AS host", "int(id % 3 = 0) AS y")
+    pages = pages.unionByName(spark.range(50).selectExpr("'often.com' AS host", "0 AS y"))
+    statistics = url_filter.suffix_statistics(pages)
+    found = {r.host: (round(np.expm1(r.often_one)), r.share_one, round(np.expm1(r.often_two)), r.share_two) for r in url_filter.host_statistics(pages, statistics).collect()}
     assert len(found) == 3001 and found["often.com"] == (50, 1 / 52, 50, 1 / 52)
     assert all(found[f"www.{'' if i % 3 else 'spam.'}name{i}.net"] == (3000, 1001 / 3002, 1, 1 / 3 if i % 3 else 2 / 3) for i in range(3000))
+    new = spark.createDataFrame([("a.b.new",)], "host string")
+    assert tuple(url_filter.host_statistics(new, statistics).first())[1:] == (0.0, 0.5, 0.0, 0.5)
+
+
+def test_held_out_hosts(spark):
+    """Labelled urls whose label shows in their looks alone: hosts that the model has not met are judged right."""
+    random, rows = np.random.default_rng(8), []
+    letters = lambda n: "".join(random.choice(list("abcdeilnorstu"), n))
+    for i in range(400):
+        bad = i % 4 == 0
+        host = "-".join(letters(4) + str(random.integers(10, 999)) for _ in range(3)) + random.choice([".top", ".com"]) if bad else f"www.{letters(random.integers(5, 12))}" + random.choice([".com", ".net"])
+        for k in range(5):
+            rows.append((f"http://{host}/" + (f"p?id={random.integers(10**6)}&s={k}&r={letters(6)}" if bad and k % 2 else f"{letters(5)}/{k}"), int(bad), i))
+    urls = spark.createDataFrame(rows, "url string, y int, i int")
+    model = url_filter.fit(urls.filter("i % 3 <> 0").unionByName(spark.createDataFrame([(None, 1, 0), ("http://x.com/", None, 0)], urls.schema)))
+    held = urls.filter("i % 3 = 0").selectExpr("monotonically_increasing_id() AS page_id", "url", "y")
+    held = spark.createDataFrame(held.collect(), held.schema)
+    found = url_filter.judge(held, model, rules=()).join(held, "page_id").collect()
+    assert np.mean([(r.verdict == "block") == bool(r.y) for r in found]) > 0.95
 
 
 def test_unwanted_hosts_are_blocked(spark):
     """The trees see no words, and still tell unwanted hosts apart."""
     pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
-    found = url_filter.judge(pages, url_filter.fit(pages)).filter("rule is null").select("host", "verdict").collect()
+    found = url_filter.judge(pages, url_filter.fit(url_filter.seeded(pages))).filter("rule is null").select("host", "verdict").collect()
     seeds = set(url_filter.SEEDS.split())
     right = [(r.verdict == "block") == bool(seeds & set(r.host.replace(".", "-").split("-"))) for r in found]
     assert np.mean(right) > 0.99
