@@ -4,13 +4,15 @@ A sketch samples the ``depth`` least of a document's word runs (of ``gram`` word
 one of ``sketches`` hash functions, and keeps them in text order, so that it agrees between texts of small edit distance. Texts that
 agree in a sketch share a bucket. Copies count as one text from the start.
 
-Leaders come first: in each bucket every text is compared with the bucket's leader, so that a bucket of n similar texts gives about
-n - 1 comparisons. Buckets with texts outside their leader's group go on with other leaders for a few turns, split by further sketches.
-What they leave is finished exactly: texts of a bucket that are still of different groups are held against each other in salted blocks,
-each pair in the first bucket that it shares, and compared unless their lengths or word pairs show that they are too far apart. So
-every two texts that share a bucket are compared, proven apart, or known to be of one group: no bucket is cut off.
-A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text. Classes are
-the connected components of all links.
+A comparison is a link if the edit distance in words is at most (1 - ``least``) of the longer text; classes are the connected components of
+all links. Of a text of n words with a share x of them edited, (1 - x) ** gram of the runs stay whole; with J the part that these are
+of the runs of both texts, a sketch agrees about J ** depth of the time. At x = 0.2 (the limit itself, edits scattered evenly, the worst
+case) J is 0.196 and one of 80 sketches agrees 95 times in 100, at x = 0.15 more than 99.
+
+First each text is compared with the leader (the least node) that it shares most buckets with, so that a group of n similar texts needs about
+n comparisons. Then every bucket that still holds texts of several groups is compared whole, in salted blocks: each pair of different
+groups, in the first bucket that it shares, unless sizes or counts of words and word pairs prove it too far apart. No bucket is cut off. The
+work of this last step grows with the square of a bucket, that of texts which share a long passage and are of different groups; only links leave it.
 
 Defined cases: null texts and texts without words are in no class but their own row's; texts shorter than ``gram`` words are one
 run; texts with the same words but other punctuation are linked; repeated rows and repeated ids fall in the class of their text; a class
@@ -111,178 +113,79 @@ def sketched(docs: DataFrame, sketches: int, gram: int, depth: int, seed: int) -
     return made.groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("keys").alias("keys"), F.count("*").alias("copies"))
 
 
-def verified(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
-    """The pairs (u, v) whose texts align. texts: (node, text)."""
-    one = pairs.join(texts.select(F.col("node").alias("u"), F.col("text").alias("text_u")), "u")
-    two = one.join(texts.select(F.col("node").alias("v"), F.col("text").alias("text_v")), "v")
+def profiles(texts: DataFrame, bins: int = 256) -> DataFrame:
+    """(node, text, size, bag) of (node, text): the number of words, and counts of words and of word pairs by hash, at most 255 each."""
 
     def run(batches):
+        memo = WordHashes()
         for batch in batches:
-            kept = []
-            for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
-                a, b = words(a), words(b)
-                kept.append(banded_distance(a, b, int((1 - least) * max(len(a), len(b)) + 1e-9)) is not None)
-            yield batch.select(["u", "v"]).filter(pa.array(kept, pa.bool_()))
-
-    return two.select("u", "v", "text_u", "text_v").mapInArrow(run, "u long, v long")
-
-
-def led(buckets: DataFrame, turn: int = 0) -> DataFrame:
-    """Rows (key, node, band) of buckets of two or more texts, with the bucket's leader: its least node, or from the next turn on
-    one that a hash of node and turn picks, so that each turn has other leaders."""
-    first = F.min_by("node", F.xxhash64("node", F.lit(turn))) if turn else F.min("node")
-    least = buckets.groupBy("key").agg(F.count("*").alias("n"), first.alias("lead")).filter("n > 1").select("key", "lead")
-    return buckets.join(least, "key")
-
-
-def gathered(docs: DataFrame, wanted: DataFrame, most_broadcast: int = 500_000) -> DataFrame:
-    """(node, text) of the wanted (node, digest): found by a broadcast of the digests while they are few by count, else by a shuffle."""
-    few = wanted.count() <= most_broadcast
-    texts = docs.filter(F.col("text").isNotNull()).select(text_key(F.col("text")).alias("digest"), "text")
-    found = texts.join(F.broadcast(wanted) if few else wanted, "digest")
-    return found.groupBy("node").agg(F.first("text").alias("text"))
+            sizes, bags = [], []
+            for text in batch.column(1).to_pylist():
+                found = words(text)
+                hashes = mix(np.fromiter(map(memo.__getitem__, found), dtype=np.uint64, count=len(found)))
+                pairs = mix(hashes[:-1] + MIX) ^ hashes[1:]
+                sizes.append(len(found))
+                bags.append(np.minimum([np.bincount((h % np.uint64(bins)).astype(np.int64), minlength=bins) for h in (hashes, mix(pairs))], 255).astype(np.uint8).tobytes())
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(sizes, pa.int32()), pa.array(bags, pa.binary())], names=["node", "text", "size", "bag"])
 
+    return texts.select("node", "text").mapInArrow(run, "node long, text string, size int, bag binary")
 
-FEW = 250_000  # rows of a few numbers, a few megabytes: such tables are kept in one partition and may be broadcast
 
+def allowed(longer, least: float):
+    """Most edits between similar texts, the longer of which has that many words."""
+    return ((1 - least) * longer + 1e-9).astype(np.int64)
 
-def compact(table: DataFrame) -> tuple[DataFrame, bool]:
-    """A persisted table, in one partition if it has few rows, and whether it has."""
-    few = table.count() <= FEW
-    return (table.coalesce(1) if few else table), few
 
+def perhaps(bags: np.ndarray, bag: np.ndarray, most: np.ndarray) -> np.ndarray:
+    """Whether texts with these bags can be ``most`` edits from one with this bag. An edit changes the counts of words by two at
+    most, and those of word pairs by four."""
+    apart = np.abs(bags.astype(np.int16) - bag.astype(np.int16)).reshape(len(bags), 2, bags.shape[1] // 2).sum(axis=2, dtype=np.int64)
+    return (apart[:, 0] <= 2 * most) & (apart[:, 1] <= 4 * most)
 
-def narrowed(table: DataFrame, rows: DataFrame, on: list[str], few: bool) -> DataFrame:
-    """The part of table that a join with rows on these columns can meet: cut out by a broadcast where rows are few."""
-    return table.join(F.broadcast(rows.select(*on).distinct()), on, "left_semi").coalesce(1) if few else table
 
+def aligned(a: list[str], b: list[str], least: float) -> bool:
+    return banded_distance(a, b, int((1 - least) * max(len(a), len(b)) + 1e-9)) is not None
 
-class Links:
-    """The comparisons made so far, their links, and the groups that links were known to join when last told to settle.
 
-    Groups may lag behind the links: texts of one group are linked for certain, and those of two groups may be.
-    """
+def verified(pairs: DataFrame, about: DataFrame, least: float) -> DataFrame:
+    """The pairs (u, v) whose texts align. about: profiles()."""
+    wide = lambda name: about.select(F.col("node").alias(name), *(F.col(c).alias(f"{c}_{name}") for c in ("text", "size", "bag")))
+    both = pairs.join(wide("u"), "u").join(wide("v"), "v").select("u", "v", "text_u", "text_v", "size_u", "size_v", "bag_u", "bag_v")
 
-    def __init__(self, texts: DataFrame, least: float):
-        self.texts, self.least, self.compared, self.links, self.groups, self.settled = texts, least, None, None, None, True
-
-    def grouped(self, rows: DataFrame, node: str, name: str, few: bool) -> DataFrame:
-        """rows with the group of a node."""
-        if self.groups is None:
-            return rows.withColumn(name, F.col(node))
-        groups = narrowed(self.groups.select(F.col("node").alias(node), F.col("component").alias(name)), rows, [node], few)
-        return rows.join(groups, node, "left").withColumn(name, F.coalesce(name, node))
-
-    def apart(self, pairs: DataFrame, few: bool = False) -> DataFrame:
-        """Pairs (u, v) of different groups that were not compared before."""
-        if self.compared is not None:
-            pairs = pairs.join(narrowed(self.compared, pairs, ["u", "v"], few), ["u", "v"], "left_anti")
-        if self.groups is not None:
-            both = self.grouped(self.grouped(pairs, "u", "_u", few), "v", "_v", few)
-            pairs = both.filter(F.col("_u") != F.col("_v")).drop("_u", "_v")
-        return pairs
-
-    def compare(self, pairs: DataFrame) -> None:
-        """Verify a persisted table of pairs (u, v)."""
-        self.compared = pairs if self.compared is None else self.compared.unionByName(pairs)
-        texts = self.texts
-        if pairs.count() <= FEW:  # only the texts that the pairs name are shuffled
-            texts = texts.join(F.broadcast(pairs.select(F.explode(F.array("u", "v")).alias("node")).distinct()), "node", "left_semi")
-        found = persisted(verified(pairs, texts, self.least), "order-minhash-links")
-        if not found.isEmpty():
-            self.links, self.settled = found if self.links is None else self.links.unionByName(found), False
-
-    def hint(self) -> None:
-        """Groups of the first links, in which each text has one link at most: its end, and that text's own end."""
-        if self.links is not None:
-            ends = self.links.select(F.col("u").alias("v"), F.col("v").alias("next"))
-            hops = self.links.join(ends, "v", "left").select(F.col("u").alias("node"), F.coalesce("next", "v").alias("component"))
-            self.groups = persisted(hops, "order-minhash-hint")
-
-    def settle(self) -> None:
-        """Groups as the connected components of all links."""
-        if not self.settled:
-            self.groups, self.settled = components(self.links), True
-
-
-def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int = 24, depth: int = 2, seed: int = 42, shared: int = 3) -> DataFrame:
-    """(digest, class_node, class_id, first_digest, texts, copies): one row a different text that has words.
+    def run(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            su, sv = (np.asarray(batch.column(k)) for k in (4, 5))
+            bu, bv = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint8).reshape(batch.num_rows, -1) for k in (6, 7))
+            most = allowed(np.maximum(su, sv), least)
+            fits = (np.abs(su - sv) <= most) & perhaps(bu, bv, most)
+            kept = [bool(f) and aligned(words(a.as_py()), words(b.as_py()), least) for f, a, b in zip(fits, batch.column(2), batch.column(3))]
+            yield batch.select(["u", "v"]).filter(pa.array(kept, pa.bool_()))
 
-    First each text is compared with the leader that it shares most buckets with, so that a large group needs about one comparison
-    a text; then with its other leaders, unless they are known to be in one group. ``shared`` is how many open buckets a text needs to
-    go on to other leaders: similar texts share far more of the sketches. Pairs that this leaves are settled by unmet().
-    """
-    nodes = persisted(sketched(docs, sketches, gram, depth, seed).withColumn("node", F.monotonically_increasing_id()), "order-minhash-nodes")
-    buckets = nodes.select("node", F.posexplode("keys").alias("band", "key")).select("node", "key", "band")
-    member = persisted(led(buckets), "order-minhash-buckets")
-    wanted = member.select("node").distinct().join(nodes.select("node", "digest"), "node")
-    links = Links(persisted(gathered(docs, persisted(wanted, "order-minhash-wanted")), "order-minhash-texts"), least)
-    turn, used, few, whole = 0, 0, False, member
-    while used < sketches:
-        turn += 1
-        offers = member.filter("lead <> node").groupBy(F.greatest("node", "lead").alias("u"), F.least("node", "lead").alias("v")).agg(F.count("*").alias("times"))
-        offers = persisted(links.apart(offers, few), "order-minhash-offers")
-        if not offers.isEmpty():
-            if turn == 1:
-                likeliest = offers.groupBy("u").agg(F.max_by("v", F.struct("times", -F.col("v"))).alias("v"))
-                links.compare(persisted(likeliest, "order-minhash-pairs"))
-                links.hint()
-                offers = persisted(links.apart(offers.select("u", "v")), "order-minhash-offers")
-            links.compare(offers.select("u", "v"))
-        if turn == 1:
-            links.settle()
-        # Go on with buckets that may hold a text similar to none of the leaders, split by one more sketch at first, then two, and so on.
-        open_rows, few = compact(persisted(loose(member, links, shared, few), "order-minhash-open"))
-        if open_rows.isEmpty():
-            break
-        following = nodes.select("node", "keys").join(F.broadcast(open_rows) if few else open_rows, "node")
-        following = following.coalesce(1) if few else following
-        split = [F.element_at("keys", ((F.col("band") + used + k) % sketches + 1).cast("int")) for k in range(1, turn + 1)]
-        used += turn
-        member = persisted(led(following.select("node", F.xxhash64("key", *split).alias("key"), "band"), turn), "order-minhash-buckets")
-        member = member.coalesce(1) if few else member
-    links.settle()
-    rest = persisted(unmet(whole, nodes, links), "order-minhash-rest")
-    links.compare(persisted(links.apart(rest), "order-minhash-pairs"))
-    links.settle()
-    placed = nodes.select("node", "digest", "doc_id", "copies")
-    if links.groups is None:
-        placed = placed.withColumn("class_node", F.col("node"))
-    else:
-        placed = placed.join(links.groups, "node", "left").select("node", "digest", "doc_id", "copies", F.coalesce("component", "node").alias("class_node"))
-    placed = persisted(placed, "order-minhash-classes")
-    order = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id"), F.col("digest"))
-    # A table of its own, so that a class of very many texts can be split where it is joined back.
-    named = persisted(placed.groupBy("class_node").agg(F.min(order).alias("least"), F.count("*").alias("texts")), "order-minhash-named")
-    return placed.select("digest", "class_node", "copies").join(named, "class_node").select("digest", "class_node", F.col("least.doc_id").alias("class_id"), F.col("least.digest").alias("first_digest"), "texts", "copies")
+    return both.mapInArrow(run, "u long, v long")
 
 
-def loose(member: DataFrame, links: Links, shared: int, few: bool) -> DataFrame:
-    """Rows (node, key, band) of buckets that hold a text outside its leader's group and a third text to compare it with, of
-    texts with at least ``shared`` such buckets."""
-    rows = links.grouped(links.grouped(member, "node", "_node", few), "lead", "_lead", few)
-    open_keys = rows.groupBy("key").agg(F.count_if(F.col("_node") != F.col("_lead")).alias("out"), F.count("*").alias("n")).filter("out > 0 and n > 2").select("key")
-    held = member.join(open_keys, "key", "left_semi").select("node", "key", "band")
-    often = held.groupBy("node").agg(F.count_distinct("band").alias("n")).filter(F.col("n") >= shared).select("node")
-    return held.join(often, "node", "left_semi")
+def gathered(docs: DataFrame, wanted: DataFrame, few: int) -> DataFrame:
+    """(node, text) of the wanted (node, digest): found by a broadcast of the digests while they are at most ``few``, else by a shuffle."""
+    small = wanted.count() <= few
+    texts = docs.filter(F.col("text").isNotNull()).select(text_key(F.col("text")).alias("digest"), "text")
+    found = texts.join(F.broadcast(wanted) if small else wanted, "digest")
+    return found.groupBy("node").agg(F.first("text").alias("text"))
 
 
-def profiles(texts: DataFrame, bins: int) -> DataFrame:
-    """(node, size, bag) of texts (node, text): the number of words, and counts of word pairs by ``bins`` hashes, at most 255 each."""
+def buckets_of(nodes: DataFrame) -> DataFrame:
+    """Rows (node, key, band, lead) of the buckets with two or more texts; their leader is the least node."""
+    rows = nodes.select("node", F.posexplode("keys").alias("band", "key")).select("node", "key", "band")
+    least = rows.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("lead")).filter("n > 1").select("key", "lead")
+    return rows.join(least, "key")
 
-    def run(batches):
-        memo = WordHashes()
-        for batch in batches:
-            sizes, bags = [], []
-            for text in batch.column(1).to_pylist():
-                found = words(text)
-                hashes = np.fromiter(map(memo.__getitem__, found), dtype=np.uint64, count=len(found))
-                pairs = mix(mix(hashes[:-1] + MIX) ^ hashes[1:]) % np.uint64(bins)
-                sizes.append(len(found))
-                bags.append(np.minimum(np.bincount(pairs.astype(np.int64), minlength=bins), 255).astype(np.uint8).tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int32()), pa.array(bags, pa.binary())], names=["node", "size", "bag"])
 
-    return texts.select("node", "text").mapInArrow(run, "node long, size int, bag binary")
+def placed(rows: DataFrame, groups: DataFrame | None) -> DataFrame:
+    """rows with the group of their node as ``place``; a node without links is its own."""
+    if groups is None:
+        return rows.withColumn("place", F.col("node"))
+    return rows.join(groups.select("node", F.col("component").alias("place")), "node", "left").withColumn("place", F.coalesce("place", "node"))
 
 
 def cells(batches, names: list[str]):
@@ -304,48 +207,104 @@ def cells(batches, names: list[str]):
         yield pa.concat_tables(held)
 
 
-def unmet(member: DataFrame, nodes: DataFrame, links: Links, bins: int = 512, block: int = 1024) -> DataFrame:
-    """Pairs (u, v) of texts that share a bucket, are of different groups, and may be similar.
-
-    An edit changes the number of words by one at most, and takes or adds two word pairs at most each, so texts that differ by more
-    in sizes or bags need no alignment. Buckets of more than ``block`` texts are dealt into parts, and each two parts are one cell.
+def inside(cell: pa.Table, least: float) -> tuple[list[int], list[int]]:
+    """Links (us, vs) that join the groups of one cell: texts of its left side are compared with those of its right side (and, if it says so, with
+    one another), unless the pair is of one group by now, has met in the bucket of an earlier band, or is proven apart by size or
+    bags. Enough links to join what is similar, not all of them."""
+    n = cell.num_rows
+    node, place, size = (cell.column(c).to_numpy() for c in ("node", "place", "size"))
+    left = cell.column("left").to_numpy(zero_copy_only=False)
+    band, i, j = (cell.column(c)[0].as_py() for c in ("band", "i", "j"))
+    within = i == j or (j < 0 and i == 0)
+    keys = cell.column("keys").combine_chunks().flatten().to_numpy().reshape(n, -1)[:, :band]
+    bags = np.frombuffer(b"".join(cell.column("bag").to_pylist()), np.uint8).reshape(n, -1)
+    text, read = cell.column("text"), {}
+
+    def words_of(k: int) -> list[str]:
+        if k not in read:
+            read[k] = words(text[k].as_py())
+        return read[k]
+
+    _, group = np.unique(place, return_inverse=True)
+    us, vs = [], []
+    others = np.argsort(size, kind="stable")  # so that texts of similar sizes stand together
+    if not within:
+        others = others[~left[others]]
+    sizes = size[others]
+    for k in np.flatnonzero(left).tolist():
+        at = others[np.searchsorted(sizes, int(np.ceil(least * size[k] - 1e-6))) : np.searchsorted(sizes, size[k] / least + 1e-6, side="right")]
+        at = at[~left[at] | (at > k)]
+        at = at[group[at] != group[k]]
+        at = at[~(keys[at] == keys[k]).any(axis=1)]
+        most = allowed(np.maximum(size[at], size[k]), least)
+        for o in at[perhaps(bags[at], bags[k], most)].tolist():
+            if group[o] != group[k] and aligned(words_of(k), words_of(o), least):
+                us.append(int(max(node[o], node[k])))
+                vs.append(int(min(node[o], node[k])))
+                group[group == group[o]] = group[k]
+    return us, vs
+
+
+def dealt(member: DataFrame, about: DataFrame, groups: DataFrame | None, block: int) -> DataFrame:
+    """Rows (key, i, j, left, node, band, place) of the cells of all buckets that hold texts of several groups.
+
+    Buckets of more than ``block`` texts, or 2,000 times as many words, are dealt into parts. Where one group has nearly all texts, its
+    parts are the right sides of cells (i, -1) and all others the left side of each, so that only these few are repeated; else each two parts
+    are a cell (i, j). So a bucket of any size is compared whole, by many tasks.
     """
-    least = links.least
-    rows = links.grouped(member.select("node", "key", "band"), "node", "place", False)
-    spans = rows.groupBy("key").agg(F.min("place").alias("a"), F.max("place").alias("b"), F.count("*").alias("n")).filter("a <> b")
-    rows = persisted(rows.join(spans.select("key", F.ceil(F.col("n") / block).cast("int").alias("parts")), "key"), "order-minhash-unmet")
-    seen = links.texts.join(rows.select("node").distinct(), "node", "left_semi")
-    about = persisted(profiles(seen, bins).join(nodes.select("node", "keys"), "node"), "order-minhash-profiles")
+    rows = placed(member.select("node", "key", "band"), groups).join(about.select("node", "size"), "node")
+    held = rows.groupBy("key", "place").agg(F.count("*").alias("n"), F.sum("size").alias("words"))
+    spans = held.groupBy("key").agg(F.count("*").alias("groups"), F.max_by("place", "n").alias("most"), F.max("n").alias("major"), F.sum("n").alias("n"), F.sum("words").alias("words")).filter("groups > 1")
+    parts = F.ceil(F.greatest(F.col("n") / block, F.col("words") / (block * 2000))).cast("int")
+    spans = spans.select("key", "most", parts.alias("parts"), (F.col("n") - F.col("major") <= block / 8).alias("few"))
+    known = persisted(rows.drop("size").join(spans, "key"), "order-minhash-open")
     part = F.pmod(F.xxhash64("node", F.lit(7)), F.col("parts")).cast("int")
-    other = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
-    dealt = rows.withColumn("part", part).select("node", "key", "band", "place", "part", other.alias("with"))
-    dealt = dealt.select("node", "key", "band", "place", "part", F.least("part", "with").alias("i"), F.greatest("part", "with").alias("j")).join(about, "node")
-    dealt = dealt.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+    aside = F.col("few") & (F.col("parts") > 1)
+    left = F.col("place") != F.col("most")
+    every = F.sequence(F.lit(0), F.col("parts") - 1)
+    each = known.withColumn("part", part).withColumn("with", F.explode(F.when(aside & ~left, F.array("part")).otherwise(every)))
+    i, j = F.when(aside, F.col("with")).otherwise(F.least("part", "with")), F.when(aside, F.lit(-1)).otherwise(F.greatest("part", "with"))
+    celled = each.withColumn("i", i).withColumn("j", j)
+    return celled.select("key", "i", "j", F.when(aside, left).otherwise(F.col("part") == F.col("i")).alias("left"), "node", "band", "place")
+
+
+def unmet(member: DataFrame, nodes: DataFrame, about: DataFrame, groups: DataFrame | None, least: float, block: int) -> DataFrame:
+    """Links (u, v) between texts that share a bucket and are of different groups so far."""
+    rows = dealt(member, about, groups, block)
+    full = rows.join(about.join(nodes.select("node", "keys"), "node"), "node").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
 
     def run(batches):
         for cell in cells(batches, ["key", "i", "j"]):
-            n = cell.num_rows
-            node, place, part, size = (cell.column(c).to_numpy() for c in ("node", "place", "part", "size"))
-            band, i, j = (cell.column(c)[0].as_py() for c in ("band", "i", "j"))
-            keys = cell.column("keys").combine_chunks().flatten().to_numpy().reshape(n, -1)
-            bags = np.frombuffer(b"".join(cell.column("bag").to_pylist()), np.uint8).reshape(n, bins)
-            ones, others = np.flatnonzero(part == i), np.flatnonzero(part == j)
-            us, vs = [], []
-            for k in ones.tolist():
-                most = ((1 - least) * np.maximum(size[others], size[k]) + 1e-9).astype(np.int64)
-                fits = (place[others] != place[k]) & (np.abs(size[others] - size[k]) <= most)
-                if i == j:
-                    fits &= others > k
-                at, most = others[fits], most[fits]
-                first = ~(keys[at, :band] == keys[k, :band]).any(axis=1)  # else the pair is met in an earlier bucket
-                at, most = at[first], most[first]
-                apart = np.abs(bags[at].astype(np.int16) - bags[k].astype(np.int16))
-                at = at[apart.sum(axis=1, dtype=np.int64) <= 4 * most]
-                us.append(np.maximum(node[at], node[k]))
-                vs.append(np.minimum(node[at], node[k]))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(us)), pa.array(np.concatenate(vs))], names=["u", "v"])
-
-    return dealt.mapInArrow(run, "u long, v long")
+            us, vs = inside(cell, least)
+            yield pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
+
+    return full.mapInArrow(run, "u long, v long")
+
+
+def classes(docs: DataFrame, least: float = 0.8, gram: int = 5, sketches: int = 80, depth: int = 2, seed: int = 42, block: int = 2048, few: int = 250_000) -> DataFrame:
+    """(digest, class_node, class_id, first_digest, texts, copies): one row a different text that has words.
+
+    ``few`` says up to how many rows of a few numbers a table may be broadcast or kept in one partition; the classes are the same at any value.
+    """
+    nodes = persisted(sketched(docs, sketches, gram, depth, seed).withColumn("node", F.monotonically_increasing_id()), "order-minhash-nodes")
+    member = persisted(buckets_of(nodes), "order-minhash-buckets")
+    wanted = persisted(member.select("node").distinct().join(nodes.select("node", "digest"), "node"), "order-minhash-wanted")
+    about = persisted(profiles(gathered(docs, wanted, few)), "order-minhash-texts")
+    # Each text against the leader that it shares most buckets with: n - 1 comparisons join n similar texts.
+    offers = member.filter("lead <> node").groupBy("node", "lead").agg(F.count("*").alias("times"))
+    pairs = persisted(offers.groupBy(F.col("node").alias("u")).agg(F.max_by("lead", F.struct("times", -F.col("lead"))).alias("v")), "order-minhash-pairs")
+    links = persisted(verified(pairs, about, least), "order-minhash-links")
+    groups = None if links.isEmpty() else components(links, few=few)
+    more = persisted(unmet(member, nodes, about, groups, least, block), "order-minhash-links")
+    if not more.isEmpty():
+        links = links.unionByName(more.distinct())
+        groups = components(links, few=few)
+    known = placed(nodes.select("node", "digest", "doc_id", "copies"), groups).withColumnRenamed("place", "class_node")
+    known = persisted(known, "order-minhash-classes")
+    order = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id"), F.col("digest"))
+    # A table of its own, so that a class of very many texts can be split where it is joined back.
+    named = persisted(known.groupBy("class_node").agg(F.min(order).alias("least"), F.count("*").alias("texts")), "order-minhash-named")
+    return known.select("digest", "class_node", "copies").join(named, "class_node").select("digest", "class_node", F.col("least.doc_id").alias("class_id"), F.col("least.digest").alias("first_digest"), "texts", "copies")
 
 
 def classified(docs: DataFrame, **options) -> DataFrame:
@@ -362,16 +321,16 @@ def near_duplicates(docs: DataFrame, **options) -> DataFrame:
     return found.select("doc_id", own.alias("class_id"), F.coalesce("texts", F.lit(1)).alias("texts"))
 
 
-def deduplicated(docs: DataFrame, most_broadcast: int = 500_000, **options) -> DataFrame:
+def deduplicated(docs: DataFrame, few: int = 250_000, **options) -> DataFrame:
     """One row of each class: of its text with the least doc_id, a row with that id. Rows without words all stay.
 
     Only texts with copies or of classes of several texts need a decision; they are joined to the rows, by a broadcast while they are
     few by count, so that most texts stay where they are.
     """
     names = docs.columns
-    known = classes(docs.select("doc_id", "text"), **options)
+    known = classes(docs.select("doc_id", "text"), few=few, **options)
     affected = persisted(known.filter("texts > 1 or copies > 1").select(F.col("digest").alias("_of"), (F.col("digest") == F.col("first_digest")).alias("_first"), F.col("class_id").alias("_keep"), F.col("copies").alias("_copies")), "order-minhash-affected")
-    affected = F.broadcast(affected) if affected.count() <= most_broadcast else affected
+    affected = F.broadcast(affected) if affected.count() <= few else affected
     keyed = docs.select(text_key(F.coalesce("text", F.lit(""))).alias("_digest"), F.struct(*names).alias("_row"))
     met = keyed.join(affected, F.col("_digest") == F.col("_of"), "left")
     clear = met.filter(F.col("_of").isNull() | (F.col("_first") & (F.col("_copies") == 1)))

@@ -72,7 +72,7 @@ def test_a_star_of_unlike_variants(spark):
         texts.append(copy)
     texts.append(base)
     docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string").coalesce(1)
-    keys = {x.doc_id: x["keys"] for x in O.sketched(docs, 24, 5, 2, 42).collect()}
+    keys = {x.doc_id: x["keys"] for x in O.sketched(docs, 80, 5, 2, 42).collect()}
     parent = list(range(len(texts)))
 
     def root(x):
@@ -86,7 +86,47 @@ def test_a_star_of_unlike_variants(spark):
                 parent[root(a)] = root(b)
     want = grouped((d, root(d)) for d in range(len(texts)))
     assert max(map(len, want)) > 300
-    assert grouped((x.doc_id, x.class_id) for x in O.near_duplicates(docs).collect()) == want
+    for options in ({}, {"few": 0, "block": 50}):
+        assert grouped((x.doc_id, x.class_id) for x in O.near_duplicates(docs, **options).collect()) == want
+
+
+def test_scattered_edits_are_found(spark):
+    """Pairs whose edits (two substitutions of three, else insertions and deletions) are scattered evenly: the recall stated for each edit similarity."""
+    r = random.Random(11)
+    rows, n = [], 150
+    for level, share in enumerate((0.10, 0.15, 0.18, 0.20)):
+        for i in range(n):
+            base = [f"w{r.randrange(10**6)}" for _ in range(200)]
+            copy = list(base)
+            for at in sorted(r.sample(range(200), int(200 * share)), reverse=True):
+                kind = r.randrange(6)
+                copy[at : at + (kind != 0)] = [] if kind == 1 else [f"n{r.randrange(10**6)}"]
+            if banded_distance(base, copy, int(0.2 * max(len(base), len(copy)) + 1e-9)) is not None:
+                rows += [(level * 10_000 + 2 * i, " ".join(base)), (level * 10_000 + 2 * i + 1, " ".join(copy))]
+    found = {x.doc_id: x.class_id for x in O.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for level, least in enumerate((0.99, 0.97, 0.93, 0.9)):
+        pairs = [d for d in found if d // 10_000 == level and d % 2]
+        assert len(pairs) > n / 3 and sum(found[d] == found[d - 1] for d in pairs) >= least * len(pairs), level
+    assert all(c in (d, d - 1) for d, c in found.items())
+
+
+def test_a_large_group_beside_a_few_others(spark, monkeypatch):
+    """A bucket with nearly all texts in one group is dealt in rows that grow with its size, not with its square, and stays exact."""
+    r = random.Random(5)
+    fresh = lambda n: [f"w{r.randrange(10**6)}" for _ in range(n)]
+    base, rows, seen = fresh(100), [], []
+    for i in range(400):
+        copy = list(base)
+        copy[r.randrange(100)] = f"n{i}"
+        rows.append((i, " ".join(copy)))
+    rows += [(1000 + i, " ".join(base[:70] + fresh(30))) for i in range(3)]
+    whole = O.dealt
+    monkeypatch.setattr(O, "dealt", lambda *args: seen.append(whole(*args)) or seen[-1])
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    found = {x.doc_id: x.class_id for x in O.near_duplicates(docs, block=32).collect()}
+    assert {found[i] for i in range(400)} == {0} and all(found[1000 + i] == 1000 + i for i in range(3))
+    cells = seen[0].groupBy("key").agg(F.min("j").alias("j"), F.count("*").alias("dealt"), F.count_distinct("node").alias("n")).collect()
+    assert any(c.j == -1 for c in cells) and all(c.dealt <= 1.5 * c.n for c in cells if c.n > 300)
 
 
 def test_order_matters(spark):
