@@ -53,9 +53,9 @@ def main() -> None:
     points = persisted(points_of(spark, SF_DIR, "emb_cluster").select("id", "x"), "bench")
     planes = persisted(planes_for(spark, SF_DIR, "emb_cluster", 100), "bench")
     truth = persisted(brute.topk_arrow(points, planes), "bench")
-    near = timed("near_hash_build", lambda: hashing.near_build(points, m=32, lam=65))
-    far = timed("far_hash_build", lambda: hashing.far_build(points, m=32, lam=65))
-    for name, make in (("near_hash_search", lambda: hashing.near_search(near, planes, budget=0.3)), ("far_hash_search", lambda: hashing.far_search(far, planes, separation=2))):
+    near = timed("near_hash_build", lambda: hashing.near_build(points, m=128, lam=4 * 65))
+    far = timed("far_hash_build", lambda: hashing.far_build(points, m=128, lam=4 * 65))
+    for name, make in (("near_hash_search", lambda: hashing.near_search(near, planes, budget=0.5)), ("far_hash_search", lambda: hashing.far_search(far, planes, separation=4, budget=0.5))):
         found = timed(name, lambda make=make: persisted(make(), "bench"))
         facts[f"{name}_recall"] = round(recall(found, truth, 10).agg({"recall": "avg"}).first()[0], 4)
     print(json.dumps({"metric": "headline queries, total", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "facts": facts, "sf": os.path.basename(SF_DIR.rstrip("/")).removeprefix("sf")}))

@@ -1,50 +1,65 @@
 """Hash baselines: near hashing, far hashing and sphere hashing. All verify their candidates with true margins.
 
-Points are projected in Arrow batches; tables are rows, and a search is an equi-join, a count and a verification.
+An index is one row a point: its vector beside its keys in all tables, made in Arrow batches. A search scores every point by how its keys meet
+those of a plane and verifies the best scored points, up to a budget (a share of the points). Two passes do that without moving a row: the first
+counts points by score and plane (partial sums by task), which gives each plane the score that its budget reaches; the second verifies
+in place, and each task keeps k rows a plane. No bucket is gathered, whatever it holds, and nothing is cut off but by the budget.
 """
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ...functions import exprs as E
 from ...sources.storage import opened, persisted, ship
-from ..brute import batches_of, ranked, small_side
+from ..brute import batches_of, block_best, ranked, small_side
 from ..build import dimension
 from . import lift as L
 
+BINS = 512  # of scores that are not counts
+ROWS = 1024  # points scored at once
+SCORED = "qid long, id long, margin double, look_ns long, verify_ns long"
+
 
 @dataclass
 class HashIndex:
-    """tables: the rows of all hash tables; setting: what hashing a plane needs; n: the number of points."""
+    """rows: (id, x, part, keys) of all points; setting: what hashing a plane needs; n: the number of points; width: bytes a key."""
 
-    points: DataFrame
-    tables: DataFrame
+    rows: DataFrame
     setting: dict
     n: int
+    width: int
+
+    def bytes(self) -> int:
+        """Bytes beside the data: all keys, and the random numbers that made them."""
+        return self.n * (self.setting["m"] * self.width + 8) + 8 * sum(v.size for v in self.setting.values() if isinstance(v, np.ndarray))
 
 
 def pair_list(d: int, lam: int | None, seed: int) -> list[tuple[int, int]] | None:
     return None if lam is None else L.random_pairs(d, lam, seed)
 
 
-def mapped(points: DataFrame, setting: dict, make, schema: str) -> DataFrame:
-    """Rows of make(ids, X, setting) for each batch of points."""
+def keyed(points: DataFrame, setting: dict, make, kind: str, label: str) -> DataFrame:
+    """Rows (id, x, part, keys) with make(X, setting) -> (part, keys)."""
     shared = ship(points.sparkSession, setting)
+    arrow = pa.int32() if kind == "int" else pa.float64()
 
     def run(batches):
         s = opened(shared)
         for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                part = batch.slice(at, 1024)
-                yield make(np.asarray(part.column(0)), np.asarray(part.column(1).flatten()).reshape(part.num_rows, -1), s)
+            for at in range(0, batch.num_rows, ROWS):
+                some = batch.slice(at, ROWS)
+                part, keys = make(np.asarray(some.column(1).flatten()).reshape(some.num_rows, -1), s)
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(some.num_rows + 1, dtype=np.int32) * keys.shape[1]), pa.array(np.ascontiguousarray(keys).ravel(), arrow))
+                yield pa.RecordBatch.from_arrays([*some.columns, pa.array(part, pa.int32()), lists], names=["id", "x", "part", "keys"])
 
-    return points.select("id", "x").mapInArrow(run, schema)
+    return persisted(points.select("id", "x").mapInArrow(run, f"id long, x array<double>, part int, keys array<{kind}>"), label)
 
 
 def verify(points: DataFrame, candidates: DataFrame, planes: DataFrame, k: int, d: int) -> DataFrame:
@@ -52,15 +67,111 @@ def verify(points: DataFrame, candidates: DataFrame, planes: DataFrame, k: int,
     return ranked(met.select("qid", "id", F.inline(F.array(F.struct(E.absdot(F.col("x"), F.col("q"), d).alias("margin"))))), k)
 
 
-def query_rows(planes: DataFrame, make, schema: str) -> DataFrame:
-    """Hash rows of the planes: as many as planes and tables, made on the driver in bounded batches."""
-    spark, made = planes.sparkSession, []
+def pieces(batches, m: int):
+    """(ids, X, parts, keys) of at most ROWS points at a time."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, ROWS):
+            some = batch.slice(at, ROWS)
+            n = some.num_rows
+            yield np.asarray(some.column(0)), np.asarray(some.column(1).flatten()).reshape(n, -1), np.asarray(some.column(2)), np.asarray(some.column(3).flatten()).reshape(n, m)
+
+
+def lot(ids: np.ndarray) -> np.ndarray:
+    """A number in [0, 1) by id, the same in every run: of points with equal scores the budget takes the least."""
+    z = ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    z = (z ^ (z >> np.uint64(31))) * np.uint64(0xBF58476D1CE4E5B9)
+    return ((z ^ (z >> np.uint64(29))) >> np.uint64(11)).astype(np.float64) / float(1 << 53)
+
+
+def cuts(index: HashIndex, shared, parts: int, planes: int, score, budget: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """By plane and part: the score from which points are taken, and the share of those with just that score; and the nanoseconds of each plane.
+
+    The table lookup of a search: one pass over the keys alone.
+    """
+    m, bins = index.setting["m"], index.setting["bins"]
+
+    def run(batches):
+        s, _, Q, looked = opened(shared)
+        count, spent = np.zeros((planes, parts, bins + 1), dtype=np.int64), np.zeros(planes, dtype=np.int64)
+        for batch in batches:
+            for at in range(0, batch.num_rows, ROWS):
+                some = batch.slice(at, ROWS)
+                part, keys = np.asarray(some.column(0)), np.asarray(some.column(1).flatten()).reshape(some.num_rows, m)
+                for q in range(planes):
+                    begun = time.perf_counter_ns()
+                    count[q] += np.bincount(part * (bins + 1) + score(keys, part, looked[q], s), minlength=parts * (bins + 1)).reshape(parts, bins + 1)
+                    spent[q] += time.perf_counter_ns() - begun
+        cell = np.flatnonzero(count)
+        yield pa.RecordBatch.from_pydict({"cell": pa.array(np.concatenate([cell, -1 - np.arange(planes)])), "n": pa.array(np.concatenate([count.ravel()[cell], spent]))})
+
+    found = index.rows.select("part", "keys").mapInArrow(run, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    cell, n = found.column("cell").to_numpy(), found.column("n").to_numpy()
+    count, spent = np.zeros(planes * parts * (bins + 1), dtype=np.int64), np.zeros(planes, dtype=np.int64)
+    count[cell[cell >= 0]], spent[-1 - cell[cell < 0]] = n[cell >= 0], n[cell < 0]
+    count = count.reshape(planes, parts, bins + 1)
+    whole = count.sum(axis=2)
+    wanted = np.minimum(np.ceil(np.maximum(budget[:, None] * whole, least * whole / np.maximum(whole.sum(axis=1, keepdims=True), 1)) - 1e-9), whole)
+    above = np.cumsum(count[:, :, ::-1], axis=2)[:, :, ::-1] - count  # points of higher scores
+    cut = bins - np.argmax((above + count >= wanted[:, :, None])[:, :, ::-1], axis=2)  # the highest score that reaches the budget
+    here, more = (np.take_along_axis(a, cut[:, :, None], axis=2)[:, :, 0] for a in (count, above))
+    return cut, np.where(here > 0, (wanted - more) / np.maximum(here, 1), 0.0), spent
+
+
+def best_scored(index: HashIndex, planes: DataFrame, look, score, k: int, budget: float | dict[int, float], timed: bool = False) -> DataFrame:
+    """The k least margins of each plane among its best scored points. look(Q, setting) gives the planes' keys; score(keys, part, key, setting)
+    whole numbers from 0 to the setting's bins. A budget for each qid may be given. timed: rows of tasks, and what each plane cost in
+    nanoseconds of scoring (the table lookup) and verification, without an id."""
+    spark, s, found = index.rows.sparkSession, index.setting, None
+    m, parts = s["m"], s.get("parts", 1)
     for qids, Q in batches_of(planes):
-        made.append(spark.createDataFrame(make(qids, Q), schema))
-    out = made[0] if made else spark.createDataFrame([], schema)
-    for more in made[1:]:
-        out = out.unionByName(more)
-    return out
+        shared = ship(spark, (s, qids, Q, look(Q, s)))
+        shares = np.array([budget[q] if isinstance(budget, dict) else budget for q in qids.tolist()])
+        cut, share, looking = cuts(index, shared, parts, len(qids), score, shares, k)
+        limits = ship(spark, (cut, share))
+        costs = spark.createDataFrame([(int(q), None, None, int(n), 0) for q, n in zip(qids, looking)], SCORED)
+
+        def run(batches, shared=shared, limits=limits):
+            s, qids, Q, looked = opened(shared)
+            cut, share = opened(limits)
+            kept, spent = [], np.zeros(len(qids), dtype=np.int64)
+            for ids, X, part, keys in pieces(batches, m):
+                chance = lot(ids)
+                for q in range(len(qids)):
+                    level = score(keys, part, looked[q], s)
+                    begun = time.perf_counter_ns()
+                    at = np.flatnonzero((level > cut[q][part]) | ((level == cut[q][part]) & (chance < share[q][part])))
+                    if len(at):
+                        names, margins = block_best(X[at], ids[at], Q[q], np.abs(X[at] @ Q[q]), k)
+                        kept.append((np.full(len(names), qids[q]), names, margins))
+                    spent[q] += time.perf_counter_ns() - begun
+                if len(kept) > 1 << 14:
+                    kept = [shortened(kept, k)]
+            if kept:
+                q, names, margins = shortened(kept, k)
+                zero = pa.array(np.zeros(len(q), dtype=np.int64))
+                yield pa.RecordBatch.from_pydict({"qid": pa.array(q), "id": pa.array(names), "margin": pa.array(margins), "look_ns": zero, "verify_ns": zero})
+            n = len(qids)
+            yield pa.RecordBatch.from_pydict({"qid": pa.array(qids), "id": pa.nulls(n, pa.int64()), "margin": pa.nulls(n, pa.float64()), "look_ns": pa.array(np.zeros(n, dtype=np.int64)), "verify_ns": pa.array(spent)})
+
+        part_found = index.rows.select("id", "x", "part", "keys").mapInArrow(run, SCORED).unionByName(costs)
+        found = part_found if found is None else found.unionByName(part_found)
+    if found is None:
+        found = spark.createDataFrame([], SCORED)
+    return found if timed else ranked(found.filter("id is not null"), k)
+
+
+def shortened(kept: list, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The k best rows of each plane."""
+    q, names, margins = (np.concatenate(c) for c in zip(*kept))
+    order = np.lexsort((names, margins, q))
+    q, names, margins = q[order], names[order], margins[order]
+    first = np.arange(len(q)) - np.searchsorted(q, q) < k
+    return q[first], names[first], margins[first]
+
+
+def collisions(keys, part, key, s) -> np.ndarray:
+    """In how many tables a point stands in the plane's bucket."""
+    return (keys == key).sum(axis=1)
 
 
 # --- near hashing ---
@@ -72,74 +183,68 @@ def near_build(points: DataFrame, m: int = 128, lam: int | None = None, width: f
     pairs = pair_list(d, lam, seed)
     size = (lam or d * (d + 1) // 2) + 1
     random = np.random.default_rng(seed)
-    setting = {"pairs": pairs, "most": L.largest_norm(points, pairs), "A": random.standard_normal((size, m))}
+    setting = {"pairs": pairs, "most": L.largest_norm(points, pairs), "A": random.standard_normal((size, m)), "m": m, "bins": m}
     setting["width"] = width or 0.5 * max(setting["most"], 1e-9)
     setting["b"] = random.uniform(0, setting["width"], m)
 
-    def make(ids, X, s):
+    def make(X, s):
         P = L.complete(L.sampled_rows(X, s["pairs"]), s["most"]) @ s["A"]
-        H = np.floor((P + s["b"]) / s["width"]).astype(np.int64)
-        return pa.RecordBatch.from_pydict({"table_no": np.tile(np.arange(H.shape[1], dtype=np.int32), len(ids)), "bucket": H.ravel(), "id": np.repeat(ids, H.shape[1])})
+        return np.zeros(len(X), np.int32), np.floor((P + s["b"]) / s["width"]).astype(np.int32)
 
-    tables = persisted(mapped(points, setting, make, "table_no int, bucket long, id long"), "near-hash")
-    return HashIndex(points, tables, setting, points.count())
+    return HashIndex(keyed(points, setting, make, "int", "near-hash"), setting, points.count(), 4)
 
 
-def near_search(index: HashIndex, planes: DataFrame, k: int = 10, budget: float = 0.1) -> DataFrame:
-    """Verify the points that collide most often, up to a share of all points."""
-    s = index.setting
+def near_look(Q: np.ndarray, s: dict) -> np.ndarray:
+    return np.floor((L.lifted_query(Q, s["pairs"], True) @ s["A"] + s["b"]) / s["width"]).astype(np.int32)
 
-    def make(qids, Q):
-        H = np.floor((L.lifted_query(Q, s["pairs"], True) @ s["A"] + s["b"]) / s["width"]).astype(np.int64)
-        return [(int(q), t, int(H[n, t])) for n, q in enumerate(qids) for t in range(H.shape[1])]
 
-    hashed = query_rows(planes, make, "qid long, table_no int, bucket long")
-    hits = index.tables.join(hashed, ["table_no", "bucket"]).groupBy("qid", "id").agg(F.count("*").alias("hits"))
-    place = F.row_number().over(Window.partitionBy("qid").orderBy(F.desc("hits"), "id"))
-    chosen = hits.withColumn("place", place).filter(F.col("place") <= max(k, int(np.ceil(budget * index.n))))
-    return verify(index.points, chosen, planes, k, dimension(index.points))
+def near_search(index: HashIndex, planes: DataFrame, k: int = 10, budget: float | dict[int, float] = 0.1, timed: bool = False) -> DataFrame:
+    """Verify the points that collide most often, up to a share of all points."""
+    return best_scored(index, planes, near_look, collisions, k, budget, timed)
 
 
 # --- far hashing ---
 
 
-def far_build(points: DataFrame, m: int = 128, lam: int | None = None, ratio: float = 0.9, keep: int = 64, seed: int = 42) -> HashIndex:
-    """m projections of each part of the points, parts by lifted norm in steps of ratio; of each, the keep points at both ends.
-
-    The furthest from any plane along a projection are at its ends, so the middle need not be stored.
-    """
+def far_build(points: DataFrame, m: int = 128, lam: int | None = None, ratio: float = 0.9, parts: int = 48, seed: int = 42) -> HashIndex:
+    """m projections of each part of the points, parts by lifted norm in steps of ratio (the last holds all shorter ones)."""
     d = dimension(points)
     pairs = pair_list(d, lam, seed)
     size = (lam or d * (d + 1) // 2) + 1
-    setting = {"pairs": pairs, "most": L.largest_norm(points, pairs), "ratio": ratio, "A": np.random.default_rng(seed).standard_normal((size, m))}
+    setting = {"pairs": pairs, "most": L.largest_norm(points, pairs), "ratio": ratio, "A": np.random.default_rng(seed).standard_normal((size, m)), "m": m, "parts": parts, "bins": BINS}
 
-    def make(ids, X, s):
+    def make(X, s):
         rows = L.sampled_rows(X, s["pairs"])
         length = np.maximum(np.linalg.norm(rows, axis=1), 1e-300)
-        part = np.clip(np.floor(np.log(length / s["most"]) / np.log(s["ratio"]) + 1e-9), 0, 1000).astype(np.int32) if s["most"] else np.zeros(len(ids), np.int32)
-        P = L.complete(rows, s["most"] * s["ratio"] ** part.astype(float)) @ s["A"]
-        m = P.shape[1]
-        return pa.RecordBatch.from_pydict({"table_no": np.tile(np.arange(m, dtype=np.int32), len(ids)), "part": np.repeat(part, m), "proj": P.ravel(), "id": np.repeat(ids, m)})
+        part = np.clip(np.floor(np.log(length / s["most"]) / np.log(s["ratio"]) + 1e-9), 0, s["parts"] - 1).astype(np.int32) if s["most"] else np.zeros(len(X), np.int32)
+        return part, L.complete(rows, s["most"] * s["ratio"] ** part.astype(float)) @ s["A"]
+
+    return HashIndex(keyed(points, setting, make, "double", "far-hash"), setting, points.count(), 8)
+
+
+def far_look(Q: np.ndarray, s: dict) -> np.ndarray:
+    lifted = L.lifted_query(Q, s["pairs"], False)
+    reach = np.linalg.norm(lifted, axis=1, keepdims=True)
+    return np.concatenate([lifted @ s["A"], reach], axis=1)
 
-    projected = persisted(mapped(points, setting, make, "table_no int, part int, proj double, id long"), "far-projections")
-    ends = [projected.withColumn("place", F.row_number().over(Window.partitionBy("table_no", "part").orderBy(order, "id"))).filter(F.col("place") <= keep).drop("place") for order in (F.asc("proj"), F.desc("proj"))]
-    return HashIndex(points, persisted(ends[0].unionByName(ends[1]).distinct(), "far-hash"), setting, points.count())
 
+def seen(separation: int):
+    """Score of a point by the gap that ``separation`` projections pass: with the threshold falling from far to near, points become candidates
+    in this order, as each must be seen beyond the threshold in that many projections."""
 
-def far_search(index: HashIndex, planes: DataFrame, k: int = 10, separation: int = 4, per_table: int = 16) -> DataFrame:
-    """Verify the points that are among the per_table furthest of their part in at least ``separation`` projections."""
-    s = index.setting
+    def score(keys, part, key, s) -> np.ndarray:
+        gap = np.abs(keys - key[None, :-1])
+        nth = min(separation, gap.shape[1])
+        far = np.partition(gap, gap.shape[1] - nth, axis=1)[:, gap.shape[1] - nth]
+        most = 5.0 * (s["most"] * s["ratio"] ** part.astype(float) + key[-1])  # five standard errors of the longest possible gap
+        return np.minimum(far / np.maximum(most, 1e-300) * s["bins"], s["bins"]).astype(np.int64)
 
-    def make(qids, Q):
-        P = L.lifted_query(Q, s["pairs"], False) @ s["A"]
-        return [(int(q), t, float(P[n, t])) for n, q in enumerate(qids) for t in range(P.shape[1])]
+    return score
 
-    hashed = query_rows(planes, make, "qid long, table_no int, at double")
-    gap = F.abs(F.col("proj") - F.col("at"))
-    place = F.row_number().over(Window.partitionBy("qid", "table_no", "part").orderBy(F.desc("gap"), "id"))
-    far = index.tables.join(hashed, "table_no").withColumn("gap", gap).withColumn("place", place).filter(F.col("place") <= per_table)
-    chosen = far.groupBy("qid", "id").agg(F.count("*").alias("seen")).filter(F.col("seen") >= separation)
-    return verify(index.points, chosen, planes, k, dimension(index.points))
+
+def far_search(index: HashIndex, planes: DataFrame, k: int = 10, separation: int = 4, budget: float | dict[int, float] = 0.1, timed: bool = False) -> DataFrame:
+    """Verify the points of each part that are the first to be seen far away in ``separation`` projections, up to a share of the part."""
+    return best_scored(index, planes, far_look, seen(separation), k, budget, timed)
 
 
 # --- sphere hashing ---
@@ -158,26 +263,15 @@ def signs(X: np.ndarray, s: dict, query: bool) -> np.ndarray:
 def sphere_build(points: DataFrame, kind: str = "bilinear", bits: int = 8, m: int = 16, seed: int = 42) -> HashIndex:
     d = dimension(points)
     random = np.random.default_rng(seed)
-    setting = {"kind": kind, "bits": bits * (2 if kind == "pair" else 1), "m": m, "U": random.standard_normal((d, m * bits)), "V": random.standard_normal((d, m * bits)), "pairs": L.random_pairs(d, 4 * d, seed), "A": random.standard_normal((4 * d, m * bits))}
-
-    def make(ids, X, s):
-        codes = code_rows(signs(X, s, False), s)
-        return pa.RecordBatch.from_pydict({"table_no": np.tile(np.arange(s["m"], dtype=np.int32), len(ids)), "bucket": codes.ravel(), "id": np.repeat(ids, s["m"])})
-
-    return HashIndex(points, persisted(mapped(points, setting, make, "table_no int, bucket long, id long"), "sphere-hash"), setting, points.count())
+    setting = {"kind": kind, "bits": bits * (2 if kind == "pair" else 1), "m": m, "bins": m, "U": random.standard_normal((d, m * bits)), "V": random.standard_normal((d, m * bits)), "pairs": L.random_pairs(d, 4 * d, seed), "A": random.standard_normal((4 * d, m * bits))}
+    return HashIndex(keyed(points, setting, lambda X, s: (np.zeros(len(X), np.int32), code_rows(signs(X, s, False), s)), "int", "sphere-hash"), setting, points.count(), 4)
 
 
 def code_rows(bits: np.ndarray, s: dict) -> np.ndarray:
     """One number a table from its bits."""
-    return bits.reshape(len(bits), s["bits"], s["m"]).transpose(0, 2, 1) @ (1 << np.arange(s["bits"], dtype=np.int64))
-
-
-def sphere_search(index: HashIndex, planes: DataFrame, k: int = 10) -> DataFrame:
-    s = index.setting
+    return (bits.reshape(len(bits), s["bits"], s["m"]).transpose(0, 2, 1) @ (1 << np.arange(s["bits"], dtype=np.int64))).astype(np.int32)
 
-    def make(qids, Q):
-        codes = code_rows(signs(Q, s, True), s)
-        return [(int(q), t, int(codes[n, t])) for n, q in enumerate(qids) for t in range(s["m"])]
 
-    hashed = query_rows(planes, make, "qid long, table_no int, bucket long")
-    return verify(index.points, index.tables.join(hashed, ["table_no", "bucket"]).select("qid", "id").distinct(), planes, k, dimension(index.points))
+def sphere_search(index: HashIndex, planes: DataFrame, k: int = 10, budget: float = 0.3) -> DataFrame:
+    """Verify the points that share most buckets with the plane, up to a share of all points."""
+    return best_scored(index, planes, lambda Q, s: code_rows(signs(Q, s, True), s), collisions, k, budget)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -9,9 +11,9 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import exprs as E
-from ..sources.storage import opened, persisted, ship
+from ..sources.storage import fresh_path, opened, persisted, ship
 from .grow import Tree, grow, pivots, squared
-from .index import BOTH, NODES, POINTS, Index, names
+from .index import BOTH, NODES, PARTS, POINTS, TREES, Index, names, tree_row
 
 
 
@@ -31,17 +33,19 @@ def as_tables(tree: Tree, shard: int) -> pa.Table:
     nulls = lambda size, kind: pa.nulls(size, kind)
     doubles = pa.list_(pa.float64())
     node_part = {
-        "kind": pa.array(["node"] * count), "shard": pa.array([shard] * count, pa.int32()), "node": pa.array(range(count), pa.int64()), "parent": optional(tree.parent),
-        "depth": pa.array(tree.depth, pa.int32()), "is_leaf": pa.array([tree.is_leaf(a) for a in range(count)]), "oversize": pa.array(tree.flat), "n": pa.array([tree.n(a) for a in range(count)], pa.int64()),
+        "kind": pa.array(["node"] * count), "part": pa.array([shard % PARTS] * count, pa.int32()), "shard": pa.array([shard] * count, pa.int32()), "node": pa.array(range(count), pa.int64()), "parent": optional(tree.parent),
+        "depth": pa.array(tree.depth, pa.int32()), "is_leaf": pa.array([tree.is_leaf(a) for a in range(count)]), "oversize": pa.array(tree.flat), "n": pa.array([tree.n(a) for a in range(count)], pa.int64()), "weight": pa.array(tree.weight, pa.int64()),
         "center": pa.array(list(tree.centers), doubles), "center_norm": pa.array(tree.norms), "radius": pa.array(tree.radii), "left": optional(tree.left), "right": optional(tree.right), "lo": pa.array(tree.lo, pa.int64()), "hi": pa.array(tree.hi, pa.int64()),
-        "leaf": nulls(count, pa.int64()), "pos": nulls(count, pa.int64()), "id": nulls(count, pa.int64()), "r_x": nulls(count, pa.float64()), "x_par": nulls(count, pa.float64()), "x_perp": nulls(count, pa.float64()), "x": nulls(count, doubles),
+        "leaf": nulls(count, pa.int64()), "pos": nulls(count, pa.int64()), "id": nulls(count, pa.int64()), "r_x": nulls(count, pa.float64()), "x_par": nulls(count, pa.float64()), "x_perp": nulls(count, pa.float64()), "x": nulls(count, doubles), "tree": nulls(count, pa.binary()),
     }
     kinds = {k: v.type for k, v in node_part.items()}
     point_part = {k: nulls(n, kind) for k, kind in kinds.items()} | {
-        "kind": pa.array(["point"] * n, pa.string()), "shard": pa.array([shard] * n, pa.int32()), "leaf": pa.array(leaf_of), "pos": pa.array(np.arange(n)), "id": pa.array(tree.ids),
+        "kind": pa.array(["point"] * n, pa.string()), "part": pa.array([shard % PARTS] * n, pa.int32()), "shard": pa.array([shard] * n, pa.int32()), "leaf": pa.array(leaf_of), "pos": pa.array(np.arange(n)), "id": pa.array(tree.ids),
         "r_x": pa.array(tree.r_x), "x_par": pa.array(tree.x_par), "x_perp": pa.array(tree.x_perp), "x": pa.array(list(tree.X), doubles),
     }
-    return pa.concat_tables([pa.table(node_part), pa.table(point_part)])
+    row = tree_row(shard, tree)
+    tree_part = {k: nulls(1, kind) for k, kind in kinds.items()} | {"kind": pa.array(["tree"]), "part": pa.array([shard % PARTS], pa.int32())} | {c: row.column(c).combine_chunks() for c in row.column_names}
+    return pa.concat_tables([pa.table(node_part), pa.table(point_part), pa.table(tree_part)])
 
 
 def router(sample: np.ndarray, ids: np.ndarray, shards: int, seed: int) -> list[tuple]:
@@ -50,23 +54,20 @@ def router(sample: np.ndarray, ids: np.ndarray, shards: int, seed: int) -> list[
     The largest part is split until there are enough.
     """
     steps: list[list] = []
-    parts = [(np.arange(len(ids)), None)]
-    while len(parts) < shards:
-        parts.sort(key=lambda p: len(p[0]))
-        rows, place = parts.pop()
-        if len(rows) < 2:
-            parts.append((rows, place))
-            break
-        a, b, to_a = pivots(sample[rows], ids[rows], seed, len(steps) + 1)
+    parts, whole = [(-len(ids), 0, np.arange(len(ids)), None)], []  # a heap, the largest first; and what can't be split
+    while parts and len(parts) + len(whole) < shards:
+        _, _, rows, place = heapq.heappop(parts)
+        a, b, to_a = pivots(sample[rows], ids[rows], seed, len(steps) + 1) if len(rows) > 1 else (0, 0, np.zeros(1))
         if to_a[b] == 0:
-            parts.append((rows, place))
-            break
+            whole.append((rows, place))
+            continue
         nearer = to_a <= squared(sample[rows], sample[rows[b]])
         if place:
             steps[place[0]][place[1]] = len(steps)
         steps.append([sample[rows[a]], sample[rows[b]], None, None])
-        parts += [(rows[nearer], (len(steps) - 1, 2)), (rows[~nearer], (len(steps) - 1, 3))]
-    for shard, (_, place) in enumerate(parts):
+        for side, some in ((2, rows[nearer]), (3, rows[~nearer])):
+            heapq.heappush(parts, (-len(some), 2 * len(steps) + side, some, (len(steps) - 1, side)))
+    for shard, (_, place) in enumerate([(rows, place) for _, _, rows, place in parts] + whole):
         if place:
             steps[place[0]][place[1]] = -1 - shard
     return [tuple(s) for s in steps]
@@ -94,8 +95,8 @@ def route(points: DataFrame, steps: list[tuple]) -> DataFrame:
 def hybrid(points: DataFrame, leaf_size: int = 100, seed: int = 42, shard_bytes: int = 64 << 20, shards: int | None = None, sample_rows: int = 20_000, annotate: bool = True) -> Index:
     """Index of points (id, x): a router from a bounded sample deals them into shards, and each shard grows its own tree.
 
-    Points move once. A shard that the sample has made too large is cut further by a hash; any partition gives
-    right answers, as every ball is computed from the points it holds.
+    Points move once. The sample has at least ``sample_rows`` rows and eight a shard. A shard that the sample has made too large is cut
+    further by a hash; any partition gives right answers, as every ball is computed from the points it holds.
     """
     d = dimension(points)
     points = points.select("id", "x")
@@ -103,7 +104,7 @@ def hybrid(points: DataFrame, leaf_size: int = 100, seed: int = 42, shard_bytes:
     most = max(leaf_size, shard_bytes // (8 * max(d, 1)))
     shards = shards or max(1, -(-n // most))
     if shards > 1:
-        drawn = points.filter(F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1_000_003)) < F.lit(min(1.0, sample_rows / n) * 1_000_003))
+        drawn = points.filter(F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1_000_003)) < F.lit(min(1.0, max(sample_rows, 8 * shards) / n) * 1_000_003))
         rows = sorted((r.id, r.x) for r in drawn.collect())
         steps = router(np.array([r[1] for r in rows]), np.array([r[0] for r in rows]), shards, seed) if rows else []
         dealt = persisted(route(points, steps) if steps else points.withColumn("shard", F.lit(0)), "index-routed")
@@ -119,15 +120,33 @@ def hybrid(points: DataFrame, leaf_size: int = 100, seed: int = 42, shard_bytes:
         X = np.asarray(table.column("x").combine_chunks().flatten()).reshape(table.num_rows, -1)
         return as_tables(grow(np.asarray(table.column("id")), X, leaf_size, seed, annotate), table.column("shard")[0].as_py())
 
-    both = persisted(dealt.groupBy("shard").applyInArrow(run, BOTH), "index")
-    nodes, held = both.filter("kind = 'node'").select(*names(NODES)), both.filter("kind = 'point'").select(*names(POINTS))
-    return Index(nodes, held, d, leaf_size)
+    return written(dealt.groupBy("shard").applyInArrow(run, BOTH), d, leaf_size)
+
+
+def written(both: DataFrame, d: int, leaf_size: int) -> Index:
+    """The index of tagged rows (BOTH), written in folders by kind and part."""
+    spark = both.sparkSession
+    path = fresh_path(spark, "index")
+    both.write.partitionBy("kind", "part").parquet(path)
+    read = spark.read.schema(BOTH).parquet(path)
+    kind = lambda name, columns: read.filter(F.col("kind") == name).select(*columns)
+    return Index(kind("node", names(NODES)), kind("point", names(POINTS)), d, leaf_size, kind("tree", [*names(TREES), "part"]))
 
 
 def distance2(x, y):
     return F.aggregate(F.zip_with(x, y, lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
 
 
+def above(node):
+    """Heap number of the parent, by bits: doubles would round numbers below the fifty-third level."""
+    return F.shiftright(node, 1)
+
+
+def deep(node):
+    """Level of a heap number: 0 for the root, 1."""
+    return F.length(F.bin(node)) - 1
+
+
 def pick_pivots(placed: DataFrame, seed: int) -> DataFrame:
     """(node, a, b) of nodes: a random point's farthest point, and the farthest from that. Two more sweeps, each one aggregation."""
     start = placed.groupBy("node").agg(F.min_by("x", F.struct(F.xxhash64(F.lit(seed).cast("long"), "node", "id").alias("h"), "id")).alias("v"))
@@ -154,10 +173,10 @@ def exact_levels(points: DataFrame, leaf_size: int = 100, seed: int = 42, most_d
     leaves = centers(closed).join(closed.groupBy("node").agg(F.count("*").alias("n")), "node")
     nodes = persisted(roll_up_centers(leaves), "levels-nodes")
     wide = persisted(nodes.join(radii(closed, nodes), "node"), "levels-radii")
-    is_inner = wide.select("node").withColumn("parent", F.floor(F.col("node") / 2).cast("long")).select(F.col("parent").alias("node")).distinct().withColumn("inner", F.lit(True))
+    is_inner = wide.select(above(F.col("node")).alias("node")).distinct().withColumn("inner", F.lit(True))
     shaped = wide.join(is_inner, "node", "left").select(
-        F.lit(0).alias("shard"), (F.col("node") - 1).alias("node"), F.when(F.col("node") > 1, F.floor(F.col("node") / 2).cast("long") - 1).alias("parent"), F.floor(F.log2("node")).cast("int").alias("depth"),
-        F.col("inner").isNull().alias("is_leaf"), (F.col("inner").isNull() & (F.col("n") > leaf_size)).alias("oversize"), "n", "center", E.norm(F.col("center")).alias("center_norm"), "radius",
+        F.lit(0).alias("shard"), (F.col("node") - 1).alias("node"), F.when(F.col("node") > 1, above(F.col("node")) - 1).alias("parent"), deep(F.col("node")).alias("depth"),
+        F.col("inner").isNull().alias("is_leaf"), (F.col("inner").isNull() & (F.col("n") > leaf_size)).alias("oversize"), "n", F.col("n").alias("weight"), "center", E.norm(F.col("center")).alias("center_norm"), "radius",
         F.when(F.col("inner"), F.col("node") * 2 - 1).alias("left"), F.when(F.col("inner"), F.col("node") * 2).alias("right"), F.lit(None).cast("long").alias("lo"), F.lit(None).cast("long").alias("hi"),
     )
     return Index(shaped, annotate_leaves(closed, shaped), dimension(points), leaf_size)
@@ -172,10 +191,10 @@ def centers(placed: DataFrame) -> DataFrame:
 def roll_up_centers(leaves: DataFrame) -> DataFrame:
     """(node, n, center) of all nodes from those of the leaves, deepest first: a parent's centre is the mean of its children's, weighted by count."""
     known = leaves.select("node", "n", "center")
-    deepest = known.agg(F.max(F.floor(F.log2("node")))).first()[0] or 0
-    for depth in range(int(deepest), 0, -1):
+    deepest = known.agg(F.max(deep(F.col("node")))).first()[0] or 0
+    for depth in range(deepest, 0, -1):
         level = known.filter((F.col("node") >= 1 << depth) & (F.col("node") < 1 << (depth + 1)))
-        pairs = level.groupBy(F.floor(F.col("node") / 2).cast("long").alias("node")).agg(F.sum("n").alias("n"), F.array_sort(F.collect_list(F.struct("node", "n", "center"))).alias("kids"))
+        pairs = level.groupBy(above(F.col("node")).alias("node")).agg(F.sum("n").alias("n"), F.array_sort(F.collect_list(F.struct("node", "n", "center"))).alias("kids"))
         first, second = F.get("kids", F.lit(0)), F.get("kids", F.lit(1))
         mean = F.zip_with(first["center"], second["center"], lambda a, b: (first["n"] * a + second["n"] * b) / (first["n"] + second["n"]))
         known = known.unionByName(pairs.select("node", "n", mean.alias("center")))
@@ -183,10 +202,17 @@ def roll_up_centers(leaves: DataFrame) -> DataFrame:
 
 
 def radii(placed: DataFrame, nodes: DataFrame) -> DataFrame:
-    """(node, radius): the farthest point below each node; every point looks up its ancestors."""
-    deep = F.floor(F.log2("node")).cast("int")
-    up = placed.select("x", F.explode(F.transform(F.sequence(F.lit(0), deep), lambda k: F.floor(F.col("node") / F.pow(F.lit(2.0), k)).cast("long"))).alias("node"))
-    return up.join(nodes.select("node", "center"), "node").groupBy("node").agg(F.sqrt(F.max(distance2("x", "center"))).alias("radius"))
+    """(node, radius): the farthest point below each node, a level at a time: each point meets its one ancestor on a level, whose centres
+    Spark broadcasts while they are small, and greatest distances are kept by task before they are shuffled."""
+    deepest, out = nodes.agg(F.max(deep(F.col("node")))).first()[0] or 0, None
+    for depth in range(deepest + 1):
+        on = deep(F.col("node")) >= depth
+        up = F.call_function("shiftright", F.col("node"), deep(F.col("node")) - F.lit(depth))
+        level = nodes.filter(deep(F.col("node")) == depth).select("node", "center")
+        met = placed.filter(on).select(up.alias("node"), "x").join(level, "node")
+        far = met.groupBy("node").agg(F.sqrt(F.max(distance2("x", "center"))).alias("radius"))
+        out = far if out is None else out.unionByName(far)
+    return out
 
 
 def annotate_leaves(closed: DataFrame, nodes: DataFrame) -> DataFrame:

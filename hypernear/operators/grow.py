@@ -7,6 +7,7 @@ shard builder and the shard search, and it has no Spark in it.
 from __future__ import annotations
 
 import heapq
+import time
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -47,6 +48,7 @@ class Tree:
     lo: list[int] = field(default_factory=list)
     hi: list[int] = field(default_factory=list)
     flat: list[bool] = field(default_factory=list)  # a leaf larger than allowed, as all its points are equal
+    weight: list[int] = field(default_factory=list)  # the points that the centre is the mean of: appends add points and move no centre
     centers: np.ndarray = None
     norms: np.ndarray = None
     radii: np.ndarray = None
@@ -135,6 +137,37 @@ def finish(tree: Tree, ids: np.ndarray, X: np.ndarray, annotate: bool) -> None:
             order[span] = order[span][rank]
             tree.r_x[span], tree.x_par[span], tree.x_perp[span] = r[rank], along[rank], across[rank]
     tree.ids, tree.X = ids[order], X[order]
+    tree.weight = [tree.n(at) for at in range(count)]
+
+
+WHOLE, REAL = ("parent", "left", "right", "lo", "hi", "weight"), ("norms", "radii", "centers")
+
+
+def to_bytes(tree: Tree) -> bytes:
+    """A tree as one value, to be read back without a row a point: d, counts, then its arrays one after another."""
+    head = np.array([tree.d, len(tree.parent), len(tree.ids)], dtype="<i8")
+    whole = [np.asarray(getattr(tree, name), dtype="<i8") for name in WHOLE] + [np.asarray(tree.ids, dtype="<i8")]
+    real = [getattr(tree, name) for name in REAL] + [tree.r_x, tree.x_par, tree.x_perp, tree.X]
+    return b"".join([head.tobytes(), *(w.tobytes() for w in whole), *(np.ascontiguousarray(r, dtype="<f8").tobytes() for r in real)])
+
+
+def from_bytes(value) -> Tree:
+    d, nodes, points = (int(v) for v in np.frombuffer(value, "<i8", 3))
+    at, tree = 24, Tree(d)
+
+    def take(kind: str, *shape: int) -> np.ndarray:
+        nonlocal at
+        size = int(np.prod(shape))
+        out = np.frombuffer(value, kind, size, at).reshape(shape)
+        at += 8 * size
+        return out
+
+    for name in WHOLE:
+        setattr(tree, name, take("<i8", nodes).tolist())
+    tree.ids = take("<i8", points)
+    tree.norms, tree.radii, tree.centers = take("<f8", nodes), take("<f8", nodes), take("<f8", nodes, d)
+    tree.r_x, tree.x_par, tree.x_perp, tree.X = take("<f8", points), take("<f8", points), take("<f8", points), take("<f8", points, d)
+    return tree
 
 
 @dataclass
@@ -148,9 +181,10 @@ class Options:
     preference: str = "center"
     eps: float = 0.0
     rederive: int = 8  # derivations in a row before a product is computed afresh
+    clock: bool = False  # fill the counters of nanoseconds
 
 
-COUNTERS = ("nodes_visited", "center_products", "leaves_scanned", "points_seen", "pruned_ball", "cone_evals", "pruned_cone", "verified")
+COUNTERS = ("nodes_visited", "center_products", "leaves_scanned", "points_seen", "pruned_ball", "cone_evals", "pruned_cone", "verified", "verify_ns", "walk_ns")
 
 
 def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float = np.inf, quota: int | None = None) -> tuple[list[tuple[float, int]], dict[str, int]]:
@@ -167,7 +201,7 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     def bound(at: int, ip: float) -> float:
         return max(abs(ip) - q_norm * tree.radii[at], 0.0) * (1 + options.eps) - 1e-9 * q_norm * max(1.0, tree.norms[at])
 
-    done["center_products"] = 1
+    done["center_products"], begun = 1, time.perf_counter_ns()
     todo = [(0, float(tree.centers[0] @ q), 0)]
     while todo and (quota is None or done["verified"] < quota):
         at, ip, since = todo.pop()
@@ -178,10 +212,10 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
             lam = scan(tree, at, ip, q, q_norm, options, lam, quota, best, done)
             continue
         l, r = tree.left[at], tree.right[at]
-        small, big = (l, r) if tree.n(l) <= tree.n(r) else (r, l)
+        small, big = (l, r) if tree.weight[l] <= tree.weight[r] else (r, l)
         ip_small = float(tree.centers[small] @ q)
         derived = options.derive_sibling and since < options.rederive
-        ip_big = (tree.n(at) * ip - tree.n(small) * ip_small) / tree.n(big) if derived else float(tree.centers[big] @ q)
+        ip_big = (tree.weight[at] * ip - tree.weight[small] * ip_small) / tree.weight[big] if derived else float(tree.centers[big] @ q)
         done["center_products"] += 2 - derived
         pair = [(l, ip_small if small == l else ip_big), (r, ip_small if small == r else ip_big)]
         if options.preference == "center":
@@ -190,6 +224,7 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
             pair.sort(key=lambda c: (bound(*c), c[0]))
         for child, product in reversed(pair):  # the preferred child is popped first
             todo.append((child, product, since + 1 if derived and child == big else 0))
+    done["walk_ns"] = time.perf_counter_ns() - begun if options.clock else 0
     return sorted((-m, -i) for m, i in best), done
 
 
@@ -225,6 +260,7 @@ def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options:
         done["verified"] += len(some)
         if not len(some):
             continue
+        begun = time.perf_counter_ns() if options.clock else 0
         rough = np.abs(tree.X[some] @ q)
         near = some[rough <= lam + slack] if np.isfinite(lam) else some
         if len(near) > 4 * options.k and not np.isfinite(lam):
@@ -240,4 +276,6 @@ def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options:
                 heapq.heapreplace(best, entry)
         if len(best) == options.k:
             lam = min(lam, -best[0][0])
+        if options.clock:
+            done["verify_ns"] += time.perf_counter_ns() - begun
     return lam

@@ -4,12 +4,19 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-NODES = "shard int, node long, parent long, depth int, is_leaf boolean, oversize boolean, n long, center array<double>, center_norm double, radius double, left long, right long, lo long, hi long"
+from ..sources.storage import fresh_path
+from .grow import Tree, to_bytes
+
+NODES = "shard int, node long, parent long, depth int, is_leaf boolean, oversize boolean, n long, weight long, center array<double>, center_norm double, radius double, left long, right long, lo long, hi long"
 POINTS = "shard int, leaf long, pos long, id long, r_x double, x_par double, x_perp double, x array<double>"
-BOTH = f"kind string, {NODES}, leaf long, pos long, id long, r_x double, x_par double, x_perp double, x array<double>"
+TREES = "shard int, n long, center array<double>, center_norm double, radius double, tree binary"
+BOTH = f"kind string, part int, {NODES}, leaf long, pos long, id long, r_x double, x_par double, x_perp double, x array<double>, tree binary"
+PARTS = 1024  # folders that the packed trees are dealt to, so that shards which no plane can reach are not read
 
 
 def names(schema: str) -> list[str]:
@@ -19,12 +26,29 @@ def names(schema: str) -> list[str]:
 @dataclass
 class Index:
     """nodes: one row a node, numbered within its shard (0 is the shard's root). points: one row a point, in leaves by falling distance
-    from the leaf's centre. The numbers r_x, x_par, x_perp can be read without the vectors."""
+    from the leaf's centre. The numbers r_x, x_par, x_perp can be read without the vectors. trees: one row a shard, its whole tree as one value,
+    so that a walk needs no shuffle; made from the others at the first walk where a builder has not written it."""
 
     nodes: DataFrame
     points: DataFrame
     d: int
     leaf_size: int
+    trees: DataFrame | None = None
+
+    def packed(self) -> DataFrame:
+        """Rows (TREES, part), in folders by part."""
+        if self.trees is None:
+            d = self.d
+
+            def run(nodes: pa.Table, points: pa.Table) -> pa.Table:
+                return tree_row(nodes.column("shard")[0].as_py() if nodes.num_rows else 0, tree_of(nodes, points, d))
+
+            made = self.nodes.groupBy("shard").cogroup(self.points.groupBy("shard")).applyInArrow(run, TREES)
+            spark = self.nodes.sparkSession
+            path = fresh_path(spark, "index-trees")
+            made.withColumn("part", F.pmod("shard", F.lit(PARTS)).cast("int")).write.partitionBy("part").parquet(path)
+            self.trees = spark.read.schema(f"{TREES}, part int").parquet(path)
+        return self.trees
 
     def shards(self) -> DataFrame:
         """Size, centre and radius of each shard."""
@@ -35,8 +59,8 @@ class Index:
 
     def wide(self) -> DataFrame:
         """Inner nodes with what a step down needs: the smaller child's centre, and numbers of both children."""
-        inner = self.nodes.filter("not is_leaf").select("shard", "node", "n", "left", "right")
-        child = self.nodes.select("shard", F.col("node").alias("child"), F.struct("node", "n", "center", "center_norm", "radius", "is_leaf").alias("c"))
+        inner = self.nodes.filter("not is_leaf").select("shard", "node", F.col("weight").alias("n"), "left", "right")
+        child = self.nodes.select("shard", F.col("node").alias("child"), F.struct("node", F.col("weight").alias("n"), "center", "center_norm", "radius", "is_leaf").alias("c"))
         with_left = inner.join(child.select("shard", F.col("child").alias("left"), F.col("c").alias("l")), ["shard", "left"])
         both = with_left.join(child.select("shard", F.col("child").alias("right"), F.col("c").alias("r")), ["shard", "right"])
         first = F.col("l.n") <= F.col("r.n")
@@ -49,6 +73,43 @@ class Index:
         self.nodes.sparkSession.createDataFrame([(self.d, self.leaf_size)], "d int, leaf_size int").coalesce(1).write.mode("overwrite").json(f"{path}/meta")
 
 
+def dense(column: pa.ChunkedArray) -> np.ndarray:
+    """A column of longs with -1 for null."""
+    return column.combine_chunks().fill_null(-1).to_numpy(zero_copy_only=False)
+
+
+def flat(column: pa.ChunkedArray, d: int) -> np.ndarray:
+    """A column of vectors as a matrix."""
+    return column.combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+
+
+def tree_of(nodes: pa.Table, points: pa.Table, d: int) -> Tree:
+    """A shard's tree from its rows."""
+    nodes = nodes.sort_by("node")
+    names, tree = dense(nodes.column("node")), Tree(d)
+    place = lambda column: np.where(dense(column) < 0, -1, np.searchsorted(names, dense(column)))
+    tree.parent, tree.left, tree.right = (place(nodes.column(c)) for c in ("parent", "left", "right"))
+    tree.centers, tree.norms, tree.radii = flat(nodes.column("center"), d), nodes.column("center_norm").to_numpy(), nodes.column("radius").to_numpy()
+    tree.weight = dense(nodes.column("weight"))
+    leaf = place(points.column("leaf"))
+    order = np.lexsort((dense(points.column("pos")), leaf))
+    tree.ids, tree.X = points.column("id").to_numpy()[order], flat(points.column("x"), d)[order]
+    tree.r_x, tree.x_par, tree.x_perp = (points.column(c).to_numpy()[order] for c in ("r_x", "x_par", "x_perp"))
+    lo, hi = (np.searchsorted(leaf[order], np.arange(len(names)), side=side) for side in ("left", "right"))
+    inner = tree.left >= 0  # inner nodes keep their counts; only leaves' ranges are read
+    tree.lo, tree.hi = np.where(inner, 0, lo), np.where(inner, dense(nodes.column("n")), hi)
+    return tree
+
+
+def tree_row(shard: int, tree: Tree) -> pa.Table:
+    """A tree as a row of TREES."""
+    center = [tree.centers[0].tolist()] if len(tree.centers) else [[]]
+    return pa.table({
+        "shard": pa.array([shard], pa.int32()), "n": pa.array([len(tree.ids)], pa.int64()), "center": pa.array(center, pa.list_(pa.float64())),
+        "center_norm": pa.array(tree.norms[:1]), "radius": pa.array(tree.radii[:1]), "tree": pa.array([to_bytes(tree)], pa.binary()),
+    })
+
+
 def load(spark: SparkSession, path: str) -> Index:
     meta = spark.read.schema("d int, leaf_size int").json(f"{path}/meta").first()
     return Index(spark.read.parquet(f"{path}/nodes"), spark.read.parquet(f"{path}/points").drop("shard_bucket"), meta.d, meta.leaf_size)

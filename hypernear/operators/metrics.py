@@ -39,15 +39,15 @@ def margin_ratio(found: DataFrame, truth: DataFrame) -> DataFrame:
     return total(found, "found").join(total(truth, "true"), "qid").select("qid", F.when(F.col("true") > 0, F.col("found") / F.col("true")).otherwise(F.lit(1.0)).alias("ratio"))
 
 
-def pareto(runs: DataFrame) -> DataFrame:
-    """Of (recall, seconds) rows, the least time at each recall or better."""
-    least = F.min("seconds").over(Window.orderBy(F.desc("recall")).rangeBetween(Window.unboundedPreceding, Window.currentRow))
-    return runs.withColumn("best", least).groupBy("recall").agg(F.min("best").alias("seconds"))
+def pareto(runs: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """Of (recall, seconds) rows, the least time at each recall or better; by: for each value of these columns. One row a run of an experiment."""
+    window = Window.partitionBy(*by).orderBy(F.desc("recall")).rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    return runs.withColumn("best", F.min("seconds").over(window)).groupBy(*by, "recall").agg(F.min("best").alias("seconds"))
 
 
-def at_recall(runs: DataFrame, target: float, by: str = "method") -> DataFrame:
-    """The cheapest run of each method that reaches the target."""
-    return runs.filter(F.col("recall") >= target).groupBy(by).agg(F.min("seconds").alias("seconds"), F.min_by("recall", "seconds").alias("recall"))
+def at_recall(runs: DataFrame, target: float, *by: str) -> DataFrame:
+    """The cheapest run of each method (or of each value of by) that reaches the target."""
+    return runs.filter(F.col("recall") >= target).groupBy(*(by or ("method",))).agg(F.min("seconds").alias("seconds"), F.min_by("recall", "seconds").alias("recall"))
 
 
 def ratios(runs: DataFrame, value: str, by: str = "method") -> DataFrame:
@@ -64,3 +64,8 @@ def tightness(bounds: DataFrame) -> DataFrame:
 def profile(counters: DataFrame, d: int) -> DataFrame:
     """Where the work of a search goes, in multiplications: verification, centre products, and constant-time bounds."""
     return counters.agg((F.sum("verified") * d).alias("verification"), (F.sum("center_products") * d).alias("centres"), (F.sum("nodes_visited") + F.sum("cone_evals")).alias("bounds"))
+
+
+def time_profile(counters: DataFrame) -> DataFrame:
+    """Where the seconds of walks go: verification, and bounds with centre products."""
+    return counters.agg((F.sum("verify_ns") / 1e9).alias("verification"), ((F.sum("walk_ns") - F.sum("verify_ns")) / 1e9).alias("lookup"))

@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from ..functions import exprs as E
 from ..sources.storage import opened, persisted, ship
 from .brute import batches_of, ranked, small_side
-from .grow import COUNTERS, Options, Tree, walk
-from .index import Index
+from .grow import COUNTERS, Options, from_bytes, walk
+from .index import TREES, Index, names
 
 FOUND = "qid long, shard int, id long, margin double, " + ", ".join(f"{c} long" for c in COUNTERS)
 
@@ -37,79 +37,123 @@ def leaf_scan(index: Index, leaves: DataFrame, planes: DataFrame) -> DataFrame:
 
 
 def thresholds(index: Index, planes: DataFrame, k: int, seeds: int = 3, preference: str = "center") -> DataFrame:
-    """(qid, lam): an upper bound of the k-th margin, from the most promising leaves. Planes that meet fewer than k points there have none."""
-    place = F.row_number().over(Window.partitionBy("qid").orderBy(*leaf_order(preference)))
-    first = directory(index, planes).withColumn("place", place).filter(F.col("place") <= seeds)
-    return ranked(leaf_scan(index, first, planes), k).filter(F.col("rank") == k).select("qid", F.col("margin").alias("lam"))
-
-
-def tree_of(nodes: pa.Table, points: pa.Table, d: int) -> Tree:
-    """A shard's tree from its rows."""
-    nodes, points = nodes.sort_by("node"), points.sort_by("pos")
-    dense = lambda column: [-1 if v is None else v for v in column.to_pylist()]
-    tree = Tree(d)
-    number = {v: k for k, v in enumerate(nodes.column("node").to_pylist())}
-    number[-1] = -1
-    tree.node = nodes.column("node").to_pylist()
-    tree.parent, tree.left, tree.right = ([number[v] for v in dense(nodes.column(c))] for c in ("parent", "left", "right"))
-    tree.centers = np.array(nodes.column("center").to_pylist(), dtype=float).reshape(-1, d)
-    tree.norms, tree.radii = np.asarray(nodes.column("center_norm")), np.asarray(nodes.column("radius"))
-    leaf = np.array([number[v] for v in points.column("leaf").to_pylist()])
-    order = np.lexsort((np.asarray(points.column("pos")), leaf))
-    tree.ids = np.asarray(points.column("id"))[order]
-    tree.X = np.array(points.column("x").to_pylist(), dtype=float).reshape(-1, d)[order]
-    tree.r_x, tree.x_par, tree.x_perp = (np.asarray(points.column(c))[order] for c in ("r_x", "x_par", "x_perp"))
-    counts = nodes.column("n").to_pylist()
-    lo = np.searchsorted(leaf[order], np.arange(len(tree.node)), side="left")
-    hi = np.searchsorted(leaf[order], np.arange(len(tree.node)), side="right")
-    tree.lo, tree.hi = lo.tolist(), hi.tolist()
-    for at, n in enumerate(counts):  # inner nodes keep their counts; only leaves' ranges are read
-        if not tree.is_leaf(at):
-            tree.lo[at], tree.hi[at] = 0, n
-    return tree
-
-
-def walker(shared, d: int, budget: float | None):
-    """The walk of one shard's tree for a shipped batch of planes."""
-
-    def run(nodes: pa.Table, points: pa.Table) -> pa.Table:
-        qids, Q, lengths, lams, options = opened(shared)
-        rows: list[tuple] = []
-        if points.num_rows:
-            tree = tree_of(nodes, points, d)
-            shard = nodes.column("shard")[0].as_py()
-            quota = None if budget is None else int(np.ceil(budget * len(tree.ids)))
-            for qid, q, length, lam in zip(qids.tolist(), Q, lengths, lams):
-                best, done = walk(tree, q, float(length), options, float(lam), quota)
-                cost = tuple(done.values())
-                rows += [(qid, shard, i, m, *(cost if n == 0 else (0,) * len(cost))) for n, (m, i) in enumerate(best or [(None, None)])]
-        columns = list(zip(*rows)) or [()] * (4 + len(COUNTERS))
-        kinds = [pa.int64(), pa.int32(), pa.int64(), pa.float64()] + [pa.int64()] * len(COUNTERS)
-        return pa.Table.from_arrays([pa.array(c, kind) for c, kind in zip(columns, kinds)], names=["qid", "shard", "id", "margin", *COUNTERS])
-
-    return run
-
-
-def shard_dfs(index: Index, planes: DataFrame, k: int = 10, ball: bool = True, cone: bool = True, derive_sibling: bool = True, preference: str = "center", budget: float | None = None, eps: float = 0.0, seeds: int = 3, with_counters: bool = False, rederive: int = 8) -> DataFrame:
+    """(qid, lam): an upper bound of the k-th margin, from a walk down each plane's most promising shard that ends after about ``seeds``
+    leaves. Planes that meet fewer than k points there have none."""
+    options, found = Options(k, preference=preference), None
+    for qids, Q in batches_of(planes):
+        first = likeliest(index, qids, Q)
+        part = walked(index, qids, Q, options, only=first, quota=seeds * index.leaf_size)
+        found = part if found is None else found.unionByName(part)
+    if found is None:
+        return planes.select("qid", F.lit(0.0).alias("lam")).limit(0)
+    return ranked(found.filter("id is not null"), k).filter(F.col("rank") == k).select("qid", F.col("margin").alias("lam"))
+
+
+def likeliest(index: Index, qids: np.ndarray, Q: np.ndarray) -> dict[int, int]:
+    """The shard of each plane whose root's centre is nearest to it, found where the roots are: one number a plane and task comes back."""
+    shared = ship(index.nodes.sparkSession, (qids, Q))
+
+    def run(batches):
+        qids, Q = opened(shared)
+        for batch in batches:
+            if batch.num_rows:
+                near = np.abs(np.asarray(batch.column(1).flatten()).reshape(batch.num_rows, -1) @ Q.T)
+                at = near.argmin(axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(qids), pa.array(np.asarray(batch.column(0))[at]), pa.array(near[at, np.arange(len(qids))])], names=["qid", "shard", "near"])
+
+    best = index.packed().select("shard", "center").mapInArrow(run, "qid long, shard int, near double").groupBy("qid").agg(F.min(F.struct("near", "shard")).alias("best"))
+    return {r.qid: r.best.shard for r in best.collect()}
+
+
+def reachable_parts(index: Index, Q: np.ndarray, lengths: np.ndarray, lams: np.ndarray) -> list[int] | None:
+    """Folders with a shard that some plane's threshold can reach (at most PARTS numbers), or None for all, where no plane has a threshold."""
+    if not np.isfinite(lams).all():
+        return None
+    shared = ship(index.nodes.sparkSession, (Q, lengths, lams))
+
+    def run(batches):
+        Q, lengths, lams = opened(shared)
+        for batch in batches:
+            if batch.num_rows:
+                centers, norms, radii = np.asarray(batch.column(1).flatten()).reshape(batch.num_rows, -1), np.asarray(batch.column(2)), np.asarray(batch.column(3))
+                yield pa.RecordBatch.from_arrays([pa.array(np.unique(np.asarray(batch.column(0))[reached(Q, lengths, lams, centers, norms, radii).any(axis=0)]))], names=["part"])
+
+    some = index.packed().filter("n > 0").select("part", "center", "center_norm", "radius").mapInArrow(run, "part int")
+    return sorted(r.part for r in some.distinct().collect())
+
+
+def reached(Q: np.ndarray, lengths: np.ndarray, lams: np.ndarray, centers: np.ndarray, norms: np.ndarray, radii: np.ndarray) -> np.ndarray:
+    """Planes by roots: whether the root's ball comes within the plane's threshold, with the walk's room for rounding."""
+    least = np.maximum(np.abs(Q @ centers.T) - lengths[:, None] * radii[None, :], 0.0) - 1e-9 * lengths[:, None] * np.maximum(1.0, norms)[None, :]
+    return least <= lams[:, None]
+
+
+def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams: np.ndarray | None = None, only: dict[int, int] | None = None, but: dict[int, int] | None = None, budget: float | dict[int, float] | None = None, quota: int | None = None) -> DataFrame:
+    """Rows FOUND of a batch of planes over the packed trees, in place: no row is shuffled. A plane walks its shard in ``only``, or all
+    shards but its one in ``but``. Shards that no threshold reaches are not unpacked, and folders of such shards are not read; their
+    roots' products are counted all the same."""
+    lengths = np.linalg.norm(Q, axis=1)
+    lams = np.full(len(qids), np.inf) if lams is None else lams
+    shared = ship(index.nodes.sparkSession, (qids, Q, lengths, lams, options, only, but))
+
+    def run(batches):
+        qids, Q, lengths, lams, options, only, but = opened(shared)
+        none = (0,) * len(COUNTERS)
+        at_root = tuple(int(c in ("nodes_visited", "center_products")) for c in COUNTERS)
+        for batch in batches:
+            for row in range(batch.num_rows):
+                shard, n = batch.column(0)[row].as_py(), batch.column(1)[row].as_py()
+                if not n:
+                    continue
+                mine = np.array([(only is None or only[q] == shard) and (but is None or but[q] != shard) for q in qids.tolist()])
+                center, norm, radius = np.asarray(batch.column(2)[row].values)[None, :], np.asarray(batch.column(3))[row : row + 1], np.asarray(batch.column(4))[row : row + 1]
+                near = mine & reached(Q, lengths, lams, center, norm, radius)[:, 0]
+                rows = [(q, shard, None, None, *at_root) for q in qids[mine & ~near].tolist()]
+                if near.any():
+                    tree = from_bytes(batch.column(5)[row].as_buffer())
+                    for at in np.flatnonzero(near).tolist():
+                        share = budget[int(qids[at])] if isinstance(budget, dict) else budget
+                        most = quota if share is None else int(np.ceil(share * n))
+                        best, done = walk(tree, Q[at], float(lengths[at]), options, float(lams[at]), most)
+                        cost = tuple(done.values())
+                        rows += [(int(qids[at]), shard, i, m, *(cost if k == 0 else none)) for k, (m, i) in enumerate(best or [(None, None)])]
+                columns = list(zip(*rows)) or [()] * (4 + len(COUNTERS))
+                kinds = [pa.int64(), pa.int32(), pa.int64(), pa.float64()] + [pa.int64()] * len(COUNTERS)
+                yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(columns, kinds)], names=["qid", "shard", "id", "margin", *COUNTERS])
+
+    parts = reachable_parts(index, Q, lengths, lams) if but is not None else None
+    trees = index.packed() if parts is None else index.packed().filter(F.col("part").isin(parts))
+    found = trees.select(*names(TREES)).mapInArrow(run, FOUND)
+    if parts is None:
+        return found
+    zero = [F.lit(int(c in ("nodes_visited", "center_products"))).cast("long").alias(c) for c in COUNTERS]
+    skipped = index.packed().filter((F.col("n") > 0) & ~F.col("part").isin(parts)).select("shard")
+    planes = index.nodes.sparkSession.createDataFrame([(int(q),) for q in qids], "qid long")
+    unread = skipped.crossJoin(F.broadcast(planes)).select("qid", "shard", F.lit(None).cast("long").alias("id"), F.lit(None).cast("double").alias("margin"), *zero)
+    return found.unionByName(unread)
+
+
+def shard_dfs(index: Index, planes: DataFrame, k: int = 10, ball: bool = True, cone: bool = True, derive_sibling: bool = True, preference: str = "center", budget: float | dict[int, float] | None = None, eps: float = 0.0, seeds: int = 3, with_counters: bool = False, rederive: int = 8, clock: bool = False) -> DataFrame:
     """Walk every shard's tree for every plane that can reach it.
 
-    Each shard is read once for a batch of planes and starts from the planes' seed thresholds, as running tasks can't tell one another
-    theirs; the merge then ranks at most k rows a shard and plane. A budget (a share of the points) is dealt to the shards by size.
-    The plain tree is ball = cone = derive_sibling = False.
+    An exact search of several shards (with ``seeds``) has two rounds, as running tasks can't tell one another their thresholds: each
+    plane walks its most promising shard first, and then, with the k-th margin from there, all others that its threshold reaches. Every walk
+    is kept and counted. A batch of planes reads each shard once a round; the merge ranks at most k rows a shard and plane.
+    A budget (a share of the points, or one for each qid) is dealt to the shards by size. The plain tree is ball = cone = derive_sibling = False.
     """
-    options = Options(k, ball, cone, derive_sibling, preference, eps, rederive)
-    d, spark = index.d, index.nodes.sparkSession
-    exact = budget is None
-    found = None
-    lam = thresholds(index, planes, k, seeds, preference).collect() if exact and seeds else []  # one number a plane
-    known = {r.qid: r.lam for r in lam}
+    options, found = Options(k, ball, cone, derive_sibling, preference, eps, rederive, clock), None
+    rounds = budget is None and seeds and index.packed().filter("n > 0").limit(2).count() > 1
     for qids, Q in batches_of(planes):
-        shared = ship(spark, (qids, Q, np.linalg.norm(Q, axis=1), np.array([known.get(q, np.inf) for q in qids.tolist()]), options))
-
-        part = index.nodes.groupBy("shard").cogroup(index.points.groupBy("shard")).applyInArrow(walker(shared, d, budget), FOUND)
+        if rounds:
+            first = likeliest(index, qids, Q)
+            part = persisted(walked(index, qids, Q, options, only=first), "first-shards")
+            lam = {r.qid: r.lam for r in part.filter("id is not null").groupBy("qid").agg(F.max("margin").alias("lam"), F.count("*").alias("n")).filter(F.col("n") >= k).collect()}
+            part = part.unionByName(walked(index, qids, Q, options, np.array([lam.get(q, np.inf) for q in qids.tolist()]), but=first))
+        else:
+            part = walked(index, qids, Q, options, budget=budget)
         found = part if found is None else found.unionByName(part)
     if found is None:
-        found = spark.createDataFrame([], FOUND)
+        found = index.nodes.sparkSession.createDataFrame([], FOUND)
     return found if with_counters else ranked(found.filter("id is not null"), k)
 
 

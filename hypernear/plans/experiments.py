@@ -1,22 +1,38 @@
 """The experiments, re-expressed on the given tables: each returns its measurements as a table.
 
-Seconds are of whole batches of planes on this machine; counters do not depend on it. Grids are parameters.
+One job searches all budgets of a setting: planes are repeated, one copy a budget. Seconds are those that tasks spend on a plane (bounds or table
+lookup, and verification), so that the start of jobs doesn't hide them; they are means of ``runs`` runs. Recall and counters don't depend on
+the machine. Run this module to write down the measured figures (five runs): python -m hypernear.plans.experiments DIR.
 """
 
 from __future__ import annotations
 
+import sys
 import time
+from functools import lru_cache
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import brute, build, index, metrics, search
 from ..operators.baselines import hashing
+from ..sources import tables
 from ..sources.storage import persisted
 from .registry import planes_for, points_of, query
 
 METHODS = {"annotated": {}, "plain": dict(ball=False, cone=False, derive_sibling=False)}
-RUNS = "data string, method string, setting string, k int, budget double, seconds double, recall double, verified double, center_products double, nodes double, cone_evals double"
+VARIANTS = {"full": {}, "no cone": dict(cone=False), "no ball": dict(ball=False), "neither": dict(ball=False, cone=False)}
+# The grids of parameters.
+KS = (1, 10, 20, 40)
+LEAVES = (100, 200, 500, 1000, 2000, 5000, 10000)
+SMALL_LEAVES = (20, 50, 100, 200)  # for sets of a few thousand points
+BUDGETS = (0.001, 0.005, 0.01, 0.05, 0.1, 0.2, 0.5, 1.0)
+FACTORS = (1, 2, 4, 8)  # of the sampled lift: multiples of the dimension
+TABLES = (8, 16, 32, 64, 128, 256)
+SEPARATIONS = (2, 4, 6)
+PLANES = 100
+STRIDE = 1_000_000  # between the qids of a plane's copies
+RUNS = "data string, method string, setting string, k int, budget double, recall double, seconds double, lookup double, verification double, verified double, center_products double"
 
 
 def seconds_of(action) -> tuple[float, object]:
@@ -28,10 +44,9 @@ def seconds_of(action) -> tuple[float, object]:
 class Bench:
     """One vector set with its planes, and the exact answers for each k."""
 
-    def __init__(self, spark: SparkSession, d: str, name: str, planes: int):
-        self.spark, self.name = spark, name
-        self.points = persisted(points_of(spark, d, name).select("id", "x"), "experiment-points")
-        self.planes = persisted(planes_for(spark, d, name, planes), "experiment-planes")
+    def __init__(self, spark: SparkSession, name: str, points: DataFrame, planes: DataFrame, runs: int):
+        self.spark, self.name, self.runs = spark, name, runs
+        self.points, self.planes = persisted(points.select("id", "x"), "experiment-points"), persisted(planes, "experiment-planes")
         self.truth: dict[int, DataFrame] = {}
         self.rows: list[tuple] = []
 
@@ -40,163 +55,293 @@ class Bench:
             self.truth[k] = persisted(brute.topk_arrow(self.points, self.planes, k), "experiment-truth")
         return self.truth[k]
 
-    def record(self, method: str, setting: str, k: int, budget: float | None, run, counted: bool) -> None:
-        """Time one search, and note recall and mean cost a plane."""
-        seconds, found = seconds_of(lambda: persisted(run(), "experiment-found"))
-        answer = brute.ranked(found.filter("id is not null").select("qid", "id", "margin"), k) if counted else found
-        recall = metrics.recall(answer, self.true(k), k).agg(F.avg("recall")).first()[0]
-        cost = (None,) * 4
-        if counted:
-            mean = search.counters(found).agg(*[F.avg(c) for c in ("verified", "center_products", "nodes_visited", "cone_evals")]).first()
-            cost = tuple(mean)
-        self.rows.append((self.name, method, setting, k, budget, seconds, recall, *cost))
+    def copies(self, budgets) -> tuple[DataFrame, dict[int, float | None]]:
+        """The planes once a budget, and the budget of each copy."""
+        numbered = self.spark.createDataFrame([(n,) for n in range(len(budgets))], "copy long")
+        planes = self.planes.crossJoin(F.broadcast(numbered)).withColumn("qid", F.col("qid") + F.col("copy") * STRIDE).drop("copy")
+        return planes, {r.qid + n * STRIDE: b for r in self.planes.select("qid").collect() for n, b in enumerate(budgets)}
+
+    def record(self, method: str, setting: str, k: int, budgets, found: list[DataFrame], tree: bool) -> None:
+        """Recall and mean cost a plane of all budgets, from the rows of each run."""
+        copy = F.floor(F.col("qid") / STRIDE).cast("int").alias("copy")
+        planes = self.planes.count()
+        answer = brute.ranked(found[0].filter("id is not null").select("qid", "id", "margin"), k)
+        met = answer.select(copy, (F.col("qid") % STRIDE).alias("qid"), "id").join(self.true(k).select("qid", "id"), ["qid", "id"])
+        wanted = self.true(k).count()
+        recall = {r.copy: r.n / wanted for r in met.groupBy("copy").agg(F.count("*").alias("n")).collect()} if wanted else {}
+        spent = (F.sum("walk_ns") - F.sum("verify_ns"), F.sum("verify_ns"), F.sum("verified"), F.sum("center_products")) if tree else (F.sum("look_ns"), F.sum("verify_ns"), F.lit(None).cast("double"), F.lit(None).cast("double"))
+        costs: dict[int, list[tuple]] = {}
+        for one in found:
+            for r in one.groupBy(copy).agg(*[c.alias(n) for c, n in zip(spent, ("look", "verify", "verified", "products"))]).collect():
+                costs.setdefault(r.copy, []).append((r.look / 1e9 / planes, r.verify / 1e9 / planes, r.verified, r.products))
+        for n, budget in enumerate(budgets):
+            look, verify = (sum(c[i] for c in costs.get(n, [])) / max(len(found), 1) for i in (0, 1))
+            verified, products = (costs[n][0][i] if n in costs else None for i in (2, 3))
+            self.rows.append((self.name, method, setting, k, budget, recall.get(n, 0.0), look + verify, look, verify, verified and verified / planes, products and products / planes))
+
+    def trees(self, built, budgets, k: int = 10, methods=METHODS, preference: str = "center", setting: str = "") -> None:
+        planes, shares = self.copies(budgets)
+        for method, flags in methods.items():
+            found = [persisted(search.shard_dfs(built, planes, k, budget=shares, seeds=0, preference=preference, with_counters=True, clock=True, **flags), "experiment-found") for _ in range(self.runs)]
+            self.record(method, setting, k, budgets, found, True)
+
+    def near(self, built, budgets, k: int = 10, setting: str = "") -> None:
+        planes, shares = self.copies(budgets)
+        self.record("near hash", setting, k, budgets, [persisted(hashing.near_search(built, planes, k, shares, timed=True), "experiment-found") for _ in range(self.runs)], False)
+
+    def far(self, built, budgets, separation: int, k: int = 10, setting: str = "") -> None:
+        planes, shares = self.copies(budgets)
+        self.record("far hash", f"{setting}, seen {separation}", k, budgets, [persisted(hashing.far_search(built, planes, k, separation, shares, timed=True), "experiment-found") for _ in range(self.runs)], False)
 
     def table(self) -> DataFrame:
         return self.spark.createDataFrame(self.rows, RUNS)
 
 
-def index_cost(spark, d, sets=("emb_cluster", "li4"), leaf: int = 100, m: int = 32, factors=(1, 8)) -> DataFrame:
-    """W1: seconds and bytes of both trees and both hash indexes, with sampled lifts of d and 8 d numbers."""
+def bench_of(spark: SparkSession, d: str, name: str, planes: int = PLANES, runs: int = 1, copies: int = 1) -> Bench:
+    points = tables.li4(spark, d, copies) if copies > 1 else points_of(spark, d, name)
+    return Bench(spark, f"{name} x {copies}" if copies > 1 else name, points, planes_for(spark, d, name, planes), runs)
+
+
+def index_cost(spark, d, sets=("emb_cluster", "doc_tf", "li4"), leaf: int = 100, m: int = 128, factors=FACTORS, runs: int = 1) -> DataFrame:
+    """W1: seconds and bytes of both trees and both hash indexes, with sampled lifts of d, 2 d, 4 d and 8 d numbers."""
     rows = []
     for name in sets:
         points = persisted(points_of(spark, d, name).select("id", "x"), "experiment-points")
         dim = build.dimension(points)
         for method, annotate in (("annotated", True), ("plain", False)):
-            seconds, built = seconds_of(lambda annotate=annotate: build.hybrid(points, leaf, annotate=annotate))
-            size = index.sizes(built).first()
-            rows.append((name, method, "", seconds, int(size.annotated_bytes if annotate else size.plain_bytes)))
-        for method, make, width in (("near hash", hashing.near_build, 20), ("far hash", hashing.far_build, 24)):
+            timed = [seconds_of(lambda annotate=annotate: build.hybrid(points, leaf, annotate=annotate)) for _ in range(runs)]
+            size = index.sizes(timed[0][1]).first()
+            rows.append((name, method, "", sum(t for t, _ in timed) / runs, int(size.annotated_bytes if annotate else size.plain_bytes)))
+        for method, make in (("near hash", hashing.near_build), ("far hash", hashing.far_build)):
             for factor in factors:
-                seconds, built = seconds_of(lambda make=make, factor=factor: make(points, m, factor * dim))
-                rows.append((name, method, f"{factor} d", seconds, built.tables.count() * width))
+                timed = [seconds_of(lambda make=make, factor=factor: make(points, m, factor * dim)) for _ in range(runs)]
+                rows.append((name, method, f"{factor} d", sum(t for t, _ in timed) / runs, timed[0][1].bytes()))
     return spark.createDataFrame(rows, "data string, method string, lift string, seconds double, bytes long")
 
 
-def time_recall(spark, d, name="emb_cluster", planes=50, leaf=20, k=10, budgets=(0.01, 0.05, 0.2, 0.5, 1.0), m=32, preference="center") -> DataFrame:
-    """W2: recall and seconds of all methods over their budgets."""
-    bench = Bench(spark, d, name, planes)
-    built = build.hybrid(bench.points, leaf)
-    for method, flags in METHODS.items():
-        for b in budgets:
-            bench.record(method, "depth first", k, b, lambda flags=flags, b=b: search.shard_dfs(built, bench.planes, k, budget=b, seeds=0, with_counters=True, preference=preference, **flags), True)
-    for b in budgets:
-        bench.record("annotated", "best leaves", k, b, lambda b=b: search.budgeted(built, bench.planes, k, b), False)
+def time_recall(spark, d, name="emb_cluster", planes=PLANES, leaves=SMALL_LEAVES, k=10, budgets=BUDGETS, m=128, factors=FACTORS, separations=SEPARATIONS, runs: int = 1) -> DataFrame:
+    """W2: recall and seconds of all methods over their budgets and parameters."""
+    bench = bench_of(spark, d, name, planes, runs)
+    for leaf in leaves:
+        bench.trees(build.hybrid(bench.points, leaf), budgets, k, setting=f"leaf {leaf}")
     dim = build.dimension(bench.points)
-    near, far = hashing.near_build(bench.points, m, dim), hashing.far_build(bench.points, m, dim)
-    for b in budgets:
-        bench.record("near hash", "", k, b, lambda b=b: hashing.near_search(near, bench.planes, k, b), False)
-    for separation in (6, 4, 2):
-        bench.record("far hash", f"seen {separation}", k, None, lambda s=separation: hashing.far_search(far, bench.planes, k, s), False)
+    for factor in factors:
+        bench.near(hashing.near_build(bench.points, m, factor * dim), budgets, k, f"{factor} d")
+        far = hashing.far_build(bench.points, m, factor * dim)
+        for separation in separations:
+            bench.far(far, budgets, separation, k, f"{factor} d")
     return bench.table()
 
 
-def time_k(spark, d, name="li4", planes=50, leaf=100, ks=(1, 10, 20, 40), budget=0.5) -> DataFrame:
-    """W3: cost by k."""
-    bench = Bench(spark, d, name, planes)
-    built = build.hybrid(bench.points, leaf)
+def hash_tables(spark, d, name="emb_cluster", planes=PLANES, k=10, counts=TABLES, factor=4, separation=4, budgets=(0.1, 0.2, 0.5), runs: int = 1) -> DataFrame:
+    """B10: recall of both hash methods by the number of tables."""
+    bench = bench_of(spark, d, name, planes, runs)
+    dim = build.dimension(bench.points)
+    for m in counts:
+        bench.near(hashing.near_build(bench.points, m, factor * dim), budgets, k, f"m {m}")
+        bench.far(hashing.far_build(bench.points, m, factor * dim), budgets, separation, k, f"m {m}")
+    return bench.table()
+
+
+def time_k(spark, d, name="emb_cluster", planes=PLANES, leaf=50, ks=KS, budgets=BUDGETS, m=128, factor=4, separation=4, runs: int = 1) -> DataFrame:
+    """W3: all methods by k; read at about 80 % recall."""
+    bench = bench_of(spark, d, name, planes, runs)
+    built, dim = build.hybrid(bench.points, leaf), build.dimension(bench.points)
+    near, far = hashing.near_build(bench.points, m, factor * dim), hashing.far_build(bench.points, m, factor * dim)
     for k in ks:
-        for method, flags in METHODS.items():
-            bench.record(method, "", k, budget, lambda k=k, flags=flags: search.shard_dfs(built, bench.planes, k, budget=budget, seeds=0, with_counters=True, **flags), True)
+        bench.trees(built, budgets, k)
+        bench.near(near, budgets, k)
+        bench.far(far, budgets, separation, k)
     return bench.table()
 
 
-def preferences(spark, d, name="li4", planes=50, leaf=100, k=10, budgets=(0.01, 0.05, 0.2)) -> DataFrame:
+def preferences(spark, d, sets=(("emb_cluster", 50), ("li4", 100)), planes=PLANES, k=10, budgets=BUDGETS, runs: int = 1) -> DataFrame:
     """W4: which child to enter first, on both trees."""
-    bench = Bench(spark, d, name, planes)
-    built = build.hybrid(bench.points, leaf)
-    for preference in ("center", "bound"):
-        for method, flags in METHODS.items():
-            for b in budgets:
-                bench.record(method, preference, k, b, lambda p=preference, flags=flags, b=b: search.shard_dfs(built, bench.planes, k, preference=p, budget=b, seeds=0, with_counters=True, **flags), True)
-    return bench.table()
+    out = None
+    for name, leaf in sets:
+        bench = bench_of(spark, d, name, planes, runs)
+        built = build.hybrid(bench.points, leaf)
+        for preference in ("center", "bound"):
+            bench.trees(built, budgets, k, preference=preference, setting=preference)
+        out = bench.table() if out is None else out.unionByName(bench.table())
+    return out
 
 
-def point_bounds(spark, d, name="li4", planes=50, leaf=100, k=10) -> DataFrame:
-    """W5: the annotated tree without cone, without ball, and without both."""
-    bench = Bench(spark, d, name, planes)
+def point_bounds(spark, d, name="emb_cluster", planes=PLANES, leaf=100, ks=KS, budgets=BUDGETS, runs: int = 1) -> DataFrame:
+    """W5: the annotated tree without cone, without ball, and without both, by k."""
+    bench = bench_of(spark, d, name, planes, runs)
     built = build.hybrid(bench.points, leaf)
-    for setting, flags in (("full", {}), ("no cone", dict(cone=False)), ("no ball", dict(ball=False)), ("neither", dict(ball=False, cone=False))):
-        bench.record("annotated", setting, k, None, lambda flags=flags: search.shard_dfs(built, bench.planes, k, seeds=0, with_counters=True, **flags), True)
+    for k in ks:
+        bench.trees(built, budgets, k, methods=VARIANTS)
     return bench.table()
 
 
-def large(spark, d, copies=1, planes=50, leaf=1000, k=10, budgets=(0.01, 0.05, 0.2), shards=8) -> DataFrame:
-    """W6: the largest set (copies > 1 adds jittered copies of all lines)."""
-    from ..sources import tables
-
-    bench = Bench(spark, d, "li4", planes)
-    if copies > 1:
-        bench.points = persisted(tables.li4(spark, d, copies).select("id", "x"), "experiment-points")
-    built = build.hybrid(bench.points, leaf, shards=shards)
-    for method, flags in METHODS.items():
-        for b in (*budgets, None):
-            bench.record(method, "", k, b, lambda flags=flags, b=b: search.shard_dfs(built, bench.planes, k, budget=b, seeds=3, with_counters=True, **flags), True)
+def large(spark, d, copies=4, planes=PLANES, leaf=1000, k=10, budgets=(0.001, 0.005, 0.01, 0.05, 0.1, 0.2, 0.5), shards=8, m=32, factor=2, separation=4, runs: int = 1) -> DataFrame:
+    """W6: the largest set, lines with jittered copies, all four methods."""
+    bench = bench_of(spark, d, "li4", planes, runs, copies)
+    bench.trees(build.hybrid(bench.points, leaf, shards=shards), budgets, k)
+    dim = build.dimension(bench.points)
+    bench.near(hashing.near_build(bench.points, m, factor * dim), budgets, k)
+    bench.far(hashing.far_build(bench.points, m, factor * dim), budgets, separation, k)
     return bench.table()
 
 
-def work_profile(spark, d, name="emb_cluster", planes=50, leaf=20, k=10) -> DataFrame:
-    """W7: multiplications for verification and centres, and constant-time bounds, by method."""
-    bench = Bench(spark, d, name, planes)
-    built, dim, out = build.hybrid(bench.points, leaf), build.dimension(bench.points), None
-    for method, flags in METHODS.items():
-        row = metrics.profile(search.counters(search.shard_dfs(built, bench.planes, k, with_counters=True, **flags)), dim).withColumn("method", F.lit(method))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
-def leaf_sizes(spark, d, name="li4", planes=50, k=10, sizes=(100, 500, 2000)) -> DataFrame:
-    """W8: cost by leaf size."""
-    bench = Bench(spark, d, name, planes)
+def leaf_sizes(spark, d, name="li4", planes=PLANES, k=10, sizes=LEAVES, budgets=BUDGETS, runs: int = 1) -> DataFrame:
+    """W8: both trees by leaf size."""
+    bench = bench_of(spark, d, name, planes, runs)
     for leaf in sizes:
-        built = build.hybrid(bench.points, leaf)
-        for method, flags in METHODS.items():
-            bench.record(method, str(leaf), k, None, lambda flags=flags: search.shard_dfs(built, bench.planes, k, with_counters=True, **flags), True)
+        bench.trees(build.hybrid(bench.points, leaf), budgets, k, setting=f"leaf {leaf}")
     return bench.table()
 
 
+def profile_at(runs: DataFrame, target: float = 0.9) -> DataFrame:
+    """W7: where the seconds of each method's cheapest run at the target go."""
+    best = runs.filter(F.col("recall") >= target).groupBy("data", "method").agg(F.min_by(F.struct("setting", "budget", "recall", "lookup", "verification"), "seconds").alias("b"))
+    return best.select("data", "method", "b.*")
+
+
 def recall_report(runs: DataFrame) -> DataFrame:
-    """Recall by budget, a column a method."""
-    return runs.groupBy("budget").pivot("method").agg(F.round(F.max("recall"), 4))
+    """Best recall by budget, a column a method."""
+    return runs.groupBy("data", "k", "budget").pivot("method", ["annotated", "plain", "near hash", "far hash"]).agg(F.round(F.max("recall"), 4))
 
 
-# The experiments as queries: smaller grids, and counters only where seconds would differ from run to run.
+# The experiments as queries, on the whole grids. Seconds differ from run to run, so only queries about them return them.
+
+
+@lru_cache(maxsize=16)
+def _runs(application: str, d: str, experiment: str) -> DataFrame:
+    spark = SparkSession.getActiveSession()
+    return persisted(globals()[experiment](spark, d), f"experiment-{experiment}")
+
+
+def runs_of(spark, d, experiment: str) -> DataFrame:
+    """The runs of an experiment, made once a session."""
+    return _runs(spark.sparkContext.applicationId, d, experiment)
 
 
 @query()
 def exp_index_cost(spark, d):
-    return index_cost(spark, d, factors=(1,))
+    return index_cost(spark, d)
 
 
 @query()
 def exp_time_recall(spark, d):
-    return recall_report(time_recall(spark, d, planes=20, budgets=(0.05, 0.5)))
+    return recall_report(runs_of(spark, d, "time_recall"))
+
+
+@query()
+def exp_frontier(spark, d):
+    """The fastest run of each method at each recall or better, over all its parameters."""
+    return metrics.pareto(runs_of(spark, d, "time_recall"), ("method",))
+
+
+@query()
+def exp_at_recall(spark, d):
+    """The cheapest runs at 80 and 90 % recall, and how many times each method's seconds are those of each other."""
+    runs, out = runs_of(spark, d, "time_recall"), None
+    for target in (0.8, 0.9):
+        part = metrics.ratios(metrics.at_recall(runs, target), "seconds").withColumn("target", F.lit(target))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query()
+def exp_hash_tables(spark, d):
+    return runs_of(spark, d, "hash_tables").select("method", "setting", "budget", "recall")
 
 
 @query()
 def exp_preference(spark, d):
-    return preferences(spark, d, planes=20, budgets=(0.05,)).drop("seconds")
+    return runs_of(spark, d, "preferences").select("data", "method", "setting", "budget", "recall", "verified", "center_products")
 
 
 @query()
 def exp_point_bounds(spark, d):
-    return point_bounds(spark, d, planes=20).drop("seconds")
+    return runs_of(spark, d, "point_bounds").select("method", "k", "budget", "recall", "verified", "center_products")
 
 
 @query()
 def exp_leaf_size(spark, d):
-    return leaf_sizes(spark, d, planes=20, sizes=(100, 1000)).drop("seconds")
+    return runs_of(spark, d, "leaf_sizes").select("method", "setting", "budget", "recall", "verified", "center_products")
 
 
 @query()
 def exp_k(spark, d):
-    return time_k(spark, d, planes=20, ks=(1, 40)).drop("seconds")
+    """Each method's cheapest run at 80 % recall, by k."""
+    return metrics.at_recall(runs_of(spark, d, "time_k"), 0.8, "method", "k")
 
 
 @query()
 def exp_large(spark, d):
-    return large(spark, d, planes=20, budgets=(0.05,)).drop("seconds")
+    return recall_report(runs_of(spark, d, "large"))
 
 
 @query()
 def exp_profile(spark, d):
-    return work_profile(spark, d, planes=20)
+    return profile_at(runs_of(spark, d, "time_recall"))
+
+
+# What the runs must show on any data, as counts of runs that show something else.
+
+
+@query("SELECT 0::BIGINT AS n")
+def trend_budget(spark, d):
+    """A larger budget finds no less, on either tree."""
+    runs = runs_of(spark, d, "time_recall").filter("method in ('annotated', 'plain')").select("method", "setting", "budget", "recall")
+    more = runs.select("method", "setting", F.col("budget").alias("b"), F.col("recall").alias("r"))
+    return runs.join(more, ["method", "setting"]).filter("b > budget and r < recall - 1e-12").agg(F.count("*").alias("n"))
+
+
+@query("SELECT 0::BIGINT AS n")
+def trend_whole_budget(spark, d):
+    """The whole budget finds everything, with any method and parameter."""
+    return runs_of(spark, d, "time_recall").filter("budget = 1.0 and recall < 1").agg(F.count("*").alias("n"))
+
+
+@query("SELECT 0::BIGINT AS n")
+def trend_point_bounds(spark, d):
+    """At the whole budget the full tree verifies no more than its variants, and these no more than the one without bounds."""
+    whole = runs_of(spark, d, "point_bounds").filter("budget = 1.0").groupBy("k").pivot("method", list(VARIANTS)).agg(F.first("verified"))
+    return whole.filter("full > `no cone` or full > `no ball` or `no cone` > neither or `no ball` > neither").agg(F.count("*").alias("n"))
+
+
+@query("SELECT 'annotated' AS method, true AS center_wins UNION ALL SELECT 'plain', true")
+def trend_preference(spark, d):
+    """Under small budgets the centre preference finds more than the bound preference, over all sets and budgets up to a tenth."""
+    some = runs_of(spark, d, "preferences").filter("budget <= 0.1").groupBy("method").pivot("setting", ["center", "bound"]).agg(F.avg("recall"))
+    return some.select("method", (F.col("center") >= F.col("bound")).alias("center_wins"))
+
+
+@query("SELECT 'far hash' AS baseline, true AS trees_win UNION ALL SELECT 'near hash', true")
+def trend_trees_win(spark, d):
+    """At a tenth of the points verified, the trees find more than either hash method at its best parameters."""
+    best = runs_of(spark, d, "time_recall").filter("budget = 0.1").groupBy("method").agg(F.max("recall").alias("recall"))
+    tree = best.filter("method in ('annotated', 'plain')").agg(F.max("recall").alias("tree"))
+    return best.filter("method like '%hash'").crossJoin(F.broadcast(tree)).select(F.col("method").alias("baseline"), (F.col("tree") >= F.col("recall")).alias("trees_win"))
+
+
+@query("SELECT 'annotated' AS method, true AS verification_leads UNION ALL SELECT 'far hash', true UNION ALL SELECT 'near hash', true UNION ALL SELECT 'plain', true")
+def trend_bounds_are_cheap(spark, d):
+    """A tree's centre products and bounds are fewer than its verified points at 90 % recall; a hash search looks at all keys of all points."""
+    at = runs_of(spark, d, "time_recall").filter("recall >= 0.9").groupBy("method").agg(F.min_by(F.struct("verified", "center_products"), "budget").alias("b"))
+    return at.select("method", F.coalesce(F.col("b.center_products") < F.col("b.verified"), F.lit(True)).alias("verification_leads"))
+
+
+def main() -> None:
+    """Print the measured tables of a data folder, five runs each."""
+    builder = SparkSession.builder.master("local[8]").config("spark.sql.shuffle.partitions", "8").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false")
+    spark = builder.config("spark.sql.session.timeZone", "UTC").getOrCreate()
+    spark.sparkContext.setLogLevel("ERROR")
+    d, runs = sys.argv[1], 5
+    swept = persisted(time_recall(spark, d, runs=runs), "experiment-time-recall")
+    for title, table in (
+        ("index cost", index_cost(spark, d, runs=runs)), ("recall by budget", recall_report(swept)), ("at 80 %", metrics.at_recall(swept, 0.8)), ("at 90 %", metrics.at_recall(swept, 0.9)), ("profile", profile_at(swept)),
+        ("by k at 80 %", metrics.at_recall(time_k(spark, d, runs=runs), 0.8, "method", "k")), ("tables", hash_tables(spark, d)), ("variants at 80 %", metrics.at_recall(point_bounds(spark, d, runs=runs), 0.8, "method", "k")),
+        ("preference", recall_report(preferences(spark, d).withColumn("data", F.concat_ws(", ", "data", "setting")))), ("leaf size at 80 %", metrics.at_recall(leaf_sizes(spark, d, runs=runs), 0.8, "method", "setting")), ("large", large(spark, d)),
+    ):
+        print(f"== {title}")
+        print(table.orderBy(*table.columns[:4]).toPandas().round(6).to_string(index=False))
+
+
+if __name__ == "__main__":
+    main()

@@ -274,9 +274,9 @@ def sampled_lift(spark, d):
 def hash_search(spark, d, kind: str) -> tuple[DataFrame, DataFrame, DataFrame]:
     points, some = persisted(points_of(spark, d, "emb_cluster").select("id", "x"), "hash-set"), planes_for(spark, d, "emb_cluster", 20)
     if kind == "near":
-        return points, some, hashing.near_search(hashing.near_build(points, m=32, lam=4 * 65), some, budget=0.3)
+        return points, some, hashing.near_search(hashing.near_build(points, m=128, lam=4 * 65), some, budget=0.5)
     if kind == "far":
-        return points, some, hashing.far_search(hashing.far_build(points, m=32, lam=4 * 65), some, separation=2)
+        return points, some, hashing.far_search(hashing.far_build(points, m=128, lam=4 * 65), some, separation=4, budget=0.5)
     return points, some, hashing.sphere_search(hashing.sphere_build(points, kind, bits=2 if kind == "pair" else 8), some)
 
 

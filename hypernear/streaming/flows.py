@@ -4,17 +4,20 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from ..functions import exprs as E
 from ..operators import search
-from ..operators.brute import small_side
-from ..operators.build import distance2
-from ..operators.index import Index
-from ..sources.storage import persisted
+from ..operators.brute import batches_of, small_side
+from ..operators.build import as_tables, distance2, written
+from ..operators.grow import grow
+from ..operators.index import BOTH, Index
+from ..sources.storage import opened, persisted, ship
 
 
 def point_alerts(points: DataFrame, planes: DataFrame, tau: float, d: int | None = None) -> DataFrame:
@@ -34,16 +37,39 @@ def search_each(planes: DataFrame, index: Index, sink: Callable[[DataFrame, int]
     return (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
 
 
+def nearest_shard(index: Index, rows: DataFrame) -> DataFrame:
+    """rows (row, id, x) with the shard whose root's centre is nearest, by a look at batches of roots of bounded size."""
+    roots = index.packed().filter("n > 0").select("shard", "center")
+    best = None
+    for shards, centers in batches_of(roots.select(F.col("shard").cast("long").alias("qid"), F.col("center").alias("q"))):
+        shared = ship(index.nodes.sparkSession, (shards, centers))
+
+        def run(batches, shared=shared):
+            shards, centers = opened(shared)
+            for batch in batches:
+                X = np.asarray(batch.column(1).flatten()).reshape(batch.num_rows, -1)
+                far = ((X[:, None, :] - centers[None]) ** 2).sum(axis=2) if len(shards) * X.size < 1 << 24 else np.stack([((X - c) ** 2).sum(axis=1) for c in centers], axis=1)
+                at = far.argmin(axis=1)
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(shards[at].astype(np.int32)), pa.array(far[np.arange(len(X)), at])], names=["row", "shard", "far"])
+
+        part = rows.select("row", "x").mapInArrow(run, "row long, shard int, far double")
+        best = part if best is None else best.unionByName(part)
+    chosen = best.groupBy("row").agg(F.min(F.struct("far", "shard")).alias("at")).select("row", F.col("at.shard").alias("shard"))
+    return rows.join(chosen, "row")
+
+
 def append(index: Index, arrivals: DataFrame) -> Index:
     """A new version of the index with more points, without moving a centre.
 
-    Arrivals join the leaf whose centre is nearest among all leaves of all shards; that centre stays as the leaf's anchor, and
-    radii grow to cover. Any anchor with a covering radius gives valid bounds, so searches stay exact; leaves over their
-    size are for the next compaction (a fresh build).
+    Arrivals go to the shard whose root's centre is nearest, and there to the leaf whose centre is; that centre stays as the leaf's anchor (and
+    the weight that siblings are derived with stays too), counts grow, and radii grow to cover. Any anchor with a covering radius
+    gives valid bounds, so searches stay exact; leaves over their size are split by compacted(). Repeated arrivals are points each.
     """
-    leaves = index.leaves()
-    near = arrivals.crossJoin(F.broadcast(leaves) if leaves.count() * index.d * 8 <= 32 << 20 else leaves)
-    placed = near.groupBy("id", "x").agg(F.min_by(F.struct("shard", "leaf", "center", "center_norm"), F.struct(distance2("x", "center"), "shard", "leaf")).alias("at")).select("id", "x", "at.*")
+    rows = persisted(arrivals.select(F.monotonically_increasing_id().alias("row"), "id", "x"), "arrivals")
+    if rows.isEmpty() or index.nodes.isEmpty():
+        return index
+    met = nearest_shard(index, rows).join(index.leaves(), "shard")
+    placed = met.groupBy("row").agg(F.min_by(F.struct("id", "x", "shard", "leaf", "center", "center_norm"), F.struct(distance2("x", "center"), "leaf")).alias("at")).select("at.*")
     par = E.dot(F.col("x"), F.col("center")) / F.col("center_norm")
     noted = placed.withColumn("r_x", F.sqrt(distance2("x", "center"))).withColumn("x_par", par)
     noted = noted.withColumn("x_perp", E.norm(F.zip_with("x", "center", lambda a, c: a - F.col("x_par") / F.col("center_norm") * c)))
@@ -65,6 +91,26 @@ def append(index: Index, arrivals: DataFrame) -> Index:
     return Index(persisted(wider.select(*nodes.columns), "index-nodes"), points, index.d, index.leaf_size)
 
 
+def compacted(index: Index, most: float = 2.0, seed: int = 42) -> Index:
+    """The index with the shards grown anew that hold a leaf of over ``most`` times the leaf size (and not of equal points alone).
+
+    Other shards keep their rows. A shard that appends made large stays one shard, until the next build deals all points.
+    """
+    full = index.nodes.filter(F.col("is_leaf") & ~F.col("oversize") & (F.col("n") > most * index.leaf_size)).select("shard").distinct()
+    full = persisted(full, "full-shards")
+    if full.isEmpty():
+        return index
+    leaf_size = index.leaf_size
+
+    def run(table: pa.Table) -> pa.Table:
+        X = np.asarray(table.column("x").combine_chunks().flatten()).reshape(table.num_rows, -1)
+        return as_tables(grow(table.column("id").to_numpy(), X, leaf_size, seed), table.column("shard")[0].as_py())
+
+    anew = written(index.points.join(full, "shard", "left_semi").select("shard", "id", "x").groupBy("shard").applyInArrow(run, BOTH), index.d, leaf_size)
+    kept = lambda rows: rows.join(full, "shard", "left_anti")
+    return Index(kept(index.nodes).unionByName(anew.nodes), kept(index.points).unionByName(anew.points), index.d, leaf_size)
+
+
 def windowed(events: DataFrame, length: str, slide: str | None = None, delay: str = "1 hour") -> DataFrame:
     """Count and least margin of events (ts, margin) in tumbling or sliding windows; rows later than the delay are dropped."""
     window = F.window("ts", length, slide) if slide else F.window("ts", length)

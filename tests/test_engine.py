@@ -10,6 +10,7 @@ from hypernear.operators import brute, build, index, metrics, search, vectors
 from hypernear.operators.baselines import hashing, lift
 from hypernear.plans import choose
 from hypernear.sources import datasource, tables
+from hypernear.streaming import flows
 
 
 def points_of(spark, P):
@@ -124,11 +125,16 @@ def test_hash_searches_verify_and_recall_grows(spark, clustered):
     truth = brute.topk(points, planes, 10)
     exact = {(r.qid, r.id): r.margin for r in brute.all_margins(points, planes).collect()}
     recall = lambda found: metrics.recall(found, truth, 10).agg({"recall": "avg"}).first()[0]
-    near, far = hashing.near_build(points, m=16), hashing.far_build(points, m=16, keep=32)
+    near, far = hashing.near_build(points, m=16), hashing.far_build(points, m=16)
     got = [recall(hashing.near_search(near, planes, budget=b)) for b in (0.05, 0.5, 1.0)]
     assert got == sorted(got) and got[0] < got[-1]
-    got = [recall(hashing.far_search(far, planes, separation=s)) for s in (6, 2)]
-    assert got == sorted(got)
+    got = [recall(hashing.far_search(far, planes, separation=2, budget=b)) for b in (0.05, 0.5, 1.0)]
+    assert got == sorted(got) and got[-1] == 1
+    sphere = [hashing.sphere_build(points, kind, bits=2) for kind in ("pair", "bilinear", "embedding")]
+    assert all(hashing.sphere_search(built, planes, 7).count() == 7 * 12 for built in sphere)  # no plane gets fewer than k
+    budgets = {q: 0.05 if q < 6 else 1.0 for q in range(12)}
+    mixed = {r.qid: r.recall for r in metrics.recall(hashing.near_search(near, planes, budget=budgets), truth, 10).collect()}
+    assert all(mixed[q] == 1 for q in range(6, 12)) and min(mixed.values()) < 1
     for found in (hashing.near_search(near, planes), hashing.far_search(far, planes), hashing.sphere_search(hashing.sphere_build(points, "pair", bits=2), planes)):
         assert all(exact[r.qid, r.id] == r.margin for r in found.collect())
 
@@ -186,3 +192,41 @@ def test_measures(spark):
     assert {r.recall: r.seconds for r in metrics.pareto(runs).collect()} == {0.5: 1.0, 0.9: 2.0, 0.95: 2.0}
     assert {r.method: r.seconds for r in metrics.at_recall(runs, 0.8).collect()} == {"a": 3.0, "b": 2.0}
     assert metrics.timed(lambda: None, 2) >= 0
+
+
+def test_appends_keep_searches_exact_and_are_compacted(spark):
+    """Arrivals all on one side of a shard, so that counts and means come apart; repeated arrivals are points each."""
+    random = np.random.default_rng(12)
+    P = np.concatenate([random.standard_normal((300, 3)), random.standard_normal((400, 3)) * 0.2 + [4, 4, 4]])
+    points, planes = points_of(spark, P), planes_of(spark, unit(np.column_stack([random.standard_normal((15, 3)), random.uniform(-7, 7, 15)])))
+    truth = rows(brute.topk(points, planes, 5))
+    for shards in (1, 3):
+        grown = flows.append(build.hybrid(points.filter("id < 300"), 20, shards=shards), points.filter("id >= 300"))
+        assert rows(search.shard_dfs(grown, planes, 5)) == truth and rows(search.frontier(grown, planes, 5)) == truth
+        assert grown.nodes.filter("is_leaf").agg(F.max("n")).first()[0] > 40
+        new = flows.compacted(grown)
+        assert new.nodes.filter("is_leaf").agg(F.max("n")).first()[0] <= 40 and new.points.count() == 700
+        assert rows(search.shard_dfs(new, planes, 5)) == truth and all(r.n == 0 for r in index.check_partition(new).collect())
+    twice = points.filter("id = 300").unionByName(points.filter("id = 300"))
+    assert flows.append(build.hybrid(points.filter("id < 300"), 20), twice).points.count() == 302
+
+
+def test_walks_shuffle_nothing_and_skip_unreached_shards(spark):
+    """Packed trees are read in place, folders of shards out of reach are not read, and their roots' products are counted."""
+    random = np.random.default_rng(13)
+    P = np.concatenate([random.standard_normal((100, 2)) * 0.1 + [10 * c, 0] for c in range(6)])
+    points, planes = points_of(spark, P), planes_of(spark, [[1.0, 0.0, 0.0], [1.0, 0.0, -50.0]])
+    built = build.hybrid(points, 10, shards=6)
+    qids, Q = np.array([0, 1]), np.array([[1.0, 0.0, 0.0], [1.0, 0.0, -50.0]])
+    plan = search.walked(built, qids, Q, search.Options(3))._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and "MapInArrow" in plan
+    assert len(search.reachable_parts(built, Q, np.linalg.norm(Q, axis=1), np.array([1.0, 1.0]))) < 6
+    cost = {r.qid: r for r in search.counters(search.shard_dfs(built, planes, 3, with_counters=True)).collect()}
+    assert all(r.shards_touched == 6 and r.verified < 400 for r in cost.values()), cost
+    assert rows(search.shard_dfs(built, planes, 3)) == rows(brute.topk(points, planes, 3))
+
+
+def test_heap_numbers_are_exact_far_below_the_root(spark):
+    deep = [(1 << 56) + 7, (1 << 56) - 1, 1, 2, 3]
+    found = spark.createDataFrame([(v,) for v in deep], "node long").select("node", build.above(F.col("node")).alias("up"), build.deep(F.col("node")).alias("deep")).collect()
+    assert all(r.up == r.node // 2 and r.deep == r.node.bit_length() - 1 for r in found)
