@@ -1,14 +1,16 @@
 """Main text of web pages: host suffix arrays over the pages' token streams, held against the markup.
 
-Each host is judged whole, and never gathered: the windows of ``least_run`` tokens of all blocks outside marked content are hashed with
-their host, and the least and the greatest content that has a window are kept, which sums up by task before any shuffle. (``extract`` does
-the same for the pages of one host in memory: the tokens, a separator of its own after each page, are sorted as suffixes to that depth.)
-A run of at least that many tokens that occurs on two
-or more pages of different tokens covers its tokens; blocks that are mostly covered are boilerplate and go. What is left is
-held against the markup: blocks in menus, headers, footers, sidebars, notices, adverts, forms, reader comments
+Pages are cut into blocks and tokens. In the suffix array of a host's token streams (a separator of its own after each page), a run of at least
+``least_run`` tokens that occurs on two or more pages of different tokens covers its tokens; blocks that are mostly covered are
+boilerplate and go, unique ones stay. ``extract`` does this for the pages of one host in memory. A token is covered just if it lies in a
+repeated window of ``least_run`` tokens, so for whole tables ``main_text`` needs only the array's buckets to that depth: windows are hashed with their
+host, and the least and the greatest content that has a window are kept, which sums up by task before any shuffle. Each host is judged
+whole, and never gathered.
+
+What is left is held against the markup: blocks in menus, headers, footers, sidebars, notices, adverts, forms, reader comments
 and hidden elements go too, as a page alone on its host repeats nothing. Text marked as an article (or, without one, as
-main content) is kept whole: a passage that two articles of a host share is content, which repetition alone would remove. On a
-page with such marks the markup alone decides, and repetition changes nothing.
+main content) is kept whole: a passage that two articles of a host share is content, which repetition alone would remove (see README for how
+much). On a page with such marks the markup alone decides, and repetition changes nothing; ``hints=False`` leaves all to repetition.
 
 Defined cases: null html is empty and gives an empty text; a null or odd url has host ''; repeated rows are extracted each
 (and count as one page when runs are counted, as do all pages with the same tokens); an empty table gives an empty result; unclosed,
@@ -30,7 +32,7 @@ from .order_minhash import MIX, WordHashes, mix
 
 # Element names by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript template textarea title iframe object svg math canvas audio video select".split())
+RAW = frozenset("script style noscript template textarea title iframe object svg canvas audio video select".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var wbr img".split())
 ASIDE = frozenset("nav footer aside form head menu dialog button fieldset search".split())
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
@@ -141,39 +143,63 @@ def blocks(html: str | None) -> list[tuple[str, int, bool]]:
     return made
 
 
-def covered(streams: list[list[str]], least_run: int) -> list[np.ndarray]:
-    """Per page, which of its tokens lie in a run of least_run tokens that another page has too.
+def suffix_array(flat: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Suffixes of a token stream in order, and how many tokens each shares with the one before it.
 
-    Suffixes are ranked by doubling: ranks by the first k tokens, paired k apart, rank by the first 2k. Equal final
-    ranks stand together in the suffix array; a rank that two pages share covers least_run tokens from each start.
+    Ranks by the first k tokens, paired k apart, rank by the first 2k; kept by level, they also measure shared prefixes, longest step first.
     """
+    n = len(flat)
+    ranks, depth = [np.unique(flat, return_inverse=True)[1].astype(np.int64)], 1
+    while n and depth < n and ranks[-1].max() < n - 1:
+        later = np.concatenate([ranks[-1][depth:], np.full(min(depth, n), -1, dtype=np.int64)])[:n]
+        ranks.append(np.unique(ranks[-1] * (n + 1) + later + 1, return_inverse=True)[1].astype(np.int64))
+        depth *= 2
+    order = np.argsort(ranks[-1], kind="stable") if n else np.empty(0, dtype=np.int64)
+    shared = np.zeros(n, dtype=np.int64)
+    if n > 1:
+        a, b = order[:-1].copy(), order[1:].copy()
+        for level in range(len(ranks) - 1, -1, -1):
+            padded = np.append(ranks[level], [-1])
+            same = (a < n) & (b < n) & (padded[np.minimum(a, n)] == padded[np.minimum(b, n)])
+            step = np.where(same, 1 << level, 0)
+            shared[1:] += step
+            a, b = a + step, b + step
+    return order, shared
+
+
+def covered(streams: list[list[str]], least_run: int) -> list[np.ndarray]:
+    """Per page, which of its tokens lie in a run of at least least_run tokens that another page has too: in the suffix array of all pages
+    (a separator of its own after each), a suffix shares its longest run with the nearest suffix of another page, before or after it."""
     ids: dict[str, int] = {}
     tokens = [[ids.setdefault(t, len(ids)) for t in page] for page in streams]
     flat = np.array([t for k, page in enumerate(tokens) for t in (*page, len(ids) + k)], dtype=np.int64)
     owner = np.repeat(np.arange(len(tokens)), [len(p) + 1 for p in tokens])
-    rank, depth = flat, 1
-    while depth < least_run:
-        step = min(depth, least_run - depth)
-        later = np.concatenate([rank[step:], np.full(step, -1, dtype=np.int64)])[: len(rank)]
-        rank = np.unique(rank * (int(rank.max(initial=0)) + 2) + later + 1, return_inverse=True)[1].astype(np.int64)
-        depth += step
-    cover = np.zeros(len(flat) + least_run, dtype=np.int64)
-    if len(flat):
-        array = np.argsort(rank, kind="stable")
-        low, high = np.full(rank.max() + 1, len(tokens)), np.full(rank.max() + 1, -1)
-        np.minimum.at(low, rank, owner)
-        np.maximum.at(high, rank, owner)
-        starts = array[(low < high)[rank[array]]]
-        np.add.at(cover, starts, 1)
-        np.add.at(cover, starts + least_run, -1)
+    order, shared = suffix_array(flat)
+    whose = owner[order]
+    edges = np.flatnonzero(np.append(whose[1:] != whose[:-1], True)) + 1 if len(order) else []
+    longest, begun = np.zeros(len(flat), dtype=np.int64), 0
+    for end in edges:  # of suffixes of one page that stand together, the shared prefix with what stands before and after them
+        before = np.minimum.accumulate(shared[begun:end]) if begun else np.zeros(end - begun, dtype=np.int64)
+        after = np.minimum.accumulate(np.append(shared[begun + 1 : end], shared[end])[::-1])[::-1] if end < len(order) else np.zeros(end - begun, dtype=np.int64)
+        longest[order[begun:end]] = np.maximum(before, after)
+        begun = end
+    cover = np.zeros(len(flat) + 1, dtype=np.int64)
+    starts = np.flatnonzero(longest >= least_run)
+    np.add.at(cover, starts, 1)
+    np.add.at(cover, starts + longest[starts], -1)
     hit = np.cumsum(cover)[: len(flat)] > 0
     bounds = np.cumsum([0] + [len(p) + 1 for p in tokens])
     return [hit[a : b - 1] for a, b in zip(bounds[:-1], bounds[1:])]
 
 
-def extract(pages: list[str | None], least_run: int = 6, share: float = 0.8) -> list[str]:
-    """Main texts of the pages of one host."""
-    parsed = [blocks(p) for p in pages]
+def unhinted(page: list[tuple[str, int, bool]]) -> list[tuple[str, int, bool]]:
+    """Blocks as if markup said nothing of what they are."""
+    return [(text, 0, False) for text, _, _ in page]
+
+
+def extract(pages: list[str | None], least_run: int = 6, share: float = 0.8, hints: bool = True) -> list[str]:
+    """Main texts of the pages of one host, by its suffix array in memory."""
+    parsed = [blocks(p) if hints else unhinted(blocks(p)) for p in pages]
     outer = [[b for b in page if not b[1]] for page in parsed]
     streams = [[[t.lower() for t in WORD.findall(b[0])] for b in page] for page in outer]
     flat = [tuple(t for b in page for t in b) for page in streams]
@@ -231,18 +257,21 @@ def after_scheme(url: Column) -> Column:
     return F.substring(url, F.instr(url, "://") + 3, F.length(url))
 
 
-def main_text(pages: DataFrame, group_pages: int = 256, least_run: int = 6, share: float = 0.8) -> DataFrame:
-    """page_id, url, text and n_chars of every page. Hosts are not cut into groups: ``group_pages`` has no effect on the result."""
+def main_text(pages: DataFrame, least_run: int = 6, share: float = 0.8, hints: bool = True) -> DataFrame:
+    """page_id, url, text and n_chars of every page. Without ``hints`` repetition alone decides, whatever the markup says."""
     host = F.coalesce(host_of(F.col("url")), F.lit("")).alias("host")
     keyed = pages.select("page_id", "url", "html", host, F.unhex(F.md5(F.concat_ws(" ", host, "html"))).alias("key"))
 
+    def parsed(html: str | None) -> list[tuple[str, int, bool]]:
+        return blocks(html) if hints else unhinted(blocks(html))
+
     def found(batches):
         """Windows of every page with its content."""
         memo = WordHashes()
         for batch in batches:
             runs, owners = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for name, html in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                made, owner = windows(outer_tokens(blocks(html)), name, least_run, memo)
+                made, owner = windows(outer_tokens(parsed(html)), name, least_run, memo)
                 runs.append(np.unique(made))
                 owners.append(np.repeat(owner, len(runs[-1])))
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(runs)), pa.array(np.concatenate(owners))], names=["run", "owner"])
@@ -253,7 +282,7 @@ def main_text(pages: DataFrame, group_pages: int = 256, least_run: int = 6, shar
         for batch in batches:
             keys, runs = [], [np.zeros(0, np.int64)]
             for name, html, key in zip(*(batch.column(k).to_pylist() for k in range(3))):
-                page = blocks(html)
+                page = parsed(html)
                 if not level_of(page):
                     runs.append(np.unique(windows(outer_tokens(page), name, least_run, memo)[0]))
                     keys += [key] * len(runs[-1])
@@ -264,7 +293,7 @@ def main_text(pages: DataFrame, group_pages: int = 256, least_run: int = 6, shar
         for batch in batches:
             texts = []
             for name, html, repeated in zip(*(batch.column(k).to_pylist() for k in (2, 3, 4))):
-                page = blocks(html)
+                page = parsed(html)
                 mine = outer_tokens(page)
                 hit = np.zeros(sum(map(len, mine)), dtype=bool)
                 if repeated:

@@ -55,6 +55,35 @@ def test_covered_runs_equal_brute_force():
                 assert got[p].tolist() == want
 
 
+def test_suffix_array():
+    random = np.random.default_rng(1)
+    for n in (0, 1, 2, 30, 200):
+        flat = random.integers(0, 3, n)
+        order, shared = H.suffix_array(flat)
+        want = sorted(range(n), key=lambda i: flat[i:].tolist())
+        assert order.tolist() == want
+        for k in range(1, n):
+            a, b = flat[want[k - 1] :].tolist(), flat[want[k] :].tolist()
+            same = next((i for i, (x, y) in enumerate(zip(a, b)) if x != y), min(len(a), len(b)))
+            assert shared[k] == same
+
+
+def test_repetition_alone(spark, real):
+    """With the markup's hints left out, the method itself removes most boilerplate of the given pages, and without repetition
+    nothing of it would go; whole tables and one host's suffix array agree page by page."""
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    alone = {r.page_id: r.text for r in H.main_text(pages, hints=False).collect()}
+    none = {r.page_id: r.text for r in H.main_text(pages, share=1.1, hints=False).collect()}
+    right = {r.page_id: r.text for r in H.main_text(pages).collect()}
+    by_host: dict = {}
+    for r in pages.select("page_id", H.host_of(pages.url).alias("host"), "html").collect():
+        by_host.setdefault(r.host, []).append((r.page_id, r.html))
+    for rows in by_host.values():
+        assert [alone[i] for i, _ in rows] == H.extract([html for _, html in rows], hints=False)
+    excess = lambda texts: sum(max(0, len(texts[i]) - len(right[i])) for i in right)
+    assert sum(alone[i] != none[i] for i in alone) > len(alone) / 4 and excess(alone) < 0.8 * excess(none), (excess(alone), excess(none))
+
+
 def test_tolerates_broken_markup():
     for page in ("<", "<p", "</p></div>", "<b><p>x</b>y", "<article>open <b>end", "<!-- never closed", "<script>no end", "a < b & c &bogus; <3", "<p title='a>b'>q</p>"):
         H.extract([page])
@@ -64,7 +93,7 @@ def test_tolerates_broken_markup():
 
 def test_table(spark, real):
     pages = real("pages")
-    rows = {r.page_id: r for r in H.main_text(pages, group_pages=8).collect()}
+    rows = {r.page_id: r for r in H.main_text(pages).collect()}
     for p in pages.collect():
         body = re.search(r"<article>(.*?)(</article>|$)", p.html, re.S).group(1)
         want = " ".join(unescape(re.sub(r"<[^>]*>", " ", re.sub(r"</?b>", "", body))).split())
@@ -78,7 +107,7 @@ def test_a_large_host_is_judged_whole(spark):
     htmls[3], htmls[41] = menu + htmls[3], htmls[41] + menu
     rows = [(i, f"http://a.com/{i}", html) for i, html in enumerate(htmls)] + [(99, "http://b.com/", menu)]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string")
-    found = {r.page_id: r.text for r in H.main_text(pages, group_pages=2).collect()}
+    found = {r.page_id: r.text for r in H.main_text(pages).collect()}
     assert [found[i] for i in range(60)] == H.extract(htmls) and "home" not in found[3] + found[41] and found[99].startswith("home news")
 
 
