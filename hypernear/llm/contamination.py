@@ -76,7 +76,7 @@ class LengthClass:
             tops = np.maximum.reduceat(self.impact, first)
             of = cells // len(self.floor[-1])
             self.levels.append((cells % len(self.floor[-1]), tops, np.searchsorted(of, np.arange(len(rare) + 1))))
-        self.cells = cells  # term and fine block of each fine posting block, rising
+        self.cells, self.first = cells, np.append(first, len(self.item))  # term and fine block of each fine posting block, rising, and its postings
 
     def promising(self, window: np.ndarray, term: np.ndarray, windows: int, threshold: float) -> tuple[np.ndarray, np.ndarray, list[int]]:
         """(window, fine block) pairs whose block maxima can reach the threshold, from different (window, term) pairs, and how many
@@ -110,17 +110,15 @@ class LengthClass:
         fine = np.unique(np.concatenate([fine, (np.arange(windows)[:, None] * len(self.floor[1]) + always).ravel()]))
         return fine // len(self.floor[1]), fine % len(self.floor[1]), looked
 
-    def walk(self, terms: list[int], block: int, threshold: float) -> list[tuple[int, float]]:
+    def walk(self, terms: np.ndarray, block: int, threshold: float) -> list[tuple[int, float]]:
         """Items of a fine block that score at least threshold: lists move to the pivot, where the maxima of the lists before it add up
         to the threshold, so that items which can't reach it are not scored."""
         out, low = [], threshold - 1e-9
-        first, last = block * self.sizes[1], (block + 1) * self.sizes[1]
-        lists = []  # [current item, place, end, maximum]
-        for t in terms:
-            a, e = self.start[t], self.start[t + 1]
-            a, e = a + np.searchsorted(self.item[a:e], (first, last))
-            if a < e:
-                lists.append([int(self.item[a]), int(a), int(e), float(self.impact[a:e].max())])
+        key = terms * len(self.floor[1]) + block
+        at = np.searchsorted(self.cells, key)
+        at = at[self.cells[np.minimum(at, len(self.cells) - 1)] == key]
+        # [current item, place, end, maximum]
+        lists = [[int(self.item[self.first[c]]), int(self.first[c]), int(self.first[c + 1]), float(self.levels[1][1][c])] for c in at.tolist()]
         while lists:
             lists.sort()
             total, pivot = 0.0, None
@@ -156,7 +154,7 @@ def summed(cell: np.ndarray, value: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 
 
 class ItemIndex:
-    """Items by classes of length (powers of ``ratio``), with impacts normalised to 1 an item."""
+    """Items by classes of length (powers of ``ratio``, from 64 words up), with impacts normalised to 1 an item."""
 
     def __init__(self, items: list[tuple[int, str]], n_items: int, mean_length: float, frequency: dict[str, int], fine: int = 4, coarse: int = 64, ratio: float = 4.0, k1: float = 1.2, b: float = 0.75, common: float = 0.05):
         self.ids, self.parts = [i for i, _ in items], [parts(t) for _, t in items]
@@ -169,7 +167,7 @@ class ItemIndex:
                 df = frequency[term]
                 impacts[self.vocabulary.setdefault(term, len(self.vocabulary))] = np.log(1 + (n_items - df + 0.5) / (df + 0.5)) * tf * (k1 + 1) / (tf + k1 * (1 - b + b * length / mean_length))
             whole = sum(impacts.values())
-            classes.setdefault(math.ceil(math.log(length, ratio) - 1e-9), []).append((at, length, {t: w / whole for t, w in impacts.items()}))
+            classes.setdefault(math.ceil(math.log(max(length, 64), ratio) - 1e-9), []).append((at, length, {t: w / whole for t, w in impacts.items()}))
         limit = max(8, common * n_items)
         rare = np.array([frequency[t] <= limit for t in self.vocabulary], dtype=bool)
         self.classes = [LengthClass(*map(list, zip(*found)), rare, fine, coarse) for _, found in sorted(classes.items())]
@@ -180,22 +178,23 @@ class ItemIndex:
             s = group.stride
             windows = np.array([-(-len(x) // s) + 1 for x in ids], dtype=np.int64)  # window v of a text begins at word (v - 1) * s
             first = np.concatenate([[0], np.cumsum(windows)])
-            key, term = [], []
+            key, term = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
             for at, x in enumerate(ids):
                 place = np.flatnonzero(x >= 0)
+                place = place[group.present[x[place]]]
                 for later in (0, 1):  # each word is in two windows
                     key.append(first[at] + place // s + later)
                     term.append(x[place])
-            if not key or not first[-1]:
-                continue
             total = len(self.vocabulary)
             both = np.unique(np.concatenate(key) * total + np.concatenate(term))
-            window, term = both // total, both % total
-            found, block, _ = group.promising(window, term, int(first[-1]), threshold)
+            found, block, _ = group.promising(both // total, both % total, int(first[-1]), threshold)
+            last, terms = -1, None
             for w, k in zip(found.tolist(), block.tolist()):
                 at = int(np.searchsorted(first, w, side="right")) - 1
                 a = (w - int(first[at]) - 1) * s
-                terms = term[np.searchsorted(window, w) : np.searchsorted(window, w, side="right")].tolist()
+                if w != last:
+                    inside = ids[at][max(a, 0) : a + 2 * s]
+                    last, terms = w, np.unique(inside[inside >= 0])
                 for item, score in group.walk(terms, k, threshold):
                     yield at, max(a, 0), a + 2 * s, group.places[item], score
 

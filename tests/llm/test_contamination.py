@@ -68,10 +68,10 @@ def test_walk_finds_all_above_the_threshold():
     """Block bounds and the pivot walk lose no item that a full scoring puts at the threshold, for items of all lengths, and skip blocks."""
     random = np.random.default_rng(3)
     vocabulary = [f"t{i}" for i in range(400)]
-    texts = [" ".join(random.choice(vocabulary, random.integers(3, 12) * (1 + 9 * (i % 7 == 0)))) for i in range(300)]
+    texts = [" ".join(random.choice(vocabulary, random.integers(3, 12) * (1 + 29 * (i % 7 == 0)))) for i in range(300)]
     frequency = {t: sum(t in words(x) for x in texts) for t in vocabulary}
     index = C.ItemIndex(list(enumerate(texts)), 300, np.mean([len(words(t)) for t in texts]), frequency, coarse=16, common=0.03)
-    assert len(index.classes) > 2 and len({g.stride for g in index.classes}) > 1
+    assert len(index.classes) > 1 and len({g.stride for g in index.classes}) > 1
     passages = [random.choice(vocabulary, 40).tolist() + words(texts[k]) + random.choice(vocabulary, 90).tolist() for k in range(40)]
     ids = [np.array([index.vocabulary.get(w, -1) for w in p]) for p in passages]
     got = {}
