@@ -28,6 +28,8 @@ def register(spark: SparkSession) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
     spark.udf.register("vec_sum", vec_sum)
     spark.udf.register("vec_mean", vec_mean)
+    spark.udf.register("vec_radius", vec_radius)
+    spark.udf.register("absdot_batch", absdot_batch)
     spark.udtf.register("hn_lift", Lift)
     spark.udtf.register("hn_topk", TopK)
 
@@ -43,6 +45,22 @@ def vec_mean(vectors: pd.Series) -> list:
     return np.mean(np.stack(vectors.to_numpy()), axis=0).tolist()
 
 
+@F.pandas_udf(T.DoubleType())
+def vec_radius(vectors: pd.Series, centers: pd.Series) -> float:
+    """Greatest distance of a group's vectors from the group's centre."""
+    return float(np.sqrt(((np.stack(vectors.to_numpy()) - centers.iloc[0]) ** 2).sum(axis=1).max()))
+
+
+@F.pandas_udf(T.DoubleType())
+def absdot_batch(x: pd.Series, q: pd.Series) -> pd.Series:
+    """Margins of whole Arrow batches; products are added as expressions and SQL add them."""
+    X, Q = np.stack(x.to_numpy()), np.stack(q.to_numpy())
+    total = X[:, 0] * Q[:, 0]
+    for j in range(1, X.shape[1]):
+        total = total + X[:, j] * Q[:, j]
+    return pd.Series(np.abs(total))
+
+
 @F.udtf(returnType=T.StructType([T.StructField("i", T.IntegerType()), T.StructField("j", T.IntegerType()), T.StructField("value", T.DoubleType())]))
 class Lift:
     """The components of a vector's quadratic lift."""

@@ -15,7 +15,7 @@ def gap(a: str, b: str) -> str:
     return f"sqrt(list_sum(list_transform(list_zip({a}, {b}), lambda z: (z[1] - z[2]) * (z[1] - z[2]))))"
 
 
-GROUPS = f"""{CLUSTER}, {sql_planes_rows('emb', 10, 64)},
+GROUPS = f"""{CLUSTER}, {sql_planes_rows('emb', 100, 64)},
 gl AS (SELECT label, unnest(x) AS v, generate_subscripts(x, 1) AS pos FROM emb),
 gm AS (SELECT label, pos, round(avg(v), 9) AS v FROM gl GROUP BY label, pos),
 gc AS (SELECT label, list(v ORDER BY pos) AS c FROM gm GROUP BY label),
@@ -48,7 +48,7 @@ def label_points(spark, d) -> DataFrame:
 
 def label_bounds(spark, d, planes: DataFrame | None = None) -> DataFrame:
     """qid, id, label, margin, ball and cone of all pairs."""
-    some = planes_for(spark, d, "emb_cluster", 10) if planes is None else planes
+    some = planes_for(spark, d, "emb_cluster") if planes is None else planes
     pairs = label_points(spark, d).crossJoin(F.broadcast(some))
     ip = E.dot(F.col("center"), F.col("q"), 65)
     with_ip = pairs.select("qid", "id", "label", "q_norm", "center_norm", "r_x", "x_par", "x_perp", F.inline(F.array(F.struct(ip.alias("ip"), E.absdot(F.col("x"), F.col("q"), 65).alias("margin")))))
@@ -81,7 +81,7 @@ def pivot_sweep(spark, d):
 
 @query(f"WITH {GROUPS} SELECT qid, qp.label, round(greatest(abs(ip) - q_norm * radius, 0), 9) AS bound FROM qp JOIN g ON qp.label = g.label")
 def node_bound_by_label(spark, d):
-    met = label_groups(spark, d).crossJoin(F.broadcast(planes_for(spark, d, "emb_cluster", 10)))
+    met = label_groups(spark, d).crossJoin(F.broadcast(planes_for(spark, d, "emb_cluster")))
     return met.select("qid", "label", F.round(E.node_bound(E.dot(F.col("center"), F.col("q"), 65), F.col("q_norm"), F.col("radius")), 9).alias("bound"))
 
 
@@ -128,7 +128,7 @@ def bound_tightness(spark, d):
 @query(f"WITH {GROUPS} SELECT qid, qp.label FROM qp JOIN g ON qp.label = g.label WHERE greatest(abs(ip) - q_norm * radius, 0) <= 0.01")
 def theta_prune(spark, d):
     """Planes joined with the groups that they can come within 0.01 of."""
-    some, groups = planes_for(spark, d, "emb_cluster", 10), label_groups(spark, d)
+    some, groups = planes_for(spark, d, "emb_cluster"), label_groups(spark, d)
     bound = E.node_bound(E.dot(F.col("center"), F.col("q")), F.col("q_norm"), F.col("radius"))
     return groups.join(F.broadcast(some), bound <= 0.01).select("qid", "label")
 
@@ -139,7 +139,7 @@ def survivor_semi(spark, d):
     return points_of(spark, d, "emb_cluster").join(theta_prune(spark, d).filter("qid = 3"), "label", "left_semi").agg(F.count("*").alias("n"))
 
 
-@query(f"""WITH {CLUSTER}, {sql_planes_rows('emb', 10, 64)}, l AS (SELECT label, unnest(x) AS v, generate_subscripts(x, 1) AS pos FROM emb),
+@query(f"""WITH {CLUSTER}, {sql_planes_rows('emb', 100, 64)}, l AS (SELECT label, unnest(x) AS v, generate_subscripts(x, 1) AS pos FROM emb),
 bx AS (SELECT label, pos, min(v) AS lo, max(v) AS hi FROM l GROUP BY label, pos), qq AS (SELECT qid, unnest(q) AS w, generate_subscripts(q, 1) AS pos FROM planes),
 s AS (SELECT qid, label, list_sum(list(CASE WHEN w >= 0 THEN lo * w ELSE hi * w END ORDER BY bx.pos)) AS low, list_sum(list(CASE WHEN w >= 0 THEN hi * w ELSE lo * w END ORDER BY bx.pos)) AS high FROM bx JOIN qq ON bx.pos = qq.pos GROUP BY qid, label)
 SELECT qid, label, round(CASE WHEN low > 0 THEN low WHEN high < 0 THEN -high ELSE 0 END, 8) AS bound FROM s""")
@@ -148,7 +148,7 @@ def box_bound_by_label(spark, d):
     long = points_of(spark, d, "emb_cluster").select("label", F.posexplode("x").alias("pos", "v")).groupBy("label", "pos").agg(F.min("v").alias("lo"), F.max("v").alias("hi"))
     ordered = lambda c: F.transform(F.array_sort(F.collect_list(F.struct("pos", c))), lambda s: s[c])
     boxes = long.groupBy("label").agg(ordered("lo").alias("lo"), ordered("hi").alias("hi"))
-    met = boxes.crossJoin(F.broadcast(planes_for(spark, d, "emb_cluster", 10)))
+    met = boxes.crossJoin(F.broadcast(planes_for(spark, d, "emb_cluster")))
     return met.select("qid", "label", F.round(E.box_bound(F.col("lo"), F.col("hi"), F.col("q")), 8).alias("bound"))
 
 
@@ -157,7 +157,7 @@ SELECT qid, label, n, CAST(before AS BIGINT) AS before FROM o WHERE before < (SE
 def budget_leaves(spark, d):
     """The groups that a budget of 30 % buys, nearest centre first."""
     groups, total = label_groups(spark, d), points_of(spark, d, "emb_cluster").agg(F.count("*").alias("total"))
-    met = groups.crossJoin(F.broadcast(planes_for(spark, d, "emb_cluster", 10))).withColumn("ip", E.dot(F.col("center"), F.col("q"), 65))
+    met = groups.crossJoin(F.broadcast(planes_for(spark, d, "emb_cluster"))).withColumn("ip", E.dot(F.col("center"), F.col("q"), 65))
     before = F.sum("n").over(W.partitionBy("qid").orderBy(F.abs("ip"), "label").rowsBetween(W.unboundedPreceding, -1))
     running = met.withColumn("before", F.coalesce(before, F.lit(0)))
     return running.crossJoin(F.broadcast(total)).filter(F.col("before") < F.ceil(F.col("total") * 0.3)).select("qid", "label", "n", "before")

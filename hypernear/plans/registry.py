@@ -69,13 +69,28 @@ LI4 = """emb AS (SELECT ('0x' || substr(md5(concat_ws('-', l_orderkey, l_linenum
 
 PART2 = "emb AS (SELECT p_partkey AS id, [p_size / 50.0::DOUBLE, p_retailprice / 1000.0::DOUBLE, 1.0::DOUBLE] AS x FROM part)"
 
-DOC64 = """dw AS (SELECT doc_id AS id, list_filter(string_split_regex(lower(text), '[^a-z]+'), lambda t: t <> '') AS ws FROM documents),
+LI6 = LI4.replace("l_tax * 12.5::DOUBLE, 1.0::DOUBLE]", "l_tax * 12.5::DOUBLE, date_diff('day', DATE '1970-01-01', CAST(l_shipdate AS DATE)) / 3000.0::DOUBLE, l_linenumber / 7.0::DOUBLE, 1.0::DOUBLE]")
+
+KINDS = ("click", "error", "login", "purchase", "view")
+USERS = "emb AS (SELECT user_id AS id, [" + ", ".join([f"round(coalesce(avg(value) FILTER (event_type = '{k}'), 0.0::DOUBLE) / 100, 9)" for k in KINDS] + [f"count(*) FILTER (event_type = '{k}') / 100.0::DOUBLE" for k in KINDS]) + ", 1.0::DOUBLE] AS x FROM events GROUP BY user_id)"
+
+ORDERS = "emb AS (SELECT o_orderkey AS id, [o_totalprice / 500000.0::DOUBLE, date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE)) / 3000.0::DOUBLE, 1.0::DOUBLE] AS x FROM orders)"
+
+CUSTOMERS = "emb AS (SELECT c_custkey AS id, [c_acctbal / 10000.0::DOUBLE, c_nationkey / 25.0::DOUBLE, length(c_mktsegment) / 5.0::DOUBLE, 1.0::DOUBLE] AS x FROM customer)"
+
+
+def sql_terms(table: str, key: str, text: str, d: int) -> str:
+    """CTEs of a text column's word shares in d buckets."""
+    return f"""dw AS (SELECT {key} AS id, list_filter(string_split_regex(lower({text}), '[^a-z]+'), lambda t: t <> '') AS ws FROM {table}),
 db AS (SELECT id, unnest(ws) AS t FROM dw),
-dc AS (SELECT id, (('0x' || substr(md5(t), 1, 8))::BIGINT) % 64 AS b, count(*) AS c FROM db GROUP BY ALL),
-dd AS (SELECT dw.id, r.b, coalesce(dc.c, 0)::DOUBLE / greatest(len(dw.ws), 1)::DOUBLE AS v FROM dw CROSS JOIN (SELECT i AS b FROM range(0, 64) t(i)) r LEFT JOIN dc ON dc.id = dw.id AND dc.b = r.b),
+dc AS (SELECT id, (('0x' || substr(md5(t), 1, 8))::BIGINT) % {d} AS b, count(*) AS c FROM db GROUP BY ALL),
+dd AS (SELECT dw.id, r.b, coalesce(dc.c, 0)::DOUBLE / greatest(len(dw.ws), 1)::DOUBLE AS v FROM dw CROSS JOIN (SELECT i AS b FROM range(0, {d}) t(i)) r LEFT JOIN dc ON dc.id = dw.id AND dc.b = r.b),
 emb AS (SELECT id, list_append(list(v ORDER BY b), 1.0::DOUBLE) AS x FROM dd GROUP BY id)"""
 
 
+DOC64 = sql_terms("documents", "doc_id", "text", 64)
+
+
 def sql_topk(points: str, planes_sql: str, k: int = 10, where: str = "TRUE") -> str:
     """Plain scan: what every search must return."""
     return f"""WITH {points}, {planes_sql},
@@ -84,7 +99,11 @@ r AS (SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY margin, id) AS ra
 SELECT qid, rank, id, margin FROM r WHERE rank <= {k}"""
 
 
-SETS = {"emb": (tables.emb, 64), "emb_scaled": (tables.emb_scaled, 64), "emb_cluster": (tables.emb_cluster, 64), "li4": (tables.li4, 4), "part2": (tables.part2, 2), "doc_tf": (tables.doc_tf, 64)}
+SETS = {
+    "emb": (tables.emb, 64), "emb_scaled": (tables.emb_scaled, 64), "emb_cluster": (tables.emb_cluster, 64), "li4": (tables.li4, 4), "li6": (tables.li6, 6), "part2": (tables.part2, 2), "order2": (tables.order2, 2), "cust3": (tables.cust3, 3),
+    "user_rates": (tables.user_rates, 10), "doc_tf": (tables.doc_tf, 64), "doc_tf256": (lambda spark, d: tables.doc_tf(spark, d, 256), 256), "doc_tf1024": (lambda spark, d: tables.doc_tf(spark, d, 1024), 1024), "page_tf": (tables.page_tf, 128), "conv_tf": (tables.conv_tf, 128),
+}
+ROWS = {"doc_tf": 200, "doc_tf256": 200, "doc_tf1024": 200, "emb": 500, "emb_scaled": 500, "emb_cluster": 500}  # sets whose planes are anchored at rows: ids below these are there
 
 
 def points_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -94,9 +113,9 @@ def points_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def planes_for(spark: SparkSession, sf_dir: str, name: str, n: int = 100, share: float = 0.9) -> DataFrame:
     """The planes that go with a set."""
     d = SETS[name][1]
-    if name in ("li4", "part2"):
+    if name not in ROWS:
         return planes.through_box(spark, n, d, share)
-    return planes.through_rows(spark, points_of(spark, sf_dir, name), n, d, share, 200 if name == "doc_tf" else 500)
+    return planes.through_rows(spark, points_of(spark, sf_dir, name), n, d, share, ROWS[name])
 
 
 def index_of(spark: SparkSession, sf_dir: str, name: str, leaf_size: int, shards: int = 1, annotate: bool = True) -> Index:

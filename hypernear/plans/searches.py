@@ -9,16 +9,16 @@ from pyspark.sql import functions as F
 from ..functions import exprs as E
 from ..operators import brute, build, index, metrics, search, vectors
 from ..operators.baselines import hashing, lift
-from ..sources import planes
+from ..sources import planes, tables
 from ..sources.storage import fresh_path, persisted
 from ..streaming import flows
-from .registry import CLUSTER, DOC64, EMB, LI4, PART2, dot, index_of, norm, planes_for, points_of, query, sql_normals, sql_planes_box, sql_planes_rows, sql_topk
+from .registry import CLUSTER, CUSTOMERS, DOC64, EMB, LI4, LI6, ORDERS, PART2, USERS, dot, index_of, norm, planes_for, points_of, query, sql_normals, sql_planes_box, sql_planes_rows, sql_terms, sql_topk
 
 H1 = sql_planes_rows("emb", 100, 64)
 BRUTE = {k: sql_topk(EMB, H1, k) for k in (1, 10, 20, 40)}
 CLUSTERED = sql_topk(CLUSTER, H1)
-LINES = sql_topk(LI4, sql_planes_box(20, 4))
-DOCS = sql_topk(DOC64, sql_planes_rows("emb", 20, 64, 0.9, 200))
+LINES = sql_topk(LI4, sql_planes_box(100, 4))
+DOCS = sql_topk(DOC64, sql_planes_rows("emb", 100, 64, 0.9, 200))
 
 
 def emb(spark: SparkSession, d: str, n: int = 100):
@@ -28,9 +28,9 @@ def emb(spark: SparkSession, d: str, n: int = 100):
 # --- exhaustive ---
 
 
-@query(f"WITH {EMB}, {sql_planes_rows('emb', 10, 64)} SELECT qid, id, abs({dot('x', 'q')}) AS margin FROM emb CROSS JOIN planes")
+@query(f"WITH {EMB}, {sql_planes_rows('emb', 100, 64)} SELECT qid, id, abs({dot('x', 'q')}) AS margin FROM emb CROSS JOIN planes")
 def margin_all(spark, d):
-    return brute.all_margins(*emb(spark, d, 10), d=65)
+    return brute.all_margins(*emb(spark, d), d=65)
 
 
 @query(BRUTE[1].replace("SELECT qid, rank, id, margin FROM r", "SELECT qid, id, margin FROM r"))
@@ -62,9 +62,9 @@ def kth_margin(spark, d):
     return top.select("qid", lam.alias("lam")).distinct()
 
 
-@query(f"WITH {EMB}, {sql_planes_rows('emb', 20, 64)}, m AS (SELECT qid, id, abs({dot('x', 'q')}) AS margin FROM emb CROSS JOIN planes) SELECT qid, id, margin FROM m WHERE margin <= 0.02")
+@query(f"WITH {EMB}, {sql_planes_rows('emb', 100, 64)}, m AS (SELECT qid, id, abs({dot('x', 'q')}) AS margin FROM emb CROSS JOIN planes) SELECT qid, id, margin FROM m WHERE margin <= 0.02")
 def slab_range(spark, d):
-    return brute.slab(*emb(spark, d, 20), tau=0.02, d=65)
+    return brute.slab(*emb(spark, d), tau=0.02, d=65)
 
 
 @query(f"WITH {EMB}, {H1}, m AS (SELECT qid, {dot('x', 'q')} AS ip FROM emb CROSS JOIN planes) SELECT qid, count(*) FILTER (ip > 0) AS above, count(*) FILTER (ip < 0) AS below, count(*) FILTER (ip = 0) AS \"on\" FROM m GROUP BY qid")
@@ -110,10 +110,10 @@ def validation(spark, d):
     return vectors.validate(points_of(spark, d, "emb"))
 
 
-@query(f"WITH {EMB}, {sql_planes_rows('emb', 10, 64)}, raw AS (SELECT qid, list_transform(q, lambda v: v * (qid + 2)) AS q FROM planes), n AS (SELECT qid, list_transform(q, lambda v: v / {norm('q[1:64]')}) AS q FROM raw) SELECT qid, generate_subscripts(q, 1) - 1 AS pos, unnest(q) AS value FROM n")
+@query(f"WITH {EMB}, {sql_planes_rows('emb', 100, 64)}, raw AS (SELECT qid, list_transform(q, lambda v: v * (qid + 2)) AS q FROM planes), n AS (SELECT qid, list_transform(q, lambda v: v / {norm('q[1:64]')}) AS q FROM raw) SELECT qid, generate_subscripts(q, 1) - 1 AS pos, unnest(q) AS value FROM n")
 def normalized_queries(spark, d):
     """Planes of any length brought back to unit normals."""
-    raw = planes_for(spark, d, "emb", 10).select("qid", F.transform("q", lambda v: v * (F.col("qid") + 2)).alias("q"))
+    raw = planes_for(spark, d, "emb").select("qid", F.transform("q", lambda v: v * (F.col("qid") + 2)).alias("q"))
     return vectors.normalize_queries(raw)[0].select("qid", F.posexplode("q").alias("pos", "value")).withColumn("pos", F.col("pos").cast("long"))
 
 
@@ -157,13 +157,72 @@ tree_query("sharded_topk", CLUSTERED, "emb_cluster", 20, shards=6)
 tree_query("frontier_topk", CLUSTERED, "emb_cluster", 50, method=search.frontier, annotated=False)
 tree_query("frontier_annotated_topk", CLUSTERED, "emb_cluster", 50, method=search.frontier)
 tree_query("one_shot_topk", CLUSTERED, "emb_cluster", 50, method=search.frontier, one_shot=True)
-tree_query("lineitem_annotated_topk", LINES, "li4", 1000, 20, shards=4)
-tree_query("doc_annotated_topk", DOCS, "doc_tf", 100, 20)
+tree_query("lineitem_annotated_topk", LINES, "li4", 1000, shards=4)
+tree_query("doc_annotated_topk", DOCS, "doc_tf", 100)
 tree_query("budget_whole_topk", CLUSTERED, "emb_cluster", 20, method=search.budgeted, budget=1.0)
 tree_query("budget_depth_first", None, "emb_cluster", 20, method=search.budgeted, budget=0.2, order="depth_first")
 tree_query("budget_global", None, "emb_cluster", 20, method=search.budgeted, budget=0.2)
 
 
+# The other vector sets, each searched on a tree.
+tree_query("li6_topk", sql_topk(LI6, sql_planes_box(100, 6)), "li6", 1000, shards=4)
+tree_query("orders_topk", sql_topk(ORDERS, sql_planes_box(100, 2)), "order2", 200, shards=2)
+tree_query("customers_topk", sql_topk(CUSTOMERS, sql_planes_box(100, 3)), "cust3", 100)
+tree_query("parts_topk", sql_topk(PART2, sql_planes_box(100, 2)), "part2", 100)
+tree_query("users_topk", sql_topk(USERS, sql_planes_box(100, 10)), "user_rates", 100)
+tree_query("doc256_topk", sql_topk(sql_terms("documents", "doc_id", "text", 256), sql_planes_rows("emb", 100, 256, 0.9, 200)), "doc_tf256", 100)
+tree_query("doc1024_topk", sql_topk(sql_terms("documents", "doc_id", "text", 1024), sql_planes_rows("emb", 100, 1024, 0.9, 200)), "doc_tf1024", 100)
+tree_query("pages_topk", sql_topk(sql_terms("pages", "page_id", "html", 128), sql_planes_box(100, 128)), "page_tf", 100)
+tree_query("turns_topk", sql_topk(sql_terms("conversations", "conv_id * 1000 + turn", "text", 128), sql_planes_box(100, 128)), "conv_tf", 100)
+
+
+@query("SELECT 0::BIGINT AS n")
+def amplified_disagreements(spark, d):
+    """V9, lines with jittered copies: answers of the tree that a scan doesn't give, or the other way round."""
+    points, some = persisted(tables.li4(spark, d, 2).select("id", "x"), "amplified"), planes_for(spark, d, "li4")
+    found, truth = search.shard_dfs(build.hybrid(points, 1000, shards=4), some), brute.topk_arrow(points, some)
+    return found.exceptAll(truth).unionByName(truth.exceptAll(found)).agg(F.count("*").alias("n"))
+
+
+@query(CLUSTERED)
+def leaf_join(spark, d):
+    """The leaves that a threshold can reach, joined with their points."""
+    built, some = index_of(spark, d, "emb_cluster", 50), planes_for(spark, d, "emb_cluster")
+    lam = search.thresholds(built, some, 10)
+    return brute.ranked(search.leaf_scan(built, search.theta_leaves(built, some, lam), some), 10)
+
+
+@query("SELECT 0::BIGINT AS n")
+def slack_guarantee(spark, d):
+    """With slack 0.5 a found margin is at most half as large again as the true one of its rank."""
+    built, some = index_of(spark, d, "emb_cluster", 20), planes_for(spark, d, "emb_cluster")
+    truth = brute.topk_arrow(points_of(spark, d, "emb_cluster").select("id", "x"), some).select("qid", "rank", F.col("margin").alias("true"))
+    found = search.shard_dfs(built, some, eps=0.5)
+    return truth.join(found, ["qid", "rank"], "left").agg(F.count_if(F.col("margin").isNull() | (F.col("margin") > 1.5 * F.col("true") + 1e-9)).alias("n"))
+
+
+@query("SELECT 0::BIGINT AS n")
+def counter_identity(spark, d):
+    """Points seen in an exact search are verified or ruled out by a bound, each once."""
+    built, some = index_of(spark, d, "emb_cluster", 20, 6), planes_for(spark, d, "emb_cluster")
+    cost = search.counters(search.shard_dfs(built, some, with_counters=True))
+    return cost.agg(F.count_if((F.col("points_seen") != F.col("verified") + F.col("pruned_ball") + F.col("pruned_cone")) | (F.col("shards_touched") != 6)).alias("n"))
+
+
+@query("SELECT 'depth_first' AS \"order\", 0::BIGINT AS wrong, 0::BIGINT AS short UNION ALL SELECT 'global', 0, 0")
+def budget_verified(spark, d):
+    """Answers under a budget hold true margins, and k of them a plane."""
+    built, some, out = index_of(spark, d, "emb_cluster", 20), planes_for(spark, d, "emb_cluster"), None
+    truth = brute.all_margins(points_of(spark, d, "emb_cluster").select("id", "x"), some, 65).select("qid", "id", F.col("margin").alias("true"))
+    for order in ("depth_first", "global"):
+        found = persisted(search.budgeted(built, some, budget=0.2, order=order), "budget-found")
+        wrong = found.join(truth, ["qid", "id"], "left").agg(F.count_if(F.col("true").isNull() | (F.col("true") != F.col("margin"))).alias("wrong"))
+        short = found.groupBy("qid").count().agg((F.lit(100) - F.count_if(F.col("count") == 10)).alias("short"))
+        row = wrong.crossJoin(short).select(F.lit(order).alias("order"), "wrong", F.col("short").cast("long").alias("short"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query(CLUSTERED)
 def levels_topk(spark, d):
     """An index built level by level with aggregations."""
@@ -179,7 +238,7 @@ def tree_invariants(spark, d):
 def rollup_centers(spark, d):
     """Inner centres computed upwards agree with means over all points below."""
     built = index_of(spark, d, "emb_cluster", 20)
-    up = built.points.join(built.nodes.select("shard", "node", "lo", "hi", "center"), (F.col("pos") >= F.col("lo")) & (F.col("pos") < F.col("hi")))
+    up = built.points.join(built.nodes.select("shard", "node", "lo", "hi", "center"), "shard").filter((F.col("pos") >= F.col("lo")) & (F.col("pos") < F.col("hi")))
     mean = up.select("node", F.posexplode("x").alias("i", "v"), "center").groupBy("node", "i").agg(F.avg("v").alias("v"), F.first(F.get("center", F.col("i"))).alias("c"))
     return mean.agg(F.count_if(F.abs(F.col("v") - F.col("c")) > 1e-9).alias("n"))
 
@@ -187,7 +246,7 @@ def rollup_centers(spark, d):
 @query("SELECT 0::BIGINT AS n")
 def sibling_identity(spark, d):
     """Products derived from parent and sibling agree with direct ones."""
-    built, some = index_of(spark, d, "emb_cluster", 20), planes_for(spark, d, "emb_cluster", 20)
+    built, some = index_of(spark, d, "emb_cluster", 20), planes_for(spark, d, "emb_cluster")
     met = built.wide().join(built.nodes.select("shard", "node", "center"), ["shard", "node"]).crossJoin(F.broadcast(some))
     ip = lambda c: E.dot(c, F.col("q"), 65)
     derived = E.sibling_ip(ip(F.col("center")), ip(F.col("small.center")), F.col("n"), F.col("small.n"))
@@ -197,7 +256,7 @@ def sibling_identity(spark, d):
 @query("SELECT 0::BIGINT AS n")
 def halving_check(spark, d):
     """With derived siblings C centre products become (C + 1) / 2."""
-    built, some = index_of(spark, d, "li4", 1000, 4), planes_for(spark, d, "li4", 20)
+    built, some = index_of(spark, d, "li4", 1000, 4), planes_for(spark, d, "li4")
     cost = {derive: search.counters(search.shard_dfs(built, some, derive_sibling=derive, with_counters=True, rederive=1 << 30)).select("qid", F.col("center_products").alias(f"c{int(derive)}"), F.col("shards_touched").alias(f"s{int(derive)}")) for derive in (False, True)}
     return cost[False].join(cost[True], "qid").agg(F.count_if(2 * F.col("c1") - F.col("s1") != F.col("c0")).alias("n"))
 
@@ -205,7 +264,7 @@ def halving_check(spark, d):
 @query("SELECT 0::BIGINT AS fewer, 0::BIGINT AS same")
 def ablation_order(spark, d):
     """Planes where the full tree verifies more than a variant, or more than without the ball, which the cone contains."""
-    built, some = index_of(spark, d, "emb_cluster", 20), planes_for(spark, d, "emb_cluster", 20)
+    built, some = index_of(spark, d, "emb_cluster", 20), planes_for(spark, d, "emb_cluster")
     variants = {"full": {}, "ball": dict(cone=False), "cone": dict(ball=False), "none": dict(ball=False, cone=False)}
     cost = [search.counters(search.shard_dfs(built, some, with_counters=True, **v)).select("qid", F.col("verified").alias(k)) for k, v in variants.items()]
     joined = cost[0].join(cost[1], "qid").join(cost[2], "qid").join(cost[3], "qid")
@@ -238,30 +297,30 @@ def index_round_trip(spark, d):
 @query("SELECT 0::BIGINT AS n")
 def lift_identity(spark, d):
     """Products of lifts are squared products."""
-    points, some = points_of(spark, d, "part2").select("id", "x"), planes_for(spark, d, "part2", 20)
+    points, some = points_of(spark, d, "part2").select("id", "x"), planes_for(spark, d, "part2")
     pairs = points.crossJoin(F.broadcast(some))
     square = F.pow(E.dot(F.col("x"), F.col("q"), 3), F.lit(2.0))
     return pairs.agg(F.count_if(F.abs(E.dot(lift.lift(F.col("x")), lift.lift(F.col("q"))) - square) > 1e-9 * (1 + square)).alias("n"))
 
 
 def lifted_topk(spark, d, near: bool) -> DataFrame:
-    points, some = points_of(spark, d, "emb_cluster").select("id", "x"), planes_for(spark, d, "emb_cluster", 20)
+    points, some = points_of(spark, d, "emb_cluster").select("id", "x"), planes_for(spark, d, "emb_cluster")
     order = F.asc("distance") if near else F.desc("distance")
     place = F.row_number().over(W.partitionBy("qid").orderBy(order, "id"))
     chosen = lift.exact_distances(points, some, near).withColumn("place", place).filter("place <= 10")
     return hashing.verify(points, chosen, some, 10, 65)
 
 
-CLUSTERED_20 = sql_topk(CLUSTER, sql_planes_rows("emb", 20, 64))
+CLUSTERED_20 = sql_topk(CLUSTER, sql_planes_rows("emb", 100, 64))
 query(CLUSTERED_20, "near_lift_topk")(lambda spark, d: lifted_topk(spark, d, True))
 query(CLUSTERED_20, "far_lift_topk")(lambda spark, d: lifted_topk(spark, d, False))
 
 
-@query(f"""WITH {PART2}, {sql_planes_box(20, 2)}, f AS (SELECT max({dot('x', 'x')}) AS most FROM emb),
+@query(f"""WITH {PART2}, {sql_planes_box(100, 2)}, f AS (SELECT max({dot('x', 'x')}) AS most FROM emb),
 m AS (SELECT qid, sqrt(most * most + pow({dot('q', 'q')}, 2) + 2 * pow({dot('x', 'q')}, 2)) AS distance FROM emb CROSS JOIN planes CROSS JOIN f)
 SELECT qid, round(max(distance) / min(distance), 6) AS ratio FROM m GROUP BY qid""")
 def distortion_ratio(spark, d):
-    points, some = points_of(spark, d, "part2").select("id", "x"), planes_for(spark, d, "part2", 20)
+    points, some = points_of(spark, d, "part2").select("id", "x"), planes_for(spark, d, "part2")
     return lift.distortion(lift.exact_distances(points, some)).select("qid", F.round("ratio", 6).alias("ratio"))
 
 
@@ -272,7 +331,7 @@ def sampled_lift(spark, d):
 
 
 def hash_search(spark, d, kind: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    points, some = persisted(points_of(spark, d, "emb_cluster").select("id", "x"), "hash-set"), planes_for(spark, d, "emb_cluster", 20)
+    points, some = persisted(points_of(spark, d, "emb_cluster").select("id", "x"), "hash-set"), planes_for(spark, d, "emb_cluster")
     if kind == "near":
         return points, some, hashing.near_search(hashing.near_build(points, m=128, lam=4 * 65), some, budget=0.5)
     if kind == "far":
@@ -292,6 +351,8 @@ query(None, "far_hash_topk")(lambda spark, d: hash_search(spark, d, "far")[2])
 query(None, "sphere_pair_topk")(lambda spark, d: hash_search(spark, d, "pair")[2])
 query(None, "sphere_bilinear_topk")(lambda spark, d: hash_search(spark, d, "bilinear")[2])
 query(None, "sphere_lift_topk")(lambda spark, d: hash_search(spark, d, "embedding")[2])
+for _kind in ("pair", "bilinear", "embedding"):
+    query("SELECT 0::BIGINT AS n", f"sphere_{_kind}_verified")(lambda spark, d, kind=_kind: verified_margins(spark, d, kind))
 query("SELECT 0::BIGINT AS n", "near_hash_verified")(lambda spark, d: verified_margins(spark, d, "near"))
 query("SELECT 0::BIGINT AS n", "far_hash_verified")(lambda spark, d: verified_margins(spark, d, "far"))
 
@@ -383,7 +444,7 @@ def stream_topk(spark, d):
 @query(CLUSTERED_20)
 def stream_planes(spark, d):
     """A stream of planes searched on a static index."""
-    planes_for(spark, d, "emb_cluster", 20).select("qid", "q").write.parquet(path := fresh_path(spark, "plane-stream"))
+    planes_for(spark, d, "emb_cluster").select("qid", "q").write.parquet(path := fresh_path(spark, "plane-stream"))
     stream, out = spark.readStream.schema("qid long, q array<double>").parquet(path), fresh_path(spark, "plane-answers")
     flows.search_each(stream, index_of(spark, d, "emb_cluster", 20), lambda found, n: found.write.mode("append").parquet(out)).awaitTermination()
     return spark.read.parquet(out)
@@ -394,7 +455,7 @@ def append_topk(spark, d):
     """An index of half the points, with the other half appended: answers stay exact."""
     points = points_of(spark, d, "emb_cluster").select("id", "x")
     half = build.hybrid(points.filter("id % 2 = 0"), 50)
-    return search.shard_dfs(flows.append(half, points.filter("id % 2 = 1")), planes_for(spark, d, "emb_cluster", 20))
+    return search.shard_dfs(flows.append(half, points.filter("id % 2 = 1")), planes_for(spark, d, "emb_cluster"))
 
 
 @query("WITH " + LI4 + ", pl AS (SELECT i AS qid, 0.1::DOUBLE + 0.2::DOUBLE * i AS c FROM range(0, 4) t(i)) SELECT qid, id, abs(x[2] - c) AS margin FROM emb CROSS JOIN pl WHERE abs(x[2] - c) <= 0.001")

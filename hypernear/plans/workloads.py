@@ -50,11 +50,62 @@ def label_plane(spark, d, column: str):
     return planes.finished(rows.select(F.lit(0).cast("long").alias("qid"), F.concat(normal, F.array(-E.dot(normal, half))).alias("q")))
 
 
-@query()
+def sql_label_requests(column: str) -> str:
+    return f"""WITH {DOC64}, met AS (SELECT x, {column} AS y FROM emb JOIN labels ON doc_id = id),
+long AS (SELECT y, unnest(x) AS v, generate_subscripts(x, 1) AS i FROM met),
+mm AS (SELECT i, round(avg(v) FILTER (y = 1), 9) AS one, round(avg(v) FILTER (y = 0), 9) AS zero FROM long WHERE i <= 64 GROUP BY i),
+ll AS (SELECT list(one - zero ORDER BY i) AS w, list((one + zero) / 2 ORDER BY i) AS h FROM mm),
+qq AS (SELECT list_append(w, -{dot('w', 'h')}) AS r FROM ll),
+planes AS (SELECT 0::BIGINT AS qid, list_transform(r, lambda v: v / {norm('r[1:64]')}) AS q FROM qq),
+m AS (SELECT qid, id, abs({dot('x', 'q')}) AS margin FROM emb CROSS JOIN planes WHERE id NOT IN (SELECT doc_id FROM labels)),
+r AS (SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY margin, id) AS rank, id, margin FROM m)
+SELECT qid, rank, id, round(margin, 9) AS margin FROM r WHERE rank <= 20"""
+
+
+def label_requests(spark, d, column: str):
+    pool = tables.doc_tf(spark, d, 64).join(unlabeled_anti(spark, d).withColumnRenamed("doc_id", "id"), "id", "left_semi")
+    return brute.topk(pool, label_plane(spark, d, column), 20, 65).withColumn("margin", F.round("margin", 9))
+
+
+@query(sql_label_requests("quality"))
 def document_label_requests(spark, d):
     """Active learning on documents: unlabelled ones nearest to the quality plane."""
-    pool = tables.doc_tf(spark, d, 64).join(unlabeled_anti(spark, d).withColumnRenamed("doc_id", "id"), "id", "left_semi")
-    return brute.topk(pool, label_plane(spark, d, "quality"), 20, 65)
+    return label_requests(spark, d, "quality")
+
+
+@query(sql_label_requests("toxic"))
+def document_toxic_requests(spark, d):
+    """The same for the plane between toxic documents and others."""
+    return label_requests(spark, d, "toxic")
+
+
+def active_learning(spark, d, rounds: int = 4, ask: int = 20, first: int = 10):
+    """W9: rounds of asking for labels. A round puts the plane half-way between the mean vectors of the documents labelled so far, and asks
+    for the labels of the unlabelled ones nearest to it. (round, asked, accuracy): how the plane divides all labelled documents."""
+    from ..sources.storage import persisted
+
+    marks = tables.table(spark, d, "labels").filter("quality is not null").groupBy(F.col("doc_id").alias("id")).agg(F.max("quality").alias("y"))
+    pool = persisted(tables.doc_tf(spark, d, 64).select("id", "x").join(marks, "id"), "learning-pool")
+    by = W.partitionBy("y").orderBy(F.xxhash64("id", F.lit(3)), "id")
+    known = persisted(pool.withColumn("n", F.row_number().over(by)).filter(F.col("n") <= first).select("id"), "learning-known")
+    rows = []
+    for number in range(rounds):
+        mean = pool.join(known, "id").select("y", F.posexplode("x").alias("i", "v")).filter("i < 64").groupBy("i").agg(F.avg(F.when(F.col("y") == 1, F.col("v"))).alias("one"), F.avg(F.when(F.col("y") == 0, F.col("v"))).alias("zero"))
+        parts = mean.agg(F.array_sort(F.collect_list(F.struct("i", (F.col("one") - F.col("zero")).alias("w"), ((F.col("one") + F.col("zero")) / 2).alias("h")))).alias("a"))
+        w, h = F.transform("a", lambda s: s["w"]), F.transform("a", lambda s: s["h"])
+        plane = persisted(planes.finished(parts.select(F.lit(0).cast("long").alias("qid"), F.concat(w, F.array(-E.dot(w, h))).alias("q"))), "learning-plane")
+        side = pool.crossJoin(F.broadcast(plane)).select("y", (E.dot(F.col("x"), F.col("q"), 65) > 0).cast("int").alias("side"))
+        right = side.agg(F.avg((F.col("side") == F.col("y")).cast("double"))).first()[0]
+        rows.append((number, known.count(), right))
+        picked = brute.topk(pool.select("id", "x").join(known, "id", "left_anti"), plane, ask, 65).select("id")
+        known = persisted(known.unionByName(picked), "learning-known")
+    return spark.createDataFrame(rows, "round int, asked long, accuracy double")
+
+
+@query("SELECT i::INT AS round, (20 + 20 * i)::BIGINT AS asked FROM range(0, 4) t(i)")
+def active_learning_loop(spark, d):
+    """Each round of the loop asks for as many new labels as it should, none twice."""
+    return active_learning(spark, d).filter("accuracy between 0 and 1").select("round", "asked")
 
 
 @query(f"WITH {EMB}, {sql_planes_rows('emb', 100, 64)}, {MARGINS}, l AS (SELECT qid, min(margin) AS least FROM m GROUP BY qid) SELECT arg_max(qid, (least, -qid)) AS qid, max(least) AS margin FROM l")
@@ -72,12 +123,12 @@ def dimension_margin(spark, d):
     return near.select(F.col("qid").alias("dim"), "margin", F.rank().over(W.orderBy(F.desc("margin"), "qid")).cast("long").alias("place"))  # one row a dimension
 
 
-def line_topk(spark, d, n: int = 20, k: int = 10):
+def line_topk(spark, d, n: int = 100, k: int = 10):
     points = points_of(spark, d, "li4")
     return points, brute.topk(points.select("id", "x"), planes_for(spark, d, "li4", n), k, 5)
 
 
-LINE_TOP = f"{LI4}, {sql_planes_box(20, 4)}, {MARGINS}, top AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY margin, id) AS rank FROM m) WHERE rank <= 10)"
+LINE_TOP = f"{LI4}, {sql_planes_box(100, 4)}, {MARGINS}, top AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY margin, id) AS rank FROM m) WHERE rank <= 10)"
 
 
 @query(f"WITH {LINE_TOP} SELECT r_name, n_name, count(*) AS hits, round(avg(margin), 9) AS mean_margin FROM top JOIN emb ON emb.id = top.id JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ALL")
@@ -138,10 +189,10 @@ def distinct_estimate(spark, d):
 # --- windows and sets ---
 
 
-EMB_TOP = f"{EMB}, {sql_planes_rows('emb', 20, 64)}, {MARGINS}"
+EMB_TOP = f"{EMB}, {sql_planes_rows('emb', 100, 64)}, {MARGINS}"
 
 
-def emb_margins(spark, d, n: int = 20):
+def emb_margins(spark, d, n: int = 100):
     return brute.all_margins(points_of(spark, d, "emb").select("id", "x"), planes_for(spark, d, "emb", n), 65)
 
 
@@ -161,7 +212,7 @@ def margin_gaps(spark, d):
 
 
 def two_methods(spark, d):
-    points, some = points_of(spark, d, "emb"), planes_for(spark, d, "emb", 20)
+    points, some = points_of(spark, d, "emb"), planes_for(spark, d, "emb")
     whole = brute.topk(points.select("id", "x"), some, 20, 65).select("qid", "id")
     half = brute.topk(points.filter("label < 5").select("id", "x"), some, 20, 65).select("qid", "id")
     return whole, half
@@ -189,13 +240,30 @@ def method_outer(spark, d):
     return joined.groupBy("qid").agg(F.count("w").alias("whole"), F.count("h").alias("half"), F.count("*").alias("either"))
 
 
-@query(f"WITH {EMB}, {sql_planes_rows('emb', 10, 64)} SELECT qid, id, abs({dot('x', 'q')}) AS margin, greatest(abs({dot('x', 'q')}) - q_norm * 0.01, 0) AS bound FROM emb CROSS JOIN planes WHERE id < 20")
+@query(f"WITH {EMB}, {sql_planes_rows('emb', 100, 64)} SELECT qid, id, abs({dot('x', 'q')}) AS margin, greatest(abs({dot('x', 'q')}) - q_norm * 0.01, 0) AS bound FROM emb CROSS JOIN planes")
 def sql_margin(spark, d):
     """The SQL functions, inlined into a SQL query."""
     sqlfns.register(spark)
     points_of(spark, d, "emb").createOrReplaceTempView("hn_points")
-    planes_for(spark, d, "emb", 10).createOrReplaceTempView("hn_planes")
-    return spark.sql("SELECT qid, id, hn_absdot(x, q) AS margin, hn_node_bound(hn_absdot(x, q), q_norm, 0.01D) AS bound FROM hn_points CROSS JOIN hn_planes WHERE id < 20")
+    planes_for(spark, d, "emb").createOrReplaceTempView("hn_planes")
+    return spark.sql("SELECT qid, id, hn_absdot(x, q) AS margin, hn_node_bound(hn_absdot(x, q), q_norm, 0.01D) AS bound FROM hn_points CROSS JOIN hn_planes")
+
+
+@query(f"WITH {EMB}, {sql_planes_rows('emb', 100, 64)} SELECT qid, id, abs({dot('x', 'q')}) AS margin FROM emb CROSS JOIN planes")
+def batch_udf_margins(spark, d):
+    """Margins by a vectorised Python function, which adds in the order of the components."""
+    pairs = points_of(spark, d, "emb").select("id", "x").crossJoin(F.broadcast(planes_for(spark, d, "emb").select("qid", "q")))
+    return pairs.select("qid", "id", sqlfns.absdot_batch("x", "q").alias("margin"))
+
+
+@query(f"WITH {EMB}, c AS (SELECT label, unnest(x) AS v, generate_subscripts(x, 1) AS pos FROM emb), mc AS (SELECT label, pos, round(avg(v), 9) AS v FROM c GROUP BY ALL), cc AS (SELECT label, list(v ORDER BY pos) AS center FROM mc GROUP BY label), g AS (SELECT e.label, sqrt(list_sum(list_transform(list_zip(x, center), lambda z: (z[1] - z[2]) * (z[1] - z[2])))) AS far FROM emb e JOIN cc ON cc.label = e.label) SELECT label, round(max(far), 9) AS radius FROM g GROUP BY label")
+def radius_by_udaf(spark, d):
+    """The radius of each label's ball, as a Python aggregate."""
+    points = points_of(spark, d, "emb")
+    parts = points.select("label", F.posexplode("x").alias("pos", "v")).groupBy("label", "pos").agg(F.round(F.avg("v"), 9).alias("v"))
+    centers = parts.groupBy("label").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "v"))), lambda s: s["v"]).alias("center"))
+    met = points.join(F.broadcast(centers), "label")  # ten labels
+    return met.groupBy("label").agg(F.round(sqlfns.vec_radius("x", "center"), 9).alias("radius"))
 
 
 @query(f"WITH {EMB}, {sql_planes_rows('emb', 3, 64)}, {MARGINS}, r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY margin, id) AS rank FROM m WHERE qid = 2) SELECT id, margin FROM r WHERE rank <= 5")

@@ -2,16 +2,17 @@
 
 from __future__ import annotations
 
-import os
+import re
 
 import pyarrow.parquet as pq
+from pyarrow import fs
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 SCHEMA = "shard int, leaf long, pos long, id long, r_x double, x_par double, x_perp double, x array<double>"
 
 
 class IndexSource(DataSource):
-    """Each file of the index is one partition; only paths that executors can open as files are read this way."""
+    """Each file of the index is one partition. Paths are opened by their scheme (file, hdfs, s3, gs), as Arrow knows it; without one, as files."""
 
     @classmethod
     def name(cls) -> str:
@@ -26,13 +27,21 @@ class IndexSource(DataSource):
 
 class IndexReader(DataSourceReader):
     def __init__(self, path: str):
-        self.path = path.removeprefix("file://").removeprefix("file:")
+        self.path = path.replace("file:/", "file:///", 1) if re.match("file:/[^/]", path) else path
+
+    def store(self):
+        """The file system of the path, and the path in it."""
+        if "://" in self.path:
+            return fs.FileSystem.from_uri(self.path)
+        return fs.LocalFileSystem(), self.path
 
     def partitions(self) -> list[InputPartition]:
-        found = [os.path.join(folder, name) for folder, _, names in os.walk(os.path.join(self.path, "points")) for name in sorted(names) if name.endswith(".parquet")]
+        system, root = self.store()
+        found = [f.path for f in system.get_file_info(fs.FileSelector(f"{root}/points", recursive=True, allow_not_found=True)) if f.path.endswith(".parquet")]
         return [InputPartition(f) for f in sorted(found)] or [InputPartition("")]
 
     def read(self, partition: InputPartition):
         if partition.value:
             names = [part.split()[0] for part in SCHEMA.split(", ")]
-            yield from pq.ParquetFile(partition.value).iter_batches(columns=names)
+            with self.store()[0].open_input_file(partition.value) as file:
+                yield from pq.ParquetFile(file).iter_batches(columns=names)

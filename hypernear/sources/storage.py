@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import pickle
+import re
 import uuid
 
 from pyspark import Broadcast, cloudpickle
@@ -10,8 +11,10 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir as the session has it; a local default only where it is unset."""
+    """spark.checkpoint.dir as the session has it. Where it is unset, a default in local mode only: a cluster has to name its shared folder."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not root and not re.match(r"local($|\[)", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     return (root or "/tmp/checkpoints").rstrip("/")
 
 

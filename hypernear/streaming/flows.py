@@ -17,7 +17,7 @@ from ..operators.brute import batches_of, small_side
 from ..operators.build import as_tables, distance2, written
 from ..operators.grow import grow
 from ..operators.index import BOTH, Index
-from ..sources.storage import opened, persisted, ship
+from ..sources.storage import fresh_path, opened, persisted, ship
 
 
 def point_alerts(points: DataFrame, planes: DataFrame, tau: float, d: int | None = None) -> DataFrame:
@@ -159,8 +159,25 @@ def running_topk(scored: DataFrame, k: int = 10) -> DataFrame:
     return scored.groupBy("qid").transformWithStateInPandas(RunningTopK(k), "qid long, rank long, id long, margin double", "Update", "None")
 
 
-def drained(stream: DataFrame, spark: SparkSession, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there and return its rows from the memory sink."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
+def drained(stream: DataFrame, spark: SparkSession, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
+    """Run a stream over what is there and return its rows: of all batches, or of the last one where each is complete. Batches are
+    written as tables, each anew if it is run again, and none comes to the driver."""
+    out = fresh_path(spark, name)
+
+    def step(batch: DataFrame, number: int) -> None:
+        batch.withColumn("batch", F.lit(number).cast("long")).write.mode("overwrite").parquet(f"{out}/{number}")
+
+    writer = stream.writeStream.foreachBatch(step).outputMode(mode).trigger(availableNow=True).queryName(name)
+    (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start().awaitTermination()
+    folders = folders_of(spark, out)
+    if not folders:
+        return spark.createDataFrame([], stream.schema)
+    rows = spark.read.schema(stream.schema).parquet(*([f"{out}/{max(folders)}"] if mode == "complete" else [f"{out}/{n}" for n in folders]))
+    return rows
+
+
+def folders_of(spark: SparkSession, path: str) -> list[int]:
+    """The batches that were written below a path."""
+    root = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+    return sorted(int(s.getPath().getName()) for s in fs.listStatus(root)) if fs.exists(root) else []

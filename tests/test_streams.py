@@ -41,3 +41,17 @@ def test_stream_join_in_time(spark, tmp_path):
     planes = spark.readStream.schema("plane_ts timestamp, plane_key long, q array<double>").parquet(b)
     out = flows.drained(flows.matched(points, planes), spark, "join_test").collect()
     assert [r.margin for r in out] == [2.0]
+
+
+def test_a_restarted_stream_goes_on_from_its_checkpoint(spark, tmp_path):
+    """A second run with the first one's checkpoint reads only what is new, and keeps its state."""
+    folder, checkpoint = str(tmp_path / "in"), str(tmp_path / "checkpoint")
+    add = lambda start: spark.range(start, start + 10).select(F.lit(0).cast("long").alias("qid"), "id", (F.col("id") / 100).alias("margin")).coalesce(1).write.mode("append").parquet(folder)
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    run = lambda: flows.drained(flows.running_topk(spark.readStream.schema("qid long, id long, margin double").parquet(folder), 3), spark, "restart_test", "update", checkpoint).collect()
+    add(10)
+    assert sorted(r.id for r in run()) == [10, 11, 12]
+    add(50)
+    assert run() == []  # nothing nearer: the state of the first run is still there
+    add(0)
+    assert sorted(r.id for r in run()) == [0, 1, 2]
