@@ -11,8 +11,10 @@ from pyspark.sql import DataFrame, SparkSession
 
 from hypernear.llm import contamination, mixing, order_minhash, packing, toxicity
 from hypernear.llm.common import persisted, read, small_batches
+from hypernear.sources.storage import fresh_path
 
 TOXIC = 0.7
+WIDTH = 2048
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,8 +39,9 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Packed rows, written as id matrices of WIDTH columns."""
     small_batches(spark)
-    return packing.pack_tokens(docs)
+    return packing.write_matrices(packing.pack_tokens(docs, width=WIDTH), fresh_path(spark, "pipeline-matrices"), width=WIDTH)
 
 
 STAGES = [
