@@ -2,15 +2,14 @@
 
 from __future__ import annotations
 
-import pickle
 import re
-import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark import Broadcast, cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 
+from ..sources.storage import opened, persisted, shared_dir, ship  # noqa: F401
+
 WORD = re.compile(r"\w+")
 
 
@@ -23,34 +22,12 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a default only where unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    return (root or "/tmp/checkpoints").rstrip("/")
-
-
-def persisted(df: DataFrame, label: str) -> DataFrame:
-    """df as a Parquet table in the shared folder: cuts lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def small_batches(spark: SparkSession) -> None:
-    """Hold Arrow batches to 1,000 rows, as texts may be long."""
+    """Hold Arrow batches to 1,000 rows and 32 MB, as texts may be long."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(32 << 20))
 
 
 def split(batch: pa.RecordBatch, rows: int = 512) -> Iterator[pa.RecordBatch]:
     for at in range(0, batch.num_rows, rows):
         yield batch.slice(at, rows)
-
-
-def ship(spark: SparkSession, thing) -> Broadcast:
-    """Broadcast of a small object as bytes that open without this package; see opened()."""
-    return spark.sparkContext.broadcast(cloudpickle.dumps(thing))
-
-
-def opened(shipped: Broadcast):
-    return pickle.loads(shipped.value)

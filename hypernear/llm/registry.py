@@ -59,7 +59,7 @@ filled AS (
   FROM strata s JOIN goal g ON s.source IS NOT DISTINCT FROM g.source),
 factors AS (SELECT source, arg_max(factor, weight) FILTER (WHERE factor * weight <= 2) AS factor FROM filled GROUP BY source),
 rates AS (SELECT f.source, f.weight, f.words, f.source_size, f.target, least(coalesce(k.factor * f.weight, 2.0::DOUBLE), 2.0::DOUBLE) AS rate FROM filled f JOIN factors k ON f.source IS NOT DISTINCT FROM k.source),
-plan AS (SELECT source, source_size, target, target - CAST(sum(CAST(floor(rate) * words AS BIGINT)) AS DOUBLE) AS wanted FROM rates GROUP BY ALL),
+plan AS (SELECT source, source_size, target, target - CAST(sum(CAST(floor(rate) * words AS BIGINT)) AS DOUBLE) AS wanted FROM rates GROUP BY source, source_size, target),
 chances AS (
   SELECT s.*, p.source_size, p.target, p.wanted, floor(r.rate) AS whole, r.rate - floor(r.rate) AS p
   FROM sized s LEFT JOIN plan p ON s.source IS NOT DISTINCT FROM p.source LEFT JOIN rates r ON s.source IS NOT DISTINCT FROM r.source AND s.weight = r.weight AND s.size > 0),

@@ -49,6 +49,32 @@ def test_scan_equals_brute_force(real):
     assert {r.doc_id: r.own_licence for r in licenses.scan(docs, matcher).collect()} == want and any(want.values())
 
 
+def test_inheritance_equals_brute_force(spark):
+    """Random trees of directories, climbed file by file."""
+    import random
+
+    r, rows = random.Random(2), []
+    for i in range(600):
+        folder = "/".join(f"d{r.randrange(3)}" for _ in range(r.randrange(5)))
+        name = r.choice(["LICENSE", "COPYING.txt", "a.py", "b.py", "licence.md", "notice"])
+        rows.append((f"{folder}/{name}" if folder else name, r.choice([None, "MIT", "GPL-3.0", "ISC"]), r.randrange(80, 100) / 100, i))
+    rows += [(None, "MIT", 0.9, 700), rows[0]]
+    given: dict = {}
+    for path, own, similarity, _ in rows:
+        folder, slash, name = (path or "").rpartition("/")
+        if slash and own and name.lower().split(".")[0] in ("license", "licence", "copying", "notice"):
+            given[folder] = min(given.get(folder, (0, "~", "")), (-similarity, own, path))
+    want = []
+    for path, own, _, i in rows:
+        folder, near = (path or "").rpartition("/")[0], None
+        while folder and near is None:
+            near = given.get(folder, (None, None))[1]
+            folder = folder.rpartition("/")[0]
+        want.append((i, own or near))
+    found = licenses.inherit(spark.createDataFrame(rows, "path string, own_licence string, similarity double, i int"))
+    assert sorted(((x.i, x.licence) for x in found.collect()), key=str) == sorted(want, key=str)
+
+
 @pytest.fixture
 def store(spark, tmp_path):
     return shards.ShardStore(spark, str(tmp_path / "store"), target_bytes=60_000)

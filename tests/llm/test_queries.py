@@ -56,3 +56,21 @@ def test_pipeline_stages(spark, sf_dir, tmp_path):
     assert seen == ["toxicity", "near_dedup", "decontamination", "mixing", "packing"]
     assert corpus_pipeline.run(spark, sf_dir).count() > 0
     assert toxicity.held_out() is not None
+
+
+def test_pipeline_edge_cases(spark, sf_dir, documents, no_documents):
+    """Nulls in any column, empty and very long texts, repeated rows and clashing columns through each stage, and empty tables through all."""
+    docs = documents
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, docs, sf_dir)
+        assert stage(spark, no_documents, sf_dir).count() == 0
+        if name != "packing":
+            assert out.columns == documents.columns
+            if name != "mixing":
+                assert out.exceptAll(docs).isEmpty()
+            ids = [r.doc_id for r in out.select("doc_id").collect()]
+            assert name in ("toxicity", "mixing") or len(ids) >= 8  # clean documents stay, among them those without a text or an id
+            assert name != "near_dedup" or (ids.count(1) == 1 and ids.count(2) == 0 and None in ids and 4 in ids)
+            docs = spark.createDataFrame(out.collect(), out.schema)
+        else:
+            assert out.count() >= 1 and all(r.n_tokens <= 2048 for r in out.collect())
