@@ -57,6 +57,14 @@ class Tree:
     r_x: np.ndarray = None
     x_par: np.ndarray = None
     x_perp: np.ndarray = None
+    a_par: np.ndarray = None  # x_par without its sign
+    x_len: np.ndarray = None  # length of each point
+
+    def ready(self) -> Tree:
+        """What every walk reads of the annotations, worked out once."""
+        if self.a_par is None:
+            self.a_par, self.x_len = np.abs(self.x_par), np.hypot(self.x_par, self.x_perp)
+        return self
 
     def n(self, at: int) -> int:
         return self.hi[at] - self.lo[at]
@@ -201,6 +209,7 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     def bound(at: int, ip: float) -> float:
         return max(abs(ip) - q_norm * tree.radii[at], 0.0) * (1 + options.eps) - 1e-9 * q_norm * max(1.0, tree.norms[at])
 
+    tree.ready()
     done["center_products"], begun = 1, time.perf_counter_ns()
     todo = [(0, float(tree.centers[0] @ q), 0)]
     while todo and (quota is None or done["verified"] < quota):
@@ -228,7 +237,7 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     return sorted((-m, -i) for m, i in best), done
 
 
-def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options: Options, lam: float, quota: int | None, best: list, done: dict, chunk: int = 256) -> float:
+def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options: Options, lam: float, quota: int | None, best: list, done: dict, chunk: int = 1024) -> float:
     """Verify a leaf's points that no bound rules out; returns the new lam."""
     lo, hi = tree.lo[at], tree.hi[at]
     done["leaves_scanned"] += 1
@@ -250,11 +259,12 @@ def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options:
         start = stop
         if options.cone:
             done["cone_evals"] += len(some)
-            par, perp = along * tree.x_par[some], across * tree.x_perp[some]
-            low = np.maximum(np.maximum(par - perp, -(par + perp)), 0.0) - 1e-7 * q_norm * np.hypot(tree.x_par[some], tree.x_perp[some])
-            keep = low <= lam
-            done["pruned_cone"] += int((~keep).sum())
-            some = some[keep]
+            if np.isfinite(lam):
+                span = slice(some[0], stop)
+                low = abs(along) * tree.a_par[span] - across * tree.x_perp[span] - 1e-7 * q_norm * tree.x_len[span]
+                kept = some[low <= lam]
+                done["pruned_cone"] += len(some) - len(kept)
+                some = kept
         if quota is not None:
             some = some[: quota - done["verified"]]
         done["verified"] += len(some)

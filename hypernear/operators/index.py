@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -34,6 +34,16 @@ class Index:
     d: int
     leaf_size: int
     trees: DataFrame | None = None
+    known: dict = field(default_factory=dict)  # what was counted or fetched once
+
+    def roots(self, most_bytes: int = 8 << 20) -> dict[str, np.ndarray] | None:
+        """shard, part, center, center_norm and radius of all shards with points, if a count says that they are few enough for the driver."""
+        if "roots" not in self.known:
+            some = self.packed().filter("n > 0")
+            few = some.limit(most_bytes // (8 * (self.d + 5)) + 1).count() <= most_bytes // (8 * (self.d + 5))
+            table = some.select("shard", "part", "center", "center_norm", "radius").toArrow() if few else None
+            self.known["roots"] = table and {c: flat(table.column(c), self.d) if c == "center" else table.column(c).to_numpy() for c in table.column_names}
+        return self.known["roots"]
 
     def packed(self) -> DataFrame:
         """Rows (TREES, part), in folders by part."""

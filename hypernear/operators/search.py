@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -50,7 +51,11 @@ def thresholds(index: Index, planes: DataFrame, k: int, seeds: int = 3, preferen
 
 
 def likeliest(index: Index, qids: np.ndarray, Q: np.ndarray) -> dict[int, int]:
-    """The shard of each plane whose root's centre is nearest to it, found where the roots are: one number a plane and task comes back."""
+    """The shard of each plane whose root's centre is nearest to it; found where the roots are, if they are many: one number a plane and task comes back."""
+    roots = index.roots()
+    if roots is not None:
+        order = np.argsort(roots["shard"])
+        return dict(zip(qids.tolist(), roots["shard"][order][np.abs(roots["center"][order] @ Q.T).argmin(axis=0)].tolist())) if len(order) else {}
     shared = ship(index.nodes.sparkSession, (qids, Q))
 
     def run(batches):
@@ -69,6 +74,9 @@ def reachable_parts(index: Index, Q: np.ndarray, lengths: np.ndarray, lams: np.n
     """Folders with a shard that some plane's threshold can reach (at most PARTS numbers), or None for all, where no plane has a threshold."""
     if not np.isfinite(lams).all():
         return None
+    roots = index.roots()
+    if roots is not None:
+        return np.unique(roots["part"][reached(Q, lengths, lams, roots["center"], roots["center_norm"], roots["radius"]).any(axis=0)]).tolist()
     shared = ship(index.nodes.sparkSession, (Q, lengths, lams))
 
     def run(batches):
@@ -122,6 +130,9 @@ def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams
                 yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(columns, kinds)], names=["qid", "shard", "id", "margin", *COUNTERS])
 
     parts = reachable_parts(index, Q, lengths, lams) if but is not None else None
+    roots = index.roots()
+    if parts is not None and roots is not None and len(parts) == len(np.unique(roots["part"])):
+        parts = None  # all are read
     trees = index.packed() if parts is None else index.packed().filter(F.col("part").isin(parts))
     found = trees.select(*names(TREES)).mapInArrow(run, FOUND)
     if parts is None:
@@ -133,6 +144,22 @@ def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams
     return found.unionByName(unread)
 
 
+def kept_with_thresholds(found: DataFrame, qids: np.ndarray, k: int, most_rows: int = 100_000) -> tuple[DataFrame, np.ndarray]:
+    """Rows of a first round, computed once, and each plane's k-th margin: rows of few planes (k a plane) come through the driver, others are written."""
+    spark = found.sparkSession
+    if len(qids) * k <= most_rows:
+        table = found.toArrow()
+        rows = table.filter(pc.is_valid(table.column("id"))).select(["qid", "margin"])
+        worst = rows.group_by("qid").aggregate([("margin", "max"), ("margin", "count")])
+        lam = {q: m for q, m, n in zip(*(worst.column(c).to_pylist() for c in ("qid", "margin_max", "margin_count"))) if n >= k}
+        kept = spark.createDataFrame(table, FOUND) if table.num_rows else spark.createDataFrame([], FOUND)
+    else:
+        kept = persisted(found, "first-shards")
+        worst = kept.filter("id is not null").groupBy("qid").agg(F.max("margin").alias("lam"), F.count("*").alias("n"))
+        lam = {r.qid: r.lam for r in worst.filter(F.col("n") >= k).collect()}
+    return kept, np.array([lam.get(q, np.inf) for q in qids.tolist()])
+
+
 def shard_dfs(index: Index, planes: DataFrame, k: int = 10, ball: bool = True, cone: bool = True, derive_sibling: bool = True, preference: str = "center", budget: float | dict[int, float] | None = None, eps: float = 0.0, seeds: int = 3, with_counters: bool = False, rederive: int = 8, clock: bool = False) -> DataFrame:
     """Walk every shard's tree for every plane that can reach it.
 
@@ -142,13 +169,13 @@ def shard_dfs(index: Index, planes: DataFrame, k: int = 10, ball: bool = True, c
     A budget (a share of the points, or one for each qid) is dealt to the shards by size. The plain tree is ball = cone = derive_sibling = False.
     """
     options, found = Options(k, ball, cone, derive_sibling, preference, eps, rederive, clock), None
-    rounds = budget is None and seeds and index.packed().filter("n > 0").limit(2).count() > 1
+    roots = index.roots()
+    rounds = budget is None and seeds and (roots is None or len(roots["shard"]) > 1)
     for qids, Q in batches_of(planes):
         if rounds:
             first = likeliest(index, qids, Q)
-            part = persisted(walked(index, qids, Q, options, only=first), "first-shards")
-            lam = {r.qid: r.lam for r in part.filter("id is not null").groupBy("qid").agg(F.max("margin").alias("lam"), F.count("*").alias("n")).filter(F.col("n") >= k).collect()}
-            part = part.unionByName(walked(index, qids, Q, options, np.array([lam.get(q, np.inf) for q in qids.tolist()]), but=first))
+            part, lams = kept_with_thresholds(walked(index, qids, Q, options, only=first), qids, k)
+            part = part.unionByName(walked(index, qids, Q, options, lams, but=first))
         else:
             part = walked(index, qids, Q, options, budget=budget)
         found = part if found is None else found.unionByName(part)
