@@ -261,13 +261,26 @@ def frontier(index: Index, planes: DataFrame, k: int = 10, annotated: bool = Tru
 # --- budgets ---
 
 
-def budget_leaves(index: Index, planes: DataFrame, budget: float, preference: str = "bound") -> DataFrame:
+def budget_leaves(index: Index, planes: DataFrame, budget: float, preference: str = "bound", bins: int = 1024) -> DataFrame:
     """The leaves of all shards that a budget buys: each plane takes its leaves in order of preference while the points before
-    them are below its share of all points."""
+    them are below its share of all points.
+
+    No plane's leaves are sorted in one task: points are counted by bins of the first order key, and only the bin in which the share
+    is reached is put in order.
+    """
     total = index.nodes.filter("node = 0").agg(F.sum("n").alias("total"))  # one row
-    before = F.sum("n").over(Window.partitionBy("qid").orderBy(*leaf_order(preference)).rowsBetween(Window.unboundedPreceding, -1))
-    ranked_leaves = directory(index, planes).withColumn("before", F.coalesce(before, F.lit(0)))
-    return ranked_leaves.crossJoin(F.broadcast(total)).filter(F.col("before") < F.ceil(F.col("total") * budget))
+    order = leaf_order(preference)
+    scored = directory(index, planes).withColumn("score", order[0])
+    most = scored.groupBy("qid").agg(F.max("score").alias("most"))
+    share = F.when(F.col("most") > 0, F.col("score") / F.col("most")).otherwise(0.0)
+    binned = scored.join(F.broadcast(most), "qid").withColumn("bin", F.floor(share * (bins - 1)).cast("int"))  # one row a plane
+    summed = binned.groupBy("qid", "bin").agg(F.sum("n").alias("held")).crossJoin(F.broadcast(total)).withColumn("quota", F.ceil(F.col("total") * budget))
+    earlier = F.sum("held").over(Window.partitionBy("qid").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1))
+    bought = summed.withColumn("earlier", F.coalesce(earlier, F.lit(0))).filter("earlier < quota").select("qid", "bin", "earlier", "quota", (F.col("earlier") + F.col("held") <= F.col("quota")).alias("whole"))
+    taken = binned.join(bought, ["qid", "bin"]).drop("score", "most")
+    before = F.col("earlier") + F.coalesce(F.sum("n").over(Window.partitionBy("qid").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    edge = taken.filter(~F.col("whole")).withColumn("before", before).filter("before < quota")
+    return taken.filter("whole").unionByName(edge.drop("before"))
 
 
 def budgeted(index: Index, planes: DataFrame, k: int = 10, budget: float = 0.05, preference: str = "bound", order: str = "global") -> DataFrame:

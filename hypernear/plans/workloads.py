@@ -175,6 +175,21 @@ def margin_sketch(spark, d):
     return sketch.select(F.kll_sketch_get_quantile_double("s", F.lit(0.1)).alias("q10"), F.kll_sketch_get_quantile_double("s", F.lit(0.5)).alias("q50"))
 
 
+@query("SELECT true AS low, true AS middle")
+def margin_sketch_close(spark, d):
+    """Sketched quantiles lie between the exact ones two hundredths to either side."""
+    exact = line_margins(spark, d).agg(*[F.percentile("margin", p).alias(f"p{int(p * 100)}") for p in (0.08, 0.12, 0.48, 0.52)])
+    met = margin_sketch(spark, d).crossJoin(F.broadcast(exact))  # one row each
+    return met.select(F.col("q10").between(F.col("p8"), F.col("p12")).alias("low"), F.col("q50").between(F.col("p48"), F.col("p52")).alias("middle"))
+
+
+@query("SELECT true AS close")
+def distinct_estimate_close(spark, d):
+    """The estimate of different documents is within a seventh of their number."""
+    met = distinct_estimate(spark, d).crossJoin(F.broadcast(distinct_documents(spark, d).select(F.col("n").alias("exact"))))  # one row each
+    return met.select((F.abs(F.col("n") - F.col("exact")) <= F.col("exact") / 7).alias("close"))
+
+
 @query(f"WITH {DOC64} SELECT count(DISTINCT x) AS n FROM emb")
 def distinct_documents(spark, d):
     """Different document vectors: copies fall together."""

@@ -230,3 +230,22 @@ def test_heap_numbers_are_exact_far_below_the_root(spark):
     deep = [(1 << 56) + 7, (1 << 56) - 1, 1, 2, 3]
     found = spark.createDataFrame([(v,) for v in deep], "node long").select("node", build.above(F.col("node")).alias("up"), build.deep(F.col("node")).alias("deep")).collect()
     assert all(r.up == r.node // 2 and r.deep == r.node.bit_length() - 1 for r in found)
+
+
+def test_budgets_buy_leaves_in_order(spark, clustered):
+    """Counting by bins buys the leaves that sorting all of them would."""
+    points, planes = points_of(spark, clustered[0]), planes_of(spark, clustered[1])
+    built = build.hybrid(points, 16, shards=3)
+    for preference in ("bound", "center"):
+        every = search.directory(built, planes).select("qid", "shard", "leaf", "n", *[c.alias(f"k{i}") for i, c in enumerate(map(lambda c: F.col(c) if isinstance(c, str) else c, search.leaf_order(preference)[:-2]))]).collect()
+        for budget in (0.01, 0.2, 0.55, 1.0):
+            want = set()
+            for q in {r.qid for r in every}:
+                held = 0
+                for r in sorted((r for r in every if r.qid == q), key=lambda r: (*r[4:], r.shard, r.leaf)):
+                    if held < np.ceil(400 * budget):
+                        want.add((q, r.shard, r.leaf))
+                    held += r.n
+            for bins in (4, 1024):
+                found = search.budget_leaves(built, planes, budget, preference, bins).collect()
+                assert {(r.qid, r.shard, r.leaf) for r in found} == want and len(found) == len(want)
