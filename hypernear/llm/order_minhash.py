@@ -113,7 +113,7 @@ def sketched(docs: DataFrame, sketches: int, gram: int, depth: int, seed: int) -
     return made.groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("keys").alias("keys"), F.count("*").alias("copies"))
 
 
-def profiles(texts: DataFrame, bins: int = 256) -> DataFrame:
+def profiles(texts: DataFrame, bins: int = 1024) -> DataFrame:
     """(node, text, size, bag) of (node, text): the number of words, and counts of words and of word pairs by hash, at most 255 each."""
 
     def run(batches):
@@ -137,10 +137,14 @@ def allowed(longer, least: float):
 
 
 def perhaps(bags: np.ndarray, bag: np.ndarray, most: np.ndarray) -> np.ndarray:
-    """Whether texts with these bags can be ``most`` edits from one with this bag. An edit changes the counts of words by two at
-    most, and those of word pairs by four."""
-    apart = np.abs(bags.astype(np.int16) - bag.astype(np.int16)).reshape(len(bags), 2, bags.shape[1] // 2).sum(axis=2, dtype=np.int64)
-    return (apart[:, 0] <= 2 * most) & (apart[:, 1] <= 4 * most)
+    """Which of the texts with these bags can be ``most`` edits from one with this bag (each their own number). An edit takes and adds a word at
+    most, and two word pairs at most; what a text has beyond the shared counts has to be taken or added."""
+    half, left = bag.shape[-1] // 2, np.arange(len(bags))
+    for part, edited in ((slice(0, half), 1), (slice(half, None), 2)):
+        some, one = bags[left, part], bag[..., part] if bag.ndim == 1 else bag[left, part]
+        larger = np.maximum(some.sum(axis=1, dtype=np.int32), one.sum(axis=-1, dtype=np.int32))
+        left = left[larger - np.minimum(some, one).sum(axis=1, dtype=np.int32) <= edited * most[left]]
+    return left
 
 
 def aligned(a: list[str], b: list[str], least: float) -> bool:
@@ -159,9 +163,11 @@ def verified(pairs: DataFrame, about: DataFrame, least: float) -> DataFrame:
             su, sv = (np.asarray(batch.column(k)) for k in (4, 5))
             bu, bv = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint8).reshape(batch.num_rows, -1) for k in (6, 7))
             most = allowed(np.maximum(su, sv), least)
-            fits = (np.abs(su - sv) <= most) & perhaps(bu, bv, most)
-            kept = [bool(f) and aligned(words(a.as_py()), words(b.as_py()), least) for f, a, b in zip(fits, batch.column(2), batch.column(3))]
-            yield batch.select(["u", "v"]).filter(pa.array(kept, pa.bool_()))
+            fits = np.flatnonzero(np.abs(su - sv) <= most)
+            fits = fits[perhaps(bu[fits], bv[fits], most[fits])]
+            texts = batch.column(2), batch.column(3)
+            kept = [k for k in fits.tolist() if aligned(words(texts[0][k].as_py()), words(texts[1][k].as_py()), least)]
+            yield batch.select(["u", "v"]).take(pa.array(kept, pa.int64()))
 
     return both.mapInArrow(run, "u long, v long")
 
