@@ -261,15 +261,18 @@ def frontier(index: Index, planes: DataFrame, k: int = 10, annotated: bool = Tru
 # --- budgets ---
 
 
-def budget_leaves(index: Index, planes: DataFrame, budget: float, preference: str = "bound", bins: int = 1024) -> DataFrame:
+def budget_leaves(index: Index, planes: DataFrame, budget: float, preference: str = "bound", bins: int = 1024, few: int = 100_000) -> DataFrame:
     """The leaves of all shards that a budget buys: each plane takes its leaves in order of preference while the points before
     them are below its share of all points.
 
-    No plane's leaves are sorted in one task: points are counted by bins of the first order key, and only the bin in which the share
-    is reached is put in order.
+    No plane's leaves are sorted in one task if there are more than ``few``: points are counted by bins of the first order key, and only the bin
+    in which the share is reached is put in order.
     """
     total = index.nodes.filter("node = 0").agg(F.sum("n").alias("total"))  # one row
     order = leaf_order(preference)
+    if index.leaves().limit(few + 1).count() <= few:
+        before = F.sum("n").over(Window.partitionBy("qid").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1))
+        return directory(index, planes).withColumn("before", F.coalesce(before, F.lit(0))).crossJoin(F.broadcast(total)).filter(F.col("before") < F.ceil(F.col("total") * budget))
     scored = directory(index, planes).withColumn("score", order[0])
     most = scored.groupBy("qid").agg(F.max("score").alias("most"))
     share = F.when(F.col("most") > 0, F.col("score") / F.col("most")).otherwise(0.0)

@@ -246,6 +246,6 @@ def test_budgets_buy_leaves_in_order(spark, clustered):
                     if held < np.ceil(400 * budget):
                         want.add((q, r.shard, r.leaf))
                     held += r.n
-            for bins in (4, 1024):
-                found = search.budget_leaves(built, planes, budget, preference, bins).collect()
+            for bins, few in ((4, 0), (1024, 0), (1024, 100)):
+                found = search.budget_leaves(built, planes, budget, preference, bins, few).collect()
                 assert {(r.qid, r.shard, r.leaf) for r in found} == want and len(found) == len(want)
