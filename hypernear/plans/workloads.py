@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import exprs as E
 from ..functions import sql as sqlfns
 from ..operators import brute
+from ..operators.metrics import percentiles
 from ..operators.vectors import dedup
 from ..sources import planes, tables
 from .registry import DOC64, EMB, LI4, dot, norm, planes_for, points_of, query, sql_planes_box, sql_planes_rows
@@ -159,7 +160,7 @@ def margin_cube(spark, d):
 
 @query(f"WITH {PLANE0} SELECT quantile_cont(margin, 0.1) AS q10, quantile_cont(margin, 0.5) AS q50, quantile_cont(margin, 0.9) AS q90 FROM lm")
 def margin_quantiles(spark, d):
-    return line_margins(spark, d).agg(*[F.percentile("margin", p).alias(f"q{int(p * 100)}") for p in (0.1, 0.5, 0.9)])
+    return spark.createDataFrame([tuple(percentiles(line_margins(spark, d), "margin", (0.1, 0.5, 0.9)))], "q10 double, q50 double, q90 double")
 
 
 @query(f"WITH {PLANE0} SELECT CAST(least(floor(margin / 0.05), 19) AS BIGINT) + 1 AS bucket, count(*) AS n FROM lm GROUP BY 1")
@@ -178,9 +179,8 @@ def margin_sketch(spark, d):
 @query("SELECT true AS low, true AS middle")
 def margin_sketch_close(spark, d):
     """Sketched quantiles lie between the exact ones two hundredths to either side."""
-    exact = line_margins(spark, d).agg(*[F.percentile("margin", p).alias(f"p{int(p * 100)}") for p in (0.08, 0.12, 0.48, 0.52)])
-    met = margin_sketch(spark, d).crossJoin(F.broadcast(exact))  # one row each
-    return met.select(F.col("q10").between(F.col("p8"), F.col("p12")).alias("low"), F.col("q50").between(F.col("p48"), F.col("p52")).alias("middle"))
+    p8, p12, p48, p52 = map(F.lit, percentiles(line_margins(spark, d), "margin", (0.08, 0.12, 0.48, 0.52)))
+    return margin_sketch(spark, d).select(F.col("q10").between(p8, p12).alias("low"), F.col("q50").between(p48, p52).alias("middle"))
 
 
 @query("SELECT true AS close")
