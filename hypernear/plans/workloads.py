@@ -126,7 +126,7 @@ def dimension_margin(spark, d):
 
 def line_topk(spark, d, n: int = 100, k: int = 10):
     points = points_of(spark, d, "li4")
-    return points, brute.topk(points.select("id", "x"), planes_for(spark, d, "li4", n), k, 5)
+    return points, brute.topk_arrow(points.select("id", "x"), planes_for(spark, d, "li4", n), k)
 
 
 LINE_TOP = f"{LI4}, {sql_planes_box(100, 4)}, {MARGINS}, top AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY margin, id) AS rank FROM m) WHERE rank <= 10)"
@@ -136,7 +136,7 @@ LINE_TOP = f"{LI4}, {sql_planes_box(100, 4)}, {MARGINS}, top AS (SELECT * FROM (
 def nearest_star(spark, d):
     """Where the orders of the nearest lines come from."""
     points, top = line_topk(spark, d)
-    hit = points.select("id", "l_orderkey").join(top, "id")
+    hit = F.broadcast(points.select("id", "l_orderkey").join(F.broadcast(top), "id"))  # ten rows a plane, so that no table is shuffled for them
     star = hit.join(tables.table(spark, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(tables.table(spark, d, "customer"), F.col("o_custkey") == F.col("c_custkey")).join(tables.table(spark, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).join(tables.table(spark, d, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
     return star.groupBy("r_name", "n_name").agg(F.count("*").alias("hits"), F.round(F.avg("margin"), 9).alias("mean_margin"))
 
