@@ -136,11 +136,8 @@ def finish(tree: Tree, ids: np.ndarray, X: np.ndarray, annotate: bool) -> None:
     order = np.arange(len(ids))
     for at in range(count):
         if tree.is_leaf(at) and tree.n(at):
-            span, c = slice(tree.lo[at], tree.hi[at]), tree.centers[at]
-            part = X[span]
-            r = np.sqrt(squared(part, c))
-            along = part @ c / tree.norms[at]
-            across = np.linalg.norm(part - np.outer(along / tree.norms[at], c), axis=1)
+            span = slice(tree.lo[at], tree.hi[at])
+            r, along, across = measured(X[span], tree.centers[at], tree.norms[at])
             rank = np.lexsort((ids[span], -r)) if annotate else np.argsort(ids[span])
             order[span] = order[span][rank]
             tree.r_x[span], tree.x_par[span], tree.x_perp[span] = r[rank], along[rank], across[rank]
@@ -148,14 +145,21 @@ def finish(tree: Tree, ids: np.ndarray, X: np.ndarray, annotate: bool) -> None:
     tree.weight = [tree.n(at) for at in range(count)]
 
 
+def measured(part: np.ndarray, c: np.ndarray, norm: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of a leaf's points: distance from its centre, and the parts along and across it."""
+    along = part @ c / norm
+    return np.sqrt(squared(part, c)), along, np.linalg.norm(part - np.outer(along / norm, c), axis=1)
+
+
 WHOLE, REAL = ("parent", "left", "right", "lo", "hi", "weight"), ("norms", "radii", "centers")
 
 
 def to_bytes(tree: Tree) -> bytes:
-    """A tree as one value, to be read back without a row a point: d, counts, then its arrays one after another."""
+    """A tree as one value, to be read back without a row a point: d, counts, then its arrays one after another. The three numbers a point are
+    left out, as from_bytes() measures them again."""
     head = np.array([tree.d, len(tree.parent), len(tree.ids)], dtype="<i8")
     whole = [np.asarray(getattr(tree, name), dtype="<i8") for name in WHOLE] + [np.asarray(tree.ids, dtype="<i8")]
-    real = [getattr(tree, name) for name in REAL] + [tree.r_x, tree.x_par, tree.x_perp, tree.X]
+    real = [getattr(tree, name) for name in REAL] + [tree.X]
     return b"".join([head.tobytes(), *(w.tobytes() for w in whole), *(np.ascontiguousarray(r, dtype="<f8").tobytes() for r in real)])
 
 
@@ -174,7 +178,12 @@ def from_bytes(value) -> Tree:
         setattr(tree, name, take("<i8", nodes).tolist())
     tree.ids = take("<i8", points)
     tree.norms, tree.radii, tree.centers = take("<f8", nodes), take("<f8", nodes), take("<f8", nodes, d)
-    tree.r_x, tree.x_par, tree.x_perp, tree.X = take("<f8", points), take("<f8", points), take("<f8", points), take("<f8", points, d)
+    tree.X = take("<f8", points, d)
+    tree.r_x, tree.x_par, tree.x_perp = np.zeros(points), np.zeros(points), np.zeros(points)
+    for at in range(nodes):
+        if tree.is_leaf(at) and tree.n(at):
+            span = slice(tree.lo[at], tree.hi[at])
+            tree.r_x[span], tree.x_par[span], tree.x_perp[span] = measured(tree.X[span], tree.centers[at], tree.norms[at])
     return tree
 
 

@@ -9,13 +9,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources.storage import fresh_path
-from .grow import Tree, to_bytes
+from ..sources.storage import fresh_path, persisted
+from .grow import Tree, from_bytes, to_bytes
 
 NODES = "shard int, node long, parent long, depth int, is_leaf boolean, oversize boolean, n long, weight long, center array<double>, center_norm double, radius double, left long, right long, lo long, hi long"
 POINTS = "shard int, leaf long, pos long, id long, r_x double, x_par double, x_perp double, x array<double>"
 TREES = "shard int, n long, center array<double>, center_norm double, radius double, tree binary"
-BOTH = f"kind string, part int, {NODES}, leaf long, pos long, id long, r_x double, x_par double, x_perp double, x array<double>, tree binary"
+BOTH = f"kind string, part int, {NODES}, tree binary"
 PARTS = 1024  # folders that the packed trees are dealt to, so that shards which no plane can reach are not read
 
 
@@ -27,15 +27,21 @@ def names(schema: str) -> list[str]:
 class Index:
     """nodes: one row a node, numbered within its shard (0 is the shard's root). points: one row a point, in leaves by falling distance
     from the leaf's centre. The numbers r_x, x_par, x_perp can be read without the vectors. trees: one row a shard, its whole tree as one value,
-    so that a walk needs no shuffle; made from the others at the first walk where a builder has not written it."""
+    so that a walk needs no shuffle. A builder gives points (``placed``) or trees; the others are made from them when they are first asked for."""
 
     nodes: DataFrame
-    points: DataFrame
+    placed: DataFrame | None
     d: int
     leaf_size: int
     trees: DataFrame | None = None
     known: dict = field(default_factory=dict)  # what was counted or fetched once
 
+    @property
+    def points(self) -> DataFrame:
+        if self.placed is None:
+            self.placed = persisted(self.trees.select("shard", "tree").mapInArrow(unpacked, POINTS), "index-points")
+        return self.placed
+
     def roots(self, most_bytes: int = 8 << 20) -> dict[str, np.ndarray] | None:
         """shard, part, center, center_norm and radius of all shards with points, if a count says that they are few enough for the driver."""
         if "roots" not in self.known:
@@ -120,6 +126,26 @@ def tree_row(shard: int, tree: Tree) -> pa.Table:
     })
 
 
+def vectors_of(X: np.ndarray) -> pa.ListArray:
+    """A matrix as a column of vectors."""
+    return pa.ListArray.from_arrays(pa.array(np.arange(len(X) + 1, dtype=np.int32) * X.shape[1]), pa.array(np.ascontiguousarray(X).ravel()))
+
+
+def unpacked(batches, rows: int = 8192):
+    """Rows POINTS of packed trees (shard, tree)."""
+    for batch in batches:
+        for row in range(batch.num_rows):
+            shard, tree = batch.column(0)[row].as_py(), from_bytes(batch.column(1)[row].as_buffer())
+            leaf = np.zeros(len(tree.ids), dtype=np.int64)
+            for at in range(len(tree.left)):
+                if tree.is_leaf(at):
+                    leaf[tree.lo[at] : tree.hi[at]] = at
+            for at in range(0, len(leaf), rows):
+                some = slice(at, min(at + rows, len(leaf)))
+                columns = [np.full(some.stop - at, shard, dtype=np.int32), leaf[some], np.arange(at, some.stop), tree.ids[some], tree.r_x[some], tree.x_par[some], tree.x_perp[some]]
+                yield pa.RecordBatch.from_arrays([*map(pa.array, columns), vectors_of(tree.X[some])], names=names(POINTS))
+
+
 def load(spark: SparkSession, path: str) -> Index:
     meta = spark.read.schema("d int, leaf_size int").json(f"{path}/meta").first()
     return Index(spark.read.parquet(f"{path}/nodes"), spark.read.parquet(f"{path}/points").drop("shard_bucket"), meta.d, meta.leaf_size)

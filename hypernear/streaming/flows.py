@@ -14,8 +14,7 @@ from pyspark.sql.streaming.stateful_processor import StatefulProcessor, Stateful
 from ..functions import exprs as E
 from ..operators import search
 from ..operators.brute import batches_of, small_side
-from ..operators.build import as_tables, distance2, written
-from ..operators.grow import grow
+from ..operators.build import distance2, grown, written
 from ..operators.index import BOTH, Index
 from ..sources.storage import fresh_path, opened, persisted, ship
 
@@ -103,8 +102,7 @@ def compacted(index: Index, most: float = 2.0, seed: int = 42) -> Index:
     leaf_size = index.leaf_size
 
     def run(table: pa.Table) -> pa.Table:
-        X = np.asarray(table.column("x").combine_chunks().flatten()).reshape(table.num_rows, -1)
-        return as_tables(grow(table.column("id").to_numpy(), X, leaf_size, seed), table.column("shard")[0].as_py())
+        return grown(table, leaf_size, seed)
 
     anew = written(index.points.join(full, "shard", "left_semi").select("shard", "id", "x").groupBy("shard").applyInArrow(run, BOTH), index.d, leaf_size)
     kept = lambda rows: rows.join(full, "shard", "left_anti")
