@@ -57,6 +57,29 @@ def nearest_shard(index: Index, rows: DataFrame) -> DataFrame:
     return rows.join(chosen, "row")
 
 
+def nearest_leaf(index: Index, rows: DataFrame) -> DataFrame:
+    """(row, shard, leaf) of rows (row, x, shard): in each row's shard the leaf whose centre is nearest, by a look at batches of leaves of bounded size."""
+    leaves = index.leaves().select((F.shiftleft(F.col("shard").cast("long"), 32) + F.col("leaf")).alias("qid"), F.col("center").alias("q"))
+    best = None
+    for numbers, centers in batches_of(leaves):
+        shared = ship(index.nodes.sparkSession, (numbers >> 32, numbers & 0xFFFFFFFF, centers))
+
+        def run(batches, shared=shared):
+            shards, leaves, centers = opened(shared)
+            for batch in batches:
+                X, mine = np.asarray(batch.column(1).flatten()).reshape(batch.num_rows, -1), np.asarray(batch.column(2))
+                for shard in np.intersect1d(mine, shards):
+                    near, at = np.flatnonzero(shards == shard), np.flatnonzero(mine == shard)
+                    for some in np.array_split(at, -(-len(at) * len(near) // (1 << 21))):
+                        far = ((X[some] ** 2).sum(axis=1))[:, None] - 2 * X[some] @ centers[near].T + (centers[near] ** 2).sum(axis=1)[None, :]
+                        first = far.argmin(axis=1)
+                        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(some)), pa.array(np.full(len(some), shard, dtype=np.int32)), pa.array(leaves[near[first]]), pa.array(far[np.arange(len(some)), first])], names=["row", "shard", "leaf", "far"])
+
+        part = rows.select("row", "x", "shard").mapInArrow(run, "row long, shard int, leaf long, far double")
+        best = part if best is None else best.unionByName(part)
+    return best.groupBy("row").agg(F.min(F.struct("far", "shard", "leaf")).alias("at")).select("row", "at.shard", "at.leaf")
+
+
 def append(index: Index, arrivals: DataFrame) -> Index:
     """A new version of the index with more points, without moving a centre.
 
@@ -67,8 +90,8 @@ def append(index: Index, arrivals: DataFrame) -> Index:
     rows = persisted(arrivals.select(F.monotonically_increasing_id().alias("row"), "id", "x"), "arrivals")
     if rows.isEmpty() or index.nodes.isEmpty():
         return index
-    met = nearest_shard(index, rows).join(index.leaves(), "shard")
-    placed = met.groupBy("row").agg(F.min_by(F.struct("id", "x", "shard", "leaf", "center", "center_norm"), F.struct(distance2("x", "center"), "leaf")).alias("at")).select("at.*")
+    met = persisted(nearest_leaf(index, nearest_shard(index, rows)), "append-leaves")
+    placed = rows.join(met, "row").join(index.leaves().select("shard", "leaf", "center", "center_norm"), ["shard", "leaf"])
     par = E.dot(F.col("x"), F.col("center")) / F.col("center_norm")
     noted = placed.withColumn("r_x", F.sqrt(distance2("x", "center"))).withColumn("x_par", par)
     noted = noted.withColumn("x_perp", E.norm(F.zip_with("x", "center", lambda a, c: a - F.col("x_par") / F.col("center_norm") * c)))
@@ -76,16 +99,16 @@ def append(index: Index, arrivals: DataFrame) -> Index:
     rows = index.points.unionByName(more)
     order = F.row_number().over(Window.partitionBy("shard", "leaf").orderBy(F.desc("r_x"), "id")) - 1
     points = persisted(rows.withColumn("pos", order.cast("long")), "index-points")
-    grown = more.select("shard", F.col("leaf").alias("node"), "x")
-    ancestors, nodes = grown, index.nodes
-    reach = None
+    nodes, reach = index.nodes, None
+    ancestors = nodes.filter("is_leaf").select("shard", F.col("node").alias("leaf"), "node")  # numbers only: vectors are met once, below
     up = nodes.select("shard", "node", F.col("parent").alias("_parent"))
     for _ in range(200):
         reach = ancestors if reach is None else reach.unionByName(ancestors)
-        ancestors = persisted(ancestors.join(up, ["shard", "node"]).filter("_parent is not null").select("shard", F.col("_parent").alias("node"), "x"), "append-path")
+        ancestors = persisted(ancestors.join(up, ["shard", "node"]).filter("_parent is not null").select("shard", "leaf", F.col("_parent").alias("node")), "append-path")
         if ancestors.isEmpty():
             break
-    cover = reach.join(nodes.select("shard", "node", "center"), ["shard", "node"]).groupBy("shard", "node").agg(F.max(F.sqrt(distance2("x", "center"))).alias("_far"), F.count("*").alias("_more"))
+    centers = reach.join(nodes.select("shard", "node", "center"), ["shard", "node"])
+    cover = more.select("shard", "leaf", "x").join(centers, ["shard", "leaf"]).groupBy("shard", "node").agg(F.max(F.sqrt(distance2("x", "center"))).alias("_far"), F.count("*").alias("_more"))
     wider = nodes.join(cover, ["shard", "node"], "left").withColumn("radius", F.greatest("radius", F.coalesce("_far", F.lit(0.0)))).withColumn("n", F.col("n") + F.coalesce("_more", F.lit(0))).drop("_far", "_more")
     return Index(persisted(wider.select(*nodes.columns), "index-nodes"), points, index.d, index.leaf_size)
 
