@@ -210,10 +210,21 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     lam may start at a known upper bound of the k-th margin. A branch is left out only if its bound passes lam by more than
     rounding allows, so ties are decided by (margin, id) alone. With a quota the walk ends once that many points are verified.
     """
+    return walks(tree, q, q_norm, options, lam, [quota])[0]
+
+
+def walks(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float, quotas: list[int | None]) -> list[tuple[list[tuple[float, int]], dict[str, int]]]:
+    """What walk() gives for each quota, in one walk: that of a smaller quota is the beginning of that of a larger one."""
     done = dict.fromkeys(COUNTERS, 0)
     best: list[tuple[float, int]] = []  # a heap of negated (margin, id)
     if not len(tree.ids):
-        return [], done
+        return [([], dict(done)) for _ in quotas]
+    stops, ended = sorted({n for n in quotas if n is not None}, reverse=True), {}
+    quota = None if None in quotas else stops[0]
+
+    def note(stop: int | None) -> None:
+        spent = time.perf_counter_ns() - begun if options.clock else 0
+        ended[stop] = sorted((-m, -i) for m, i in best), done | {"walk_ns": spent}
 
     def bound(at: int, ip: float) -> float:
         return max(abs(ip) - q_norm * tree.radii[at], 0.0) * (1 + options.eps) - 1e-9 * q_norm * max(1.0, tree.norms[at])
@@ -221,13 +232,15 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     tree.ready()
     done["center_products"], begun = 1, time.perf_counter_ns()
     todo = [(0, float(tree.centers[0] @ q), 0)]
+    while stops and stops[-1] <= 0:
+        note(stops.pop())
     while todo and (quota is None or done["verified"] < quota):
         at, ip, since = todo.pop()
         done["nodes_visited"] += 1
         if bound(at, ip) > lam:
             continue
         if tree.is_leaf(at):
-            lam = scan(tree, at, ip, q, q_norm, options, lam, quota, best, done)
+            lam = scan(tree, at, ip, q, q_norm, options, lam, quota, best, done, stops, note)
             continue
         l, r = tree.left[at], tree.right[at]
         small, big = (l, r) if tree.weight[l] <= tree.weight[r] else (r, l)
@@ -242,12 +255,12 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
             pair.sort(key=lambda c: (bound(*c), c[0]))
         for child, product in reversed(pair):  # the preferred child is popped first
             todo.append((child, product, since + 1 if derived and child == big else 0))
-    done["walk_ns"] = time.perf_counter_ns() - begun if options.clock else 0
-    return sorted((-m, -i) for m, i in best), done
+    note(None)
+    return [ended.get(n, ended[None]) for n in quotas]
 
 
-def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options: Options, lam: float, quota: int | None, best: list, done: dict, chunk: int = 1024) -> float:
-    """Verify a leaf's points that no bound rules out; returns the new lam."""
+def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options: Options, lam: float, quota: int | None, best: list, done: dict, stops: list[int], note, chunk: int = 1024) -> float:
+    """Verify a leaf's points that no bound rules out; returns the new lam. stops: the quotas still ahead, the next one last; note is called at each."""
     lo, hi = tree.lo[at], tree.hi[at]
     done["leaves_scanned"] += 1
     done["points_seen"] += hi - lo
@@ -276,25 +289,34 @@ def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options:
                 some = kept
         if quota is not None:
             some = some[: quota - done["verified"]]
-        done["verified"] += len(some)
-        if not len(some):
-            continue
-        begun = time.perf_counter_ns() if options.clock else 0
-        rough = np.abs(tree.X[some] @ q)
-        near = some[rough <= lam + slack] if np.isfinite(lam) else some
-        if len(near) > 4 * options.k and not np.isfinite(lam):
-            near = some[rough <= np.partition(rough, options.k - 1)[options.k - 1] + slack]
-        exact = tree.X[near, 0] * q[0]
-        for j in range(1, tree.d):
-            exact = exact + tree.X[near, j] * q[j]
-        for value, name in zip(np.abs(exact).tolist(), tree.ids[near].tolist()):
-            entry = (-value, -name)
-            if len(best) < options.k:
-                heapq.heappush(best, entry)
-            elif entry > best[0]:
-                heapq.heapreplace(best, entry)
-        if len(best) == options.k:
-            lam = min(lam, -best[0][0])
-        if options.clock:
-            done["verify_ns"] += time.perf_counter_ns() - begun
+        while len(some):
+            more = min(len(some), stops[-1] - done["verified"]) if stops else len(some)
+            lam = verify(tree, some[:more], q, options, lam, slack, best, done)
+            some = some[more:]
+            if stops and done["verified"] == stops[-1]:
+                note(stops.pop())
+    return lam
+
+
+def verify(tree: Tree, some: np.ndarray, q: np.ndarray, options: Options, lam: float, slack: float, best: list, done: dict) -> float:
+    """Put points to the best, if they are near enough; returns the new lam."""
+    done["verified"] += len(some)
+    begun = time.perf_counter_ns() if options.clock else 0
+    rough = np.abs(tree.X[some] @ q)
+    near = some[rough <= lam + slack] if np.isfinite(lam) else some
+    if len(near) > 4 * options.k and not np.isfinite(lam):
+        near = some[rough <= np.partition(rough, options.k - 1)[options.k - 1] + slack]
+    exact = tree.X[near, 0] * q[0]
+    for j in range(1, tree.d):
+        exact = exact + tree.X[near, j] * q[j]
+    for value, name in zip(np.abs(exact).tolist(), tree.ids[near].tolist()):
+        entry = (-value, -name)
+        if len(best) < options.k:
+            heapq.heappush(best, entry)
+        elif entry > best[0]:
+            heapq.heapreplace(best, entry)
+    if len(best) == options.k:
+        lam = min(lam, -best[0][0])
+    if options.clock:
+        done["verify_ns"] += time.perf_counter_ns() - begun
     return lam

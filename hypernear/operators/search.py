@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import exprs as E
 from ..sources.storage import opened, persisted, ship
 from .brute import batches_of, ranked, small_side
-from .grow import COUNTERS, Options, from_bytes, walk
+from .grow import COUNTERS, Options, from_bytes, walks
 from .index import TREES, Index, names
 
 FOUND = "qid long, shard int, id long, margin double, " + ", ".join(f"{c} long" for c in COUNTERS)
@@ -99,13 +99,22 @@ def reached(Q: np.ndarray, lengths: np.ndarray, lams: np.ndarray, centers: np.nd
 def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams: np.ndarray | None = None, only: dict[int, int] | None = None, but: dict[int, int] | None = None, budget: float | dict[int, float] | None = None, quota: int | None = None) -> DataFrame:
     """Rows FOUND of a batch of planes over the packed trees, in place: no row is shuffled. A plane walks its shard in ``only``, or all
     shards but its one in ``but``. Shards that no threshold reaches are not unpacked, and folders of such shards are not read; their
-    roots' products are counted all the same."""
+    roots' products are counted all the same. Equal planes with budgets of their own are walked once. Where shards are fewer than cores, planes are
+    dealt to several tasks, each of which reads the trees."""
     lengths = np.linalg.norm(Q, axis=1)
     lams = np.full(len(qids), np.inf) if lams is None else lams
-    shared = ship(index.nodes.sparkSession, (qids, Q, lengths, lams, options, only, but))
-
-    def run(batches):
-        qids, Q, lengths, lams, options, only, but = opened(shared)
+    alike: dict[tuple, list[int]] = {}
+    for at in range(len(qids)):
+        alike.setdefault((Q[at].tobytes(), lams[at]) if isinstance(budget, dict) else at, []).append(at)
+    groups = list(alike.values())
+    roots, cores = index.roots(), index.nodes.sparkSession.sparkContext.defaultParallelism
+    slices = 1 if roots is None else max(1, min(-(-2 * cores // max(len(roots["shard"]), 1)), len(groups) // 4))
+    shared = ship(index.nodes.sparkSession, (qids, Q, lengths, lams, options, only, but, budget, quota, [groups[n::slices] for n in range(slices)]))
+
+    def run(batches, slice):
+        qids, Q, lengths, lams, options, only, but, budget, quota, groups = opened(shared)
+        groups, here = groups[slice], np.zeros(len(qids), dtype=bool)
+        here[[at for group in groups for at in group]] = True
         none = (0,) * len(COUNTERS)
         at_root = tuple(int(c in ("nodes_visited", "center_products")) for c in COUNTERS)
         for batch in batches:
@@ -113,28 +122,33 @@ def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams
                 shard, n = batch.column(0)[row].as_py(), batch.column(1)[row].as_py()
                 if not n:
                     continue
-                mine = np.array([(only is None or only[q] == shard) and (but is None or but[q] != shard) for q in qids.tolist()])
+                mine = here & np.array([(only is None or only[q] == shard) and (but is None or but[q] != shard) for q in qids.tolist()])
                 center, norm, radius = np.asarray(batch.column(2)[row].values)[None, :], np.asarray(batch.column(3))[row : row + 1], np.asarray(batch.column(4))[row : row + 1]
                 near = mine & reached(Q, lengths, lams, center, norm, radius)[:, 0]
                 rows = [(q, shard, None, None, *at_root) for q in qids[mine & ~near].tolist()]
                 if near.any():
                     tree = from_bytes(batch.column(5)[row].as_buffer())
-                    for at in np.flatnonzero(near).tolist():
-                        share = budget[int(qids[at])] if isinstance(budget, dict) else budget
-                        most = quota if share is None else int(np.ceil(share * n))
-                        best, done = walk(tree, Q[at], float(lengths[at]), options, float(lams[at]), most)
-                        cost = tuple(done.values())
-                        rows += [(int(qids[at]), shard, i, m, *(cost if k == 0 else none)) for k, (m, i) in enumerate(best or [(None, None)])]
+                    for group in groups:
+                        group = [at for at in group if near[at]]
+                        if not group:
+                            continue
+                        shares = [budget[int(qids[at])] if isinstance(budget, dict) else budget for at in group]
+                        quotas = [quota if share is None else int(np.ceil(share * n)) for share in shares]
+                        for at, (best, done) in zip(group, walks(tree, Q[group[0]], float(lengths[group[0]]), options, float(lams[group[0]]), quotas)):
+                            cost = tuple(done.values())
+                            rows += [(int(qids[at]), shard, i, m, *(cost if k == 0 else none)) for k, (m, i) in enumerate(best or [(None, None)])]
                 columns = list(zip(*rows)) or [()] * (4 + len(COUNTERS))
                 kinds = [pa.int64(), pa.int32(), pa.int64(), pa.float64()] + [pa.int64()] * len(COUNTERS)
                 yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(columns, kinds)], names=["qid", "shard", "id", "margin", *COUNTERS])
 
     parts = reachable_parts(index, Q, lengths, lams) if but is not None else None
-    roots = index.roots()
     if parts is not None and roots is not None and len(parts) == len(np.unique(roots["part"])):
         parts = None  # all are read
     trees = index.packed() if parts is None else index.packed().filter(F.col("part").isin(parts))
-    found = trees.select(*names(TREES)).mapInArrow(run, FOUND)
+    found = None
+    for n in range(slices):
+        part = trees.select(*names(TREES)).mapInArrow(lambda batches, n=n: run(batches, n), FOUND)
+        found = part if found is None else found.unionByName(part)
     if parts is None:
         return found
     zero = [F.lit(int(c in ("nodes_visited", "center_products"))).cast("long").alias(c) for c in COUNTERS]
