@@ -306,9 +306,7 @@ def verify(tree: Tree, some: np.ndarray, q: np.ndarray, options: Options, lam: f
     near = some[rough <= lam + slack] if np.isfinite(lam) else some
     if len(near) > 4 * options.k and not np.isfinite(lam):
         near = some[rough <= np.partition(rough, options.k - 1)[options.k - 1] + slack]
-    exact = tree.X[near, 0] * q[0]
-    for j in range(1, tree.d):
-        exact = exact + tree.X[near, j] * q[j]
+    exact = np.add.accumulate(tree.X[near] * q, axis=1)[:, -1]  # left folds in component order
     for value, name in zip(np.abs(exact).tolist(), tree.ids[near].tolist()):
         entry = (-value, -name)
         if len(best) < options.k:

@@ -1,5 +1,7 @@
 """What must hold as tables grow: shards bounded in bytes, plans bounded by the levels, walks and scores shared by budgets."""
 
+import inspect
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -104,3 +106,14 @@ def test_a_pareto_window_sees_a_row_a_recall(spark):
     runs = spark.range(1000).select((F.col("id") % 5 / 4).alias("recall"), (F.col("id") % 7 + F.col("id") % 5).cast("double").alias("seconds"))
     assert {r.recall: r.seconds for r in metrics.pareto(runs).collect()} == {0.0: 0.0, 0.25: 1.0, 0.5: 2.0, 0.75: 3.0, 1.0: 4.0}
     assert "HashAggregate" in metrics.pareto(runs)._jdf.queryExecution().executedPlan().toString().split("Window")[-1]
+
+
+def test_wide_products_are_left_folds():
+    """Bit for bit what adding component by component gives, without a step of Python a component."""
+    random = np.random.default_rng(9)
+    X, q = random.standard_normal((50, 1025)) * 10.0 ** random.integers(-8, 8, (50, 1025)), random.standard_normal(1025)
+    total = X[:, 0] * q[0]
+    for j in range(1, 1025):
+        total = total + X[:, j] * q[j]
+    assert brute.folded(X, q).tolist() == total.tolist()
+    assert inspect.signature(build.hybrid).parameters["shard_bytes"].default <= 8 << 20
