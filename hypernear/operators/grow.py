@@ -6,8 +6,11 @@ shard builder and the shard search, and it has no Spark in it.
 
 from __future__ import annotations
 
+import bisect
 import heapq
+import math
 import time
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -59,11 +62,15 @@ class Tree:
     x_perp: np.ndarray = None
     a_par: np.ndarray = None  # x_par without its sign
     x_len: np.ndarray = None  # length of each point
+    closer: list[float] = None  # r_x negated: rising along a leaf
+    plain: tuple = None  # left, right, weight, centres, radii, and the bounds' room for rounding, as lists
 
     def ready(self) -> Tree:
         """What every walk reads of the annotations, worked out once."""
-        if self.a_par is None:
-            self.a_par, self.x_len = np.abs(self.x_par), np.hypot(self.x_par, self.x_perp)
+        if self.plain is None:
+            self.a_par, self.x_len, self.closer = np.abs(self.x_par), np.hypot(self.x_par, self.x_perp), (-self.r_x).tolist()
+            whole = [np.asarray(v).tolist() for v in (self.left, self.right, self.weight)]
+            self.plain = (*whole, list(self.centers), np.asarray(self.radii).tolist(), (1e-9 * np.maximum(1.0, self.norms)).tolist())
         return self
 
     def n(self, at: int) -> int:
@@ -96,8 +103,13 @@ def pivots(X: np.ndarray, ids: np.ndarray, seed: int, node: int) -> tuple[int, i
 
 def grow(ids: np.ndarray, X: np.ndarray, leaf_size: int, seed: int, annotate: bool = True) -> Tree:
     """Split until nodes have at most leaf_size points; then centres from the leaves upwards, radii, annotations."""
+    return next(grow_all(ids, X, [leaf_size], seed, annotate))
+
+
+def grow_all(ids: np.ndarray, X: np.ndarray, leaf_sizes: list[int], seed: int, annotate: bool = True) -> Iterator[Tree]:
+    """The trees that grow() gives for each leaf size, from one series of splits: that of larger leaves is the beginning of that of smaller ones."""
     tree, order = Tree(X.shape[1]), np.argsort(ids, kind="stable")
-    todo = [(0, len(ids), 1, 0, -1, False)]
+    todo, least = [(0, len(ids), 1, 0, -1, False)], min(leaf_sizes)
     while todo:
         lo, hi, name, depth, parent, right = todo.pop()
         at = len(tree.node)
@@ -105,20 +117,44 @@ def grow(ids: np.ndarray, X: np.ndarray, leaf_size: int, seed: int, annotate: bo
             values.append(value)
         if parent >= 0:
             (tree.right if right else tree.left)[parent] = at
-        if hi - lo <= leaf_size:
+        if hi - lo <= least:
             continue
         rows = order[lo:hi]
-        a, b, to_a = pivots(X[rows], ids[rows], seed, name)
+        near = X[rows]
+        a, b, to_a = pivots(near, ids[rows], seed, name)
         if to_a[b] == 0:
             tree.flat[at] = True
             continue
-        nearer = to_a <= squared(X[rows], X[rows[b]])
+        nearer = to_a <= squared(near, near[b])
         order[lo:hi] = np.concatenate([rows[nearer], rows[~nearer]])
         middle = lo + int(nearer.sum())
         todo.append((middle, hi, (2 * name + 1) & MASK, depth + 1, at, True))
         todo.append((lo, middle, 2 * name & MASK, depth + 1, at, False))
-    finish(tree, ids[order], X[order], annotate)
-    return tree
+    for leaf_size in leaf_sizes:
+        part, rows = cut(tree, order, ids, leaf_size)
+        finish(part, ids[rows], X[rows], annotate)
+        yield part
+
+
+def cut(tree: Tree, order: np.ndarray, ids: np.ndarray, leaf_size: int) -> tuple[Tree, np.ndarray]:
+    """A tree whose splits end at nodes of at most leaf_size points, and the order of its points: splits keep them by id within a node."""
+    part, place, order = Tree(tree.d), {-1: -1}, order.copy()
+    for at, parent in enumerate(tree.parent):  # children come after their parent
+        if parent not in place or parent >= 0 and tree.n(parent) <= leaf_size:
+            continue
+        place[at] = len(part.node)
+        for name in ("node", "depth", "lo", "hi"):
+            getattr(part, name).append(getattr(tree, name)[at])
+        part.parent.append(place[parent])
+        part.left.append(-1)
+        part.right.append(-1)
+        part.flat.append(tree.flat[at] and tree.n(at) > leaf_size)
+        if parent >= 0:
+            (part.left if tree.left[parent] == at else part.right)[place[parent]] = place[at]
+        if tree.n(at) <= leaf_size and not tree.is_leaf(at):
+            rows = order[tree.lo[at] : tree.hi[at]]
+            order[tree.lo[at] : tree.hi[at]] = rows[np.argsort(ids[rows], kind="stable")]
+    return part, order
 
 
 def finish(tree: Tree, ids: np.ndarray, X: np.ndarray, annotate: bool) -> None:
@@ -226,95 +262,106 @@ def walks(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
         spent = time.perf_counter_ns() - begun if options.clock else 0
         ended[stop] = sorted((-m, -i) for m, i in best), done | {"walk_ns": spent}
 
-    def bound(at: int, ip: float) -> float:
-        return max(abs(ip) - q_norm * tree.radii[at], 0.0) * (1 + options.eps) - 1e-9 * q_norm * max(1.0, tree.norms[at])
-
     tree.ready()
-    done["center_products"], begun = 1, time.perf_counter_ns()
-    todo = [(0, float(tree.centers[0] @ q), 0)]
+    left, right, weight, rows, radii, rooms = tree.plain  # lists, as a step reads single numbers
+    widen, nearest, derive, rederive, visited, products = 1 + options.eps, options.preference == "center", options.derive_sibling, options.rederive, 0, 1
+    begun = time.perf_counter_ns()
+    todo = [(0, float(rows[0].dot(q)), 0)]
     while stops and stops[-1] <= 0:
+        done["center_products"] = products
         note(stops.pop())
     while todo and (quota is None or done["verified"] < quota):
         at, ip, since = todo.pop()
-        done["nodes_visited"] += 1
-        if bound(at, ip) > lam:
+        visited += 1
+        if max(abs(ip) - q_norm * radii[at], 0.0) * widen - rooms[at] * q_norm > lam:
             continue
-        if tree.is_leaf(at):
+        l, r = left[at], right[at]
+        if l < 0:
+            done["nodes_visited"], done["center_products"] = visited, products
             lam = scan(tree, at, ip, q, q_norm, options, lam, quota, best, done, stops, note)
             continue
-        l, r = tree.left[at], tree.right[at]
-        small, big = (l, r) if tree.weight[l] <= tree.weight[r] else (r, l)
-        ip_small = float(tree.centers[small] @ q)
-        derived = options.derive_sibling and since < options.rederive
-        ip_big = (tree.weight[at] * ip - tree.weight[small] * ip_small) / tree.weight[big] if derived else float(tree.centers[big] @ q)
-        done["center_products"] += 2 - derived
-        pair = [(l, ip_small if small == l else ip_big), (r, ip_small if small == r else ip_big)]
-        if options.preference == "center":
-            pair.sort(key=lambda c: (abs(c[1]), -c[0]))
+        small, big = (l, r) if weight[l] <= weight[r] else (r, l)
+        ip_small = float(rows[small].dot(q))
+        derived = derive and since < rederive
+        ip_big = (weight[at] * ip - weight[small] * ip_small) / weight[big] if derived else float(rows[big].dot(q))
+        products += 2 - derived
+        one, other = (small, ip_small, 0), (big, ip_big, since + 1 if derived else 0)
+        if nearest:
+            first, second = abs(ip_small), abs(ip_big)
+            ahead = first < second or (first == second and small > big)
         else:
-            pair.sort(key=lambda c: (bound(*c), c[0]))
-        for child, product in reversed(pair):  # the preferred child is popped first
-            todo.append((child, product, since + 1 if derived and child == big else 0))
+            first, second = (max(abs(v) - q_norm * radii[c], 0.0) * widen - rooms[c] * q_norm for c, v in ((small, ip_small), (big, ip_big)))
+            ahead = first < second or (first == second and small < big)
+        todo += (other, one) if ahead else (one, other)  # the preferred child is popped first
+    done["nodes_visited"], done["center_products"] = visited, products
     note(None)
     return [ended.get(n, ended[None]) for n in quotas]
 
 
 def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options: Options, lam: float, quota: int | None, best: list, done: dict, stops: list[int], note, chunk: int = 1024) -> float:
     """Verify a leaf's points that no bound rules out; returns the new lam. stops: the quotas still ahead, the next one last; note is called at each."""
-    lo, hi = tree.lo[at], tree.hi[at]
+    lo, hi = int(tree.lo[at]), int(tree.hi[at])
     done["leaves_scanned"] += 1
     done["points_seen"] += hi - lo
-    slack = 1e-9 * q_norm * max(1.0, tree.norms[at])
-    along = ip / tree.norms[at]
-    across = np.sqrt(max(q_norm * q_norm - along * along, 0.0))
-    start = lo
+    norm = float(tree.norms[at])
+    slack = 1e-9 * q_norm * max(1.0, norm)
+    along = ip / norm if norm else np.float64(ip) / norm
+    across = math.sqrt(max(q_norm * q_norm - along * along, 0.0))
+    start, cosine, room = lo, abs(along), 1e-7 * q_norm
     while start < hi and (quota is None or done["verified"] < quota):
-        if options.ball and np.isfinite(lam):  # distances fall along the leaf, so survivors are a prefix
-            least = (abs(ip) - lam - slack) / q_norm
-            end = lo + int(np.searchsorted(-tree.r_x[lo:hi], -least, side="right"))
+        if options.ball and lam < np.inf:  # distances fall along the leaf, so survivors are a prefix
+            end = bisect.bisect_right(tree.closer, -((abs(ip) - lam - slack) / q_norm), lo, hi)
             if end < hi:
                 done["pruned_ball"] += hi - max(end, start)
                 hi = max(end, start)
                 continue
         stop = min(start + chunk, hi)
-        some = np.arange(start, stop)
+        some, count = slice(start, stop), stop - start
         start = stop
         if options.cone:
-            done["cone_evals"] += len(some)
-            if np.isfinite(lam):
-                span = slice(some[0], stop)
-                low = abs(along) * tree.a_par[span] - across * tree.x_perp[span] - 1e-7 * q_norm * tree.x_len[span]
-                kept = some[low <= lam]
-                done["pruned_cone"] += len(some) - len(kept)
-                some = kept
-        if quota is not None:
-            some = some[: quota - done["verified"]]
-        while len(some):
+            done["cone_evals"] += count
+            if lam < np.inf:
+                low = cosine * tree.a_par[some] - across * tree.x_perp[some] - room * tree.x_len[some]
+                kept = (low <= lam).nonzero()[0]
+                if len(kept) < count:
+                    done["pruned_cone"] += count - len(kept)
+                    some, count = kept + some.start, len(kept)
+        left = count if quota is None else min(count, quota - done["verified"])
+        if left == count and count and not (stops and done["verified"] + count >= stops[-1]):
+            lam = verify(tree, some, count, q, options, lam, slack, best, done)
+            continue
+        some = (np.arange(some.start, some.stop) if isinstance(some, slice) else some)[:left]
+        while len(some):  # a quota is met within these points
             more = min(len(some), stops[-1] - done["verified"]) if stops else len(some)
-            lam = verify(tree, some[:more], q, options, lam, slack, best, done)
+            lam = verify(tree, some[:more], more, q, options, lam, slack, best, done)
             some = some[more:]
             if stops and done["verified"] == stops[-1]:
                 note(stops.pop())
     return lam
 
 
-def verify(tree: Tree, some: np.ndarray, q: np.ndarray, options: Options, lam: float, slack: float, best: list, done: dict) -> float:
+def verify(tree: Tree, some: slice | np.ndarray, count: int, q: np.ndarray, options: Options, lam: float, slack: float, best: list, done: dict) -> float:
     """Put points to the best, if they are near enough; returns the new lam."""
-    done["verified"] += len(some)
+    done["verified"] += count
     begun = time.perf_counter_ns() if options.clock else 0
-    rough = np.abs(tree.X[some] @ q)
-    near = some[rough <= lam + slack] if np.isfinite(lam) else some
-    if len(near) > 4 * options.k and not np.isfinite(lam):
-        near = some[rough <= np.partition(rough, options.k - 1)[options.k - 1] + slack]
-    exact = np.add.accumulate(tree.X[near] * q, axis=1)[:, -1]  # left folds in component order
-    for value, name in zip(np.abs(exact).tolist(), tree.ids[near].tolist()):
-        entry = (-value, -name)
-        if len(best) < options.k:
-            heapq.heappush(best, entry)
-        elif entry > best[0]:
-            heapq.heapreplace(best, entry)
-    if len(best) == options.k:
-        lam = min(lam, -best[0][0])
+    X, ids = (tree.X[some], tree.ids[some]) if isinstance(some, slice) else (tree.X.take(some, axis=0), None)
+    rough = np.abs(X.dot(q))
+    if lam < np.inf:
+        near = (rough <= lam + slack).nonzero()[0]
+    elif count > 4 * options.k:
+        near = (rough <= np.partition(rough, options.k - 1)[options.k - 1] + slack).nonzero()[0]
+    else:
+        near = np.arange(count)
+    if len(near):
+        exact = np.abs(np.add.accumulate(X[near] * q, axis=1)[:, -1])  # left folds in component order
+        for value, name in zip(exact.tolist(), (tree.ids[some[near]] if ids is None else ids[near]).tolist()):
+            entry = (-value, -name)
+            if len(best) < options.k:
+                heapq.heappush(best, entry)
+            elif entry > best[0]:
+                heapq.heapreplace(best, entry)
+        if len(best) == options.k:
+            lam = min(lam, -best[0][0])
     if options.clock:
         done["verify_ns"] += time.perf_counter_ns() - begun
     return lam

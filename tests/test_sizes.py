@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from hypernear.operators import brute, build, index, metrics, search
-from hypernear.operators.grow import Options, grow, walk, walks
+from hypernear.operators.grow import Options, grow, grow_all, walk, walks
 from hypernear.sources import tables
 from hypernear.streaming import flows
 from test_engine import planes_of, points_of, rows, unit
@@ -117,3 +117,37 @@ def test_wide_products_are_left_folds():
         total = total + X[:, j] * q[j]
     assert brute.folded(X, q).tolist() == total.tolist()
     assert inspect.signature(build.hybrid).parameters["shard_bytes"].default <= 8 << 20
+
+
+def test_leaf_sizes_share_one_growth(spark, some, monkeypatch):
+    """Trees of several leaf sizes are those that each size grows alone, from points that are dealt once; no points give no trees."""
+    P, Q = some
+    P = np.concatenate([P, np.ones((40, 3))])
+    X, ids = np.column_stack([P, np.ones(len(P))]), np.arange(len(P))[::-1].copy()
+    sizes = [50, 5, 90, 20]
+    for size, tree in zip(sizes, grow_all(ids, X, sizes, 7)):
+        alone = grow(ids, X, size, 7)
+        assert all(getattr(tree, name) == getattr(alone, name) for name in ("node", "parent", "left", "right", "depth", "lo", "hi", "flat", "weight"))
+        assert all(np.array_equal(getattr(tree, name), getattr(alone, name)) for name in ("centers", "norms", "radii", "ids", "X", "r_x", "x_par", "x_perp"))
+    points, planes = points_of(spark, some[0]), planes_of(spark, Q)
+    dealt, route = [], build.route
+    monkeypatch.setattr(build, "route", lambda *args: dealt.append(1) or route(*args))
+    built = build.hybrids(points, sizes, shard_bytes=100 * 8 * 8)
+    assert len(dealt) == 1
+    alone = build.hybrid(points, 5, shard_bytes=100 * 8 * 8)
+    assert [one.leaf_size for one in built] == sizes and sorted(map(str, built[1].nodes.collect())) == sorted(map(str, alone.nodes.collect()))
+    for one in built:
+        assert rows(search.shard_dfs(one, planes, 5)) == rows(brute.topk(points, planes, 5))
+        assert all(r.n == 0 for r in index.check_partition(one).collect())
+    assert build.hybrids(points.limit(0), sizes)[0].nodes.count() == 0
+
+
+def test_a_leaf_is_verified_in_place():
+    """Points of a leaf that no bound rules out are read as one slice, and single numbers as Python's: a step costs microseconds."""
+    random = np.random.default_rng(4)
+    X = np.column_stack([random.standard_normal((20_000, 4)), np.ones(20_000)])
+    tree, q = grow(np.arange(20_000), X, 20, 3).ready(), random.standard_normal(5)
+    assert all(isinstance(part, list) for part in (*tree.plain, tree.closer))
+    found, cost = walk(tree, q, float(np.linalg.norm(q)), Options(10, ball=False, cone=False))
+    margins = np.abs(brute.folded(X, q))
+    assert [i for _, i in found] == np.lexsort((np.arange(20_000), margins))[:10].tolist() and cost["verified"] == cost["points_seen"]
