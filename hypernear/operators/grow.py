@@ -63,6 +63,7 @@ class Tree:
     a_par: np.ndarray = None  # x_par without its sign
     x_len: np.ndarray = None  # length of each point
     closer: list[float] = None  # r_x negated: rising along a leaf
+    across: tuple = None  # X by component; leaves with points, in the order of these, where they start, and their sizes
     plain: tuple = None  # left, right, weight, centres, radii, and the bounds' room for rounding, as lists
 
     def ready(self) -> Tree:
@@ -249,8 +250,36 @@ def walk(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     return walks(tree, q, q_norm, options, lam, [quota])[0]
 
 
-def walks(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float, quotas: list[int | None]) -> list[tuple[list[tuple[float, int]], dict[str, int]]]:
-    """What walk() gives for each quota, in one walk: that of a smaller quota is the beginning of that of a larger one."""
+class Met:
+    """A plane's margins of all points of a tree, the least of each leaf and the cone's bounds, worked out once for walks with several options. Answers and
+    counters are those of walks on their own; seconds are not, so that walks with a clock don't use it."""
+
+    def __init__(self, tree: Tree, q: np.ndarray, q_norm: float):
+        if tree.across is None:
+            leaves = np.array([at for at in range(len(tree.parent)) if tree.left[at] < 0 and tree.hi[at] > tree.lo[at]], dtype=np.int64)
+            leaves = leaves[np.argsort(np.asarray(tree.lo)[leaves])]
+            tree.across = np.ascontiguousarray(tree.X.T), leaves, np.asarray(tree.lo)[leaves], (np.asarray(tree.hi) - np.asarray(tree.lo))[leaves]
+        self.tree, self.q, self.q_norm, self.ips, self.bounds = tree, q, q_norm, [None] * len(tree.parent), None
+        columns, leaves, starts, _ = tree.across
+        self.margins = columns[0] * q[0]
+        for j in range(1, len(q)):  # left folds in component order
+            self.margins += columns[j] * q[j]
+        np.abs(self.margins, out=self.margins)
+        self.least = dict(zip(leaves.tolist(), np.minimum.reduceat(self.margins, starts).tolist())) if len(leaves) else {}
+
+    def low(self) -> np.ndarray:
+        if self.bounds is None:
+            tree, (_, leaves, _, sizes) = self.tree.ready(), self.tree.across
+            along = (tree.centers[leaves] @ self.q) / tree.norms[leaves]
+            across = np.sqrt(np.maximum(self.q_norm * self.q_norm - along * along, 0.0))
+            self.bounds = np.repeat(np.abs(along), sizes) * tree.a_par
+            self.bounds -= np.repeat(across, sizes) * tree.x_perp
+            self.bounds -= 1e-7 * self.q_norm * tree.x_len
+        return self.bounds
+
+
+def walks(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float, quotas: list[int | None], met: Met | None = None) -> list[tuple[list[tuple[float, int]], dict[str, int]]]:
+    """What walk() gives for each quota, in one walk: that of a smaller quota is the beginning of that of a larger one. met: for several walks of one plane."""
     done = dict.fromkeys(COUNTERS, 0)
     best: list[tuple[float, int]] = []  # a heap of negated (margin, id)
     if not len(tree.ids):
@@ -265,6 +294,7 @@ def walks(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     tree.ready()
     left, right, weight, rows, radii, rooms = tree.plain  # lists, as a step reads single numbers
     widen, nearest, derive, rederive, visited, products = 1 + options.eps, options.preference == "center", options.derive_sibling, options.rederive, 0, 1
+    ips = [None] * len(left) if met is None else met.ips
     begun = time.perf_counter_ns()
     todo = [(0, float(rows[0].dot(q)), 0)]
     while stops and stops[-1] <= 0:
@@ -278,12 +308,22 @@ def walks(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
         l, r = left[at], right[at]
         if l < 0:
             done["nodes_visited"], done["center_products"] = visited, products
-            lam = scan(tree, at, ip, q, q_norm, options, lam, quota, best, done, stops, note)
+            if met is not None and lam < np.inf and not (stops and done["verified"] + tree.hi[at] - tree.lo[at] >= stops[-1]):
+                lam = scan_met(met, at, ip, options, lam, rooms[at] * q_norm, best, done)
+            else:
+                lam = scan(tree, at, ip, q, q_norm, options, lam, quota, best, done, stops, note)
             continue
         small, big = (l, r) if weight[l] <= weight[r] else (r, l)
-        ip_small = float(rows[small].dot(q))
+        ip_small = ips[small]
+        if ip_small is None:
+            ip_small = ips[small] = float(rows[small].dot(q))
         derived = derive and since < rederive
-        ip_big = (weight[at] * ip - weight[small] * ip_small) / weight[big] if derived else float(rows[big].dot(q))
+        if derived:
+            ip_big = (weight[at] * ip - weight[small] * ip_small) / weight[big]
+        else:
+            ip_big = ips[big]
+            if ip_big is None:
+                ip_big = ips[big] = float(rows[big].dot(q))
         products += 2 - derived
         one, other = (small, ip_small, 0), (big, ip_big, since + 1 if derived else 0)
         if nearest:
@@ -298,6 +338,42 @@ def walks(tree: Tree, q: np.ndarray, q_norm: float, options: Options, lam: float
     return [ended.get(n, ended[None]) for n in quotas]
 
 
+def scan_met(met: Met, at: int, ip: float, options: Options, lam: float, slack: float, best: list, done: dict, chunk: int = 1024) -> float:
+    """scan() of a leaf in which no quota is met, with the margins at hand and a finite lam."""
+    tree = met.tree
+    start, hi = tree.lo[at], tree.hi[at]
+    lo, nearest = start, met.least[at]
+    done["leaves_scanned"] += 1
+    done["points_seen"] += hi - lo
+    while start < hi:
+        if options.ball:
+            end = max(bisect.bisect_right(tree.closer, -((abs(ip) - lam - slack) / met.q_norm), lo, hi), start)
+            done["pruned_ball"] += hi - end
+            hi = end
+        stop = min(start + chunk, hi)
+        count, near = stop - start, None
+        if options.cone and count:
+            done["cone_evals"] += count
+            near = met.low()[start:stop] <= lam
+            kept = int(np.count_nonzero(near))
+            done["pruned_cone"] += count - kept
+            count = kept
+        done["verified"] += count
+        if count and nearest <= lam:
+            margins = met.margins[start:stop]
+            some = (margins <= lam if near is None else near & (margins <= lam)).nonzero()[0]
+            for value, name in zip(margins[some].tolist(), tree.ids[start:stop][some].tolist()):
+                entry = (-value, -name)
+                if len(best) < options.k:
+                    heapq.heappush(best, entry)
+                elif entry > best[0]:
+                    heapq.heapreplace(best, entry)
+            if len(best) == options.k:
+                lam = min(lam, -best[0][0])
+        start = stop
+    return lam
+
+
 def scan(tree: Tree, at: int, ip: float, q: np.ndarray, q_norm: float, options: Options, lam: float, quota: int | None, best: list, done: dict, stops: list[int], note, chunk: int = 1024) -> float:
     """Verify a leaf's points that no bound rules out; returns the new lam. stops: the quotas still ahead, the next one last; note is called at each."""
     lo, hi = int(tree.lo[at]), int(tree.hi[at])

@@ -46,8 +46,9 @@ class Index:
         """shard, part, center, center_norm and radius of all shards with points, if a count says that they are few enough for the driver."""
         if "roots" not in self.known:
             some = self.packed().filter("n > 0")
-            few = some.limit(most_bytes // (8 * (self.d + 5)) + 1).count() <= most_bytes // (8 * (self.d + 5))
-            table = some.select("shard", "part", "center", "center_norm", "radius").toArrow() if few else None
+            most = most_bytes // (8 * (self.d + 5))
+            table = some.select("shard", "part", "center", "center_norm", "radius").limit(most + 1).toArrow()
+            table = table if table.num_rows <= most else None
             self.known["roots"] = table and {c: flat(table.column(c), self.d) if c == "center" else table.column(c).to_numpy() for c in table.column_names}
         return self.known["roots"]
 

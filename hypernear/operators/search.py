@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import exprs as E
 from ..sources.storage import opened, persisted, ship
 from .brute import batches_of, ranked, small_side
-from .grow import COUNTERS, Options, from_bytes, walks
+from .grow import COUNTERS, Met, Options, from_bytes, walks
 from .index import TREES, Index, names
 
 FOUND = "qid long, shard int, id long, margin double, " + ", ".join(f"{c} long" for c in COUNTERS)
@@ -96,11 +96,12 @@ def reached(Q: np.ndarray, lengths: np.ndarray, lams: np.ndarray, centers: np.nd
     return least <= lams[:, None]
 
 
-def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams: np.ndarray | None = None, only: dict[int, int] | None = None, but: dict[int, int] | None = None, budget: float | dict[int, float] | None = None, quota: int | None = None) -> DataFrame:
+def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options | list[Options], lams: np.ndarray | None = None, only: dict[int, int] | None = None, but: dict[int, int] | None = None, budget: float | dict[int, float] | None = None, quota: int | None = None) -> DataFrame:
     """Rows FOUND of a batch of planes over the packed trees, in place: no row is shuffled. A plane walks its shard in ``only``, or all
     shards but its one in ``but``. Shards that no threshold reaches are not unpacked, and folders of such shards are not read; their
     roots' products are counted all the same. Equal planes with budgets of their own are walked once. Where shards are fewer than cores, planes are
-    dealt to several tasks, each of which reads the trees."""
+    dealt to several tasks, each of which reads the trees. A list of options gives rows (variant, FOUND), by place in the list: each tree is read once for all,
+    and walks without a clock share a plane's products."""
     lengths = np.linalg.norm(Q, axis=1)
     lams = np.full(len(qids), np.inf) if lams is None else lams
     alike: dict[tuple, list[int]] = {}
@@ -109,14 +110,16 @@ def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams
     groups = list(alike.values())
     roots, cores = index.roots(), index.nodes.sparkSession.sparkContext.defaultParallelism
     slices = 1 if roots is None else max(1, min(-(-2 * cores // max(len(roots["shard"]), 1)), len(groups) // 4))
-    shared = ship(index.nodes.sparkSession, (qids, Q, lengths, lams, options, only, but, budget, quota, [groups[n::slices] for n in range(slices)]))
+    several = isinstance(options, list)
+    variants = options if several else [options]
+    shared = ship(index.nodes.sparkSession, (qids, Q, lengths, lams, variants, only, but, budget, quota, [groups[n::slices] for n in range(slices)]))
 
     def run(batches, slice):
-        qids, Q, lengths, lams, options, only, but, budget, quota, groups = opened(shared)
+        qids, Q, lengths, lams, variants, only, but, budget, quota, groups = opened(shared)
         groups, here = groups[slice], np.zeros(len(qids), dtype=bool)
         here[[at for group in groups for at in group]] = True
-        none = (0,) * len(COUNTERS)
         at_root = tuple(int(c in ("nodes_visited", "center_products")) for c in COUNTERS)
+        together = sum(not options.clock for options in variants) > 1
         for batch in batches:
             for row in range(batch.num_rows):
                 shard, n = batch.column(0)[row].as_py(), batch.column(1)[row].as_py()
@@ -125,7 +128,10 @@ def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams
                 mine = here & np.array([(only is None or only[q] == shard) and (but is None or but[q] != shard) for q in qids.tolist()])
                 center, norm, radius = np.asarray(batch.column(2)[row].values)[None, :], np.asarray(batch.column(3))[row : row + 1], np.asarray(batch.column(4))[row : row + 1]
                 near = mine & reached(Q, lengths, lams, center, norm, radius)[:, 0]
-                rows = [(q, shard, None, None, *at_root) for q in qids[mine & ~near].tolist()]
+                rows = Rows(shard)
+                for variant in range(len(variants)):
+                    for q in qids[mine & ~near].tolist():
+                        rows.add(variant, q, [], at_root)
                 if near.any():
                     tree = from_bytes(batch.column(5)[row].as_buffer())
                     for group in groups:
@@ -134,12 +140,15 @@ def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams
                             continue
                         shares = [budget[int(qids[at])] if isinstance(budget, dict) else budget for at in group]
                         quotas = [quota if share is None else int(np.ceil(share * n)) for share in shares]
-                        for at, (best, done) in zip(group, walks(tree, Q[group[0]], float(lengths[group[0]]), options, float(lams[group[0]]), quotas)):
-                            cost = tuple(done.values())
-                            rows += [(int(qids[at]), shard, i, m, *(cost if k == 0 else none)) for k, (m, i) in enumerate(best or [(None, None)])]
-                columns = list(zip(*rows)) or [()] * (4 + len(COUNTERS))
-                kinds = [pa.int64(), pa.int32(), pa.int64(), pa.float64()] + [pa.int64()] * len(COUNTERS)
-                yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(columns, kinds)], names=["qid", "shard", "id", "margin", *COUNTERS])
+                        q, length, lam = Q[group[0]], float(lengths[group[0]]), float(lams[group[0]])
+                        met = Met(tree, q, length) if together else None
+                        for variant, options in enumerate(variants):
+                            for at, (best, done) in zip(group, walks(tree, q, length, options, lam, quotas, None if options.clock else met)):
+                                rows.add(variant, int(qids[at]), best, tuple(done.values()))
+                        if len(rows.ids) > 1 << 16:
+                            yield rows.batch(several)
+                            rows = Rows(shard)
+                yield rows.batch(several)
 
     parts = reachable_parts(index, Q, lengths, lams) if but is not None else None
     if parts is not None and roots is not None and len(parts) == len(np.unique(roots["part"])):
@@ -147,17 +156,43 @@ def walked(index: Index, qids: np.ndarray, Q: np.ndarray, options: Options, lams
     trees = index.packed() if parts is None else index.packed().filter(F.col("part").isin(parts))
     found = None
     for n in range(slices):
-        part = trees.select(*names(TREES)).mapInArrow(lambda batches, n=n: run(batches, n), FOUND)
+        part = trees.select(*names(TREES)).mapInArrow(lambda batches, n=n: run(batches, n), f"variant int, {FOUND}" if several else FOUND)
         found = part if found is None else found.unionByName(part)
     if parts is None:
         return found
     zero = [F.lit(int(c in ("nodes_visited", "center_products"))).cast("long").alias(c) for c in COUNTERS]
     skipped = index.packed().filter((F.col("n") > 0) & ~F.col("part").isin(parts)).select("shard")
     planes = index.nodes.sparkSession.createDataFrame([(int(q),) for q in qids], "qid long")
-    unread = skipped.crossJoin(F.broadcast(planes)).select("qid", "shard", F.lit(None).cast("long").alias("id"), F.lit(None).cast("double").alias("margin"), *zero)
+    if several:
+        planes = planes.withColumn("variant", F.explode(F.sequence(F.lit(0), F.lit(len(variants) - 1))))
+    unread = skipped.crossJoin(F.broadcast(planes)).select(*["variant"] * several, "qid", "shard", F.lit(None).cast("long").alias("id"), F.lit(None).cast("double").alias("margin"), *zero)
     return found.unionByName(unread)
 
 
+class Rows:
+    """Rows FOUND of one shard, with their variant: an answer's first row has its cost."""
+
+    def __init__(self, shard: int):
+        self.shard, self.heads, self.counts, self.costs, self.ids, self.margins = shard, [], [], [], [], []
+
+    def add(self, variant: int, qid: int, best: list[tuple[float, int]], cost: tuple) -> None:
+        self.heads.append((variant, qid))
+        self.counts.append(max(len(best), 1))
+        self.costs.append(cost)
+        self.margins += [m for m, _ in best] or [None]
+        self.ids += [i for _, i in best] or [None]
+
+    def batch(self, several: bool) -> pa.RecordBatch:
+        counts = np.array(self.counts, dtype=np.int64)
+        variants, qids = (np.repeat(np.array([h[i] for h in self.heads], dtype=np.int64), counts) for i in (0, 1))
+        costs = np.zeros((len(COUNTERS), len(self.ids)), dtype=np.int64)
+        if len(counts):
+            costs[:, np.cumsum(counts) - counts] = np.array(self.costs, dtype=np.int64).T
+        shards = pa.array(np.full(len(self.ids), self.shard, dtype=np.int32))
+        columns = [pa.array(variants.astype(np.int32))] * several + [pa.array(qids), shards, pa.array(self.ids, pa.int64()), pa.array(self.margins, pa.float64()), *map(pa.array, costs)]
+        return pa.RecordBatch.from_arrays(columns, names=["variant"] * several + ["qid", "shard", "id", "margin", *COUNTERS])
+
+
 def kept_with_thresholds(found: DataFrame, qids: np.ndarray, k: int, most_rows: int = 100_000) -> tuple[DataFrame, np.ndarray]:
     """Rows of a first round, computed once, and each plane's k-th margin: rows of few planes (k a plane) come through the driver, others are written."""
     spark = found.sparkSession
@@ -198,6 +233,15 @@ def shard_dfs(index: Index, planes: DataFrame, k: int = 10, ball: bool = True, c
     return found if with_counters else ranked(found.filter("id is not null"), k)
 
 
+def shard_walks(index: Index, planes, options: list[Options], budget: dict[int, float]) -> DataFrame:
+    """Rows (variant, FOUND) of budgeted walks with each of several options, in one pass over the trees; see shard_dfs()."""
+    found = None
+    for qids, Q in batches_of(planes):
+        part = walked(index, qids, Q, options, budget=budget)
+        found = part if found is None else found.unionByName(part)
+    return index.nodes.sparkSession.createDataFrame([], f"variant int, {FOUND}") if found is None else found
+
+
 def counters(found: DataFrame) -> DataFrame:
     """What each plane cost over all shards, from shard_dfs(.., with_counters=True)."""
     return found.groupBy("qid").agg(*[F.sum(c).alias(c) for c in COUNTERS], F.count_distinct("shard").alias("shards_touched"))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from hypernear.operators import brute, build, index, metrics, search
 from hypernear.operators.baselines import hashing
-from hypernear.operators.grow import Options, grow, grow_all, walk, walks
+from hypernear.operators.grow import Met, Options, grow, grow_all, walk, walks
 from hypernear.plans import experiments
 from hypernear.sources import tables
 from hypernear.streaming import flows
@@ -199,3 +199,36 @@ def test_points_of_an_experiment_are_spread(spark, sf_dir, monkeypatch):
     kept, written = [], experiments.persisted
     monkeypatch.setattr(experiments, "persisted", lambda df, label: kept.append(df) or written(df, label))
     assert experiments.bench_of(spark, sf_dir, "li4", 2).points.count() == tables.li4(spark, sf_dir).count() and spread(kept[0])
+
+
+def test_walks_with_several_options_share_products(spark, some):
+    """Answers and counters are those of walks on their own, and a tree is read once for all options."""
+    P, Q = some
+    X, ids = np.column_stack([np.concatenate([P, np.ones((40, 3))]), np.ones(len(P) + 40)]), np.arange(len(P) + 40)
+    options = [Options(k, preference=p, **flags) for k in (1, 10) for p in ("center", "bound") for flags in (*experiments.VARIANTS.values(), experiments.METHODS["plain"])]
+    for tree in (grow(ids, X, 25, 7), grow(ids, np.concatenate([X[:, :3] * 0 + 1, X[:, 3:]], axis=1), 25, 7)):
+        for q in Q:
+            length, quotas = float(np.linalg.norm(q)), [3, 40, 333, None]
+            met = Met(tree, q, length)
+            for one in options:
+                assert walks(tree, q, length, one, np.inf, quotas, met) == walks(tree, q, length, one, np.inf, quotas)
+    points, planes = points_of(spark, P), planes_of(spark, Q)
+    built = build.hybrid(points, 10, shard_bytes=100 * 8 * 8)
+    found = search.shard_walks(built, planes, options, {q: 0.3 for q in range(16)})
+    for at in (0, 4, 13):
+        flags = {name: getattr(options[at], name) for name in ("k", "ball", "cone", "derive_sibling", "preference")}
+        alone = search.shard_dfs(built, planes, budget=0.3, seeds=0, with_counters=True, **flags)
+        assert sorted(map(str, found.filter(F.col("variant") == at).drop("variant").collect())) == sorted(map(str, alone.collect()))
+
+
+def test_an_experiment_walks_once(spark, some, monkeypatch):
+    """All settings of the trees are one job a run, whatever their number, with the recalls of each on its own."""
+    bench = experiments.Bench(spark, "some", points_of(spark, some[0]), planes_of(spark, some[1]), 1, clock=False)
+    built, written, kept = build.hybrids(bench.points, [10, 50]), experiments.persisted, []
+    monkeypatch.setattr(experiments, "persisted", lambda df, label: kept.append(label) or written(df, label))
+    bench.trees([w for one in built for k in (1, 5) for w in experiments.walks_of(one, k, setting=str(one.leaf_size))], (0.1, 1.0))
+    assert kept.count("experiment-found") == 1 and len(bench.rows) == 16
+    for name, method, setting, k, budget, recall, seconds, *_ in bench.rows:
+        truth = {(r.qid, r.id) for r in brute.topk(bench.points, bench.planes, k).collect()}
+        one = search.shard_dfs(built[setting == "50"], bench.planes, k, budget=budget, seeds=0, **experiments.METHODS[method])
+        assert seconds is None and recall == pytest.approx(len(truth & {(r.qid, r.id) for r in one.collect()}) / len(truth)) and (budget < 1 or recall == 1)
