@@ -121,7 +121,7 @@ def grow_all(ids: np.ndarray, X: np.ndarray, leaf_sizes: list[int], seed: int, a
         if hi - lo <= least:
             continue
         rows = order[lo:hi]
-        near = X[rows]
+        near = X.take(rows, axis=0)
         a, b, to_a = pivots(near, ids[rows], seed, name)
         if to_a[b] == 0:
             tree.flat[at] = True
@@ -133,7 +133,7 @@ def grow_all(ids: np.ndarray, X: np.ndarray, leaf_sizes: list[int], seed: int, a
         todo.append((lo, middle, 2 * name & MASK, depth + 1, at, False))
     for leaf_size in leaf_sizes:
         part, rows = cut(tree, order, ids, leaf_size)
-        finish(part, ids[rows], X[rows], annotate)
+        finish(part, ids.take(rows), X.take(rows, axis=0), annotate)
         yield part
 
 
@@ -178,7 +178,7 @@ def finish(tree: Tree, ids: np.ndarray, X: np.ndarray, annotate: bool) -> None:
             rank = np.lexsort((ids[span], -r)) if annotate else np.argsort(ids[span])
             order[span] = order[span][rank]
             tree.r_x[span], tree.x_par[span], tree.x_perp[span] = r[rank], along[rank], across[rank]
-    tree.ids, tree.X = ids[order], X[order]
+    tree.ids, tree.X = ids.take(order), X.take(order, axis=0)
     tree.weight = [tree.n(at) for at in range(count)]
 
 

@@ -264,3 +264,65 @@ def test_a_query_about_trees_runs_no_hashes(spark, sf_dir, monkeypatch):
     assert experiments.trend_budget(spark, sf_dir).first().n == 0
     runs = experiments.runs_of(spark, sf_dir, "tree_recall")
     assert runs.count() == 2 * len(experiments.SMALL_LEAVES) * len(experiments.BUDGETS) and {r.method for r in runs.collect()} == set(experiments.METHODS)
+
+
+def test_cuts_are_tested_without_whole_scores(spark):
+    """Gaps of 16 bits, and of 24 for planes out of their reach, give the scores of 53; a cut lets through all points that reach it, and few others."""
+    random = np.random.default_rng(5)
+    s = {"m": 32, "bins": 512, "parts": 48, "ratio": 0.9, "most": 2.0}
+    part = random.integers(0, 20, 4000).astype(np.int32)
+    keys = random.standard_normal((4000, 32)) * 2 * 0.9 ** part[:, None]
+    seen = hashing.Seen(4, 2)
+    for far, reach in ((1.0, {}), (1.0, {"furthest": 300.0}), (100.0, {})):
+        look = np.append(random.standard_normal(32) * far, 1.5)
+        edge = 5.0 * (2.0 * 0.9 ** part[:600].astype(float) + 1.5) * (np.arange(600) % 200) / 512
+        keys[:600] = look[:-1] + edge[:, None]
+        view = seen.view(keys, part, s | reach)
+        longest = 5.0 * (2.0 * 0.9 ** part.astype(float) + 1.5)
+        near = seen.nearing(view, look, part, s)
+        for kind, (nth, level) in enumerate(zip((4, 2), seen.all(view, look, s))):
+            want = np.minimum(np.sort(np.abs(keys - look[:-1]), axis=1)[:, -nth] / longest * 512, 512).astype(np.int64)
+            assert np.array_equal(level, want) and np.array_equal(near.levels(kind, np.arange(4000)), want) and np.array_equal(near.levels(kind, np.arange(50)), want[:50])
+            cut = np.full(48, int(np.median(want)))
+            at = near.reaching(kind, cut, None)
+            assert np.isin((want >= cut[0]).nonzero()[0], at).all() and (want[at] >= cut[0] - 4).all()
+            assert np.array_equal(near.reached(kind, np.arange(4000), cut[part]).nonzero()[0], at)
+
+
+def test_hash_searches_read_their_points_once(spark, some):
+    """Searches that make keys on the spot share a pass, while their counts fit in a task; answers are those of each alone."""
+    points, planes = points_of(spark, some[0]), planes_of(spark, some[1])
+    known = hashing.measures(points, [4])
+    searches = [(hashing.near_build(points, 8, 4, stored=False, known=known), hashing.near_look, hashing.collisions), (hashing.far_build(points, 8, 4, stored=False, known=known), hashing.far_look, hashing.Seen(2))]
+    found = hashing.searched(searches, planes, 5, 0.2)
+    assert found._jdf.queryExecution().executedPlan().toString().count("MapInArrow") == 1
+    assert hashing.passes(searches, 16, 0) == [[0], [1]] and hashing.passes([searches[0], (hashing.near_build(points, 8, 4), *searches[0][1:])], 16) == [[0], [1]]
+    for variant, alone in enumerate((hashing.near_search(hashing.near_build(points, 8, 4), planes, 5, 0.2), hashing.far_search(hashing.far_build(points, 8, 4), planes, 5, 2, 0.2))):
+        assert rows(brute.ranked(found.filter(F.col("variant") == variant).filter("id is not null"), 5)) == rows(alone)
+
+
+def test_points_are_dealt_in_blocks(spark, some):
+    """A task shuffles a row a shard and block of points, not a row a point, and no point is lost where shards are cut by a hash."""
+    X = np.column_stack([some[0], np.ones(600)])
+    steps = build.router(X, np.arange(600), 6, 42)
+    arrays = np.array([a for a, *_ in steps]), np.array([b for _, b, *_ in steps]), np.array([children for _, _, *children in steps], dtype=np.int64)
+    want = []
+    for x in X:
+        at = 0
+        while at >= 0:
+            at = steps[at][2 if ((x - steps[at][0]) ** 2).sum() <= ((x - steps[at][1]) ** 2).sum() else 3]
+        want.append(-1 - at)
+    assert build.routed(X, arrays, 40).tolist() == build.routed(X, arrays).tolist() == want
+    points = points_of(spark, some[0]).repartition(3)
+    assert build.held_by(points, arrays, 6).tolist() == np.bincount(want, minlength=6).tolist()
+    for cuts, most in ((None, 6), (np.array([1, 2, 3, 1, 1, 2]), 10)):
+        dealt = build.route(points, arrays, cuts).collect()
+        ids = [i for r in dealt for i in np.frombuffer(r.ids, "<i8").tolist()]
+        assert sorted(ids) == list(range(600)) and len(dealt) <= 3 * most
+        assert all(np.array_equal(np.frombuffer(r.xs, "<f8").reshape(-1, 4), X[np.frombuffer(r.ids, "<i8")]) for r in dealt)
+        assert len(build.route(points, arrays, cuts, 1, 80).collect()) > 3 * most
+
+
+def test_the_largest_experiment_needs_no_clock():
+    """Its query returns no seconds, so that walks of both trees share a plane's products."""
+    assert inspect.signature(experiments.large).parameters["clock"].default is False
